@@ -33,4 +33,28 @@ SELECT d.doc_id, CAST(coalesce(n.n, 0) AS BIGINT) AS n_shingles, CAST(least(d.do
 FROM d LEFT JOIN n USING (doc_id) LEFT JOIN c ON c.v = d.doc_id
 """
 
-ORACLES = {"op1_decontaminate": _OP1, "op4_minhash": _OP4}
+
+
+def _op10() -> str:
+    from gridalg.llm.secrets import BASE, RULES
+
+    def one(order: int, rule) -> str:
+        rx = rule.pattern.replace("'", "''")
+        return f"""SELECT doc_id, {order} AS o, '{rule.kind}' AS kind, {rule.least} AS least, regexp_split_to_array(t, '{rx}') AS p,
+        regexp_extract_all(t, '{rx}', 0) AS m, regexp_extract_all(t, '{rx}', {rule.group}) AS g FROM d"""
+
+    parts = " UNION ALL ".join(one(k, r) for k, r in enumerate(RULES))
+    counts = ", ".join(f"CAST(count(*) FILTER (kind = '{r.kind}') AS BIGINT) AS n_{r.kind}" for r in BASE)
+    return f"""
+WITH d AS (SELECT doc_id, coalesce(text, '') AS t FROM documents),
+r AS ({parts}),
+s AS (SELECT doc_id, o, kind, least, g[i] AS g, CAST(list_sum(list_transform(p[1:i], x -> length(x))) + coalesce(list_sum(list_transform(m[1:i - 1], x -> length(x))), 0) AS BIGINT) AS a, length(m[i]) AS n
+      FROM (SELECT *, unnest(range(1, len(m) + 1)) AS i FROM r WHERE len(m) > 0)),
+k AS (SELECT doc_id, o, kind, a, kind || ':' || a || ':' || (a + n) AS x FROM s WHERE length(g) >= least),
+c AS (SELECT doc_id, {counts}, coalesce(string_agg(x, ',' ORDER BY a, o) FILTER (o < {len(BASE)}), '') AS base, string_agg(x, ',' ORDER BY a, o) AS spans FROM k GROUP BY doc_id)
+SELECT doc_id, {", ".join(f"coalesce(n_{r.kind}, 0) AS n_{r.kind}" for r in BASE)}, sha256(coalesce(base, '')) AS base_sha256, coalesce(spans, '') AS spans
+FROM d LEFT JOIN c USING (doc_id)
+"""
+
+
+ORACLES = {"op1_decontaminate": _OP1, "op4_minhash": _OP4, "op10_secrets": _op10()}

@@ -17,12 +17,28 @@ def op1_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return m.digest(m.find_windows(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")))
 
 
+def op3_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from pyspark.sql import functions as F
+
+    from gridalg.llm import pii as m
+
+    out = m.pseudonymise(table(spark, sf_dir, "documents").select("doc_id", "text"), spans=True)
+    spans = F.array_join(F.transform("pii_spans", lambda x: F.concat_ws(":", x["kind"], x["start"].cast("string"), x["end"].cast("string"))), ",")
+    return out.select("doc_id", F.size("pii_spans").cast("long").alias("n_found"), spans.alias("spans"), F.sha2("text", 256).alias("text_sha256"), "text")
+
+
 def op4_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     from gridalg.llm import minhash as m
 
     return m.near_duplicates(table(spark, sf_dir, "documents"), shingle=2)
 
 
+def op10_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from gridalg.llm import secrets as m
+
+    return m.digest(m.scan(table(spark, sf_dir, "documents")))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {k: f for k, f in globals().items() if k.startswith("op") and k[2].isdigit()}
 
