@@ -48,7 +48,7 @@ def _op10() -> str:
     return f"""
 WITH d AS (SELECT doc_id, coalesce(text, '') AS t FROM documents),
 r AS ({parts}),
-s AS (SELECT doc_id, o, kind, least, g[i] AS g, CAST(list_sum(list_transform(p[1:i], x -> length(x))) + coalesce(list_sum(list_transform(m[1:i - 1], x -> length(x))), 0) AS BIGINT) AS a, length(m[i]) AS n
+s AS (SELECT doc_id, o, kind, least, g[i] AS g, CAST(list_sum(list_transform(p[1:i], lambda x: length(x))) + coalesce(list_sum(list_transform(m[1:i - 1], lambda x: length(x))), 0) AS BIGINT) AS a, length(m[i]) AS n
       FROM (SELECT *, unnest(range(1, len(m) + 1)) AS i FROM r WHERE len(m) > 0)),
 k AS (SELECT doc_id, o, kind, a, kind || ':' || a || ':' || (a + n) AS x FROM s WHERE length(g) >= least),
 c AS (SELECT doc_id, {counts}, coalesce(string_agg(x, ',' ORDER BY a, o) FILTER (o < {len(BASE)}), '') AS base, string_agg(x, ',' ORDER BY a, o) AS spans FROM k GROUP BY doc_id)

@@ -33,6 +33,14 @@ def op4_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return m.near_duplicates(table(spark, sf_dir, "documents"), shingle=2)
 
 
+def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    from gridalg.llm import tokencount as m
+
+    return m.count_tokens(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
+
+
 def op10_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     from gridalg.llm import secrets as m
 
