@@ -10,9 +10,8 @@ The plan, in stages that are each linear in rows:
    member that meets most others over all its buckets, which in a group of edited copies is the original.
 4. Candidates are confirmed on full sets (exact integers), and links are contracted to components.
 5. Buckets that still hold several components may hide links between two members neither of which is the
-   centre. A set loses the shingles that no other such member has: from what is left and its size follows the
-   largest partner that a link could have. Members out of reach of each other are never paired; members of the
-   bucket's main component are never paired with each other. What remains is confirmed on full sets as before.
+   centre. Their members are searched by rare shingles (see _hidden), exactly and without pairing the members
+   of a bucket's main component with each other; what is found is confirmed on full sets as before.
 
 With 32 bands of 4 bins a link of similarity 0.8 shares no bucket with probability 0.5904^32 < 5e-8.
 """
@@ -118,6 +117,42 @@ def _confirm(pairs: DataFrame, sets: DataFrame, share: tuple[int, int]) -> DataF
     return two.filter(share[1] * both >= share[0] * (F.size("sa") + F.size("sb") - both)).select("a", "b")
 
 
+#: Sizes within this ratio share a class, for which one prefix length serves.
+_CLASS = 1.02
+
+
+def _hidden(mixed: DataFrame, sets: DataFrame, share: tuple[int, int]) -> DataFrame:
+    """Pairs (a, b) of different components of a mixed bucket that may still be links.
+
+    Members of overlapping buckets form a cluster, in which shingles are ordered from rare to common. A link of two
+    sizes shares at least `need` shingles, so one of the first size - need + 1 of either set is common to both:
+    only these are met, by size class. Shingles of one member alone bound the size of its partners from above.
+    """
+    num, den = share
+    low = mixed.groupBy("h").agg(F.min("rep").alias("b"))
+    cluster = components(mixed.join(low, "h").select(F.col("rep").alias("a"), "b").distinct())
+    inside = mixed.groupBy("rep").agg(F.first("comp").alias("comp"), F.max(F.col("comp") != F.col("main")).alias("minor"))
+    inside = inside.join(cluster, F.col("rep") == F.col("node")).select("rep", "comp", "minor", F.col("component").alias("cluster"))
+    token = inside.join(sets, "rep").select("rep", "comp", "minor", "cluster", F.explode("shingles").alias("t"))
+    df = token.groupBy("cluster", "t").agg(F.count("*").alias("df"))
+    member = token.join(df, ["cluster", "t"]).groupBy("rep", "comp", "minor", "cluster").agg(F.array_sort(F.collect_list(F.struct("df", "t"))).alias("o"), F.count_if(F.col("df") == 1).alias("own"), F.count("*").alias("n"))
+    reach = F.floor((F.col("n") - F.col("own")) * (num + den) / F.lit(num)).cast("long") - F.col("n")
+    member = cut(member.withColumn("reach", reach).filter(den * F.col("reach") >= num * F.col("n")).select("rep", "comp", "minor", "cluster", "n", "reach", F.col("o.t").alias("o")))
+
+    least_size = F.ceil(F.col("n") * num / F.lit(den)).cast("long")
+    most_size = F.least("reach", F.floor(F.col("n") * den / F.lit(num)).cast("long"))
+    klass = lambda n: F.floor(F.log(n) / F.log(F.lit(_CLASS))).cast("int")
+    need = lambda a, b: F.ceil((a + b) * num / F.lit(num + den)).cast("long")
+    met = member.select("cluster", klass(F.col("n")).alias("k"), F.col("rep").alias("b"), F.col("comp").alias("bc"), F.col("n").alias("bn"), F.col("reach").alias("br"), F.posexplode(F.expr(f"slice(o, 1, cast(n - ceil(n * {num} / {den}) + 1 as int))")).alias("bp", "t"))
+    asks = member.filter("minor").select("*", F.explode(F.sequence(klass(least_size), klass(most_size))).alias("k"))
+    smallest = F.greatest(least_size, F.floor(F.pow(F.lit(_CLASS), F.col("k"))).cast("long") - 1)
+    asks = asks.withColumn("p", (F.col("n") - need(F.col("n"), smallest) + 1).cast("int")).filter("p > 0")
+    asks = asks.select("cluster", "k", F.col("rep").alias("a"), F.col("comp").alias("ac"), F.col("n").alias("an"), F.col("reach").alias("ar"), F.posexplode(F.expr("slice(o, 1, p)")).alias("ap", "t"))
+    fits = (F.col("ac") != F.col("bc")) & (F.col("an") <= F.col("br")) & (F.col("bn") <= F.col("ar")) & (den * F.least("an", "bn") >= num * F.greatest("an", "bn"))
+    early = (F.col("ap") <= F.col("an") - need(F.col("an"), F.col("bn"))) & (F.col("bp") <= F.col("bn") - need(F.col("an"), F.col("bn")))
+    return asks.join(met, ["cluster", "k", "t"]).filter(fits & early).select("a", "b").distinct()
+
+
 def near_duplicates(docs: DataFrame, *, shingle: int = 5, share: tuple[int, int] = (80, 100), rows: int = ROWS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_shingles, component_id, kept for each document.
 
@@ -153,17 +188,7 @@ def near_duplicates(docs: DataFrame, *, shingle: int = 5, share: tuple[int, int]
     size = placed.groupBy("h", "comp").agg(F.count("*").alias("m"))
     main = size.groupBy("h").agg(F.count("*").alias("comps"), F.max(F.struct("m", "comp")).alias("x")).filter("comps > 1").select("h", F.col("x.comp").alias("main"))
     mixed = cut(placed.join(main, "h"))
-    inside = mixed.select("rep").distinct()
-    token = sets.join(inside, "rep", "left_semi").select("rep", F.explode("shingles").alias("t"))
-    alone = token.groupBy("t").agg(F.count("*").alias("df"), F.min("rep").alias("rep")).filter("df = 1").groupBy("rep").agg(F.count("*").alias("own"))
-    # a link has size_a + size_b <= common * (1 + den/num), and common is at most what is not one's own
-    reach = F.floor((F.col("n") - F.coalesce("own", F.lit(0))) * (num + den) / F.lit(num)).cast("long") - F.col("n")
-    able = mixed.join(alone, "rep", "left").withColumn("reach", reach).filter(den * F.col("reach") >= num * F.col("n"))
-    able = cut(able.select("h", "rep", "n", "comp", "main", "reach"))
-    other = able.select("h", F.col("rep").alias("b"), F.col("n").alias("bn"), F.col("comp").alias("bc"), F.col("reach").alias("br"))
-    minor = able.filter("comp <> main").select("h", F.col("rep").alias("a"), F.col("n").alias("an"), F.col("comp").alias("ac"), F.col("reach").alias("ar"))
-    rest = minor.join(other, "h").filter("ac <> bc AND an <= br AND bn <= ar").filter(near_size(F.col("an"), F.col("bn")))
-    rest = rest.select("a", "b").distinct().join(star, ["a", "b"], "left_anti")
+    rest = _hidden(mixed, sets, share).join(star, ["a", "b"], "left_anti")
     more = cut(_confirm(rest, sets, share))
 
     final = components(first.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(more))
