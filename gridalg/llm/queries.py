@@ -41,6 +41,15 @@ def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return m.count_tokens(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
 
 
+def op7_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from pyspark.sql import functions as F
+
+    from gridalg.llm import suffixdedup as m
+
+    out = m.remove_repeats(table(spark, sf_dir, "documents"))
+    return out.select("doc_id", "n_bytes", "n_removed", F.size("spans").cast("long").alias("n_spans"), "kept_sha256")
+
+
 def op10_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     from gridalg.llm import secrets as m
 
