@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame, functions as F
 #: Pages to fit the block classifier on, thinned by a hash of their id.
 FIT_PAGES = 2_000
 #: Capacities are whole numbers, in hundredths of a nat.
-SURE, OWN, NEXT, KIN = 10_000, 400, 40, 30
+SURE, OWN, NEXT, KIN = 10_000, 400, 50, 50
 
 #: Element names and the words of class, id and role that declare what is not the article.
 DROPPED = frozenset("script style noscript template iframe svg math canvas object select option button textarea input form head title audio video map datalist dialog".split())

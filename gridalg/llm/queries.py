@@ -33,6 +33,12 @@ def op4_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return m.near_duplicates(table(spark, sf_dir, "documents"), shingle=2)
 
 
+def op5_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from gridalg.llm import neighbours as m
+
+    return m.nearest(table(spark, sf_dir, "embeddings"))
+
+
 def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
