@@ -17,6 +17,14 @@ def op1_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return m.digest(m.find_windows(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")))
 
 
+def op2_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    from gridalg.llm import piecefst as m
+
+    return m.encode_decode(table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model")).drop("decoded")
+
+
 def op3_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     from pyspark.sql import functions as F
 
