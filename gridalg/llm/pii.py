@@ -25,12 +25,21 @@ PATTERN = "|".join([EMAIL, IPV4, ISO_DATE, DAY_DATE, PHONE, SSN, IBAN, CARD])
 CYCLE = 10227
 
 
+#: What every match holds; cheap to look for.
+HINT = r"@|[0-9][0-9 .()/-]{5}|[A-Z]{2}[0-9]{2}"
+
+
+def let(value: Column, use) -> Column:
+    """use(value) with the value computed once, however often it is used."""
+    return F.get(F.transform(F.array(value), use), F.lit(0))
+
+
 def _long(x) -> Column:
     return F.lit(x).cast("long") if isinstance(x, int) else x.cast("long")
 
 
-def feistel(a: Column, b: Column, size_a, size_b, key: str, tweak: Column) -> tuple[Column, Column]:
-    """A keyed permutation of the pairs (a, b) with a < size_a and b < size_b."""
+def feistel(a: Column, b: Column, size_a, size_b, key: str, tweak: Column, use) -> Column:
+    """use(a', b') of a keyed permutation of the pairs (a, b) with a < size_a and b < size_b."""
     size_a, size_b = _long(size_a), _long(size_b)
 
     def step(acc: Column, i: Column) -> Column:
@@ -40,7 +49,7 @@ def feistel(a: Column, b: Column, size_a, size_b, key: str, tweak: Column) -> tu
         return F.struct(acc["b"].alias("a"), ((acc["a"] + F.pmod(word, size)) % size).alias("b"))
 
     out = F.aggregate(F.sequence(F.lit(0), F.lit(ROUNDS - 1)), F.struct(_long(a).alias("a"), _long(b).alias("b")), step)
-    return out["a"], out["b"]
+    return let(out, lambda x: use(x["a"], x["b"]))
 
 
 def _power(base: int, n: Column) -> Column:
@@ -51,11 +60,16 @@ def _power(base: int, n: Column) -> Column:
 
 def permute_digits(s: Column, key: str, kind: str) -> Column:
     """Up to 18 digits to as many digits."""
-    n = F.length(s)
-    u = F.floor(n / 2).cast("int")
-    left, right = F.substring(s, F.lit(1), u), F.substring(s, u + 1, n - u)
-    a, b = feistel(F.when(u > 0, left).otherwise("0"), right, _power(10, u), _power(10, n - u), key, F.concat(F.lit(kind), n.cast("string")))
-    return F.concat(F.when(u > 0, F.lpad(a.cast("string"), u, "0")).otherwise(""), F.lpad(b.cast("string"), n - u, "0"))
+
+
+    def run(s: Column) -> Column:
+        n = F.length(s)
+        u = F.floor(n / 2).cast("int")
+        left, right = F.substring(s, F.lit(1), u), F.substring(s, u + 1, n - u)
+        text = lambda a, b: F.concat(F.when(u > 0, F.lpad(a.cast("string"), u, "0")).otherwise(""), F.lpad(b.cast("string"), n - u, "0"))
+        return feistel(F.when(u > 0, left).otherwise("0"), right, _power(10, u), _power(10, n - u), key, F.concat(F.lit(kind), n.cast("string")), text)
+
+    return let(s, run)
 
 
 def _letters_value(s: Column) -> Column:
@@ -72,9 +86,10 @@ def permute_letters(s: Column, key: str, kind: str) -> Column:
     low, n = F.lower(s), F.length(s)
     u = F.floor(n / 2).cast("int")
     right = F.substring(low, u + 1, n - u)
-    a, b = feistel(F.when(u > 0, _letters_value(F.substring(low, F.lit(1), u))).otherwise(F.lit(0).cast("long")), _letters_value(right), _power(26, u), _power(26, n - u), key, F.concat(F.lit(kind), n.cast("string")))
-    out = F.concat(F.when(u > 0, _letters_text(a, u)).otherwise(""), _letters_text(b, n - u))
-    return F.when(s == F.upper(s), F.upper(out)).otherwise(out)
+    text = lambda a, b: F.concat(F.when(u > 0, _letters_text(a, u)).otherwise(""), _letters_text(b, n - u))
+    first = F.when(u > 0, _letters_value(F.substring(low, F.lit(1), u))).otherwise(F.lit(0).cast("long"))
+    out = feistel(first, _letters_value(right), _power(26, u), _power(26, n - u), key, F.concat(F.lit(kind), n.cast("string")), text)
+    return let(out, lambda x: F.when(s == F.upper(s), F.upper(x)).otherwise(x))
 
 
 def _runs(s: Column, key: str, kind: str) -> Column:
@@ -84,7 +99,7 @@ def _runs(s: Column, key: str, kind: str) -> Column:
 
 
 def _refill(template: Column, digits: Column) -> Column:
-    """The digits put where the template has digits."""
+    """The digits (a plain column or let variable) put where the template has digits."""
     step = lambda acc, c: F.when(c.rlike("[0-9]"), F.struct(F.concat(acc["s"], F.substring(digits, acc["i"], F.lit(1))).alias("s"), (acc["i"] + 1).alias("i"))).otherwise(F.struct(F.concat(acc["s"], c).alias("s"), acc["i"].alias("i")))
     return F.aggregate(F.split(template, ""), F.struct(F.lit("").alias("s"), F.lit(1).alias("i")), step)["s"]
 
@@ -111,8 +126,8 @@ def _moved(day: Column, key: str) -> Column:
     """Another day of the same 28 years; the key permutes the days of each such span."""
     n = F.datediff(day, F.lit("1901-01-01").cast("date")).cast("long")
     block, off = F.floor(n / CYCLE).cast("long"), n % CYCLE
-    a, b = feistel(F.floor(off / 487), off % 487, 21, 487, key, F.concat(F.lit("date"), block.cast("string")))
-    return F.date_add(F.lit("1901-01-01").cast("date"), (block * CYCLE + a * 487 + b).cast("int"))
+    day_of = lambda a, b: F.date_add(F.lit("1901-01-01").cast("date"), (block * CYCLE + a * 487 + b).cast("int"))
+    return feistel(F.floor(off / 487), off % 487, 21, 487, key, F.concat(F.lit("date"), block.cast("string")), day_of)
 
 
 def _sub(m: Column, at: int, n: int) -> Column:
@@ -125,27 +140,34 @@ def pseudonym(m: Column, key: str) -> Column:
     octets = F.split(m, r"\.")
     octet = lambda i: F.element_at(octets, i).cast("int")
     ip_ok = F.forall(octets, lambda o: o.cast("int") < 256)
-    hi, lo = feistel(octet(1) * 256 + octet(2), octet(3) * 256 + octet(4), 65536, 65536, key, F.lit("ipv4"))
-    ip = F.concat_ws(".", F.floor(hi / 256).cast("string"), (hi % 256).cast("string"), F.floor(lo / 256).cast("string"), (lo % 256).cast("string"))
+    dotted = lambda hi, lo: F.concat_ws(".", F.floor(hi / 256).cast("string"), (hi % 256).cast("string"), F.floor(lo / 256).cast("string"), (lo % 256).cast("string"))
+    ip = feistel(octet(1) * 256 + octet(2), octet(3) * 256 + octet(4), 65536, 65536, key, F.lit("ipv4"), dotted)
     iso = _date(_sub(m, 1, 4), _sub(m, 6, 2), _sub(m, 9, 2))
     dmy = _date(_sub(m, 7, 4), _sub(m, 4, 2), _sub(m, 1, 2))
     mdy = _date(_sub(m, 7, 4), _sub(m, 1, 2), _sub(m, 4, 2))
     sep = _sub(m, 3, 1)
-    day_text = lambda day, x, y: F.concat(F.date_format(day, x), sep, F.date_format(day, y), sep, F.date_format(day, "yyyy"))
+    day_text = lambda day, x, y: let(day, lambda t: F.concat(F.date_format(t, x), sep, F.date_format(t, y), sep, F.date_format(t, "yyyy")))
     area, group, serial = (_sub(m, *x).cast("long") for x in ((1, 3), (5, 2), (8, 4)))
     ssn_ok = (area > 0) & (area != 666) & (area < 900) & (group > 0) & (serial > 0)
-    sa, sb = feistel(F.when(area > 666, area - 2).otherwise(area - 1), (group - 1) * 9999 + serial - 1, 898, 99 * 9999, key, F.lit("ssn"))
-    new_area = F.when(sa + 1 >= 666, sa + 2).otherwise(sa + 1)
-    ssn = F.format_string("%03d-%02d-%04d", new_area, F.floor(sb / 9999).cast("long") + 1, sb % 9999 + 1)
-    n = F.length(digits)
-    inner = F.concat(F.substring(digits, 1, 1), permute_digits(F.substring(digits, F.lit(2), n - 2), key, "card"))
-    check = (10 - _luhn_sum(F.concat(inner, F.lit("0"))) % 10) % 10
-    card = _refill(m, F.concat(inner, check.cast("string")))
-    bban = _runs(F.substring(m, F.lit(5), F.length(m)), key, "iban")
-    unchecked = F.concat(_sub(m, 1, 2), F.lit("00"), bban)
-    iban = F.concat(_sub(m, 1, 2), F.lpad((98 - _mod97(unchecked)).cast("string"), 2, "0"), bban)
-    national = permute_digits(F.substring(digits, n - 9, F.lit(10)), key, "phone")
-    phone = _refill(m, F.concat(F.substring(digits, F.lit(1), n - 10), national))
+    new_area = lambda a: F.when(a + 1 >= 666, a + 2).otherwise(a + 1)
+    ssn_text = lambda a, b: F.format_string("%03d-%02d-%04d", new_area(a), F.floor(b / 9999).cast("long") + 1, b % 9999 + 1)
+    ssn = feistel(F.when(area > 666, area - 2).otherwise(area - 1), (group - 1) * 9999 + serial - 1, 898, 99 * 9999, key, F.lit("ssn"), ssn_text)
+
+    def card_text(d: Column) -> Column:
+        inner = F.concat(F.substring(d, 1, 1), permute_digits(F.substring(d, F.lit(2), F.length(d) - 2), key, "card"))
+        checked = let(F.concat(inner, F.lit("0")), lambda x: F.concat(F.substring(x, F.lit(1), F.length(x) - 1), ((10 - _luhn_sum(x) % 10) % 10).cast("string")))
+        return let(checked, lambda x: _refill(m, x))
+
+    def phone_text(d: Column) -> Column:
+        n = F.length(d)
+        national = permute_digits(F.substring(d, n - 9, F.lit(10)), key, "phone")
+        return let(F.concat(F.substring(d, F.lit(1), n - 10), national), lambda x: _refill(m, x))
+
+    def iban_text(bban: Column) -> Column:
+        return F.concat(_sub(m, 1, 2), F.lpad((98 - _mod97(F.concat(_sub(m, 1, 2), F.lit("00"), bban))).cast("string"), 2, "0"), bban)
+
+    card, phone = let(digits, card_text), let(digits, phone_text)
+    iban = let(_runs(F.substring(m, F.lit(5), F.length(m)), key, "iban"), iban_text)
     at = F.instr(m, "@")
     email = F.concat(_runs(F.substring(m, F.lit(1), at - 1), key, "email"), F.substring(m, at, F.length(m)))
 
@@ -158,14 +180,14 @@ def pseudonym(m: Column, key: str) -> Column:
         .when(is_("[0-9]{2}[/.][0-9]{2}[/.][0-9]{4}"), F.when(sep != _sub(m, 6, 1), F.lit(None)).when(dmy.isNotNull(), made("date", day_text(_moved(dmy, key), "dd", "MM"))).when(mdy.isNotNull(), made("date", day_text(_moved(mdy, key), "MM", "dd"))))
         .when(is_(r"[0-9]{3}-[0-9]{2}-[0-9]{4}"), F.when(ssn_ok, made("ssn", ssn)))
         .when(is_("[A-Z]{2}[0-9]{2}[A-Z0-9]+"), F.when(_mod97(m) == 1, made("iban", iban)))
-        .when(is_(r"[0-9](?:[ -]?[0-9]){12,18}") & (_luhn_sum(digits) % 10 == 0), made("card", card))
+        .when(is_(r"[0-9](?:[ -]?[0-9]){12,18}") & let(digits, lambda d: _luhn_sum(d) % 10 == 0), made("card", card))
         .when(is_(r"(?:\+[0-9]{1,3}[ -]?)?(?:\([0-9]{3}\) ?|[0-9]{3}[ -])[0-9]{3}-[0-9]{4}"), made("phone", phone))
     )
 
 
 def find(docs: DataFrame, *, key: str, text_col: str = "text") -> DataFrame:
     """docs with __pieces (text between matches), __found (matches) and __new (struct or null each); null arrays where no pattern occurs."""
-    has = F.col(text_col).rlike(PATTERN)
+    has = F.col(text_col).rlike(HINT) & F.col(text_col).rlike(PATTERN)
     rx = F.lit(PATTERN)
     cut = docs.withColumn("__found", F.when(has, F.regexp_extract_all(text_col, rx, F.lit(0)))).withColumn("__pieces", F.when(F.col("__found").isNotNull(), F.split(text_col, PATTERN, -1)))
     return cut.withColumn("__new", F.transform("__found", lambda m: pseudonym(m, key)))
