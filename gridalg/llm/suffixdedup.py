@@ -321,9 +321,12 @@ def remove_repeats(docs: DataFrame, *, with_text: bool = False, id_col: str = "d
     firsts = first.select(F.col("first").alias("doc_id"))
     again = own.filter(f"n_bytes >= {N}").join(first.filter("copies > 1"), "sha").filter("doc_id <> first").select("doc_id", F.lit(True).alias("copy"))
 
-    # ids alone, so that no partition of them outgrows its texts when small sides are merged
-    dealt = texts.filter(F.octet_length("text") >= N).repartition("doc_id")
-    single = dealt.join(firsts.hint("merge"), "doc_id", "left_semi")
+    # One exchange of the texts serves three joins: they must stay inner joins on equal plans, so that Spark reuses it.
+    dealt = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")) if [id_col, text_col] != ["doc_id", "text"] else docs.select("doc_id", "text")
+    if dict(dealt.dtypes) != {"doc_id": "bigint", "text": "string"}:
+        dealt = dealt.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
+    dealt = dealt.filter(F.col("doc_id").isNotNull() & (F.octet_length("text") >= N)).repartition("doc_id")
+    single = dealt.join(firsts.withColumn("one", F.lit(1)).hint("merge"), "doc_id").select("doc_id", "text", "one")
     found = single.mapInArrow(_anchor_rows, "h long, around long, doc_id long, pos long")
     told = found.repartition("h").sortWithinPartitions("h", "around", "doc_id", "pos").mapInArrow(_settle, "doc_id long, msg long")
     per_doc = told.groupBy("doc_id").agg(F.collect_list("msg").alias("msg"))
