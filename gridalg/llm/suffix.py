@@ -70,7 +70,7 @@ def merge(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray]) ->
     return x, order, rank
 
 
-def classes(texts: list[np.ndarray], shard_bytes: int = 1 << 19) -> tuple[np.ndarray, np.ndarray]:
+def classes(texts: list[np.ndarray], shard_bytes: int = 1 << 20) -> tuple[np.ndarray, np.ndarray]:
     """Class of each position of each text, and where each text starts among them; equal classes mean equal DEPTH bytes.
 
     Only positions with DEPTH bytes left in their own text mean anything. Shards of whole texts are merged in pairs

@@ -60,7 +60,11 @@ def _between(total: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> np.ndarray:
 
 
 def anchors(x: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Position, hash and hash of the surroundings of each anchor of a text."""
+    """Place, hash and hash of the surroundings of each anchor of a text.
+
+    The strings of an anchor are the 100-byte strings in which it has the smallest hash, one run of starts p0 to p1;
+    the surroundings are all their bytes. A place packs p0, p1 - p0 and the anchor's distance from p0.
+    """
     n = len(x)
     if n < N:
         z = np.zeros(0, np.int64)
@@ -71,10 +75,18 @@ def anchors(x: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     low = _slide(h, SPAN, np.minimum)
     edge = np.zeros(SPAN - 1, U64)
     at = np.flatnonzero(_slide(np.concatenate([edge, low, edge]), SPAN, np.maximum) == h)
-    lo, hi = np.maximum(at - (N - K), 0), np.minimum(at + N, n)
+    p0 = np.flatnonzero(np.concatenate([[True], low[1:] != low[:-1]]))
+    p1 = np.append(p0[1:], len(low)) - 1
+    if len(p0) != len(at) or (low[p0] != h[at]).any() or (p1 > at).any() or (at > p0 + SPAN - 1).any():  # ties
+        bounds = []
+        for a, v in zip(at.tolist(), h[at], strict=True):
+            left = max(0, a - SPAN + 1)
+            own = np.flatnonzero(low[left : a + 1] == v)
+            bounds.append((left + own[0], left + own[-1]))
+        p0, p1 = np.array(bounds, np.int64).T
     with np.errstate(over="ignore"):
-        around = kernel.mix(_between(total, lo, hi) + (at - lo).astype(U64) * U64(0x9E3779B97F4A7C15))
-    return at, h[at], around
+        around = kernel.mix(_between(total, p0, p1 + N) + (at - p0).astype(U64) * U64(0x9E3779B97F4A7C15))
+    return p0 << 14 | (p1 - p0) << 7 | (at - p0), h[at], around
 
 
 #: Bytes of a long text whose anchors are found at once; consecutive parts overlap so that no string is missed.
@@ -87,9 +99,10 @@ def _parts(x: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]
         return
     for lo in range(0, len(x), _PART):
         left, right = max(0, lo - 3 * N), min(len(x), lo + _PART + 3 * N)
-        at, h, around = anchors(x[left:right])
-        own = (at + left >= lo) & (at + left < lo + _PART)
-        yield at[own] + left, h[own], around[own]
+        place, h, around = anchors(x[left:right])
+        at = (place >> 14) + (place & 127) + left
+        own = (at >= lo) & (at < lo + _PART)
+        yield place[own] + (left << 14), h[own], around[own]
 
 
 def _anchor_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -193,22 +206,24 @@ def _pieces(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for i in range(batch.num_rows):
             x = raw[offsets[i] : offsets[i + 1]]
             msg = np.asarray(batch.column(2)[i].values, np.int64)
-            pos, kind = msg >> 2, msg & 3
-            n, doc = len(x), int(ids[i])
-            done = pos[kind == 1]
-            for lo, hi in zip(*_union(np.maximum(done - (N - K), 0), np.minimum(done + N, n)), strict=True):
+            place, kind = msg >> 2, msg & 3
+            p0, p1 = place >> 14, (place >> 14) + (place >> 7 & 127)
+            at = p0 + (place & 127)
+            doc = int(ids[i])
+            done = kind == 1
+            for lo, hi in zip(*_union(p0[done], p1[done] + N), strict=True):
                 rows.append((doc * 31 + int(lo), doc, int(lo), int(hi), None))
-            for a, k in zip(pos[kind > 1].tolist(), kind[kind > 1].tolist(), strict=True):
-                lo, hi = max(a - (N - K), 0), min(a + N, n)
+            new = ~done
+            for lo, hi, a, k in zip(p0[new].tolist(), p1[new].tolist(), at[new].tolist(), kind[new].tolist(), strict=True):
                 if k == 2:
                     spots = [(lo, hi, a, a + K)]
-                else:
-                    spots = [(lo, a + 66, a - 34, a + K), (max(lo, a - 33), hi, a, a + 67)]
+                else:  # every string of the first spot holds the bytes from a - 34 on, of the second those from a on
+                    spots = [(lo, min(hi, a - 34), a - 34, a + K), (max(lo, a - 33), hi, a, a + 67)]
                 for s, e, ks, ke in spots:
-                    if ks >= 0 and ke <= n and min(e, n) - s >= N:
+                    if s <= e:
                         key = hashlib.blake2b(x[ks:ke].tobytes() + bytes([k, ks == a]), digest_size=8).digest()
-                        rows.append((int.from_bytes(key, "little", signed=True), doc, s, min(e, n), x[s : min(e, n)].tobytes()))
-                        load += e - s
+                        rows.append((int.from_bytes(key, "little", signed=True), doc, s, e + N, x[s : e + N].tobytes()))
+                        load += e + N - s
             if load > 2 << 20 or len(rows) > 50_000:
                 yield pa.record_batch([pa.array(c, t.type) for c, t in zip(zip(*rows, strict=True), _PIECE, strict=True)], schema=_PIECE)
                 rows, load = [], 0
