@@ -14,7 +14,9 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, functions as F
 
-LEAF = 64
+LEAF = 256
+#: Slack of bounds and of the quick distances against rounding, relative to the squared lengths at hand.
+SLACK = 1e-9
 #: Vectors of a shard and queries of a block: what one task holds at once.
 SHARD, BLOCK = 20_000, 2_000
 
@@ -42,7 +44,7 @@ class Tree:
                 self.nodes.append([rows, None, None, None, None, None, None])
                 continue
             v = int(rows[self.rng.integers(len(rows))])
-            d = distances(self.x[v : v + 1], self.x[rows])[0]
+            d = np.sqrt(np.einsum("ij,ij->i", self.x[rows] - self.x[v], self.x[rows] - self.x[v]))
             mu = float(np.median(d))
             near = d <= mu
             if near.all():  # ties: every row at most mu away, so split off those at exactly mu if some are nearer
@@ -62,41 +64,51 @@ class Tree:
         name = np.full((m, k), np.iinfo(np.int64).max)
         if self.root < 0 or not m:
             return name, best
+        own, square = np.einsum("ij,ij->i", q, q), np.einsum("ij,ij->i", self.x, self.x)
         todo: list[tuple[int, np.ndarray, np.ndarray]] = [(self.root, np.arange(m), np.zeros(m))]
         while todo:
             at, who, bound = todo.pop()
-            who = who[bound * factor <= best[who, -1] * (1 + 1e-9)]
+            who = who[bound * factor <= best[who, -1] * (1 + SLACK) + SLACK]
             if not len(who):
                 continue
             rows, v, inner, outer, far, left, right = self.nodes[at]
-            if rows is not None:
-                for part in range(0, len(rows), 4096):
-                    own = rows[part : part + 4096]
-                    d = distances(q[who], self.x[own])
-                    both = np.concatenate([best[who], d], 1)
-                    names = np.concatenate([name[who], np.broadcast_to(ids[own], d.shape)], 1)
-                    turn = np.lexsort((names, both), axis=1)[:, :k]
-                    best[who] = np.take_along_axis(both, turn, 1)
-                    name[who] = np.take_along_axis(names, turn, 1)
+            if rows is None:
+                d = np.sqrt(np.einsum("ij,ij->i", q[who] - self.x[v], q[who] - self.x[v]))
+                low_in, low_out = np.maximum(d - inner, 0), np.maximum(np.maximum(outer - d, d - far), 0)
+                first_in = d <= (inner + outer) / 2
+                # the nearer side is visited first, so it goes on the stack last
+                todo.append((right, who[first_in], low_out[first_in]))
+                todo.append((left, who[~first_in], low_in[~first_in]))
+                todo.append((left, who[first_in], low_in[first_in]))
+                todo.append((right, who[~first_in], low_out[~first_in]))
                 continue
-            d = distances(q[who], self.x[v : v + 1])[:, 0]
-            low_in, low_out = np.maximum(d - inner, 0), np.maximum(np.maximum(outer - d, d - far), 0)
-            first_in = d <= (inner + outer) / 2
-            # the nearer side is visited first, so it goes on the stack last
-            todo.append((right, who[first_in], low_out[first_in]))
-            todo.append((left, who[~first_in], low_in[~first_in]))
-            todo.append((left, who[first_in], low_in[first_in]))
-            todo.append((right, who[~first_in], low_out[~first_in]))
+            for part in range(0, len(rows), 4096):
+                some = rows[part : part + 4096]
+                quick = own[who, None] + square[some] - 2 * (q[who] @ self.x[some].T)
+                limit = best[who, -1] ** 2
+                if len(some) > k:
+                    limit = np.minimum(limit, np.partition(quick, k - 1, axis=1)[:, k - 1])
+                i, j = np.nonzero(quick <= (limit + SLACK * (own[who] + square[some].max()))[:, None])
+                if not len(i):
+                    continue
+                exact = distances(q[who[i]], self.x[some[j]])
+                hit = np.unique(i)
+                place = np.concatenate([np.repeat(hit, k), i])
+                score = np.concatenate([best[who[hit]].ravel(), exact])
+                names = np.concatenate([name[who[hit]].ravel(), ids[some[j]]])
+                turn = np.lexsort((names, score, place))
+                first = np.searchsorted(place[turn], hit)
+                keep = turn[(first[:, None] + np.arange(k)).ravel()]
+                best[who[hit]], name[who[hit]] = score[keep].reshape(-1, k), names[keep].reshape(-1, k)
         return name, best
 
 
 def distances(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """Euclidean distances in double precision, squares of differences summed in the order of the components."""
-    out = np.zeros((len(a), len(b)))
-    for x, y in zip(np.ascontiguousarray(a.T), np.ascontiguousarray(b.T), strict=True):
-        d = np.subtract.outer(x, y)
-        d *= d
-        out += d
+    """Euclidean distances of rows to rows in double precision, squares summed in the order of the components."""
+    out = np.zeros(len(a))
+    d = (a - b) ** 2
+    for k in range(d.shape[1]):
+        out += d[:, k]
     return np.sqrt(out)
 
 
@@ -113,8 +125,8 @@ def _search(k: int, factor: float):
             if q.empty:
                 continue
             tree, ids = Tree(np.stack(own["v"].to_numpy()).astype(np.float64)), own["vec_id"].to_numpy()
-            for part in range(0, len(q), 256):
-                some = q.iloc[part : part + 256]
+            for part in range(0, len(q), 512):
+                some = q.iloc[part : part + 512]
                 name, best = tree.search(np.stack(some["v"].to_numpy()).astype(np.float64), k, factor, ids)
                 who = np.repeat(some["vec_id"].to_numpy(), name.shape[1])
                 keep = np.isfinite(best.ravel()) & (name.ravel() != who)
