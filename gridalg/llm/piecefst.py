@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame, functions as F
 GAP = "▁"
 NORMAL, UNKNOWN, CONTROL, USER, UNUSED, BYTE = 1, 2, 3, 4, 5, 6  # piece types of the file format
 UNIGRAM, MERGE = 1, 2
-#: Entries of the caches of words and of pairs; each starts over when full.
+#: Entries of the caches of words (two generations) and of pairs, and characters of a word that is kept.
 WORDS, PAIRS, LONGEST = 300_000, 1_000_000, 48
 
 
@@ -83,7 +83,9 @@ class Transducer:
         self.rank = {p: self.score[i] for p, i in self.ids.items()}
         self.unknown = next((i for i, p in enumerate(pieces) if p[2] == UNKNOWN), 0)
         self.byte = {int(p[3:5], 16): i for i, (p, _, t) in enumerate(pieces) if t == BYTE}
-        self.stems = {p[:k] for p in self.ids for k in range(1, len(p) + 1)}
+        if self.kind == MERGE:  # pieces that merging their characters doesn't give never occur
+            self.ids = {p: i for p, i in self.ids.items() if self.merges(p) == [p]}
+        self.arcs = {p[:k]: -1 for p in self.ids for k in range(1, len(p))} | self.ids  # the trie: id of a piece, -1 of a mere stem
         self.bytes_of = [bytes([int(p[3:5], 16)]) if t == BYTE else b"" if t == CONTROL else p.replace(GAP, " ").encode() for p, _, t in pieces]
         joins = {c for p in self.ids if len(p) > 1 for c in p}
         runs = all(GAP not in p.lstrip(GAP) for p in self.ids)
@@ -91,6 +93,7 @@ class Transducer:
         self.parts = re.compile(f"{GAP}*[^{GAP}{alone}]+|{GAP}+" + (f"|{alone}" if alone else "")) if runs else None
         self.least = min((s for p, s, t in pieces if t == NORMAL), default=0.0) - 10
         self.words: dict[str, bytes] = {}
+        self.older: dict[str, bytes] = {}
         self.pairs: dict[int, bool] = {}
 
     def normalise(self, text: str) -> str:
@@ -138,69 +141,98 @@ class Transducer:
 
     def shortest(self, text: str) -> list[int]:
         """The tropical shortest path over a normalised text."""
-        n = len(text)
-        cost = [0.0] + [float("inf")] * n
-        last, back = [-1] * (n + 1), [0] * (n + 1)
-        ids, stems, merge, follows, score = self.ids, self.stems, self.kind == MERGE, self.follows, self.score
-        for i in range(n):
-            if cost[i] == float("inf"):
-                continue
-            before = last[i]
-            j = i + 1
-            part = text[i:j]
-            if part not in ids:  # byte arcs: nothing merges with them
-                price = cost[i] + (0.0 if merge else -self.least)
-                if price < cost[j]:
-                    cost[j], last[j], back[j] = price, -2, i
-            while part in stems:
-                piece = ids.get(part)
-                if piece is not None:
-                    if merge:
-                        if cost[j] and (before < 0 or follows(before, piece)) and (before != -1 or j - i < 2 or self.whole(piece)) and (before != -2 or self.whole(piece)):
-                            cost[j], last[j], back[j] = 0.0, piece, i
-                    elif cost[i] - score[piece] < cost[j]:
-                        cost[j], last[j], back[j] = cost[i] - score[piece], piece, i
-                j += 1
-                if j > n:
-                    break
-                part = text[i:j]
+        last, back = self._merge_path(text) if self.kind == MERGE else self._cheapest_path(text)
         path: list[int] = []
-        j = n
+        j = len(text)
         while j:
             i = back[j]
             if last[j] >= 0:
                 path.append(last[j])
+            elif self.byte:
+                path.extend(self.byte[b] for b in reversed(text[i:j].encode()))
             else:
-                raw = text[i:j].encode()
-                path.extend(self.byte[b] for b in reversed(raw)) if self.byte else path.append(self.unknown)
+                path.append(self.unknown)
             j = i
         return path[::-1]
 
-    @lru_cache(maxsize=None)  # noqa: B019  one entry for each piece at most
-    def whole(self, piece: int) -> bool:
-        """Whether merging the characters of a piece gives the piece."""
-        return self.merges(self.pieces[piece][0]) == [self.pieces[piece][0]]
+    def _merge_path(self, text: str) -> tuple[list, list[int]]:
+        """Last piece (-2: bytes) and its start for each prefix. Weights are zero or infinite, and one path at most into
+        a position weighs zero, so the first one found is the shortest."""
+        n = len(text)
+        last: list[int | None] = [None] * (n + 1)
+        back = [0] * (n + 1)
+        last[0] = -1
+        arcs, pairs = self.arcs, self.pairs
+        for i in range(n):
+            before = last[i]
+            if before is None:
+                continue
+            j = i + 1
+            p = arcs.get(text[i])
+            if (p is None or p < 0) and last[j] is None:
+                last[j], back[j] = -2, i
+            base = before << 32
+            while p is not None:
+                if p >= 0 and last[j] is None:
+                    if before < 0:
+                        fits = True
+                    else:
+                        fits = pairs.get(base | p)
+                        if fits is None:
+                            fits = self.follows(before, p)
+                    if fits:
+                        last[j], back[j] = p, i
+                j += 1
+                if j > n:
+                    break
+                p = arcs.get(text[i:j])
+        return last, back
+
+    def _cheapest_path(self, text: str) -> tuple[list[int], list[int]]:
+        """The same with minus the scores as weights; a character without piece costs more than any."""
+        n = len(text)
+        cost = [0.0] + [float("inf")] * n
+        last, back = [-1] * (n + 1), [0] * (n + 1)
+        for i in range(n):
+            j = i + 1
+            p = self.arcs.get(text[i])
+            if (p is None or p < 0) and cost[i] - self.least < cost[j]:
+                cost[j], last[j], back[j] = cost[i] - self.least, -2, i
+            while p is not None:
+                if p >= 0 and cost[i] - self.score[p] < cost[j]:
+                    cost[j], last[j], back[j] = cost[i] - self.score[p], p, i
+                j += 1
+                if j > n:
+                    break
+                p = self.arcs.get(text[i:j])
+        return last, back
 
     def encode(self, text: str) -> bytes:
         """Ids of a text as 32-bit little-endian numbers."""
         s = self.normalise(text)
         if not s:
             return b""
-        words, out = self.words, []
-        for part in self.parts.findall(s) if self.parts else [s]:
-            got = words.get(part)
-            if got is None:
-                got = np.array(self.shortest(part), "<i4").tobytes()
-                if len(part) <= LONGEST:
-                    if len(words) >= WORDS:
-                        words.clear()
-                    words[part] = got
-            out.append(got)
+        parts = self.parts.findall(s) if self.parts else [s]
+        out = list(map(self.words.get, parts))
+        if None in out:
+            for k, got in enumerate(out):
+                if got is None:
+                    out[k] = self._word(parts[k])
         return b"".join(out)
 
+    def _word(self, part: str) -> bytes:
+        got = self.words.get(part) or self.older.get(part)
+        if got is None:
+            got = np.array(self.shortest(part), "<i4").tobytes()
+        if len(part) <= LONGEST:
+            if len(self.words) >= WORDS:
+                self.older, self.words = self.words, {}
+            self.words[part] = got
+        return got
+
     def decode(self, ids: np.ndarray) -> str:
         """The text of ids; bytes that make no character become the replacement sign."""
-        raw = b"".join([self.bytes_of[i] for i in ids.tolist()])
+        raw = b"".join(map(self.bytes_of.__getitem__, ids.tolist()))
         text = raw.decode("utf-8", "replace")
         return text[1:] if self.prefix and text.startswith(" ") else text
 
