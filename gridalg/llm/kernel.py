@@ -61,9 +61,13 @@ def buffers(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         column = column.combine_chunks()
     if column.null_count:
         column = column.fill_null("")
-    column = column.cast(pa.large_binary())
+    if column.type not in (pa.string(), pa.binary(), pa.large_string(), pa.large_binary()):
+        column = column.cast(pa.large_string())
     _, offsets, data = column.buffers()
-    at = np.frombuffer(offsets, dtype=np.int64, count=len(column) + 1 + column.offset)[column.offset :]
+    wide = column.type in (pa.large_string(), pa.large_binary())
+    if offsets is None or not offsets.size:
+        return np.zeros(0, np.uint8), np.zeros(1, np.int64)
+    at = np.frombuffer(offsets, dtype=np.int64 if wide else np.int32, count=len(column) + 1 + column.offset)[column.offset :].astype(np.int64)
     raw = np.frombuffer(data, dtype=np.uint8) if data is not None and data.size else np.zeros(0, np.uint8)
     return raw[at[0] : at[-1]], at - at[0]
 

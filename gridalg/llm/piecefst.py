@@ -28,7 +28,7 @@ GAP = "▁"
 NORMAL, UNKNOWN, CONTROL, USER, UNUSED, BYTE = 1, 2, 3, 4, 5, 6  # piece types of the file format
 UNIGRAM, MERGE = 1, 2
 #: Entries of the caches of words (two generations) and of pairs, and characters of a word that is kept.
-WORDS, PAIRS, LONGEST = 300_000, 1_000_000, 48
+WORDS, PAIRS, LONGEST = 100_000, 500_000, 40
 
 
 def _number(data: bytes, at: int) -> tuple[int, int]:
@@ -85,7 +85,12 @@ class Transducer:
         self.byte = {int(p[3:5], 16): i for i, (p, _, t) in enumerate(pieces) if t == BYTE}
         if self.kind == MERGE:  # pieces that merging their characters doesn't give never occur
             self.ids = {p: i for p, i in self.ids.items() if self.merges(p) == [p]}
-        self.arcs = {p[:k]: -1 for p in self.ids for k in range(1, len(p))} | self.ids  # the trie: id of a piece, -1 of a mere stem
+        self.trie: dict = {}  # nodes by character; the id of the piece that ends at a node is under the empty string
+        for p, i in self.ids.items():
+            node = self.trie
+            for c in p:
+                node = node.setdefault(c, {})
+            node[""] = i
         self.bytes_of = [bytes([int(p[3:5], 16)]) if t == BYTE else b"" if t == CONTROL else p.replace(GAP, " ").encode() for p, _, t in pieces]
         joins = {c for p in self.ids if len(p) > 1 for c in p}
         runs = all(GAP not in p.lstrip(GAP) for p in self.ids)
@@ -94,7 +99,8 @@ class Transducer:
         self.least = min((s for p, s, t in pieces if t == NORMAL), default=0.0) - 10
         self.words: dict[str, bytes] = {}
         self.older: dict[str, bytes] = {}
-        self.pairs: dict[int, bool] = {}
+        self.after: list[dict[int, bool]] = [{} for _ in pieces]  # for each piece, whether another may follow
+        self.known = 0
 
     def normalise(self, text: str) -> str:
         if self.squeeze:
@@ -130,82 +136,96 @@ class Transducer:
 
     def follows(self, a: int, b: int) -> bool:
         """Whether the merge model leaves piece b after piece a as they are."""
-        key = a << 32 | b
-        known = self.pairs.get(key)
+        known = self.after[a].get(b)
         if known is None:
-            if len(self.pairs) >= PAIRS:
-                self.pairs.clear()
+            if self.known >= PAIRS:
+                self.known = 0
+                for row in self.after:
+                    row.clear()
+            self.known += 1
             x, y = self.pieces[a][0], self.pieces[b][0]
-            known = self.pairs[key] = self.merges(x + y, len(x)) == [x, y]
+            known = self.after[a][b] = self.merges(x + y, len(x)) == [x, y]
         return known
 
     def shortest(self, text: str) -> list[int]:
         """The tropical shortest path over a normalised text."""
-        last, back = self._merge_path(text) if self.kind == MERGE else self._cheapest_path(text)
-        path: list[int] = []
-        j = len(text)
-        while j:
-            i = back[j]
-            if last[j] >= 0:
-                path.append(last[j])
+        spans = self._merge_path(text) if self.kind == MERGE else self._cheapest_path(text)
+        out: list[int] = []
+        for i, j, p in spans:
+            if p >= 0:
+                out.append(p)
             elif self.byte:
-                path.extend(self.byte[b] for b in reversed(text[i:j].encode()))
+                out.extend(self.byte[b] for b in text[i:j].encode())
             else:
-                path.append(self.unknown)
-            j = i
-        return path[::-1]
+                out.append(self.unknown)
+        return out
 
-    def _merge_path(self, text: str) -> tuple[list, list[int]]:
-        """Last piece (-2: bytes) and its start for each prefix. Weights are zero or infinite, and one path at most into
-        a position weighs zero, so the first one found is the shortest."""
-        n = len(text)
-        last: list[int | None] = [None] * (n + 1)
-        back = [0] * (n + 1)
-        last[0] = -1
-        arcs, pairs = self.arcs, self.pairs
-        for i in range(n):
-            before = last[i]
-            if before is None:
-                continue
-            j = i + 1
-            p = arcs.get(text[i])
-            if (p is None or p < 0) and last[j] is None:
-                last[j], back[j] = -2, i
-            base = before << 32
-            while p is not None:
-                if p >= 0 and last[j] is None:
-                    if before < 0:
-                        fits = True
-                    else:
-                        fits = pairs.get(base | p)
-                        if fits is None:
-                            fits = self.follows(before, p)
-                    if fits:
-                        last[j], back[j] = p, i
-                j += 1
-                if j > n:
-                    break
-                p = arcs.get(text[i:j])
-        return last, back
+    def _merge_path(self, text: str) -> list[tuple[int, int, int]]:
+        """Start, end and piece (-2: bytes) along the path of weight zero.
 
-    def _cheapest_path(self, text: str) -> tuple[list[int], list[int]]:
+        Weights are zero or infinite, and at most one path into a position weighs zero. So the lattice is searched depth
+        first, long pieces first, and a position that led nowhere once is never entered again.
+        """
+        n, trie, after = len(text), self.trie, self.after
+        dead = bytearray(n + 1)
+        path: list[tuple[int, int, int, list]] = []
+        i, before, arcs = 0, -1, None
+        while i < n:
+            if arcs is None:
+                arcs, k, node = [], i, trie
+                while k < n:
+                    node = node.get(text[k])
+                    if node is None:
+                        break
+                    k += 1
+                    p = node.get("")
+                    if p is not None:
+                        arcs.append((k, p))
+                if not arcs or arcs[0][0] > i + 1:
+                    arcs.insert(0, (i + 1, -2))
+            row = after[before] if before >= 0 else None
+            while arcs:
+                j, p = arcs.pop()
+                if dead[j]:
+                    continue
+                if row is not None and p >= 0:
+                    fits = row.get(p)
+                    if fits is None:
+                        fits = self.follows(before, p)
+                    if not fits:
+                        continue
+                path.append((i, j, p, arcs))
+                i, before, arcs = j, p, None
+                break
+            else:
+                dead[i] = 1
+                i, _, _, arcs = path.pop()
+                before = path[-1][2] if path else -1
+        return [x[:3] for x in path]
+
+    def _cheapest_path(self, text: str) -> list[tuple[int, int, int]]:
         """The same with minus the scores as weights; a character without piece costs more than any."""
         n = len(text)
         cost = [0.0] + [float("inf")] * n
         last, back = [-1] * (n + 1), [0] * (n + 1)
         for i in range(n):
-            j = i + 1
-            p = self.arcs.get(text[i])
-            if (p is None or p < 0) and cost[i] - self.least < cost[j]:
-                cost[j], last[j], back[j] = cost[i] - self.least, -2, i
-            while p is not None:
-                if p >= 0 and cost[i] - self.score[p] < cost[j]:
-                    cost[j], last[j], back[j] = cost[i] - self.score[p], p, i
-                j += 1
-                if j > n:
+            k, node = i, self.trie
+            if (node.get(text[i]) or {}).get("") is None and cost[i] - self.least < cost[i + 1]:
+                cost[i + 1], last[i + 1], back[i + 1] = cost[i] - self.least, -2, i
+            while k < n:
+                node = node.get(text[k])
+                if node is None:
                     break
-                p = self.arcs.get(text[i:j])
-        return last, back
+                k += 1
+                p = node.get("")
+                if p is not None and cost[i] - self.score[p] < cost[k]:
+                    cost[k], last[k], back[k] = cost[i] - self.score[p], p, i
+        spans = []
+        j = n
+        while j:
+            spans.append((back[j], j, last[j]))
+            j = back[j]
+        return spans[::-1]
 
     def encode(self, text: str) -> bytes:
         """Ids of a text as 32-bit little-endian numbers."""

@@ -160,7 +160,7 @@ class Model:
     bias: float = -30.0
 
     def __post_init__(self):
-        self.read = lru_cache(maxsize=100_000)(lambda t: restore(t, self.lm))
+        self.read = lru_cache(maxsize=20_000)(lambda t: restore(t, self.lm))
 
     def __getstate__(self):
         return {k: v for k, v in self.__dict__.items() if k != "read"}
