@@ -153,6 +153,9 @@ def _settle(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
     for batch in batches:
         held = [np.concatenate([a, np.asarray(x)]) for a, x in zip(held, batch.columns, strict=True)]
+        fresh = np.ones(len(held[0]), bool)  # a row that is given twice is one occurrence
+        fresh[1:] = np.logical_or.reduce([a[1:] != a[:-1] for a in held])
+        held = [a[fresh] for a in held]
         if len(held[0]) < 50_000:
             continue
         if hot is not None:
@@ -327,7 +330,8 @@ def remove_repeats(docs: DataFrame, *, with_text: bool = False, id_col: str = "d
 
     Every byte is removed that a 100-byte string covers which also starts earlier: in a smaller doc_id, or in the
     same text at an earlier place. Strings never cross texts and are judged on the input. Null counts as empty; texts
-    under 100 bytes stay whole. Ids must be unique and not null; other columns are not read. What is left of a text
+    under 100 bytes stay whole. Rows without id are left out; rows that are given twice count once and both get the
+    result, but one id must not stand for different texts. Other columns are not read. What is left of a text
     may not be whole UTF-8 characters, so kept is binary.
     """
     texts = docs.filter(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
