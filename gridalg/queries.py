@@ -11,6 +11,7 @@ from gridalg.algos.regress import cross_validate, gram, linreg_row, qr
 from gridalg.api import CID, NULL, RID, VAL, Engine, Matrix, Tensor
 from gridalg.functions.encode import dense_codes
 from gridalg.functions.merge import ADD, ADD1, LEFTY, MAX, MUL
+from gridalg.functions.ship import ship
 from gridalg.operators import tiles
 from gridalg.operators.joins import Operand, fused_sum
 from gridalg.sources.adapters import from_arrays, from_features, from_links, from_table, from_tokens
@@ -21,6 +22,7 @@ ORACLES: dict[str, str] = {}
 
 
 def table(spark: SparkSession, d: str, name: str) -> DataFrame:
+    ship(spark)
     return spark.read.parquet(f"{d}/{name}.parquet")
 
 
