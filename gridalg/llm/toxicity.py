@@ -4,13 +4,13 @@
 2. In a text, spans that look disguised (signs inside words, spaced-out letters, letters three times over) become
    a lattice: each character may stand for itself or for the letters it imitates, separators may vanish, a run of
    one letter may be one or two. The cheapest path under channel costs and language model is the restored word.
-3. A logistic regression on words of the text and its restored spans gives the score. Its words are those found
-   in clearly more toxic than other labelled documents, counted once per group of copies.
+3. A logistic regression on words and stems of the text and its restored spans gives the score. They are those
+   found in clearly more toxic than other labelled documents, counted once per group of copies: first whole words,
+   then, over the toxic documents that those leave unexplained, beginnings that many different words share.
 """
 
 from __future__ import annotations
 
-import math
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 from functools import lru_cache
@@ -24,13 +24,17 @@ from gridalg.llm.lineage import cut
 
 #: Labelled rows to fit on: more are thinned by a hash of their id. The only sample taken.
 FIT_ROWS = 20_000
-#: Words that the classifier may use; groups of copies, and share of the toxic ones, that must hold a word.
-WORDS, GROUPS, SHARE = 256, 4, 0.01
+#: Words, and stems besides, that the classifier may use; sampled texts (copies counted once) that must hold one, and
+#: the least share of the toxic texts: words must be common, stems may mark one language of several.
+FEATURES, GROUPS, WORD_SHARE, STEM_SHARE = 48, 3, 0.1, 0.02
+#: Bytes of the beginnings of longer words that may be stems, and occurrences that are told apart.
+STEMS, TIMES = (4, 5, 6, 7, 8), 3
+RIDGE = 0.01
 THRESHOLD = 0.7
 
 #: Letters that a sign imitates, and cost (nats) of reading it so.
 IMITATES = {"0": "o", "1": "il", "3": "e", "4": "a", "5": "s", "7": "t", "8": "b", "9": "g", "@": "a", "$": "s", "!": "i", "|": "il", "+": "t"}
-READ, DROP, SHORTEN, HALVE, KEEP = 0.4, 0.2, 0.3, 3.0, 8.0
+READ, DROP, SHORTEN, HALVE, KEEP = 0.4, 0.2, 0.3, 6.0, 8.0
 SEPARATORS = " .-_*"
 
 _SIGN = np.zeros(256, bool)
@@ -155,8 +159,8 @@ class Model:
     """What scoring needs; of fixed size."""
 
     lm: np.ndarray
-    words: np.ndarray = field(default_factory=lambda: np.zeros(0, np.uint64))  # sorted hashes
-    weights: np.ndarray = field(default_factory=lambda: np.zeros(0))
+    features: np.ndarray = field(default_factory=lambda: np.zeros(0, np.uint64))  # sorted hashes of words and stems
+    weights: np.ndarray = field(default_factory=lambda: np.zeros((0, TIMES)))  # of at least one, two, three occurrences
     bias: float = -30.0
 
     def __post_init__(self):
@@ -174,42 +178,130 @@ class Model:
 _RUN = 64
 
 
-def word_hashes(column: pa.Array, model: Model) -> Iterator[np.ndarray]:
-    """Hashes of the words of each text and of its restored spans."""
+def _stems(part: np.ndarray, s: np.ndarray, e: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """For each stem length, the words that go on after it and the hashes of the stems."""
+    power, inverse = kernel._power(len(part) + 1)
+    total = np.zeros(len(part) + 1, np.uint64)
+    with np.errstate(over="ignore"):
+        np.cumsum(kernel._VALUE[part] * power[: len(part)], out=total[1:])
+        for n in STEMS:
+            at = np.flatnonzero(e - s > n)
+            first = s[at]
+            yield at, kernel.mix((total[first + n] - total[first]) * inverse[first] + np.uint64(n << 32))
+
+
+def _occurrences(part: np.ndarray, own: np.ndarray, stems: bool) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """(row, hash) of every word, and then of the stems of each length."""
+    s, e, h, first = kernel.words(part, own, kernel.ALNUM)
+    row = np.repeat(np.arange(len(own) - 1), np.diff(first))
+    yield row, h
+    if stems and len(h):
+        for at, x in _stems(part, s, e):
+            yield row[at], x
+
+
+def occurrences(column: pa.Array, model: Model, stems: bool = True) -> Iterator[tuple[int, int, list[tuple[np.ndarray, np.ndarray]]]]:
+    """For runs of rows lo..hi: (row - lo, hash) of the words and stems of each text and of its restored spans."""
     raw, offsets = kernel.buffers(column)
     for lo, hi in kernel.pieces(offsets):
         own = offsets[lo : hi + 1] - offsets[lo]
         part = kernel._LOWER[raw[offsets[lo] : offsets[hi]]]
-        _, _, h, first = kernel.words(part, own, kernel.ALNUM)
+        found = list(_occurrences(part, own, stems))
         more: list[str] = []
         owner: list[int] = []
         for d in range(hi - lo):
             x = part[own[d] : own[d + 1]]
             for a, b in disguised(x):
                 for k in range(a, b, _RUN):
-                    text = model.read(x[k : min(b, k + _RUN)].tobytes().decode("ascii"))
-                    more.append(text)
+                    more.append(model.read(x[k : min(b, k + _RUN)].tobytes().decode("ascii")))
                     owner.append(d)
-        extra: dict[int, list[np.ndarray]] = {}
         if more:
-            braw, boff = kernel.buffers(pa.array(more, pa.string()))
-            _, _, bh, bfirst = kernel.words(braw, boff, kernel.ALNUM)
-            for k, d in enumerate(owner):
-                extra.setdefault(d, []).append(bh[bfirst[k] : bfirst[k + 1]])
-        for d in range(hi - lo):
-            mine = h[first[d] : first[d + 1]]
-            yield np.concatenate([mine, *extra[d]]) if d in extra else mine
+            whose = np.array(owner)
+            found += [(whose[r], h) for r, h in _occurrences(*kernel.buffers(pa.array(more, pa.string())), stems)]
+        yield lo, hi, found
+
+
+def _counts(found: list[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct (row, hash) and how often each occurs."""
+    row, h = (np.concatenate(x) for x in zip(*found, strict=True))
+    turn = np.lexsort((h, row))
+    row, h = row[turn], h[turn]
+    new = np.ones(len(h), bool)
+    new[1:] = (h[1:] != h[:-1]) | (row[1:] != row[:-1])
+    at = np.flatnonzero(new)
+    return row[at], h[at], np.diff(np.append(at, len(h)))
+
+
+def _among(found: list[tuple[np.ndarray, np.ndarray]], keys: np.ndarray, bits: np.ndarray) -> list[tuple[np.ndarray, np.ndarray]]:
+    """Those occurrences whose hash is one of the sorted keys."""
+    out = []
+    for row, h in found:
+        maybe = np.flatnonzero(bits[(h >> np.uint64(44)).astype(np.int64)])
+        x = h[maybe]
+        hit = keys[np.minimum(np.searchsorted(keys, x), len(keys) - 1)] == x if len(keys) else np.zeros(0, bool)
+        out.append((row[maybe[hit]], x[hit]))
+    return out
+
+
+def _bits(keys: np.ndarray) -> np.ndarray:
+    bits = np.zeros(1 << 20, bool)
+    bits[(keys >> np.uint64(44)).astype(np.int64)] = True
+    return bits
+
+
+def _group(model):
+    """text, toxic and the smallest word hash of each sampled text: copies share it, so that they can count once."""
+
+    def run(batches):
+        m = model.value
+        for batch in batches:
+            least = np.zeros(batch.num_rows, np.uint64)
+            for lo, hi, found in occurrences(batch.column(0), m, stems=False):
+                own = np.full(hi - lo, np.iinfo(np.uint64).max, np.uint64)
+                for row, h in found:
+                    np.minimum.at(own, row, kernel.mix(h))
+                least[lo:hi] = own
+            yield pa.record_batch([batch.column(0), batch.column(1), pa.array(least.view(np.int64))], names=["text", "toxic", "grp"])
+
+    return run
+
 
+def _tally(model, keys, covered, stems):
+    """hash and number of texts that hold it: of all words (or stems) of texts without covered words, or of the keys only."""
+
+    def run(batches):
+        m, want, skip = model.value, keys.value if keys else None, covered.value
+        total: dict[int, int] = {}
+        for batch in batches:
+            for lo, hi, found in occurrences(batch.column(0), m, stems):
+                done = np.zeros(hi - lo, bool)
+                for row, _ in _among(found, skip, _bits(skip)):
+                    done[row] = True
+                own = found if want is None else _among(found, want, _bits(want))
+                row, h, _ = _counts(own)
+                u, n = np.unique(h[~done[row]], return_counts=True)
+                for a, b in zip(u.view(np.int64).tolist(), n.tolist(), strict=True):
+                    total[a] = total.get(a, 0) + b
+        yield pa.record_batch([pa.array(list(total), pa.int64()), pa.array(list(total.values()), pa.int64())], names=["h", "n"])
+
+    return run
+
+
+def _patterns(model):
+    """toxic and the active features of each text: number * TIMES + occurrences - 1."""
 
-def _fit_rows(model):
     def run(batches):
         m = model.value
+        bits = _bits(m.features)
         for batch in batches:
-            sets = [np.unique(x) for x in word_hashes(batch.column(0), m)]
-            least = [int(kernel.mix(s).min().view(np.int64)) if len(s) else 0 for s in sets]
-            lengths = np.concatenate([[0], np.cumsum([len(s) for s in sets])])
-            words = np.concatenate([np.zeros(0, np.uint64), *sets]).view(np.int64)
-            yield pa.record_batch([batch.column(1), pa.array(least, pa.int64()), pa.ListArray.from_arrays(pa.array(lengths, pa.int32()), pa.array(words))], names=["toxic", "grp", "words"])
+            out: list[list[int]] = []
+            for lo, hi, found in occurrences(batch.column(0), m):
+                row, h, n = _counts(_among(found, m.features, bits))
+                own: list[list[int]] = [[] for _ in range(hi - lo)]
+                for r, k, c in zip(row.tolist(), np.searchsorted(m.features, h).tolist(), n.tolist(), strict=True):
+                    own[r] += [k * TIMES + t for t in range(min(c, TIMES))]
+                out += [sorted(x) for x in own]
+            yield pa.record_batch([batch.column(1), pa.array(out, pa.list_(pa.int64()))], names=["toxic", "f"])
 
     return run
 
@@ -219,6 +311,27 @@ def in_fold(id_col: str = "doc_id"):
     return F.pmod(F.crc32(F.col(id_col).cast("string").cast("binary")), F.lit(3)) != 1
 
 
+def _telling(seen: DataFrame, model, covered, stems: bool, share: float, n0: int, n1: int) -> np.ndarray:
+    """Sorted hashes of the words, or words and stems, that are much more frequent in toxic texts."""
+    spark = seen.sparkSession
+    least = max(GROUPS, share * n1)
+    pos = seen.filter("toxic = 1").mapInArrow(_tally(model, None, covered, stems), "h long, n long").groupBy("h").agg(F.sum("n").alias("n1")).filter(F.col("n1") >= least)
+    top = {r["h"]: r["n1"] for r in pos.collect()}  # at most the features of a text over share
+    if not top:
+        return np.zeros(0, np.uint64)
+    keys = np.sort(np.array(list(top), np.int64).view(np.uint64))
+    neg = seen.filter("toxic = 0").mapInArrow(_tally(model, spark.sparkContext.broadcast(keys), covered, stems), "h long, n long").groupBy("h").agg(F.sum("n").alias("n0")).collect()
+    g0 = {r["h"]: r["n0"] for r in neg}
+    ids = np.array(list(top), np.int64)
+    a, b = np.array([top[x] for x in ids.tolist()], float), np.array([g0.get(x, 0) for x in ids.tolist()], float)
+    p = (a + b) / (n0 + n1)
+    z = (a / n1 - b / max(n0, 1)) / np.sqrt(p * (1 - p) * (1 / n1 + 1 / max(n0, 1)) + 1e-12)
+    lift = (a / n1) / ((b + 0.5) / (n0 + 1))
+    good = np.flatnonzero((z > 6) & (lift > 4))
+    best = good[np.lexsort((ids[good], -z[good]))][:FEATURES]
+    return np.sort(ids[best].view(np.uint64))
+
+
 def fit(docs: DataFrame, labels: DataFrame) -> Model:
     """The language model from all documents, the classifier from labelled rows of the learning folds."""
     spark = docs.sparkSession
@@ -228,52 +341,51 @@ def fit(docs: DataFrame, labels: DataFrame) -> Model:
     if n > FIT_ROWS:
         rows = rows.filter(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 20)) < int(FIT_ROWS / n * (1 << 20)))
     texts = docs.select("doc_id", "text").join(F.broadcast(rows), "doc_id").select(F.col("text").cast("string").alias("text"), "toxic")
-    seen = cut(texts.mapInArrow(_fit_rows(spark.sparkContext.broadcast(model)), "toxic int, grp long, words array<long>"))
-    total = {r["toxic"]: r["g"] for r in seen.groupBy("toxic").agg(F.count_distinct("grp").alias("g")).collect()}
+    held = spark.sparkContext.broadcast(model)
+    seen = cut(texts.mapInArrow(_group(held), "text string, toxic int, grp long").dropDuplicates(["toxic", "grp"]).select("text", "toxic"))
+    total = dict(seen.groupBy("toxic").count().collect())
     n0, n1 = total.get(0, 0), total.get(1, 0)
     if not n1:
         return model
-    word = seen.select("toxic", "grp", F.explode("words").alias("w"))
-    pos = word.filter("toxic = 1").groupBy("w").agg(F.count_distinct("grp").alias("g1")).filter(F.col("g1") >= max(GROUPS, SHARE * n1))
-    neg = word.filter("toxic = 0").join(pos.select("w"), "w", "left_semi").groupBy("w").agg(F.count_distinct("grp").alias("g0"))
-    both = pos.join(neg, "w", "left").fillna(0, ["g0"])
-    p = (F.col("g1") + F.col("g0")) / (n0 + n1)
-    z = (F.col("g1") / n1 - F.col("g0") / max(n0, 1)) / F.sqrt(p * (1 - p) * (1 / n1 + 1 / max(n0, 1)) + 1e-12)
-    lift = (F.col("g1") / n1) / ((F.col("g0") + 0.5) / (n0 + 1))
-    top = both.withColumn("z", z).filter((F.col("z") > 6) & (lift > 5)).orderBy(F.desc("z"), "w").limit(WORDS).collect()
-    words = np.sort(np.array([r["w"] for r in top], np.int64).view(np.uint64))
-    known = F.array(*[F.lit(int(w)) for w in words.view(np.int64)]) if len(words) else F.expr("cast(array() as array<bigint>)")
-    held = seen.select("toxic", F.sort_array(F.array_intersect("words", known)).alias("w")).groupBy("w", "toxic").agg(F.count("*").alias("n")).collect()
-    place = {int(w): i for i, w in enumerate(words.view(np.int64))}
-    x = np.zeros((len(held), len(words) + 1))
+    none = spark.sparkContext.broadcast(np.zeros(0, np.uint64))
+    words = _telling(seen, held, none, False, WORD_SHARE, n0, n1)
+    # what the words don't explain may be explained by stems: families of words with one beginning
+    stems = _telling(seen, held, spark.sparkContext.broadcast(words), True, STEM_SHARE, n0, n1)
+    model.features = np.unique(np.concatenate([words, stems]))
+    m = len(model.features) * TIMES
+    got = seen.mapInArrow(_patterns(spark.sparkContext.broadcast(model)), "toxic int, f array<long>").groupBy("f", "toxic").agg(F.count("*").alias("n")).collect()
+    x = np.zeros((len(got), m + 1))
     x[:, -1] = 1
-    for i, r in enumerate(held):
-        x[i, [place[w] for w in r["w"]]] = 1
-    y, k = np.array([r["toxic"] for r in held], float), np.array([r["n"] for r in held], float)
-    w = np.zeros(x.shape[1])
-    ridge = np.append(np.full(len(words), 0.5), 1e-3)
-    for _ in range(30):
+    for i, r in enumerate(got):
+        x[i, r["f"]] = 1
+    y, k = np.array([r["toxic"] for r in got], float), np.array([r["n"] for r in got], float)
+    used = np.flatnonzero(x.any(0))
+    x = x[:, used]
+    w = np.zeros(len(used))
+    ridge = np.append(np.full(len(used) - 1, RIDGE), 1e-3)
+    for _ in range(40):
         q = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
         step = np.linalg.solve((x * (k * q * (1 - q))[:, None]).T @ x + np.diag(ridge), x.T @ (k * (y - q)) - ridge * w)
         w += np.clip(step, -2, 2)
-        if np.abs(step).max() < 1e-8:
+        if np.abs(step).max() < 1e-6:
             break
-    model.words, model.weights, model.bias = words, w[:-1], float(w[-1])
+    full = np.zeros(m + 1)
+    full[used] = w
+    model.weights, model.bias = full[:-1].reshape(-1, TIMES), float(full[-1])
     return model
 
 
 def _score(model):
     def run(batches):
         m = model.value
+        bits, sums = _bits(m.features), np.cumsum(m.weights, axis=1)
         for batch in batches:
-            out = np.zeros(batch.num_rows)
-            for i, h in enumerate(word_hashes(batch.column(1), m)):
-                z = m.bias
-                if len(h) and len(m.words):
-                    at = np.minimum(np.searchsorted(m.words, h), len(m.words) - 1)
-                    z += m.weights[np.unique(at[m.words[at] == h])].sum()
-                out[i] = 1 / (1 + math.exp(-max(-30.0, min(30.0, z))))
-            yield pa.record_batch([batch.column(0).cast(pa.int64()), pa.array(out)], names=["doc_id", "score"])
+            z = np.full(batch.num_rows, m.bias)
+            if len(m.features):
+                for lo, hi, found in occurrences(batch.column(1), m):
+                    row, h, n = _counts(_among(found, m.features, bits))
+                    np.add.at(z, lo + row, sums[np.searchsorted(m.features, h), np.minimum(n, TIMES) - 1])
+            yield pa.record_batch([batch.column(0).cast(pa.int64()), pa.array(1 / (1 + np.exp(-np.clip(z, -30, 30))))], names=["doc_id", "score"])
 
     return run
 
