@@ -135,7 +135,7 @@ def disguised(x: np.ndarray) -> list[tuple[int, int]]:
             hi += 1
         while hi > lo and sign[hi - 1] and chr(x[hi - 1]) in "!$+|":  # what closes a word is punctuation
             hi -= 1
-        if hi - lo >= 3 and letter[lo:hi].any():
+        if hi - lo >= 3 and letter[lo:hi].any() and (sign[lo:hi].any() or triple[lo : hi - 2].any()):
             out.append((lo, hi))
     if n >= 5:
         edge = np.concatenate([[True], ~unit])
