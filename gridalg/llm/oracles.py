@@ -42,6 +42,19 @@ r AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score, vec_id)
 SELECT query_id, CAST(rank AS INTEGER) AS rank, vec_id, score FROM r WHERE rank <= 10
 """
 
+_OP7 = """
+WITH d AS (SELECT doc_id, hex(encode(coalesce(text, ''))) AS h FROM documents),
+b AS (SELECT doc_id, i, h FROM (SELECT doc_id, h, unnest(range(0, length(h) // 2)) AS i FROM d)),
+w AS (SELECT doc_id, i, md5_number(substr(h, 2 * i + 1, 200)) AS g FROM b WHERE i <= length(h) // 2 - 100),
+r AS (SELECT doc_id, i FROM (SELECT doc_id, i, row_number() OVER (PARTITION BY g ORDER BY doc_id, i) AS k FROM w) WHERE k > 1),
+c AS (SELECT b.doc_id, b.i, substr(h, 2 * b.i + 1, 2) AS x, coalesce(max(r.i) OVER (PARTITION BY b.doc_id ORDER BY b.i) >= b.i - 99, false) AS gone
+      FROM b LEFT JOIN r ON r.doc_id = b.doc_id AND r.i = b.i),
+t AS (SELECT *, gone AND NOT coalesce(lag(gone) OVER (PARTITION BY doc_id ORDER BY i), false) AS starts FROM c),
+k AS (SELECT doc_id, count(*) FILTER (gone) AS n_removed, count(*) FILTER (starts) AS n_spans, string_agg(x, '' ORDER BY i) FILTER (NOT gone) AS kept FROM t GROUP BY doc_id)
+SELECT doc_id, CAST(length(h) // 2 AS BIGINT) AS n_bytes, CAST(coalesce(n_removed, 0) AS BIGINT) AS n_removed, CAST(coalesce(n_spans, 0) AS BIGINT) AS n_spans,
+       sha256(unhex(coalesce(kept, ''))) AS kept_sha256 FROM d LEFT JOIN k USING (doc_id)
+"""
+
 
 def _op10() -> str:
     from gridalg.llm.secrets import BASE, RULES
@@ -65,4 +78,4 @@ FROM d LEFT JOIN c USING (doc_id)
 """
 
 
-ORACLES = {"op1_decontaminate": _OP1, "op4_minhash": _OP4, "op5_neighbours": _OP5, "op10_secrets": _op10()}
+ORACLES = {"op1_decontaminate": _OP1, "op4_minhash": _OP4, "op5_neighbours": _OP5, "op7_suffix_dedup": _OP7, "op10_secrets": _op10()}

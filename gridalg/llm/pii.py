@@ -12,15 +12,16 @@ from pyspark.sql import Column, DataFrame, functions as F
 
 ROUNDS = 10
 #: Candidate formats in order of preference.
-EMAIL = r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]++@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)*\.[A-Za-z]{2,}"
+EMAIL = r"(?<![\p{L}0-9._%+-])[\p{L}0-9._%+-]++@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)*\.[A-Za-z]{2,}"
 IPV4 = r"(?<![0-9.])[0-9]{1,3}(?:\.[0-9]{1,3}){3}(?!\.?[0-9])"
 ISO_DATE = r"(?<![0-9-])[0-9]{4}-[0-9]{2}-[0-9]{2}(?![0-9-])"
 DAY_DATE = r"(?<![0-9/.])[0-9]{2}[/.][0-9]{2}[/.][0-9]{4}(?![0-9/])"
 PHONE = r"(?<![0-9A-Za-z])(?:\+[0-9]{1,3}[ -]?)?(?:\([0-9]{3}\) ?|[0-9]{3}[ -])[0-9]{3}-[0-9]{4}(?![0-9A-Za-z-])"
+ABROAD = r"(?<![0-9A-Za-z+])\+[0-9]{1,3}(?:[ .-][0-9]{2,4}){2,5}(?![0-9A-Za-z-])"
 SSN = r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9-])"
 IBAN = r"(?<![0-9A-Za-z])[A-Z]{2}[0-9]{2}[A-Z0-9]{11,30}(?![0-9A-Za-z])"
 CARD = r"(?<![0-9A-Za-z-])[0-9](?:[ -]?[0-9]){12,18}(?![0-9A-Za-z-])"
-PATTERN = "|".join([EMAIL, IPV4, ISO_DATE, DAY_DATE, PHONE, SSN, IBAN, CARD])
+PATTERN = "|".join([EMAIL, IPV4, ISO_DATE, DAY_DATE, PHONE, ABROAD, SSN, IBAN, CARD])
 #: Days of any 28 years from 1901 to 2096, which is 21 * 487.
 CYCLE = 10227
 
@@ -163,10 +164,14 @@ def pseudonym(m: Column, key: str) -> Column:
         national = permute_digits(F.substring(d, n - 9, F.lit(10)), key, "phone")
         return let(F.concat(F.substring(d, F.lit(1), n - 10), national), lambda x: _refill(m, x))
 
+    def abroad_text(d: Column) -> Column:
+        code = F.regexp_extract(m, "^[+]([0-9]+)", 1)
+        return let(F.concat(code, permute_digits(F.substring(d, F.length(code) + 1, F.length(d)), key, "phone")), lambda x: _refill(m, x))
+
     def iban_text(bban: Column) -> Column:
         return F.concat(_sub(m, 1, 2), F.lpad((98 - _mod97(F.concat(_sub(m, 1, 2), F.lit("00"), bban))).cast("string"), 2, "0"), bban)
 
-    card, phone = let(digits, card_text), let(digits, phone_text)
+    card, phone, abroad = let(digits, card_text), let(digits, phone_text), let(digits, abroad_text)
     iban = let(_runs(F.substring(m, F.lit(5), F.length(m)), key, "iban"), iban_text)
     at = F.instr(m, "@")
     email = F.concat(_runs(F.substring(m, F.lit(1), at - 1), key, "email"), F.substring(m, at, F.length(m)))
@@ -182,6 +187,7 @@ def pseudonym(m: Column, key: str) -> Column:
         .when(is_("[A-Z]{2}[0-9]{2}[A-Z0-9]+"), F.when(_mod97(m) == 1, made("iban", iban)))
         .when(is_(r"[0-9](?:[ -]?[0-9]){12,18}") & let(digits, lambda d: _luhn_sum(d) % 10 == 0), made("card", card))
         .when(is_(r"(?:\+[0-9]{1,3}[ -]?)?(?:\([0-9]{3}\) ?|[0-9]{3}[ -])[0-9]{3}-[0-9]{4}"), made("phone", phone))
+        .when(is_(r"\+[0-9]{1,3}(?:[ .-][0-9]{2,4}){2,5}") & F.length(digits).between(8, 15), made("phone", abroad))
     )
 
 

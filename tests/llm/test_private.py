@@ -72,6 +72,13 @@ def test_formats_and_checks_hold_and_values_stay_linked(spark):
     assert [s.kind for s in got[0].pii_spans] == ["iban", "iban"] and got[1].pii_spans[0].end == 23
 
 
+def test_phones_abroad_and_other_letters(spark):
+    got = run(spark, ["+33 1 23 45 67 89 no, +33 12 34 56 78 yes", "a +49 301 234567 b", "éa.12@mail.example.com"])
+    assert got[1].text == "a +49 301 234567 b"  # a group of six digits is no phone in this form
+    assert re.fullmatch(r"\+33 1 23 45 67 89 no, \+33 \d\d \d\d \d\d \d\d yes", got[0].text) and "12 34 56 78" not in got[0].text
+    assert got[2].text != "éa.12@mail.example.com" and re.fullmatch(r"é[a-z]\.\d\d@mail\.example\.com", got[2].text)
+
+
 def test_what_is_not_personal_stays(spark):
     texts = [None, "", "clean é text 2.0 and v1.2", "4539578763621487 is no card", "300.1.1.1 and 1.2.3.4.5", "1985-02-30", "000-12-3456", "deadbeef" * 5, "x" * 100_000, "DE00370400440532013000"]
     got = run(spark, texts)
