@@ -85,6 +85,14 @@ class Matrix:
     def __matmul__(self, other: Matrix) -> Matrix:
         return self._new(MatMul(self.node, other.node))
 
+    def matmul(self, other: Matrix, strategy: str = "auto") -> Matrix:
+        """The product by a given physical strategy, beyond the reach of rewrites."""
+        from gridalg.operators.cells import multiply
+
+        product = MatMul(self.node, other.node)
+        cells = multiply(self.cells(), other.cells(), strategy=strategy)
+        return Matrix.of(cells, *product.shape, engine=self.engine)
+
     def inverse(self) -> Matrix:
         return self._new(Inverse(self.node))
 
@@ -151,6 +159,23 @@ class Matrix:
     def agg(self, fn: str, dim: str) -> Matrix:
         return self._new(Agg(self.node, fn, dim))
 
+    def avg_dense(self, dim: str = "r") -> Matrix:
+        """Sums over the full length of a line, zeros included (agg avg divides by nonzeros)."""
+        m, n = self.shape
+        return self.agg("sum", dim) * (1.0 / {"r": n, "c": m, "d": m, "a": m * n}[dim])
+
+    def argmax(self, dim: str = "r") -> DataFrame:
+        """The id of the largest stored entry of each line; ties go to the smaller id."""
+        return self.top(1, dim).drop("rank")
+
+    def outliers(self, sigma: float = 3.0, dim: str = "r") -> DataFrame:
+        """Stored entries more than sigma standard deviations from the mean of their line's stored entries, with z."""
+        key = "rid" if dim == "r" else "cid"
+        cells = self.cells()
+        line = cells.groupBy(key).agg(F.avg("val").alias("mean"), F.stddev_pop("val").alias("sd"))
+        z = F.try_divide(F.col("val") - F.col("mean"), F.col("sd"))
+        return cells.join(line, key).select("rid", "cid", "val", z.alias("z")).filter(F.abs("z") > sigma)
+
     def row_sums(self) -> Matrix:
         return self.agg("sum", "r")
 

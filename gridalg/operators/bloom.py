@@ -39,3 +39,29 @@ def bloom_semijoin(large: DataFrame, small: DataFrame, fpp: float = 0.01, expect
         word = F.get("words", F.floor(b / 64).cast("int"))
         probe = probe.filter(F.getbit(word, F.pmod(b, F.lit(64)).cast("int")) == 1)
     return probe.drop("words")
+
+
+def block_filters(cells: DataFrame, side: int, bits: int = 1024) -> DataFrame:
+    """rblk, cblk, words: one filter of one hash for the nonzero values of each block."""
+    keyed = cells.filter("val <> 0").select(F.floor(F.col("rid") / side).alias("rblk"), F.floor(F.col("cid") / side).alias("cblk"), _bit(F.col("val"), 0, bits).alias("bit"))
+    word = keyed.groupBy("rblk", "cblk", F.floor(F.col("bit") / 64).cast("int").alias("w")).agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), F.pmod("bit", F.lit(64)).cast("int"))).alias("x"))
+    found = word.groupBy("rblk", "cblk").agg(F.map_from_entries(F.collect_list(F.struct("w", "x"))).alias("m"))
+    return found.select("rblk", "cblk", F.transform(F.sequence(F.lit(0), F.lit(bits // 64 - 1)), lambda i: F.coalesce(F.try_element_at("m", i), F.lit(0).cast("long"))).alias("words"))
+
+
+def block_pairs(a: DataFrame, b: DataFrame, side: int) -> DataFrame:
+    """ar, ac, br, bc: pairs of blocks whose filters share a bit. Blocks are a millionth of the cells at the usual side."""
+    x = block_filters(a, side).select(F.col("rblk").alias("ar"), F.col("cblk").alias("ac"), F.col("words").alias("x"))
+    y = block_filters(b, side).select(F.col("rblk").alias("br"), F.col("cblk").alias("bc"), F.col("words").alias("y"))
+    return x.crossJoin(y).filter(F.exists(F.zip_with("x", "y", lambda p, q: p.bitwiseAND(q)), lambda w: w != 0)).select("ar", "ac", "br", "bc")
+
+
+def block_join(a: DataFrame, b: DataFrame, side: int) -> DataFrame:
+    """ar, ac, br, bc, val of equal nonzero values, block pair by block pair where the filters allow it.
+
+    This is how blocks meet without dealing values anew; joins of entries are cheaper wherever a shuffle by value is.
+    """
+    pairs = block_pairs(a, b, side).toDF("pr", "pc", "qr", "qc")
+    x = a.filter("val <> 0").select(F.col("rid").alias("ar"), F.col("cid").alias("ac"), "val", F.floor(F.col("rid") / side).alias("pr"), F.floor(F.col("cid") / side).alias("pc"))
+    y = b.filter("val <> 0").select(F.col("rid").alias("br"), F.col("cid").alias("bc"), "val", F.floor(F.col("rid") / side).alias("qr"), F.floor(F.col("cid") / side).alias("qc"))
+    return x.join(pairs, ["pr", "pc"]).join(y, ["qr", "qc", "val"]).select("ar", "ac", "br", "bc", "val")

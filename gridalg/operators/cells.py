@@ -97,14 +97,26 @@ def aggregate(cells: DataFrame, fn: str, dim: str, shape: tuple[int, int], absen
     return out.select((F.col("rid") if rid else zero).alias("rid"), (F.col("cid") if cid else zero).alias("cid"), "val")
 
 
-def multiply(a: DataFrame, b: DataFrame, small: str | None = None) -> DataFrame:
-    """Sum over the shared id of products of entries; NULLs count for nothing. small: the side to broadcast."""
+PRODUCTS = ("auto", "broadcast_a", "broadcast_b", "shuffle_inner", "row_stationary")
+
+
+def multiply(a: DataFrame, b: DataFrame, small: str | None = None, strategy: str = "auto") -> DataFrame:
+    """Sum over the shared id of products of entries; NULLs count for nothing. small: the side to broadcast.
+
+    shuffle_inner deals both sides by the shared id; row_stationary keeps the rows of a where they are, sends b
+    everywhere and deals the result by row, so that a row-placed a needs no exchange at all.
+    """
+    if strategy not in PRODUCTS:
+        raise ValueError(f"strategy {strategy!r}: one of {', '.join(PRODUCTS)}")
+    small = {"broadcast_a": "a", "broadcast_b": "b", "row_stationary": "b"}.get(strategy, small)
     x = a.filter("val IS NOT NULL").select(F.col("rid"), F.col("cid").alias("k"), F.col("val").alias("x"))
     y = b.filter("val IS NOT NULL").select(F.col("rid").alias("k"), F.col("cid"), F.col("val").alias("y"))
     if small == "a":
         x = F.broadcast(x)
     elif small == "b":
         y = F.broadcast(y)
+    elif strategy == "shuffle_inner":
+        x, y = x.repartition("k").hint("merge"), y.repartition("k")
     return x.join(y, "k").groupBy("rid", "cid").agg(F.sum(F.col("x") * F.col("y")).alias("val"))
 
 

@@ -13,6 +13,7 @@ from gridalg.functions.encode import dense_codes
 from gridalg.functions.merge import ADD, ADD1, LEFTY, MAX, MUL
 from gridalg.functions.ship import ship
 from gridalg.operators import tiles
+from gridalg.operators.bloom import block_join
 from gridalg.operators.joins import Operand, fused_sum
 from gridalg.sources.adapters import from_arrays, from_features, from_links, from_table, from_tokens
 
@@ -323,7 +324,7 @@ def _summary(t: Tensor) -> DataFrame:
 
 query("d2d_cr", f"WITH t AS ({_d2d_sql('QPS', 'TNN', 'cid', 'rid')}) SELECT count(*) AS n, sum(val) AS total FROM t")(lambda s, d: _summary(_qps(s, d).join(_tnn(s, d), "CID=RID", MUL)))
 query("d2d_rr_ss", f"WITH t AS ({_d2d_sql('QPS', 'QPS', 'rid', 'rid')}) SELECT count(*) AS n, sum(val) AS total FROM t")(lambda s, d: _summary(_qps(s, d).join(_qps(s, d), "RID=RID", MUL)))
-query("d2d_lefty", f"{_with('CUE', 'TNN')}, g AS (SELECT x.rid AS d1, x.cid AS d2, j AS d3, x.val AS x FROM cue x, range(25) b(j) WHERE x.rid < 25) SELECT d1, d2, d3, x * (coalesce(y.val, 0) + 1) AS val FROM g LEFT JOIN tnn y ON y.rid = d1 AND y.cid = d3")(lambda s, d: Matrix.of(_cue(s, d).cells().filter("rid < 25"), 25, 5).join(_tnn(s, d), "rid=rid", LEFTY))
+query("d2d_lefty", f"{_with('CUE', 'TNN')}, g AS (SELECT x.rid AS d1, x.cid AS d2, j AS d3, x.val AS x FROM cue x, range(25) b(j) WHERE x.rid < 25) SELECT d1, d2, d3, x * (coalesce(y.val, 0) + 1) AS val FROM g LEFT JOIN tnn y ON y.rid = d1 AND y.cid = d3")(lambda s, d: _cue(s, d).join(_tnn(s, d), "rid=rid", LEFTY))
 
 # Joins on values
 
@@ -336,8 +337,9 @@ for _n, _a, _b, _s in (("v2v_hit", "CUE", "CUH", "auto"), ("v2v_miss", "TNN", "Q
     query(_n, _v2v_sql(_a, _b))(lambda s, d, a=_a, b=_b, st=_s: MATRICES[a](s, d).join(MATRICES[b](s, d), "VAL=VAL", MUL, strategy=st))
 query(
     "v2v_emb_summary",
-    f"{_with('EMB')}, e AS (SELECT rid, cid, round(val, 3) + 0.0 AS val FROM emb) SELECT count(*) AS n FROM e x JOIN e y ON x.val = y.val WHERE x.rid < 20 AND x.val <> 0",
-)(lambda s, d: Matrix.of(_emb(s, d).cells().filter("rid < 20").withColumn("val", F.round("val", 3) + 0.0), 20, 64).join(_emb(s, d).map(lambda x: F.round(x, 3) + 0.0, "round", True), "val=val", MUL).cells.agg(F.count("*").alias("n")))
+    f"{_with('EMB')}, e AS (SELECT round(val, 3) + 0.0 AS val FROM emb) SELECT count(*) AS n FROM e x JOIN e y ON x.val = y.val WHERE x.val <> 0",
+)(lambda s, d: (lambda m: m.join(m, "val=val", MUL).cells.agg(F.count("*").alias("n")))(_emb(s, d).map(lambda x: F.round(x, 3) + 0.0, "round", True)))
+query("v2v_block_bloom", f"{_with('CUE', 'CUH')} SELECT x.rid AS ar, x.cid AS ac, y.rid AS br, y.cid AS bc, x.val FROM cue x JOIN cuh y ON x.val = y.val WHERE x.val <> 0")(lambda s, d: block_join(_cue(s, d).cells(), _cuh(s, d).cells(), 50))
 
 # Joins of a dimension with values
 
@@ -475,6 +477,12 @@ query("product_tiles", f"{_with('RXN', 'TNN')} SELECT r.rid, t.cid, sum(r.val *
 query("tiles_round_trip", f"{_with('QPS')} SELECT rid, cid, val FROM qps WHERE val <> 0")(lambda s, d: (lambda m: tiles.to_cells(tiles.to_tiles(m.cells(), *m.shape, 64), 64))(_qps(s, d)))
 query("qr_r_squared", f"{_with('PFX')} SELECT x.cid AS rid, y.cid, round(sum(x.val * y.val), 3) AS val FROM pfx x JOIN pfx y ON x.rid = y.rid WHERE x.cid < 3 AND y.cid < 3 GROUP BY 1, 2")(lambda s, d: (lambda r: (r.T @ r).cells().withColumn("val", F.round("val", 3)))(qr(Matrix.of(_pfx(s, d).cells().filter("cid < 3"), _pfx(s, d).shape[0], 3))[1]))
 
+query("product_shuffle_inner", f"{_with('RXN', 'TNN')} SELECT r.rid, t.cid, sum(r.val * t.val) AS val FROM rxn r JOIN tnn t ON r.cid = t.rid GROUP BY 1, 2")(lambda s, d: _rxn(s, d).matmul(_tnn(s, d), "shuffle_inner"))
+query("product_row_stationary", ORACLES["product_shuffle_inner"])(lambda s, d: _rxn(s, d).matmul(_tnn(s, d), "row_stationary"))
+query("avg_dense_qol", f"{_with('QOL')} SELECT rid, CAST(0 AS BIGINT) AS cid, round(sum(val) / 7, 6) + 0.0 AS val FROM qol GROUP BY rid", True)(lambda s, d: _qol(s, d).avg_dense("r"))
+query("argmax_qol", f"{_with('QOL')}, r AS (SELECT *, row_number() OVER (PARTITION BY rid ORDER BY val DESC, cid) AS k FROM qol) SELECT rid, cid, val FROM r WHERE k = 1")(lambda s, d: _qol(s, d).argmax())
+query("outliers_ctl", f"{_with('CTL')}, l AS (SELECT rid, avg(val) AS m, stddev_pop(val) AS sd FROM ctl GROUP BY rid) SELECT rid, cid, val, round((val - m) / sd, 6) AS z FROM ctl JOIN l USING (rid) WHERE sd > 0 AND abs((val - m) / sd) > 2")(lambda s, d: _ctl(s, d).outliers(2.0).withColumn("z", F.round("z", 6)))
+
 # folds
 query("kfold_test", f"{_with('QCP')} SELECT rid % 5 AS fold, count(*) AS n, sum(val) AS total FROM qcp GROUP BY 1")(lambda s, d: _folds(s, d, 1))
 query("kfold_train", f"{_with('QCP')} SELECT f AS fold, count(*) AS n, sum(val) AS total FROM qcp, range(5) r(f) WHERE rid % 5 <> f GROUP BY 1")(lambda s, d: _folds(s, d, 0))
