@@ -86,7 +86,8 @@ def join_cells(a: Operand, b: Operand, shape: str, f: MergeFn, flags: Flags, *,
                 raise TooLarge(f"a cross product of {rows} entries is over the limit of {limits.output}")
         both = x.crossJoin(y)
     elif strategy == "nested_loop":
-        both = x.crossJoin(y).filter(name("a", pairs[0][0]) == name("b", pairs[0][1]))
+        # as a difference, so that the planner does not make an equi-join of it
+        both = x.crossJoin(y).filter((name("a", pairs[0][0]) - name("b", pairs[0][1])) == 0)
     else:
         p, q = pairs[0]
         if "val" in (p, q) and p != q:  # a value equals an id: only whole values within the dimension can
