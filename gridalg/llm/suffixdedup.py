@@ -105,10 +105,27 @@ def _parts(x: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]
         yield place[own] + (left << 14), h[own], around[own]
 
 
-def _anchor_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    def flush(rows):
-        return pa.record_batch([pa.array(np.concatenate(c)) for c in zip(*rows, strict=True)], names=["h", "around", "doc_id", "pos"])
+#: Anchors of a task that are compared with each other before they are dealt out.
+_LOCAL = 400_000
+
+
+def _local(rows: list[tuple]) -> pa.RecordBatch:
+    """Anchors to deal by hash. One whose surroundings the task has seen at an earlier place is settled: it is dealt
+    anywhere, so that a passage of very many texts doesn't meet in one task."""
+    h, around, doc, pos = (np.concatenate(c) for c in zip(*rows, strict=True))
+    turn = np.lexsort((pos, doc, around, h))
+    h, around, doc, pos = h[turn], around[turn], doc[turn], pos[turn]
+    again = np.zeros(len(h), bool)
+    again[1:] = (h[1:] == h[:-1]) & (around[1:] == around[:-1])
+    same = np.zeros(len(h), bool)  # a row given twice is one occurrence
+    same[1:] = again[1:] & (doc[1:] == doc[:-1]) & (pos[1:] == pos[:-1])
+    h, around, doc, pos, again = (x[~same] for x in (h, around, doc, pos, again))
+    with np.errstate(over="ignore"):
+        free = kernel.mix(doc.view(U64) * U64(0x9E3779B97F4A7C15) + pos.view(U64)).view(np.int64)
+    return pa.record_batch([pa.array(np.where(again, free, h)), pa.array(np.where(again, 0, around)), pa.array(doc), pa.array(pos), pa.array(again)], names=["h", "around", "doc_id", "pos", "done"])
 
+
+def _anchor_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     rows, load = [], 0
     for batch in batches:
         raw, offsets = kernel.buffers(batch.column(1))
@@ -117,18 +134,18 @@ def _anchor_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for at, h, around in _parts(raw[offsets[i] : offsets[i + 1]]):
                 rows.append((h.view(np.int64), around.view(np.int64), np.full(len(at), ids[i]), at))
                 load += len(at)
-            if load > 200_000:
-                yield flush(rows)
+            if load > _LOCAL:
+                yield _local(rows)
                 rows, load = [], 0
     if rows:
-        yield flush(rows)
+        yield _local(rows)
 
 
 def _settle(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """From occurrences sorted by anchor, surroundings, doc and position: doc_id and position * 4 + kind.
 
     Kind 1: the surroundings occur earlier. Kind 2: the first of its kind where there are several; kind 3: the same
-    for an anchor with very many. An occurrence that nothing shares is left out.
+    for an anchor with very many. An occurrence that nothing shares is left out; one that is done is of kind 1.
     """
     held = [np.zeros(0, np.int64)] * 4
     hot: tuple[int, int] | None = None  # anchor and last surroundings of a group that is being passed on in parts
@@ -152,7 +169,11 @@ def _settle(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         return out(h, c, d, p, np.where(kinds < 2, 0, np.where(kinds > HOT, 3, 2)), None)
 
     for batch in batches:
-        held = [np.concatenate([a, np.asarray(x)]) for a, x in zip(held, batch.columns, strict=True)]
+        done = np.asarray(batch.column(4).cast(pa.int8()), bool)
+        columns = [np.asarray(x) for x in batch.columns[:4]]
+        if done.any():
+            yield pa.record_batch([pa.array(columns[2][done]), pa.array(columns[3][done] * 4 + 1)], names=["doc_id", "msg"])
+        held = [np.concatenate([a, x[~done]]) for a, x in zip(held, columns, strict=True)]
         fresh = np.ones(len(held[0]), bool)  # a row that is given twice is one occurrence
         fresh[1:] = np.logical_or.reduce([a[1:] != a[:-1] for a in held])
         held = [a[fresh] for a in held]
@@ -346,7 +367,7 @@ def remove_repeats(docs: DataFrame, *, with_text: bool = False, id_col: str = "d
         dealt = dealt.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
     dealt = dealt.filter(F.col("doc_id").isNotNull() & (F.octet_length("text") >= N)).repartition("doc_id")
     single = dealt.join(firsts.withColumn("one", F.lit(1)).hint("merge"), "doc_id").select("doc_id", "text", "one")
-    found = single.mapInArrow(_anchor_rows, "h long, around long, doc_id long, pos long")
+    found = single.mapInArrow(_anchor_rows, "h long, around long, doc_id long, pos long, done boolean")
     told = found.repartition("h").sortWithinPartitions("h", "around", "doc_id", "pos").mapInArrow(_settle, "doc_id long, msg long")
     per_doc = told.groupBy("doc_id").agg(F.collect_list("msg").alias("msg"))
     pieces = dealt.join(per_doc.hint("merge"), "doc_id").select("doc_id", "text", "msg").mapInArrow(_pieces, "key long, doc_id long, lo long, hi long, piece binary")

@@ -147,12 +147,12 @@ def repeated_rows():
 
 @pytest.mark.parametrize("hot,part,problem", [(2000, 1 << 22, 1 << 21), (0, 1 << 22, 1 << 21), (1, 700, 5000)])
 def test_repeats_against_brute_force(spark, monkeypatch, hot, part, problem):
-    # lambdas in mapInArrow are pickled by reference to the module, so the limits are set in the workers as well
     rows = repeated_rows()
     want = brute_repeats(rows)
     monkeypatch.setattr(suffixdedup, "HOT", hot)
     monkeypatch.setattr(suffixdedup, "_PART", part)
     monkeypatch.setattr(suffixdedup, "PROBLEM", problem)
+    monkeypatch.setattr(suffixdedup, "_LOCAL", 1 if hot == 1 else 2000)  # anchors meet in the task or after it
     import pyarrow as pa
 
     docs = pa.record_batch([pa.array([r[0] for r in rows]), pa.array([r[1] or "" for r in rows])], names=["doc_id", "text"])
