@@ -85,12 +85,12 @@ class Matrix:
     def __matmul__(self, other: Matrix) -> Matrix:
         return self._new(MatMul(self.node, other.node))
 
-    def matmul(self, other: Matrix, strategy: str = "auto") -> Matrix:
+    def matmul(self, other: Matrix, strategy: str = "auto", **options) -> Matrix:
         """The product by a given physical strategy, beyond the reach of rewrites."""
         from gridalg.operators.cells import multiply
 
         product = MatMul(self.node, other.node)
-        cells = multiply(self.cells(), other.cells(), strategy=strategy)
+        cells = multiply(self.cells(), other.cells(), strategy=strategy, **options)
         return Matrix.of(cells, *product.shape, engine=self.engine)
 
     def inverse(self) -> Matrix:

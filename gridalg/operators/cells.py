@@ -97,20 +97,38 @@ def aggregate(cells: DataFrame, fn: str, dim: str, shape: tuple[int, int], absen
     return out.select((F.col("rid") if rid else zero).alias("rid"), (F.col("cid") if cid else zero).alias("cid"), "val")
 
 
-PRODUCTS = ("auto", "broadcast_a", "broadcast_b", "shuffle_inner", "row_stationary")
+PRODUCTS = ("auto", "broadcast_a", "broadcast_b", "shuffle_inner", "row_stationary", "salted")
+#: Entries of one shared id on the left side beyond which it is split.
+HEAVY = 100_000
 
 
-def multiply(a: DataFrame, b: DataFrame, small: str | None = None, strategy: str = "auto") -> DataFrame:
+def salted(x: DataFrame, y: DataFrame, spread: str, heavy: int) -> DataFrame:
+    """x and y joined on k, with ids of more than `heavy` entries in x split by a hash of the column `spread`.
+
+    Each part of x meets its own copy of y's entries of that id, so no task holds all of x's. The split ids are at most
+    the entries of x over `heavy`, and only they are broadcast.
+    """
+    split = x.groupBy("k").agg(F.count("*").alias("c")).filter(F.col("c") > heavy).select("k", F.ceil(F.col("c") / heavy).cast("int").alias("s"))
+    split = F.broadcast(split)
+    left = x.join(split, "k", "left").withColumn("z", F.when(F.col("s").isNotNull(), F.pmod(F.hash(spread), F.col("s"))).otherwise(0)).drop("s")
+    right = y.join(split, "k", "left").withColumn("z", F.explode(F.when(F.col("s").isNotNull(), F.sequence(F.lit(0), F.col("s") - 1)).otherwise(F.array(F.lit(0))))).drop("s")
+    return left.join(right, ["k", "z"])
+
+
+def multiply(a: DataFrame, b: DataFrame, small: str | None = None, strategy: str = "auto", heavy: int = HEAVY) -> DataFrame:
     """Sum over the shared id of products of entries; NULLs count for nothing. small: the side to broadcast.
 
     shuffle_inner deals both sides by the shared id; row_stationary keeps the rows of a where they are, sends b
-    everywhere and deals the result by row, so that a row-placed a needs no exchange at all.
+    everywhere and deals the result by row, so that a row-placed a needs no exchange at all; salted splits inner ids of
+    more than `heavy` entries.
     """
     if strategy not in PRODUCTS:
         raise ValueError(f"strategy {strategy!r}: one of {', '.join(PRODUCTS)}")
     small = {"broadcast_a": "a", "broadcast_b": "b", "row_stationary": "b"}.get(strategy, small)
     x = a.filter("val IS NOT NULL").select(F.col("rid"), F.col("cid").alias("k"), F.col("val").alias("x"))
     y = b.filter("val IS NOT NULL").select(F.col("rid").alias("k"), F.col("cid"), F.col("val").alias("y"))
+    if strategy == "salted":
+        return salted(x, y, "rid", heavy).groupBy("rid", "cid").agg(F.sum(F.col("x") * F.col("y")).alias("val"))
     if small == "a":
         x = F.broadcast(x)
     elif small == "b":

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, functions as F
 
 from gridalg.catalog import Scheme
 from gridalg.functions.merge import Flags, MergeFn
-from gridalg.operators.cells import Limits, TooLarge, densify, nonzeros
+from gridalg.operators.cells import HEAVY, Limits, TooLarge, densify, nonzeros, salted
 from gridalg.plans.cost import SHAPES, order_of
 
 STRATEGIES = ("auto", "sparse", "densify", "nested_loop", "bloom", "bloom_sparse")
@@ -161,6 +161,15 @@ def fused_sum(a: Operand, b: Operand, shape: str, over: str) -> DataFrame:
     return x.join(y, "k").select(F.col("k").alias("d1"), "d2", (F.col("x") * F.col("y")).alias("val"))
 
 
+def join_salted(a: Operand, b: Operand, shape: str, f: MergeFn, heavy: int = HEAVY) -> DataFrame:
+    """A one-dimension join on nonzeros (f must annihilate on both sides) with heavy shared ids of a split over tasks."""
+    (p, q), *_ = SHAPES[shape]
+    fa, fb = ("cid" if p == "rid" else "rid"), ("cid" if q == "rid" else "rid")
+    x = nonzeros(a.cells).select(F.col(p).alias("k"), F.col(fa).alias("d2"), F.col("val").alias("av"))
+    y = nonzeros(b.cells).select(F.col(q).alias("k"), F.col(fb).alias("d3"), F.col("val").alias("bv"))
+    return salted(x, y, "d2", heavy).select(F.col("k").alias("d1"), "d2", "d3", f(F.col("av"), F.col("bv")).cast("double").alias("val"))
+
+
 def estimate_eta(values: DataFrame, bound: int) -> float:
     """Share of stored values that are ids of a dimension."""
     v = F.col("val")

@@ -14,7 +14,7 @@ from gridalg.functions.merge import ADD, ADD1, LEFTY, MAX, MUL
 from gridalg.functions.ship import ship
 from gridalg.operators import tiles
 from gridalg.operators.bloom import block_join
-from gridalg.operators.joins import Operand, fused_sum
+from gridalg.operators.joins import Operand, fused_sum, join_salted
 from gridalg.sources.adapters import from_arrays, from_features, from_links, from_table, from_tokens
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -483,6 +483,20 @@ query("avg_dense_qol", f"{_with('QOL')} SELECT rid, CAST(0 AS BIGINT) AS cid, ro
 query("argmax_qol", f"{_with('QOL')}, r AS (SELECT *, row_number() OVER (PARTITION BY rid ORDER BY val DESC, cid) AS k FROM qol) SELECT rid, cid, val FROM r WHERE k = 1")(lambda s, d: _qol(s, d).argmax())
 query("outliers_ctl", f"{_with('CTL')}, l AS (SELECT rid, avg(val) AS m, stddev_pop(val) AS sd FROM ctl GROUP BY rid) SELECT rid, cid, val, round((val - m) / sd, 6) AS z FROM ctl JOIN l USING (rid) WHERE sd > 0 AND abs((val - m) / sd) > 2")(lambda s, d: _ctl(s, d).outliers(2.0).withColumn("z", F.round("z", 6)))
 
+# Zipf-skewed tokens: documents and benchmark items over one dictionary
+_TOK = "WITH d AS (SELECT doc_id AS rid, w, CAST(count(*) AS DOUBLE) AS val FROM (SELECT doc_id, unnest(string_split(text, ' ')) AS w FROM documents) GROUP BY 1, 2), b AS (SELECT item_id AS rid, w, CAST(count(*) AS DOUBLE) AS val FROM (SELECT item_id, unnest(string_split(text, ' ')) AS w FROM benchmark) GROUP BY 1, 2)"
+
+
+def _tokens(s, d) -> tuple[Matrix, Matrix]:
+    docs = table(s, d, "documents").select(F.col("doc_id").alias("r"), F.explode(F.split("text", " ")).alias("w"))
+    items = table(s, d, "benchmark").select(F.col("item_id").alias("r"), F.explode(F.split("text", " ")).alias("w"))
+    codes, n = dense_codes(docs.select("w").unionByName(items.select("w")))
+    return tuple(Matrix.of(from_table(t.join(codes, "w"), "r", "code"), m, n) for t, m in ((docs, _rows(s, d, "documents")), (items, _rows(s, d, "benchmark"))))
+
+
+query("token_overlap_salted", f"{_TOK} SELECT d.rid, b.rid AS cid, sum(d.val * b.val) AS val FROM d JOIN b USING (w) GROUP BY 1, 2")(lambda s, d: (lambda t: t[0].matmul(t[1].T, "salted", heavy=200))(_tokens(s, d)))
+query("d2d_tokens_salted", f"{_TOK} SELECT count(*) AS n, sum(d.val * b.val) AS total FROM d JOIN b USING (w)")(lambda s, d: (lambda t: join_salted(Operand(t[0].cells(), *t[0].shape), Operand(t[1].cells(), *t[1].shape), "cid=cid", MUL, heavy=200).agg(F.count("*").alias("n"), F.sum("val").alias("total")))(_tokens(s, d)))
+
 # folds
 query("kfold_test", f"{_with('QCP')} SELECT rid % 5 AS fold, count(*) AS n, sum(val) AS total FROM qcp GROUP BY 1")(lambda s, d: _folds(s, d, 1))
 query("kfold_train", f"{_with('QCP')} SELECT f AS fold, count(*) AS n, sum(val) AS total FROM qcp, range(5) r(f) WHERE rid % 5 <> f GROUP BY 1")(lambda s, d: _folds(s, d, 0))

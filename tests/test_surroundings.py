@@ -17,6 +17,17 @@ def test_product_strategies_agree(spark, strategy):
     assert np.array_equal(array(matrix(spark, x).matmul(matrix(spark, y), strategy)), x @ y)
 
 
+def test_heavy_ids_are_split(spark):
+    from gridalg.operators.joins import Operand, join_salted
+
+    x, y = R.integers(0, 3, (30, 3)).astype(float), R.integers(0, 3, (3, 9)).astype(float)
+    a, b = matrix(spark, x), matrix(spark, y)
+    assert np.array_equal(array(a.matmul(b, "salted", heavy=4)), x @ y)
+    want = {tuple(r) for r in a.join(b, "cid=rid", MUL).cells.collect()}
+    got = {tuple(r) for r in join_salted(Operand(a.cells(), 30, 3), Operand(b.cells(), 3, 9), "cid=rid", MUL, heavy=4).collect()}
+    assert got == want
+
+
 def test_unknown_product_strategy(spark):
     with pytest.raises(ValueError):
         matrix(spark, [[1.0]]).matmul(matrix(spark, [[1.0]]), "guess")
