@@ -17,6 +17,8 @@ from __future__ import annotations
 import hashlib
 import re
 import struct
+import sys
+from array import array
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -25,6 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 GAP = "▁"
+assert sys.byteorder == "little" and array("i").itemsize == 4
 NORMAL, UNKNOWN, CONTROL, USER, UNUSED, BYTE = 1, 2, 3, 4, 5, 6  # piece types of the file format
 UNIGRAM, MERGE = 1, 2
 #: Entries of the caches of words (two generations) and of pairs, and characters of a word that is kept.
@@ -148,27 +151,31 @@ class Transducer:
         return known
 
     def shortest(self, text: str) -> list[int]:
-        """The tropical shortest path over a normalised text."""
-        spans = self._merge_path(text) if self.kind == MERGE else self._cheapest_path(text)
+        """The ids along the tropical shortest path over a normalised text."""
+        pieces, starts = self._merge_path(text) if self.kind == MERGE else self._cheapest_path(text)
+        if not pieces or min(pieces) >= 0:
+            return pieces
         out: list[int] = []
-        for i, j, p in spans:
+        for p, i in zip(pieces, starts, strict=True):
             if p >= 0:
                 out.append(p)
             elif self.byte:
-                out.extend(self.byte[b] for b in text[i:j].encode())
+                out.extend(self.byte[b] for b in text[i].encode())
             else:
                 out.append(self.unknown)
         return out
 
-    def _merge_path(self, text: str) -> list[tuple[int, int, int]]:
-        """Start, end and piece (-2: bytes) along the path of weight zero.
+    def _merge_path(self, text: str) -> tuple[list[int], list[int]]:
+        """Pieces (-2: the bytes of a character) and starts along the path of weight zero.
 
         Weights are zero or infinite, and at most one path into a position weighs zero. So the lattice is searched depth
         first, long pieces first, and a position that led nowhere once is never entered again.
         """
         n, trie, after = len(text), self.trie, self.after
         dead = bytearray(n + 1)
-        path: list[tuple[int, int, int, list]] = []
+        pieces: list[int] = []
+        starts: list[int] = []
+        stack: list[list] = []
         i, before, arcs = 0, -1, None
         while i < n:
             if arcs is None:
@@ -194,16 +201,19 @@ class Transducer:
                         fits = self.follows(before, p)
                     if not fits:
                         continue
-                path.append((i, j, p, arcs))
+                pieces.append(p)
+                starts.append(i)
+                stack.append(arcs)
                 i, before, arcs = j, p, None
                 break
             else:
                 dead[i] = 1
-                i, _, _, arcs = path.pop()
-                before = path[-1][2] if path else -1
-        return [x[:3] for x in path]
+                pieces.pop()
+                i, arcs = starts.pop(), stack.pop()
+                before = pieces[-1] if pieces else -1
+        return pieces, starts
 
-    def _cheapest_path(self, text: str) -> list[tuple[int, int, int]]:
+    def _cheapest_path(self, text: str) -> tuple[list[int], list[int]]:
         """The same with minus the scores as weights; a character without piece costs more than any."""
         n = len(text)
         cost = [0.0] + [float("inf")] * n
@@ -220,12 +230,13 @@ class Transducer:
                 p = node.get("")
                 if p is not None and cost[i] - self.score[p] < cost[k]:
                     cost[k], last[k], back[k] = cost[i] - self.score[p], p, i
-        spans = []
+        pieces, starts = [], []
         j = n
         while j:
-            spans.append((back[j], j, last[j]))
+            pieces.append(last[j])
+            starts.append(back[j])
             j = back[j]
-        return spans[::-1]
+        return pieces[::-1], starts[::-1]
 
     def encode(self, text: str) -> bytes:
         """Ids of a text as 32-bit little-endian numbers."""
@@ -243,7 +254,7 @@ class Transducer:
     def _word(self, part: str) -> bytes:
         got = self.words.get(part) or self.older.get(part)
         if got is None:
-            got = np.array(self.shortest(part), "<i4").tobytes()
+            got = array("i", self.shortest(part)).tobytes()
         if len(part) <= LONGEST:
             if len(self.words) >= WORDS:
                 self.older, self.words = self.words, {}
@@ -263,7 +274,7 @@ def load(path: str) -> Transducer:
         return Transducer(f.read())
 
 
-def _round(path: str):
+def _round(path: str, with_text: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         fst = load(path)
         for batch in batches:
@@ -278,7 +289,7 @@ def _round(path: str):
                     one = np.frombuffer(raw, "<i4")
                     back = fst.decode(one)
                     ids.append(one)
-                    texts.append(back)
+                    texts.append(back if with_text else None)
                     same.append(back == text)
                     digest.append(hashlib.sha256(raw).hexdigest())
                     load_ += len(raw) + len(back)
@@ -292,12 +303,13 @@ def _round(path: str):
     return run
 
 
-def encode_decode(docs: DataFrame, model: str, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def encode_decode(docs: DataFrame, model: str, *, with_text: bool = True, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, ids, n_pieces, ids_sha256 (of little-endian 32-bit ids), decoded, lossless for each document.
 
     model is a .model file that every executor has. Null and empty texts have no pieces and decode to an empty text.
-    Decoding gives the text back except for literal gap signs, which become spaces (then lossless is false). Rows
+    Without with_text, decoded texts are compared with the input but not returned. Decoding gives the text back except for literal gap signs, which become spaces (then lossless is false). Rows
     stay in place, repeated ids included; other columns are not read.
     """
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    return rows.mapInArrow(_round(model), "doc_id long, ids array<int>, n_pieces long, ids_sha256 string, decoded string, lossless boolean")
+    out = rows.mapInArrow(_round(model, with_text), "doc_id long, ids array<int>, n_pieces long, ids_sha256 string, decoded string, lossless boolean")
+    return out if with_text else out.drop("decoded")
