@@ -33,7 +33,7 @@ def brute(a, b, shape, f):
     return out
 
 
-@pytest.mark.parametrize("shape,name", itertools.product(SHAPES, MERGES))
+@pytest.mark.parametrize("shape,name", list(itertools.product(SHAPES, MERGES)))
 def test_joins_against_all_pairs(spark, shape, name):
     f, g = MERGES[name]
     a, b = (S, T) if shape in ("overlay", "transpose") else (A, B)

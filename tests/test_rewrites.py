@@ -128,7 +128,7 @@ def test_rules_are_named_and_nodes_print():
     assert all(x is not None for x in (Elem, Inverse, Map, Masked, Select))
 
 
-@pytest.mark.parametrize("fn,dim", itertools.product(("sum", "nnz", "avg", "max", "min"), "rcda"))
+@pytest.mark.parametrize("fn,dim", list(itertools.product(("sum", "nnz", "avg", "max", "min"), "rcda")))
 def test_aggregates_of_partly_filled_lines(spark, fn, dim):
     x = R.integers(-3, 3, (5, 5)).astype(float)
     x[1] = 0
