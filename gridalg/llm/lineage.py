@@ -1,20 +1,5 @@
-"""Lineage cuts that outlive lost executors."""
+"""Lineage cuts, as in the rest of the library."""
 
-from __future__ import annotations
+from gridalg.functions.lineage import cut
 
-import tempfile
-
-from pyspark.sql import DataFrame
-
-
-def cut(df: DataFrame) -> DataFrame:
-    """df written to the shared checkpoint folder and read back.
-
-    The folder is the session's spark.checkpoint.dir; only a local session without one gets a folder of its own.
-    """
-    sc = df.sparkSession.sparkContext
-    if not sc.getConf().get("spark.checkpoint.dir") and sc._jsc.sc().getCheckpointDir().isEmpty():
-        if not sc.master.startswith("local[") and sc.master != "local":
-            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
-        sc.setCheckpointDir(tempfile.mkdtemp(prefix="checkpoints-"))
-    return df.checkpoint()
+__all__ = ["cut"]
