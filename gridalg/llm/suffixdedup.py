@@ -10,9 +10,8 @@
    of each interval stays. Anchors with very many kinds of surroundings are dealt by longer substrings.
 5. The removed ranges meet their texts again, which are dealt once by id for all steps.
 
-Hashes of 64 bits choose what meets; strings are compared byte by byte in step 4, and whole surroundings by a
-64-bit hash of their own in step 3 (a false match of two of 10^9 has probability below 10^-1 over all pairs of the
-whole corpus, and only pairs with one anchor are ever compared).
+Hashes of 64 bits choose what meets. Strings are compared byte by byte in step 4, whole surroundings in step 3 by a
+64-bit hash of their own, and only among occurrences of one anchor.
 """
 
 from __future__ import annotations
