@@ -249,19 +249,22 @@ def _bits(keys: np.ndarray) -> np.ndarray:
     return bits
 
 
+#: Of the two sums of a word set's digest.
+_SALTS = np.array([0, 0xA0761D6478BD642F], np.uint64)
+
+
 def _group(model):
-    """text, toxic and the smallest word hash of each sampled text: copies share it, so that they can count once."""
+    """text, toxic and a 128-bit digest of the word set of each text: copies share it, so that they can count once."""
 
     def run(batches):
         m = model.value
         for batch in batches:
-            least = np.zeros(batch.num_rows, np.uint64)
+            sums = np.zeros((2, batch.num_rows), np.uint64)
             for lo, hi, found in occurrences(batch.column(0), m, stems=False):
-                own = np.full(hi - lo, np.iinfo(np.uint64).max, np.uint64)
-                for row, h in found:
-                    np.minimum.at(own, row, kernel.mix(h))
-                least[lo:hi] = own
-            yield pa.record_batch([batch.column(0), batch.column(1), pa.array(least.view(np.int64))], names=["text", "toxic", "grp"])
+                row, h, _ = _counts(found)
+                for side, salt in zip(sums, _SALTS, strict=True):
+                    np.add.at(side[lo:hi], row, kernel.mix(h ^ salt))
+            yield pa.record_batch([batch.column(0), batch.column(1), *(pa.array(x.view(np.int64)) for x in sums)], names=["text", "toxic", "grp", "grp2"])
 
     return run
 
@@ -342,7 +345,7 @@ def fit(docs: DataFrame, labels: DataFrame) -> Model:
         rows = rows.filter(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 20)) < int(FIT_ROWS / n * (1 << 20)))
     texts = docs.select("doc_id", "text").join(F.broadcast(rows), "doc_id").select(F.col("text").cast("string").alias("text"), "toxic")
     held = spark.sparkContext.broadcast(model)
-    seen = cut(texts.mapInArrow(_group(held), "text string, toxic int, grp long").dropDuplicates(["toxic", "grp"]).select("text", "toxic"))
+    seen = cut(texts.mapInArrow(_group(held), "text string, toxic int, grp long, grp2 long").dropDuplicates(["toxic", "grp", "grp2"]).select("text", "toxic"))
     total = dict(seen.groupBy("toxic").count().collect())
     n0, n1 = total.get(0, 0), total.get(1, 0)
     if not n1:

@@ -67,6 +67,14 @@ def test_disguised_words_score_like_plain_ones(spark, model):
     assert s[0] == pytest.approx(s[1]) and s[0] > 0.7 > s[2] and s[3] == s[4] == pytest.approx(s[2])
 
 
+def test_only_texts_of_one_word_set_are_copies(spark, model):
+    texts = [f"{w} word{i}" for i in range(400) for w in ("zebra", "apple")] + ["word7 Apple apple", "", None]
+    held = spark.sparkContext.broadcast(model)
+    df = spark.createDataFrame([(t, 1) for t in texts], "text string, toxic int")
+    got = df.mapInArrow(toxicity._group(held), "text string, toxic int, grp long, grp2 long")
+    assert got.select("grp", "grp2").distinct().count() == 801  # the last but two is a copy, no text is no words
+
+
 def test_scores_without_labels_or_documents(spark):
     docs = spark.createDataFrame([(1, "a b", 0.5), (2, None, 0.5)], "doc_id long, text string, score double")
     labels = spark.createDataFrame([], "doc_id long, quality int, toxic int")
