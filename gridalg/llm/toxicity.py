@@ -5,8 +5,8 @@
    a lattice: each character may stand for itself or for the letters it imitates, separators may vanish, a run of
    one letter may be one or two. The cheapest path under channel costs and language model is the restored word.
 3. A logistic regression on words and stems of the text and its restored spans gives the score. They are those
-   found in clearly more toxic than other labelled documents, counted once per group of copies: first whole words,
-   then, over the toxic documents that those leave unexplained, beginnings that many different words share.
+   found in clearly more toxic than other labelled documents, counted once per group of copies: whole words, and
+   beginnings that many different words share. Their number grows with the labels.
 """
 
 from __future__ import annotations
@@ -24,9 +24,9 @@ from gridalg.llm.lineage import cut
 
 #: Labelled rows to fit on: more are thinned by a hash of their id. The only sample taken.
 FIT_ROWS = 20_000
-#: Words, and stems besides, that the classifier may use; sampled texts (copies counted once) that must hold one, and
-#: the least share of the toxic texts: words must be common, stems may mark one language of several.
-FEATURES, GROUPS, WORD_SHARE, STEM_SHARE = 48, 3, 0.1, 0.02
+#: A word or stem marks toxic texts if at least GROUPS of them (copies counted once) hold it, LIFT times the share of
+#: other texts, and if a test of all words at once expects no more than this share of the chosen ones to be chance.
+GROUPS, LIFT, CHANCE = 3, 4.0, 0.01
 #: Bytes of the beginnings of longer words that may be stems, and occurrences that are told apart.
 STEMS, TIMES = (4, 5, 6, 7, 8), 3
 RIDGE = 0.01
@@ -178,8 +178,25 @@ class Model:
 _RUN = 64
 
 
-def _stems(part: np.ndarray, s: np.ndarray, e: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """For each stem length, the words that go on after it and the hashes of the stems."""
+def readings(column: pa.Array, model: Model) -> Iterator[tuple[np.ndarray, np.ndarray, list[str], list[int]]]:
+    """For runs of rows: their bytes in small letters and offsets, the restored spans and the row of each."""
+    raw, offsets = kernel.buffers(column)
+    for lo, hi in kernel.pieces(offsets):
+        own = offsets[lo : hi + 1] - offsets[lo]
+        part = kernel._LOWER[raw[offsets[lo] : offsets[hi]]]
+        more: list[str] = []
+        owner: list[int] = []
+        for d in range(hi - lo):
+            x = part[own[d] : own[d + 1]]
+            for a, b in disguised(x):
+                for k in range(a, b, _RUN):
+                    more.append(model.read(x[k : min(b, k + _RUN)].tobytes().decode("ascii")))
+                    owner.append(d)
+        yield part, own, more, owner
+
+
+def _stems(part: np.ndarray, s: np.ndarray, e: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """For each stem length, the words that go on after it, the hashes of the stems and those of stems a byte shorter."""
     power, inverse = kernel._power(len(part) + 1)
     total = np.zeros(len(part) + 1, np.uint64)
     with np.errstate(over="ignore"):
@@ -187,7 +204,8 @@ def _stems(part: np.ndarray, s: np.ndarray, e: np.ndarray) -> Iterator[tuple[np.
         for n in STEMS:
             at = np.flatnonzero(e - s > n)
             first = s[at]
-            yield at, kernel.mix((total[first + n] - total[first]) * inverse[first] + np.uint64(n << 32))
+            stem = lambda k: kernel.mix((total[first + k] - total[first]) * inverse[first] + np.uint64(k << 32))  # noqa: E731, B023
+            yield at, stem(n), stem(n - 1)
 
 
 def _occurrences(part: np.ndarray, own: np.ndarray, stems: bool) -> Iterator[tuple[np.ndarray, np.ndarray]]:
@@ -196,29 +214,38 @@ def _occurrences(part: np.ndarray, own: np.ndarray, stems: bool) -> Iterator[tup
     row = np.repeat(np.arange(len(own) - 1), np.diff(first))
     yield row, h
     if stems and len(h):
-        for at, x in _stems(part, s, e):
+        for at, x, _ in _stems(part, s, e):
             yield row[at], x
 
 
+def _shorter(column: pa.Array, model: Model, keys: np.ndarray) -> dict[int, int]:
+    """The stem a byte shorter of each of the sorted keys that the texts and their restored spans hold."""
+    out: dict[int, int] = {}
+
+    def note(part: np.ndarray, own: np.ndarray) -> None:
+        s, e, _, _ = kernel.words(part, own, kernel.ALNUM)
+        if len(s):
+            for _, x, up in _stems(part, s, e):
+                at = np.flatnonzero(np.isin(x, keys))
+                out.update(zip(x[at].tolist(), up[at].tolist(), strict=True))
+
+    for part, own, more, _ in readings(column, model):
+        note(part, own)
+        if more:
+            note(*kernel.buffers(pa.array(more, pa.string())))
+    return out
+
+
 def occurrences(column: pa.Array, model: Model, stems: bool = True) -> Iterator[tuple[int, int, list[tuple[np.ndarray, np.ndarray]]]]:
     """For runs of rows lo..hi: (row - lo, hash) of the words and stems of each text and of its restored spans."""
-    raw, offsets = kernel.buffers(column)
-    for lo, hi in kernel.pieces(offsets):
-        own = offsets[lo : hi + 1] - offsets[lo]
-        part = kernel._LOWER[raw[offsets[lo] : offsets[hi]]]
+    lo = 0
+    for part, own, more, owner in readings(column, model):
         found = list(_occurrences(part, own, stems))
-        more: list[str] = []
-        owner: list[int] = []
-        for d in range(hi - lo):
-            x = part[own[d] : own[d + 1]]
-            for a, b in disguised(x):
-                for k in range(a, b, _RUN):
-                    more.append(model.read(x[k : min(b, k + _RUN)].tobytes().decode("ascii")))
-                    owner.append(d)
         if more:
             whose = np.array(owner)
             found += [(whose[r], h) for r, h in _occurrences(*kernel.buffers(pa.array(more, pa.string())), stems)]
-        yield lo, hi, found
+        yield lo, lo + len(own) - 1, found
+        lo += len(own) - 1
 
 
 def _counts(found: list[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -269,20 +296,17 @@ def _group(model):
     return run
 
 
-def _tally(model, keys, covered, stems):
-    """hash and number of texts that hold it: of all words (or stems) of texts without covered words, or of the keys only."""
+def _tally(model, keys):
+    """hash and number of texts that hold it: of all words and stems, or of the keys only."""
 
     def run(batches):
-        m, want, skip = model.value, keys.value if keys else None, covered.value
+        m, want = model.value, keys.value if keys else None
+        bits = None if want is None else _bits(want)
         total: dict[int, int] = {}
         for batch in batches:
-            for lo, hi, found in occurrences(batch.column(0), m, stems):
-                done = np.zeros(hi - lo, bool)
-                for row, _ in _among(found, skip, _bits(skip)):
-                    done[row] = True
-                own = found if want is None else _among(found, want, _bits(want))
-                row, h, _ = _counts(own)
-                u, n = np.unique(h[~done[row]], return_counts=True)
+            for _, _, found in occurrences(batch.column(0), m):
+                _, h, _ = _counts(found if want is None else _among(found, want, bits))
+                u, n = np.unique(h, return_counts=True)
                 for a, b in zip(u.view(np.int64).tolist(), n.tolist(), strict=True):
                     total[a] = total.get(a, 0) + b
         yield pa.record_batch([pa.array(list(total), pa.int64()), pa.array(list(total.values()), pa.int64())], names=["h", "n"])
@@ -314,25 +338,65 @@ def in_fold(id_col: str = "doc_id"):
     return F.pmod(F.crc32(F.col(id_col).cast("string").cast("binary")), F.lit(3)) != 1
 
 
-def _telling(seen: DataFrame, model, covered, stems: bool, share: float, n0: int, n1: int) -> np.ndarray:
-    """Sorted hashes of the words, or words and stems, that are much more frequent in toxic texts."""
+def _chance(a: np.ndarray, b: np.ndarray, share: float) -> np.ndarray:
+    """log of an upper bound (Chernoff's) of the probability that a or more of a + b texts are toxic by chance, for a > 0."""
+    n = a + b
+    q = a / n
+    other = np.where(b > 0, b * np.log(np.maximum(1 - q, 1e-300) / max(1 - share, 1e-300)), 0.0)
+    return np.where(q > share, -(a * np.log(q / share) + other), 0.0)
+
+
+def _longest(ids: list[int], a: dict[int, int], b: dict[int, int], shorter: dict[int, int]) -> list[int]:
+    """Of stems that begin one another, the longest that explains all toxic texts of the shorter, and none that is only a part of a shorter one."""
+    kept = set(ids)
+    below: dict[int, list[int]] = {}
+    for x in ids:
+        if shorter.get(x) in kept:
+            below.setdefault(shorter[x], []).append(x)
+    # a longer stem with the same toxic texts says it as well
+    kept -= {x for x, more in below.items() if any(a[y] == a[x] for y in more)}
+    out = []
+    for x in kept:
+        up, part = shorter.get(x), False
+        while up in a and not part:
+            part = up in kept and (a[up] + 0.5) / (b.get(up, 0) + 0.5) >= (a[x] + 0.5) / (b.get(x, 0) + 0.5)
+            up = shorter.get(up)
+        if not part:
+            out.append(x)
+    return out
+
+
+def _telling(seen: DataFrame, model, n0: int, n1: int) -> np.ndarray:
+    """Sorted hashes of all words and stems that toxic texts hold more often than chance allows."""
     spark = seen.sparkSession
-    least = max(GROUPS, share * n1)
-    pos = seen.filter("toxic = 1").mapInArrow(_tally(model, None, covered, stems), "h long, n long").groupBy("h").agg(F.sum("n").alias("n1")).filter(F.col("n1") >= least)
-    top = {r["h"]: r["n1"] for r in pos.collect()}  # at most the features of a text over share
+    share = n1 / (n0 + n1)
+    pos = cut(seen.filter("toxic = 1").mapInArrow(_tally(model, None), "h long, n long").groupBy("h").agg(F.sum("n").alias("n1")))
+    tests = pos.count()
+    top = {r["h"]: r["n1"] for r in pos.filter(F.col("n1") >= GROUPS).collect()}
     if not top:
         return np.zeros(0, np.uint64)
     keys = np.sort(np.array(list(top), np.int64).view(np.uint64))
-    neg = seen.filter("toxic = 0").mapInArrow(_tally(model, spark.sparkContext.broadcast(keys), covered, stems), "h long, n long").groupBy("h").agg(F.sum("n").alias("n0")).collect()
+    neg = seen.filter("toxic = 0").mapInArrow(_tally(model, spark.sparkContext.broadcast(keys)), "h long, n long").groupBy("h").agg(F.sum("n").alias("n0")).collect()
     g0 = {r["h"]: r["n0"] for r in neg}
     ids = np.array(list(top), np.int64)
     a, b = np.array([top[x] for x in ids.tolist()], float), np.array([g0.get(x, 0) for x in ids.tolist()], float)
-    p = (a + b) / (n0 + n1)
-    z = (a / n1 - b / max(n0, 1)) / np.sqrt(p * (1 - p) * (1 / n1 + 1 / max(n0, 1)) + 1e-12)
     lift = (a / n1) / ((b + 0.5) / (n0 + 1))
-    good = np.flatnonzero((z > 6) & (lift > 4))
-    best = good[np.lexsort((ids[good], -z[good]))][:FEATURES]
-    return np.sort(ids[best].view(np.uint64))
+    p = _chance(a, b, share)
+    # false discovery rate: the k-th smallest probability is held against k times that of a single test
+    rank = np.sort(p) <= np.log(CHANCE / tests) + np.log(np.arange(1, len(p) + 1))
+    limit = np.sort(p)[np.flatnonzero(rank)[-1]] if rank.any() else -np.inf
+    best = np.sort(ids[(p <= limit) & (lift > LIFT)].view(np.uint64))
+    if len(best):
+        held = spark.sparkContext.broadcast(best)
+
+        def chains(batches):
+            for batch in batches:
+                up = _shorter(batch.column(0), model.value, held.value)
+                yield pa.record_batch([pa.array(np.array(list(x), np.uint64).view(np.int64)) for x in (up.keys(), up.values())], names=["h", "up"])
+
+        shorter = {r["h"]: r["up"] for r in seen.filter("toxic = 1").mapInArrow(chains, "h long, up long").distinct().collect()}
+        best = np.sort(np.array(_longest(best.view(np.int64).tolist(), top, g0, shorter), np.int64).view(np.uint64))
+    return best
 
 
 def fit(docs: DataFrame, labels: DataFrame) -> Model:
@@ -350,11 +414,7 @@ def fit(docs: DataFrame, labels: DataFrame) -> Model:
     n0, n1 = total.get(0, 0), total.get(1, 0)
     if not n1:
         return model
-    none = spark.sparkContext.broadcast(np.zeros(0, np.uint64))
-    words = _telling(seen, held, none, False, WORD_SHARE, n0, n1)
-    # what the words don't explain may be explained by stems: families of words with one beginning
-    stems = _telling(seen, held, spark.sparkContext.broadcast(words), True, STEM_SHARE, n0, n1)
-    model.features = np.unique(np.concatenate([words, stems]))
+    model.features = _telling(seen, held, n0, n1)
     m = len(model.features) * TIMES
     got = seen.mapInArrow(_patterns(spark.sparkContext.broadcast(model)), "toxic int, f array<long>").groupBy("f", "toxic").agg(F.count("*").alias("n")).collect()
     x = np.zeros((len(got), m + 1))

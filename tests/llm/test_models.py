@@ -75,6 +75,22 @@ def test_only_texts_of_one_word_set_are_copies(spark, model):
     assert got.select("grp", "grp2").distinct().count() == 801  # the last but two is a copy, no text is no words
 
 
+def test_a_long_tail_of_marker_words_is_learned(spark):
+    rnd = random.Random(3)
+    word = lambda: "".join(rnd.choice("bcdfglmnprst") + rnd.choice("aeiou") for _ in range(3))
+    common, marks = [word() for _ in range(200)], [f"z{word()}" for _ in range(60)]
+    rows = [(i, " ".join(rnd.choices(common, k=12)) + (f" {marks[i // 5 % 60]}" if i % 5 == 0 else ""), int(i % 5 == 0)) for i in range(4500)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, toxic int")
+    got = toxicity.score(docs.select("doc_id", "text"), docs.select("doc_id", "toxic"))
+    t = {(r.toxic, r.predicted): r["count"] for r in got.join(docs, "doc_id").filter("held_out").groupBy("toxic", "predicted").count().collect()}
+    assert t[1, 1] >= 0.9 * (t[1, 1] + t.get((1, 0), 0)) and t.get((0, 1), 0) <= 0.01 * t[0, 0]
+
+
+def test_of_nested_stems_the_longest_that_explains_as_much_is_kept():
+    a = {4: 70, 5: 70, 6: 40, 7: 30, 14: 9, 15: 9}
+    assert sorted(toxicity._longest(list(a), a, {}, {5: 4, 6: 5, 7: 5, 15: 14})) == [5, 15]
+
+
 def test_scores_without_labels_or_documents(spark):
     docs = spark.createDataFrame([(1, "a b", 0.5), (2, None, 0.5)], "doc_id long, text string, score double")
     labels = spark.createDataFrame([], "doc_id long, quality int, toxic int")
