@@ -1,6 +1,6 @@
 """Toxicity scores of restored text: a noisy channel undone by Viterbi decoding, then a word classifier.
 
-1. A character language model counts the letter trigrams of every document.
+1. A character language model counts the letter trigrams of every document, over the small letters of all scripts with case.
 2. In a text, spans that look disguised (signs inside words, spaced-out letters, letters three times over) become
    a lattice: each character may stand for itself or for the letters it imitates, separators may vanish, a run of
    one letter may be one or two. The cheapest path under channel costs and language model is the restored word.
@@ -11,6 +11,8 @@
 
 from __future__ import annotations
 
+import math
+import unicodedata
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 from functools import lru_cache
@@ -34,45 +36,117 @@ THRESHOLD = 0.7
 
 #: Letters that a sign imitates, and cost (nats) of reading it so.
 IMITATES = {"0": "o", "1": "il", "3": "e", "4": "a", "5": "s", "7": "t", "8": "b", "9": "g", "@": "a", "$": "s", "!": "i", "|": "il", "+": "t"}
-READ, DROP, SHORTEN, HALVE, KEEP = 0.4, 0.2, 0.3, 6.0, 8.0
+READ, DROP, SHORTEN, HALVE, KEEP, ACCENT = 0.4, 0.2, 0.3, 6.0, 8.0, 0.7
 SEPARATORS = " .-_*"
 
-_SIGN = np.zeros(256, bool)
+
+def _text(points: np.ndarray) -> str:
+    return points.astype("<u4").tobytes().decode("utf-32-le")
+
+
+@lru_cache(maxsize=1)
+def tables() -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """For each code point: its small letter, whether that is a letter of a script with case, and whether it is a combining mark."""
+    fold, letter, mark = np.arange(0x110000, dtype=np.uint32), np.zeros(0x110000, bool), np.zeros(0x110000, bool)
+    for i in range(0x110000):
+        c = chr(i)
+        low = c.lower()
+        if len(low) == 1:
+            fold[i] = ord(low)
+        letter[i] = low != c.upper() and c.isalpha()
+        mark[i] = i > 127 and unicodedata.combining(c) > 0
+    return fold, letter, mark
+
+
+def folded(raw: np.ndarray, own: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """UTF-8 bytes and row offsets of small letters with composed accents, and the same as code points."""
+    if not len(raw) or raw.max() < 128:
+        part = kernel._LOWER[raw]
+        return part, own, part, own
+    fold, _, mark = tables()
+    points = np.frombuffer(raw.tobytes().decode("utf-8", "replace").encode("utf-32-le"), np.uint32)
+    at = np.concatenate([[0], np.cumsum((raw & 0xC0) != 0x80)])[own]  # code points that begin before each row
+    if mark[points].any():
+        rows = [unicodedata.normalize("NFC", _text(points[a:b])) for a, b in zip(at, at[1:], strict=False)]
+        points = np.frombuffer("".join(rows).encode("utf-32-le"), np.uint32)
+        at = np.concatenate([[0], np.cumsum([len(x) for x in rows])])
+    points = fold[points]
+    size = 1 + (points > 0x7F) + (points > 0x7FF) + (points > 0xFFFF)
+    part = np.frombuffer(_text(points).encode(), np.uint8)
+    return part, np.concatenate([[0], np.cumsum(size)])[at], points, at
+
+
+_SIGN = np.zeros(0x110000, bool)
 _SIGN[[ord(c) for c in IMITATES]] = True
-_LETTER = np.zeros(256, bool)
-_LETTER[97:123] = True
-_SEP = np.zeros(256, bool)
+_SEP = np.zeros(0x110000, bool)
 _SEP[[ord(c) for c in SEPARATORS]] = True
-_UNIT = _LETTER | _SIGN
-_CODE = np.zeros(256, np.int64)  # 0: anything but a letter
-_CODE[97:123] = np.arange(1, 27)
-CODES = 27
+
+
+class Trigrams:
+    """log p(c | a, b) over the letters of the corpus (a to z are 1 to 26, others follow) and the gap (0); only what was seen is stored."""
+
+    def __init__(self, count: dict[str, int]):
+        self.code = {chr(96 + i): i for i in range(1, 27)} | {" ": 0}
+        for c in sorted({c for t in count for c in t} - set(self.code)):
+            self.code[c] = len(self.code)
+        #: Letters with accents that a sign may imitate as well as the plain one.
+        self.accented: dict[str, str] = {}
+        for c in self.code:
+            base = unicodedata.normalize("NFD", c)[0]
+            if base != c:
+                self.accented[base] = self.accented.get(base, "") + c
+        self.known: dict[tuple[int, int, int], int] = {}
+        first: dict[tuple[int, int], int] = {}
+        two: dict[tuple[int, int], int] = {}
+        one: dict[int, int] = {}
+        for t, n in count.items():
+            x, y, z = (self.code[c] for c in t)
+            if x or y or z:  # runs of gaps tell nothing
+                self.known[x, y, z] = n
+                first[x, y] = first.get((x, y), 0) + n
+                two[y, z] = two.get((y, z), 0) + n
+                one[y] = one.get(y, 0) + n
+        self.first, self.two, self.one = first, two, one
+        self.cache: dict[tuple[int, int, int], float] = {}
+
+    def __getitem__(self, xyz: tuple[int, int, int]) -> float:
+        found = self.cache.get(xyz)
+        if found is None:
+            x, y, z = xyz
+            low = (self.two.get((y, z), 0) + 0.1) / (self.one.get(y, 0) + 0.1 * len(self.code))
+            found = self.cache[xyz] = math.log((self.known.get(xyz, 0) + 5 * low) / (self.first.get((x, y), 0) + 5))
+        return found
+
+    def __getstate__(self):
+        return self.__dict__ | {"cache": {}}
 
 
 def _trigrams(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    count = np.zeros(CODES**3, np.int64)
+    total: dict[int, int] = {}
+    _, letter, _ = tables()
     for batch in batches:
         raw, offsets = kernel.buffers(batch.column(0))
         for lo, hi in kernel.pieces(offsets):
-            c = _CODE[kernel._LOWER[raw[offsets[lo] : offsets[hi]]]]
-            for at in range(0, max(0, len(c) - 2), kernel.PIECE):
-                x = c[at : at + kernel.PIECE + 2]
-                count += np.bincount(x[:-2] * CODES * CODES + x[1:-1] * CODES + x[2:], minlength=CODES**3)
-    at = np.flatnonzero(count)
-    yield pa.record_batch([pa.array(at), pa.array(count[at])], names=["code", "n"])
-
-
-def language_model(docs: DataFrame, text_col: str = "text") -> np.ndarray:
-    """log p(c | a, b) over letters and the gap, from all documents; its size is fixed by the alphabet (27 ** 3)."""
+            _, _, points, _ = folded(raw[offsets[lo] : offsets[hi]], offsets[lo : hi + 1] - offsets[lo])
+            for at in range(0, max(0, len(points) - 2), kernel.PIECE):
+                c = points[at : at + kernel.PIECE + 2]
+                c = np.where(letter[c], c, 32).astype(np.int64)
+                if c.max() < 128:  # by far the most
+                    n = np.bincount((c[:-2] - 32 << 14) + (c[1:-1] - 32 << 7) + c[2:] - 32)
+                    code = np.flatnonzero(n)
+                    n, parts = n[code], [(code >> 14) + 32, (code >> 7 & 127) + 32, (code & 127) + 32]
+                else:
+                    code, n = np.unique((c[:-2] << 42) + (c[1:-1] << 21) + c[2:], return_counts=True)
+                    parts = [code >> 42, code >> 21 & 0x1FFFFF, code & 0x1FFFFF]
+                for key, k in zip(((parts[0] << 42) + (parts[1] << 21) + parts[2]).tolist(), n.tolist(), strict=True):
+                    total[key] = total.get(key, 0) + k
+    yield pa.record_batch([pa.array(list(total), pa.int64()), pa.array(list(total.values()), pa.int64())], names=["code", "n"])
+
+
+def language_model(docs: DataFrame, text_col: str = "text") -> Trigrams:
+    """The letter trigrams of all documents; as large as the alphabets in them make it."""
     rows = docs.select(F.col(text_col).cast("string").alias("text")).mapInArrow(_trigrams, "code long, n long").groupBy("code").agg(F.sum("n").alias("n")).collect()
-    three = np.zeros(CODES**3)
-    for r in rows:
-        three[r["code"]] = r["n"]
-    three = three.reshape(CODES, CODES, CODES)
-    three[0, 0, 0] = 0  # runs of gaps tell nothing
-    two = three.sum(0) + 0.1
-    low = two / two.sum(1, keepdims=True)
-    return np.log((three + 5 * low[None]) / (three.sum(2, keepdims=True) + 5))
+    return Trigrams({"".join(chr(r["code"] >> k & 0x1FFFFF) for k in (42, 21, 0)): r["n"] for r in rows})
 
 
 def restore(text: str, lm) -> str:
@@ -86,14 +160,15 @@ def restore(text: str, lm) -> str:
         while j < len(text) and text[j] == c:
             j += 1
         n = j - i
-        if "a" <= c <= "z":
+        if c.isalpha():
             options.append([(c, SHORTEN if n > 2 else HALVE), (c + c, SHORTEN * (n > 2))] if n > 1 else [(c, 0.0)])
         elif c in IMITATES:
-            options.append([(y, READ) for y in IMITATES[c]] + ([(y + y, READ) for y in IMITATES[c]] if n > 1 else []) + [(" ", KEEP)])
+            meant = [(y, READ) for y in IMITATES[c]] + [(z, READ + ACCENT) for y in IMITATES[c] for z in lm.accented.get(y, "")]
+            options.append(meant + ([(y + y, price) for y, price in meant] if n > 1 else []) + [(" ", KEEP)])
         else:
             options.append([("", DROP), (" ", 1.0 if n > 1 and spaced else KEEP if spaced else READ)])
         i = j
-    code = lambda ch: ord(ch) - 96 if ch != " " else 0
+    code = lm.code
     beam: dict[tuple[int, int], tuple[float, str]] = {(0, 0): (0.0, "")}
     for choice in [*options, [(" ", 0.0)]]:
         following: dict[tuple[int, int], tuple[float, str]] = {}
@@ -101,7 +176,7 @@ def restore(text: str, lm) -> str:
             for add, price in choice:
                 x, y, total = a, b, cost + price
                 for ch in add:
-                    z = code(ch)
+                    z = code.get(ch, -1)  # -1: a letter that no document has
                     if z == 0 and y == 0:
                         continue
                     total -= lm[x, y, z]
@@ -114,11 +189,12 @@ def restore(text: str, lm) -> str:
 
 
 def disguised(x: np.ndarray) -> list[tuple[int, int]]:
-    """Ranges of a lower-cased text (bytes) that look disguised."""
+    """Ranges of a folded text (code points) that look disguised."""
     n = len(x)
     if n < 3:
         return []
-    unit, letter, sign = _UNIT[x], _LETTER[x], _SIGN[x]
+    letter, sign = tables()[1][x], _SIGN[x]
+    unit = letter | sign
     found = np.zeros(n, bool)
     mixed = letter[:-1] & sign[1:] | sign[:-1] & letter[1:]
     found[:-1] |= mixed
@@ -158,7 +234,7 @@ def disguised(x: np.ndarray) -> list[tuple[int, int]]:
 class Model:
     """What scoring needs; of fixed size."""
 
-    lm: np.ndarray
+    lm: Trigrams
     features: np.ndarray = field(default_factory=lambda: np.zeros(0, np.uint64))  # sorted hashes of words and stems
     weights: np.ndarray = field(default_factory=lambda: np.zeros((0, TIMES)))  # of at least one, two, three occurrences
     bias: float = -30.0
@@ -179,18 +255,18 @@ _RUN = 64
 
 
 def readings(column: pa.Array, model: Model) -> Iterator[tuple[np.ndarray, np.ndarray, list[str], list[int]]]:
-    """For runs of rows: their bytes in small letters and offsets, the restored spans and the row of each."""
+    """For runs of rows: their folded bytes and offsets, the restored spans and the row of each."""
     raw, offsets = kernel.buffers(column)
     for lo, hi in kernel.pieces(offsets):
         own = offsets[lo : hi + 1] - offsets[lo]
-        part = kernel._LOWER[raw[offsets[lo] : offsets[hi]]]
+        part, own, points, at = folded(raw[offsets[lo] : offsets[hi]], own)
         more: list[str] = []
         owner: list[int] = []
         for d in range(hi - lo):
-            x = part[own[d] : own[d + 1]]
+            x = points[at[d] : at[d + 1]]
             for a, b in disguised(x):
                 for k in range(a, b, _RUN):
-                    more.append(model.read(x[k : min(b, k + _RUN)].tobytes().decode("ascii")))
+                    more.append(model.read(_text(x[k : min(b, k + _RUN)])))
                     owner.append(d)
         yield part, own, more, owner
 

@@ -67,6 +67,16 @@ def test_disguised_words_score_like_plain_ones(spark, model):
     assert s[0] == pytest.approx(s[1]) and s[0] > 0.7 > s[2] and s[3] == s[4] == pytest.approx(s[2])
 
 
+def test_disguises_in_letters_with_accents(spark, model):
+    cases = {"C0D\u00c9": "cod\u00e9", "p r e\u0301 t e": "pr\u00e9te", "sch\u00f6\u00f6\u00f6n": "sch\u00f6n", "n1\u00f1o": "ni\u00f1o"}
+    got = {t: more for t in cases for _, _, more, _ in toxicity.readings(toxicity.pa.array([f"le {t}."]), model)}
+    assert got == {t: [w] for t, w in cases.items()}
+    texts = ["Stra\u00dfe \u00c0 b", "", "E\u0301\U0001f600x", "plain"]
+    part, at, points, to = toxicity.folded(*toxicity.kernel.buffers(toxicity.pa.array(texts)))
+    want = ["stra\u00dfe \u00e0 b", "", "\u00e9\U0001f600x", "plain"]
+    assert [part[a:b].tobytes().decode() for a, b in itertools.pairwise(at)] == want and [toxicity._text(points[a:b]) for a, b in itertools.pairwise(to)] == want
+
+
 def test_only_texts_of_one_word_set_are_copies(spark, model):
     texts = [f"{w} word{i}" for i in range(400) for w in ("zebra", "apple")] + ["word7 Apple apple", "", None]
     held = spark.sparkContext.broadcast(model)
