@@ -12,6 +12,7 @@
 from __future__ import annotations
 
 import math
+import re
 import unicodedata
 from collections.abc import Iterator
 from dataclasses import dataclass, field
@@ -38,6 +39,7 @@ THRESHOLD = 0.7
 IMITATES = {"0": "o", "1": "il", "3": "e", "4": "a", "5": "s", "7": "t", "8": "b", "9": "g", "@": "a", "$": "s", "!": "i", "|": "il", "+": "t"}
 READ, DROP, SHORTEN, HALVE, KEEP, ACCENT = 0.4, 0.2, 0.3, 6.0, 8.0, 0.7
 SEPARATORS = " .-_*"
+_BETWEEN = re.compile(f"(?<=[^{re.escape(SEPARATORS)}])[{re.escape(SEPARATORS)}]+(?=[^{re.escape(SEPARATORS)}])")
 
 
 def _text(points: np.ndarray) -> str:
@@ -153,10 +155,17 @@ def restore(text: str, lm) -> str:
     """The cheapest reading of a disguised span (lower case): letters and single gaps."""
     options: list[list[tuple[str, float]]] = []
     i = 0
-    spaced = len(text) > 4 and all(text[k] in SEPARATORS for k in range(1, len(text), 2))
+    between = [len(x) for x in _BETWEEN.findall(text)]
+    usual = max(set(between), key=lambda k: (between.count(k), -k)) if between else 0  # separators from letter to letter
     while i < len(text):
         c = text[i]
         j = i
+        while j < len(text) and text[j] in SEPARATORS:
+            j += 1
+        if j > i:
+            options.append([("", KEEP), (" ", DROP)] if j - i > usual else [("", DROP), (" ", KEEP)])
+            i = j
+            continue
         while j < len(text) and text[j] == c:
             j += 1
         n = j - i
@@ -166,12 +175,13 @@ def restore(text: str, lm) -> str:
             meant = [(y, READ) for y in IMITATES[c]] + [(z, READ + ACCENT) for y in IMITATES[c] for z in lm.accented.get(y, "")]
             options.append(meant + ([(y + y, price) for y, price in meant] if n > 1 else []) + [(" ", KEEP)])
         else:
-            options.append([("", DROP), (" ", 1.0 if n > 1 and spaced else KEEP if spaced else READ)])
+            options.append([("", DROP), (" ", READ)])
         i = j
     code = lm.code
-    beam: dict[tuple[int, int], tuple[float, str]] = {(0, 0): (0.0, "")}
+    # the readings so far form a tree of (what was added, the reading before), so that memory grows with the length only
+    beam: dict[tuple[int, int], tuple[float, tuple | None]] = {(0, 0): (0.0, None)}
     for choice in [*options, [(" ", 0.0)]]:
-        following: dict[tuple[int, int], tuple[float, str]] = {}
+        following: dict[tuple[int, int], tuple[float, tuple | None]] = {}
         for (a, b), (cost, out) in beam.items():
             for add, price in choice:
                 x, y, total = a, b, cost + price
@@ -183,9 +193,15 @@ def restore(text: str, lm) -> str:
                     x, y = y, z
                 known = following.get((x, y))
                 if known is None or total < known[0]:
-                    following[x, y] = (total, out + add)
+                    following[x, y] = (total, (add, out))
         beam = following
-    return min(beam.values())[1].strip()
+    parts = []
+    back = min(beam.values(), key=lambda v: v[0])[1]
+    while back is not None:
+        add, up = back
+        parts.append(add)
+        back = up
+    return "".join(reversed(parts)).strip()
 
 
 def disguised(x: np.ndarray) -> list[tuple[int, int]]:
@@ -217,8 +233,11 @@ def disguised(x: np.ndarray) -> list[tuple[int, int]]:
         edge = np.concatenate([[True], ~unit])
         one = np.zeros(n, bool)  # single characters between separators
         one[:] = unit & edge[:n] & np.concatenate([~unit[1:], [True]])
-        step = one[:-2] & _SEP[x[1:-1]] & one[2:]
-        for at in np.flatnonzero(step[:-2] & step[2:]).tolist():
+        single = np.flatnonzero(one)
+        other = np.concatenate([[0], np.cumsum(~_SEP[x])])
+        # from one to the next there are one to three separators, and nothing else
+        near = (np.diff(single) <= 4) & (np.diff(single) >= 2) & (other[single[1:]] == other[single[:-1] + 1])
+        for at in single[:-2][near[:-1] & near[1:]].tolist() if len(single) > 2 else []:
             if out and at < out[-1][1]:
                 continue
             hi = at + 1
@@ -230,6 +249,10 @@ def disguised(x: np.ndarray) -> list[tuple[int, int]]:
     return out
 
 
+#: Characters of a span whose reading is remembered; longer ones are read each time.
+_KEPT = 64
+
+
 @dataclass
 class Model:
     """What scoring needs; of fixed size."""
@@ -240,20 +263,17 @@ class Model:
     bias: float = -30.0
 
     def __post_init__(self):
-        self.read = lru_cache(maxsize=20_000)(lambda t: restore(t, self.lm))
+        self.long = lambda t: restore(t, self.lm)
+        self.read = lru_cache(maxsize=20_000)(self.long)
 
     def __getstate__(self):
-        return {k: v for k, v in self.__dict__.items() if k != "read"}
+        return {k: v for k, v in self.__dict__.items() if k not in ("read", "long")}
 
     def __setstate__(self, state):
         self.__dict__.update(state)
         self.__post_init__()
 
 
-#: Bytes of a longer run that are read as one word at most; disguised runs beyond are read in pieces.
-_RUN = 64
-
-
 def readings(column: pa.Array, model: Model) -> Iterator[tuple[np.ndarray, np.ndarray, list[str], list[int]]]:
     """For runs of rows: their folded bytes and offsets, the restored spans and the row of each."""
     raw, offsets = kernel.buffers(column)
@@ -265,9 +285,8 @@ def readings(column: pa.Array, model: Model) -> Iterator[tuple[np.ndarray, np.nd
         for d in range(hi - lo):
             x = points[at[d] : at[d + 1]]
             for a, b in disguised(x):
-                for k in range(a, b, _RUN):
-                    more.append(model.read(_text(x[k : min(b, k + _RUN)])))
-                    owner.append(d)
+                more.append((model.read if b - a <= _KEPT else model.long)(_text(x[a:b])))
+                owner.append(d)
         yield part, own, more, owner
 
 

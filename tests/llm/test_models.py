@@ -77,6 +77,14 @@ def test_disguises_in_letters_with_accents(spark, model):
     assert [part[a:b].tobytes().decode() for a, b in itertools.pairwise(at)] == want and [toxicity._text(points[a:b]) for a, b in itertools.pairwise(to)] == want
 
 
+def test_long_spans_and_wide_spacing_are_read_whole(model):
+    words = ["you", "are", "such", "a", "stupid", "idiot", "and", "pathetic", "loser"] * 9
+    cases = {"  ".join(" ".join(w) for w in words): " ".join(words), "s  t  u  p  i  d": "stupid", "s - t - u - p - i - d": "stupid", "i. d. i. o. t": "idiot"}
+    for t, want in cases.items():
+        x = np.array([ord(c) for c in f"word {t} word"])
+        assert [toxicity.restore(toxicity._text(x[a:b]), model.lm) for a, b in toxicity.disguised(x)] == [want]
+
+
 def test_only_texts_of_one_word_set_are_copies(spark, model):
     texts = [f"{w} word{i}" for i in range(400) for w in ("zebra", "apple")] + ["word7 Apple apple", "", None]
     held = spark.sparkContext.broadcast(model)
