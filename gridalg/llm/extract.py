@@ -20,12 +20,15 @@ from pyspark.sql import DataFrame, functions as F
 #: Pages to fit the block classifier on, thinned by a hash of their id.
 FIT_PAGES = 2_000
 #: Capacities are whole numbers, in hundredths of a nat.
-SURE, OWN, NEXT, KIN = 10_000, 400, 50, 50
+SURE, OWN, NEXT, KIN, UNLIKELY = 10_000, 400, 50, 50, 200
+#: Role of what lies in an element whose class or id only hints that it is no article: evidence among other, no verdict.
+HINTED = -0.5
 
 #: Element names and the words of class, id and role that declare what is not the article.
 DROPPED = frozenset("script style noscript template iframe svg math canvas object select option button textarea input form head title audio video map datalist dialog".split())
 OUTSIDE = frozenset("nav footer aside menu".split())
 MAIN = frozenset("article main".split())
+WHOLE = MAIN | {"html", "body"}
 BLOCKS = frozenset("address article aside blockquote body br caption center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 head header hr html legend li main menu nav ol optgroup option p pre section summary table tbody td tfoot th thead title tr ul".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style textarea title noscript template iframe svg".split())
@@ -34,6 +37,7 @@ ENDS_P = BLOCKS - frozenset("br body html head td th tr li dd dt".split())
 AWAY = frozenset(
     "ad ads adv advert adverts advertisement advertising adsense banner sponsor sponsored sponsors promo promos promotion nav navbar navigation menu menus breadcrumb breadcrumbs pagination pager footer foot sidebar sidebars aside rail widget widgets notice notices cookie cookies consent gdpr alert alerts popup modal overlay subscribe subscription newsletter signup login comment comments commentlist reply replies respondents disqus discussion social share sharing related recommended recommendations masthead toolbar search tags copyright legal disclaimer skip hidden".split()
 )
+COMMENTS = frozenset("comment comments commentlist reply replies respondents disqus discussion".split())
 AWAY_OUTSIDE = frozenset("header head top topbar site".split())
 ROLES = frozenset("navigation banner contentinfo complementary search form dialog alert alertdialog menu menubar".split())
 
@@ -42,8 +46,8 @@ _ATTR = re.compile(r"([A-Za-z-]+)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))"
 _SPLIT = re.compile(r"[^a-z]+")
 
 
-def _roles(name: str, attrs: str, inside: bool) -> int:
-    """What an element says of its content: -2 dropped, -1 not the article, 1 the article, 0 nothing."""
+def _roles(name: str, attrs: str, inside: bool) -> float:
+    """What an element says of its content: -2 dropped, -1 not the article, HINTED perhaps not, 1 the article, 0 nothing."""
     if name in DROPPED:
         return -2
     if name in OUTSIDE:
@@ -58,8 +62,12 @@ def _roles(name: str, attrs: str, inside: bool) -> int:
                 value = next((v for v in values if v), "").lower()
                 if key in ("class", "id"):
                     words = _SPLIT.split(value)
-                    if not AWAY.isdisjoint(words) or (not inside and not AWAY_OUTSIDE.isdisjoint(words)):
+                    if name in WHOLE:
+                        continue
+                    if not COMMENTS.isdisjoint(words):
                         return -1
+                    if not AWAY.isdisjoint(words) or (not inside and not AWAY_OUTSIDE.isdisjoint(words)):
+                        verdict = min(verdict, HINTED)
                 elif key == "role":
                     if value in ROLES:
                         return -1
@@ -74,7 +82,7 @@ def _roles(name: str, attrs: str, inside: bool) -> int:
 class Block:
     __slots__ = ("chars", "kind", "linked", "parents", "role", "text")
 
-    def __init__(self, text: str, linked: int, role: int, kind: str, parents: tuple[int, ...]):
+    def __init__(self, text: str, linked: int, role: float, kind: str, parents: tuple[int, ...]):
         self.text, self.linked, self.role, self.kind, self.parents = text, linked, role, kind, parents
         self.chars = len(text)
 
@@ -82,7 +90,7 @@ class Block:
 def blocks(page: str) -> list[Block]:
     """The visible text blocks of a page in order; markup may be broken or cut off."""
     out: list[Block] = []
-    stack: list[tuple[str, int, int]] = [("", 0, 0)]  # name, number, role
+    stack: list[tuple[str, int, float]] = [("", 0, 0)]  # name, number, role
     count = 0
     buffer: list[str] = []
     linked = at = links = 0
@@ -145,6 +153,8 @@ def blocks(page: str) -> list[Block]:
         above = stack[-1][2]
         role = _roles(name, m[3], above == 1)
         count += 1
+        if above == HINTED and (role < 0 or role == 1 and all(s[2] != 1 for s in stack)):
+            above = 0  # a hint gives way to a verdict, but not to an article within the article
         stack.append((name, count, above if above < 0 or role == 0 else role))
         links += name == "a"
     text_of(page[at:])
@@ -244,8 +254,10 @@ def label(found: list[Block], odds: np.ndarray) -> list[bool]:
     for i, b in enumerate(found):
         z = int(100 * odds[shape(b)])
         content, other = max(0, -z), max(0, z)
-        if b.role < 0:
+        if b.role <= -1:
             content += SURE
+        elif b.role < 0:
+            content += UNLIKELY + OWN * has_main
         elif has_main:
             content, other = (content, other + OWN) if b.role == 1 else (content + OWN, other)
         own.append((content, other))

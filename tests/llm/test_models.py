@@ -169,6 +169,15 @@ def test_pages_without_declared_article():
     assert text.startswith("paragraph 0") and "paragraph 3" in text and "link" not in text
 
 
+def test_class_words_around_the_article_do_not_hide_it():
+    odds = np.array([[-1.5, 3][(i // 48) >= 4] for i in range(extract.SHAPES)])
+    text = "A paragraph with many words, and more of them, to make it quite long enough to be read."
+    for page in (f"<body class='home has-sidebar'><p>{text}</p>", f"<div id='site'><article>{text}</article></div>", f"<div class='no-sidebar'><main>{text}</main></div>", f"<article class='post tags-x'>{text}</article>", f"<div id='site'><p>{text}</p></div>"):
+        assert extract.main_text(page, odds) == text
+    around = f"<article>{text}</article><div class='comments'><article>{text}</article></div><div class='sidebar'><p>{text}</p></div>"
+    assert extract.main_text(f"<body>{around}", odds) == text
+
+
 def vectors(n, d=8):
     r = np.random.default_rng(1)
     x = r.integers(-2, 3, (n, d)).astype(float)
