@@ -20,8 +20,18 @@ PHONE = r"(?<![0-9A-Za-z])(?:\+[0-9]{1,3}[ -]?)?(?:\([0-9]{3}\) ?|[0-9]{3}[ -])[
 ABROAD = r"(?<![0-9A-Za-z+])\+[0-9]{1,3}(?:[ .-][0-9]{2,4}){2,5}(?![0-9A-Za-z-])"
 SSN = r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9-])"
 IBAN = r"(?<![0-9A-Za-z])[A-Z]{2}[0-9]{2}[A-Z0-9]{11,30}(?![0-9A-Za-z])"
-CARD = r"(?<![0-9A-Za-z-])[0-9](?:[ -]?[0-9]){12,18}(?![0-9A-Za-z-])"
-PATTERN = "|".join([EMAIL, IPV4, ISO_DATE, DAY_DATE, PHONE, ABROAD, SSN, IBAN, CARD])
+COMPACT = r"(?<![0-9A-Za-z+])\+[0-9]{8,15}(?![0-9A-Za-z])"
+#: Countries by the length of their IBANs, which ends one printed in groups of four.
+LENGTHS = {15: "NO", 16: "BE", 18: "DK FI FO GL NL", 19: "MK SI", 20: "AT BA EE KZ LT LU XK", 21: "CH HR LI LV", 22: "BG BH CR DE GB GE IE ME RS VA", 23: "AE GI IL IQ TL", 24: "AD CZ ES MD PK SA SE SK TN VG", 25: "LY PT", 26: "IS TR", 27: "FR GR IT MC MR SM", 28: "AL AZ BY CY DO GT HU LB PL", 29: "BR EG PS QA UA", 30: "JO KW MU", 31: "MT SC", 32: "LC"}
+GROUPED = r"(?<![0-9A-Za-z])(?:" + "|".join(f"(?:{c.replace(' ', '|')})[0-9]{{2}}(?: [A-Z0-9]{{4}}){{{n // 4 - 1}}}" + (f" [A-Z0-9]{{{n % 4}}}" if n % 4 else "") for n, c in LENGTHS.items()) + ")(?![0-9A-Za-z])"
+#: One group of digits, if as many follow as a card has or another group comes before: groups are joined by _join.
+DIGITS = r"(?<![0-9A-Za-z-])(?=[0-9](?:[ -]?[0-9]){12})[0-9]{1,19}(?![0-9A-Za-z])|(?<=[0-9][ -])[0-9]{1,19}(?![0-9A-Za-z])"
+#: Printed groupings of cards, longer ones first; any other grouping counts if no group of digits is next to it.
+CARDS = [r"^[0-9]{4}(?:[ -][0-9]{4}){3}[ -][0-9]{3}(?![0-9])", r"^[0-9]{4}(?:[ -][0-9]{4}){3}(?![0-9])", r"^[0-9]{4}[ -][0-9]{6}[ -][0-9]{5}(?![0-9])", r"^[0-9]{4}[ -][0-9]{6}[ -][0-9]{4}(?![0-9])", r"^[0-9]{4}(?:[ -][0-9]{3}){3}(?![0-9])"]
+OTHER = r"^[0-9](?:[ -]?[0-9]){12,18}(?![ -]?[0-9])"
+PATTERN = "|".join([EMAIL, IPV4, ISO_DATE, DAY_DATE, PHONE, ABROAD, COMPACT, SSN, IBAN, GROUPED, DIGITS])
+#: Country codes of phones without separators.
+CODE = r"^[+]([17]|2[07]|3[0-469]|4[013-9]|5[1-8]|6[0-6]|8[1246]|9[0-58]|[0-9]{3})"
 #: Days of any 28 years from 1901 to 2096, which is 21 * 487.
 CYCLE = 10227
 
@@ -165,7 +175,7 @@ def pseudonym(m: Column, key: str) -> Column:
         return let(F.concat(F.substring(d, F.lit(1), n - 10), national), lambda x: _refill(m, x))
 
     def abroad_text(d: Column) -> Column:
-        code = F.regexp_extract(m, "^[+]([0-9]+)", 1)
+        code = F.when(m.rlike("^[+][0-9]+$"), F.regexp_extract(m, CODE, 1)).otherwise(F.regexp_extract(m, "^[+]([0-9]+)", 1))
         return let(F.concat(code, permute_digits(F.substring(d, F.length(code) + 1, F.length(d)), key, "phone")), lambda x: _refill(m, x))
 
     def iban_text(bban: Column) -> Column:
@@ -173,6 +183,8 @@ def pseudonym(m: Column, key: str) -> Column:
 
     card, phone, abroad = let(digits, card_text), let(digits, phone_text), let(digits, abroad_text)
     iban = let(_runs(F.substring(m, F.lit(5), F.length(m)), key, "iban"), iban_text)
+    plain = F.replace(m, F.lit(" "), F.lit(""))
+    grouped = F.regexp_replace(let(_runs(F.substring(plain, F.lit(5), F.length(plain)), key, "iban"), iban_text), "(.{4})(?=.)", "$1 ")
     at = F.instr(m, "@")
     email = F.concat(_runs(F.substring(m, F.lit(1), at - 1), key, "email"), F.substring(m, at, F.length(m)))
 
@@ -185,18 +197,57 @@ def pseudonym(m: Column, key: str) -> Column:
         .when(is_("[0-9]{2}[/.][0-9]{2}[/.][0-9]{4}"), F.when(sep != _sub(m, 6, 1), F.lit(None)).when(dmy.isNotNull(), made("date", day_text(_moved(dmy, key), "dd", "MM"))).when(mdy.isNotNull(), made("date", day_text(_moved(mdy, key), "MM", "dd"))))
         .when(is_(r"[0-9]{3}-[0-9]{2}-[0-9]{4}"), F.when(ssn_ok, made("ssn", ssn)))
         .when(is_("[A-Z]{2}[0-9]{2}[A-Z0-9]+"), F.when(_mod97(m) == 1, made("iban", iban)))
+        .when(is_("[A-Z]{2}[0-9]{2}(?: [A-Z0-9]{1,4})+"), F.when(_mod97(plain) == 1, made("iban", grouped)))
+        .when(is_(r"\+[0-9]{8,15}"), made("phone", abroad))
         .when(is_(r"[0-9](?:[ -]?[0-9]){12,18}") & let(digits, lambda d: _luhn_sum(d) % 10 == 0), made("card", card))
         .when(is_(r"(?:\+[0-9]{1,3}[ -]?)?(?:\([0-9]{3}\) ?|[0-9]{3}[ -])[0-9]{3}-[0-9]{4}"), made("phone", phone))
         .when(is_(r"\+[0-9]{1,3}(?:[ .-][0-9]{2,4}){2,5}") & F.length(digits).between(8, 15), made("phone", abroad))
     )
 
 
+def _join(found: Column, pieces: Column) -> Column:
+    """Matches with the text before each, as struct(p, m), groups of digits that make one card joined.
+
+    From each group the card groupings are tried one after another until a check digit is right, so that a number
+    before or after a card takes nothing from it.
+    """
+    digits = lambda i: F.get(found, i).rlike("^[0-9]+$")
+    follows = lambda i: F.get(pieces, i).rlike("^[ -]$") & digits(i - 1)
+
+    def groups(i: Column) -> Column:
+        near = F.sequence(i + 1, F.least(i + 19, F.size(found) - 1))
+        more = F.when(i + 1 < F.size(found), near).otherwise(F.expr("cast(array() as array<int>)"))
+        start = F.struct(F.get(found, i).alias("s"), F.lit(True).alias("on"))
+
+        def add(acc: Column, j: Column) -> Column:
+            on = acc["on"] & follows(j) & digits(j)
+            return F.struct(F.when(on, F.concat(acc["s"], F.get(pieces, j), F.get(found, j))).otherwise(acc["s"]).alias("s"), on.alias("on"))
+
+        def first(text: Column) -> Column:
+            tries = F.array(*[F.regexp_extract(text, p, 0) for p in CARDS], F.when((i == 0) | ~F.coalesce(follows(i), F.lit(False)), F.regexp_extract(text, OTHER, 0)).otherwise(""))
+            good = F.filter(tries, lambda t: (t != "") & (_luhn_sum(F.regexp_replace(t, "[^0-9]", "")) % 10 == 0))
+            return F.coalesce(F.get(good, F.lit(0)), F.get(found, i))
+
+        return F.when(digits(i), let(F.aggregate(more, start, add, lambda acc: acc["s"]), first)).otherwise(F.get(found, i))
+
+    def step(acc: Column, i: Column) -> Column:
+        one = lambda m: F.struct(F.concat(acc["out"], F.array(F.struct(F.get(pieces, i).alias("p"), m.alias("m")))).alias("out"), (i + F.when(digits(i), F.size(F.split(m, "[ -]"))).otherwise(1)).alias("to"))
+        return F.when(i < acc["to"], acc).otherwise(let(groups(i), one))
+
+    zero = F.struct(F.expr("cast(array() as array<struct<p:string,m:string>>)").alias("out"), F.lit(0).alias("to"))
+    return F.aggregate(F.sequence(F.lit(0), F.size(found) - 1), zero, step)["out"]
+
+
 def find(docs: DataFrame, *, key: str, text_col: str = "text") -> DataFrame:
     """docs with __pieces (text between matches), __found (matches) and __new (struct or null each); null arrays where no pattern occurs."""
     has = F.col(text_col).rlike(HINT) & F.col(text_col).rlike(PATTERN)
     rx = F.lit(PATTERN)
     cut = docs.withColumn("__found", F.when(has, F.regexp_extract_all(text_col, rx, F.lit(0)))).withColumn("__pieces", F.when(F.col("__found").isNotNull(), F.split(text_col, PATTERN, -1)))
-    return cut.withColumn("__new", F.transform("__found", lambda m: pseudonym(m, key)))
+    several = F.exists("__found", lambda m: m.rlike("^[0-9]{1,12}$"))
+    joined = cut.withColumn("__all", F.when(several, _join(F.col("__found"), F.col("__pieces"))))
+    joined = joined.withColumn("__pieces", F.when(several, F.concat(F.transform("__all", lambda x: x["p"]), F.array(F.element_at("__pieces", -1)))).otherwise(F.col("__pieces")))
+    joined = joined.withColumn("__found", F.when(F.col("__all").isNotNull(), F.transform("__all", lambda x: x["m"])).otherwise(F.col("__found"))).drop("__all")
+    return joined.withColumn("__new", F.transform("__found", lambda m: pseudonym(m, key)))
 
 
 def pseudonymise(docs: DataFrame, *, key: str = "production-key-1", text_col: str = "text", spans: bool = False) -> DataFrame:

@@ -79,6 +79,15 @@ def test_phones_abroad_and_other_letters(spark):
     assert got[2].text != "éa.12@mail.example.com" and re.fullmatch(r"é[a-z]\.\d\d@mail\.example\.com", got[2].text)
 
 
+def test_neighbouring_matches_and_other_printed_forms(spark):
+    texts = ["x 4539578763621486 190.137.223.204", "4111 1111 1111 1111 123", "12 4111 1111 1111 1111", "+33612345678", "DE89 3704 0044 0532 0130 00 AND", "4111 1111 1111 1111 4539-5787-6362-1486"]
+    got = run(spark, texts)
+    assert [[s.kind for s in got[i].pii_spans] for i in range(6)] == [["card", "ipv4"], ["card"], ["card"], ["phone"], ["iban"], ["card", "card"]]
+    assert got[1].text.endswith(" 123") and got[2].text.startswith("12 4") and got[3].text.startswith("+33") and len(got[3].text) == 12
+    assert re.fullmatch(r"DE\d\d( \d{4}){4} \d\d AND", got[4].text) and mod97(got[4].text[:-4].replace(" ", "")) == 1
+    assert all(got[i].text != t for i, t in enumerate(texts))
+
+
 def test_what_is_not_personal_stays(spark):
     texts = [None, "", "clean é text 2.0 and v1.2", "4539578763621487 is no card", "300.1.1.1 and 1.2.3.4.5", "1985-02-30", "000-12-3456", "deadbeef" * 5, "x" * 100_000, "DE00370400440532013000"]
     got = run(spark, texts)
