@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from gridalg.llm import decontaminate, minhash, pii, piecefst, toxicity
 from gridalg.llm.lineage import cut
-from gridalg.llm.queries import table
+from gridalg.llm.queries import pseudonym_key, table
 
 
 def _toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -27,7 +27,7 @@ def _decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def _pii(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return pii.pseudonymise(docs)
+    return pii.pseudonymise(docs, key=pseudonym_key(spark))
 
 
 def _pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -3,16 +3,20 @@
 Each match is validated (checksums, octets, calendar) and then permuted inside the values of its own format by
 a keyed Feistel network over Z_a x Z_b, whose round function is a prefix of SHA-256. A permutation keeps equal
 values equal and distinct values distinct in all documents, and needs no table of seen values: the same key
-gives the same pseudonym on every executor and in every run.
+gives the same pseudonym on every executor and in every run. No expression repeats a group without a bound, so
+that matching takes neither deep stacks nor more than linear time on hostile texts.
 """
 
 from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame, functions as F
 
+from gridalg.llm.native import fold, fresh, let
+
 ROUNDS = 10
 #: Candidate formats in order of preference.
-EMAIL = r"(?<![\p{L}0-9._%+-])[\p{L}0-9._%+-]++@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)*\.[A-Za-z]{2,}"
+#: Domains have 127 labels at most, and a repeated group takes stack for each.
+EMAIL = r"(?<![\p{L}\p{M}0-9._%+-])[\p{L}\p{M}0-9._%+-]++@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++){0,126}\.[A-Za-z]{2,}"
 IPV4 = r"(?<![0-9.])[0-9]{1,3}(?:\.[0-9]{1,3}){3}(?!\.?[0-9])"
 ISO_DATE = r"(?<![0-9-])[0-9]{4}-[0-9]{2}-[0-9]{2}(?![0-9-])"
 DAY_DATE = r"(?<![0-9/.])[0-9]{2}[/.][0-9]{2}[/.][0-9]{4}(?![0-9/])"
@@ -40,11 +44,6 @@ CYCLE = 10227
 HINT = r"@|[0-9][0-9 .()/-]{5}|[A-Z]{2}[0-9]{2}"
 
 
-def let(value: Column, use) -> Column:
-    """use(value) with the value computed once, however often it is used."""
-    return F.get(F.transform(F.array(value), use), F.lit(0))
-
-
 def _long(x) -> Column:
     return F.lit(x).cast("long") if isinstance(x, int) else x.cast("long")
 
@@ -83,30 +82,66 @@ def permute_digits(s: Column, key: str, kind: str) -> Column:
     return let(s, run)
 
 
-def _letters_value(s: Column) -> Column:
-    return F.aggregate(F.split(s, ""), F.lit(0).cast("long"), lambda acc, c: F.when(c == "", acc).otherwise(acc * 26 + F.ascii(c) - 97))
+#: First and last code point of runs of letters that are permuted among themselves; capitals lie as their small letters do.
+ALPHABETS = (
+    *((48, 57), (65, 90), (97, 122)),  # digits, Latin
+    *((0xC0, 0xD6), (0xD8, 0xDF), (0xE0, 0xF6), (0xF8, 0xFF), (0x100, 0x17F), (0x180, 0x24F)),  # Latin with accents
+    *((0x391, 0x3A1), (0x3A3, 0x3A9), (0x3B1, 0x3C1), (0x3C3, 0x3C9), (0x410, 0x42F), (0x430, 0x44F), (0x450, 0x45F)),  # Greek, Cyrillic
+    *((0x5D0, 0x5EA), (0x621, 0x63A), (0x641, 0x64A), (0x904, 0x939), (0xE01, 0xE30)),  # Hebrew, Arabic, Devanagari, Thai
+    *((0x3041, 0x3096), (0x30A1, 0x30FA), (0x3400, 0x4DBF), (0x4E00, 0x9FFF), (0xAC00, 0xD7A3)),  # Kana, Han, Hangul
+)
+#: Characters that one network permutes together.
+CHUNK = 16
 
 
-def _letters_text(v: Column, n: Column) -> Column:
-    step = lambda acc, _: F.struct(F.floor(acc["v"] / 26).cast("long").alias("v"), F.concat(F.chr((acc["v"] % 26 + 97).cast("long")), acc["s"]).alias("s"))
-    return F.aggregate(F.sequence(F.lit(1), n), F.struct(v.alias("v"), F.lit("").alias("s")), lambda acc, i: F.when(i <= n, step(acc, i)).otherwise(acc))["s"]
+def _symbol(c: Column) -> Column:
+    """struct(lo, n, v): the character is the v-th of n from code point lo on. Signs and marks are alone in theirs.
+
+    Letters outside ALPHABETS are permuted within their 128 code points.
+    """
+    code = F.ascii(c)
+    none = F.struct(code.alias("lo"), F.lit(1).alias("n"), F.lit(0).alias("v"))
+
+    def place(code: Column) -> Column:
+        out = F.when(~c.rlike(r"[\p{L}0-9]"), none)
+        for lo, hi in ALPHABETS:
+            out = out.when(code.between(lo, hi), F.struct(F.lit(lo).alias("lo"), F.lit(hi - lo + 1).alias("n"), (code - lo).alias("v")))
+        return out.otherwise(F.struct((code - code % 128).alias("lo"), F.lit(128).alias("n"), (code % 128).alias("v")))
 
+    return let(code, place)
 
-def permute_letters(s: Column, key: str, kind: str) -> Column:
-    """Up to 18 letters to as many; capitals throughout stay capitals, other cases become small letters."""
-    low, n = F.lower(s), F.length(s)
-    u = F.floor(n / 2).cast("int")
-    right = F.substring(low, u + 1, n - u)
-    text = lambda a, b: F.concat(F.when(u > 0, _letters_text(a, u)).otherwise(""), _letters_text(b, n - u))
-    first = F.when(u > 0, _letters_value(F.substring(low, F.lit(1), u))).otherwise(F.lit(0).cast("long"))
-    out = feistel(first, _letters_value(right), _power(26, u), _power(26, n - u), key, F.concat(F.lit(kind), n.cast("string")), text)
-    return let(out, lambda x: F.when(s == F.upper(s), F.upper(x)).otherwise(x))
 
+def _character(code: Column) -> Column:
+    return F.when(code < 128, F.chr(code.cast("long"))).otherwise(F.decode(F.unhex(F.lpad(F.hex(code), 8, "0")), "UTF-32"))
 
-def _runs(s: Column, key: str, kind: str) -> Column:
-    """Runs of digits and of letters permuted one by one, other characters in place."""
-    parts = F.regexp_extract_all(s, F.lit("[0-9]{1,18}|[A-Za-z]{1,18}|[^0-9A-Za-z]+"), F.lit(0))
-    return F.array_join(F.transform(parts, lambda p: F.when(p.rlike("^[0-9]"), permute_digits(p, key, kind)).when(p.rlike("^[A-Za-z]"), permute_letters(p, key, kind)).otherwise(p)), "")
+
+def _permute_chunk(s: Column, key: str, kind: str) -> Column:
+    """Up to CHUNK characters to as many of the same alphabets at the same places.
+
+    A Feistel network over Z_a x Z_b, where a half is the product of its characters' alphabets and is added to
+    character by character. The round function sees values, not capitals, so capitals follow their small letters.
+    """
+
+    def halves(x: Column) -> Column:
+        n = F.size(x)
+        u = F.floor(n / 2).cast("int")
+        start = F.struct(F.slice(x, F.lit(1), u).alias("a"), F.slice(x, u + 1, n - u).alias("b"))
+
+        def step(acc: Column, i: Column) -> Column:
+            seen = F.array_join(F.transform(acc["b"], lambda y: y["v"].cast("string")), ",")
+            secret = F.sha2(F.concat_ws("|", F.lit(key), F.concat(F.lit(kind), n.cast("string")), i.cast("string"), seen), 256)
+            moved = lambda word: F.transform(acc["a"], lambda y, k: F.struct(y["lo"].alias("lo"), y["n"].alias("n"), ((y["v"] + F.conv(F.substring(word, k * 8 + 1, F.lit(8)), 16, 10).cast("long")) % y["n"]).cast("int").alias("v")))
+            return F.struct(acc["b"].alias("a"), let(secret, moved).alias("b"))
+
+        done = F.aggregate(F.sequence(F.lit(0), F.lit(ROUNDS - 1)), start, step)  # an even number, so the halves are back in place
+        return let(done, lambda y: F.array_join(F.transform(F.concat(y["a"], y["b"]), lambda z: _character(z["lo"] + z["v"])), ""))
+
+    return let(F.transform(F.filter(F.split(s, ""), lambda c: c != ""), _symbol), halves)
+
+
+def permute_text(s: Column, key: str, kind: str) -> Column:
+    """Letters and digits permuted among those of their alphabets, other characters in place."""
+    return F.array_join(F.transform(F.regexp_extract_all(s, F.lit(f"(?s).{{1,{CHUNK}}}"), F.lit(0)), lambda p: _permute_chunk(p, key, kind)), "")
 
 
 def _refill(template: Column, digits: Column) -> Column:
@@ -182,11 +217,11 @@ def pseudonym(m: Column, key: str) -> Column:
         return F.concat(_sub(m, 1, 2), F.lpad((98 - _mod97(F.concat(_sub(m, 1, 2), F.lit("00"), bban))).cast("string"), 2, "0"), bban)
 
     card, phone, abroad = let(digits, card_text), let(digits, phone_text), let(digits, abroad_text)
-    iban = let(_runs(F.substring(m, F.lit(5), F.length(m)), key, "iban"), iban_text)
+    iban = let(permute_text(F.substring(m, F.lit(5), F.length(m)), key, "iban"), iban_text)
     plain = F.replace(m, F.lit(" "), F.lit(""))
-    grouped = F.regexp_replace(let(_runs(F.substring(plain, F.lit(5), F.length(plain)), key, "iban"), iban_text), "(.{4})(?=.)", "$1 ")
+    grouped = F.regexp_replace(let(permute_text(F.substring(plain, F.lit(5), F.length(plain)), key, "iban"), iban_text), "(.{4})(?=.)", "$1 ")
     at = F.instr(m, "@")
-    email = F.concat(_runs(F.substring(m, F.lit(1), at - 1), key, "email"), F.substring(m, at, F.length(m)))
+    email = F.concat(permute_text(F.substring(m, F.lit(1), at - 1), key, "email"), F.substring(m, at, F.length(m)))
 
     made = lambda kind, text: F.struct(F.lit(kind).alias("kind"), text.alias("text"))
     is_ = lambda p: m.rlike("^(?:" + p + ")$")
@@ -230,54 +265,65 @@ def _join(found: Column, pieces: Column) -> Column:
 
         return F.when(digits(i), let(F.aggregate(more, start, add, lambda acc: acc["s"]), first)).otherwise(F.get(found, i))
 
-    def step(acc: Column, i: Column) -> Column:
-        one = lambda m: F.struct(F.concat(acc["out"], F.array(F.struct(F.get(pieces, i).alias("p"), m.alias("m")))).alias("out"), (i + F.when(digits(i), F.size(F.split(m, "[ -]"))).otherwise(1)).alias("to"))
-        return F.when(i < acc["to"], acc).otherwise(let(groups(i), one))
+    none = F.expr("cast(array() as array<struct<p:string,m:string>>)")
+
+    def step(to: Column, i: Column) -> Column:
+        def taken(m: Column) -> Column:
+            after = i + F.when(digits(i), F.size(F.split(m, "[ -]"))).otherwise(1)
+            return F.struct(after.alias("s"), F.array(F.struct(F.get(pieces, i).alias("p"), m.alias("m"))).alias("o"))
+
+        return F.when(i < to, F.struct(to.alias("s"), none.alias("o"))).otherwise(let(groups(i), taken))
 
-    zero = F.struct(F.expr("cast(array() as array<struct<p:string,m:string>>)").alias("out"), F.lit(0).alias("to"))
-    return F.aggregate(F.sequence(F.lit(0), F.size(found) - 1), zero, step)["out"]
+    return fold(F.size(found), F.lit(0), step, "struct<p:string,m:string>")
 
 
-def find(docs: DataFrame, *, key: str, text_col: str = "text") -> DataFrame:
-    """docs with __pieces (text between matches), __found (matches) and __new (struct or null each); null arrays where no pattern occurs."""
+def find(docs: DataFrame, *, key: str, text_col: str, pieces: str, found: str, new: str) -> DataFrame:
+    """docs with three more arrays: the text between matches, the matches, and struct(kind, text) or null for each; null where no pattern occurs."""
     has = F.col(text_col).rlike(HINT) & F.col(text_col).rlike(PATTERN)
-    rx = F.lit(PATTERN)
-    cut = docs.withColumn("__found", F.when(has, F.regexp_extract_all(text_col, rx, F.lit(0)))).withColumn("__pieces", F.when(F.col("__found").isNotNull(), F.split(text_col, PATTERN, -1)))
-    several = F.exists("__found", lambda m: m.rlike("^[0-9]{1,12}$"))
-    joined = cut.withColumn("__all", F.when(several, _join(F.col("__found"), F.col("__pieces"))))
-    joined = joined.withColumn("__pieces", F.when(several, F.concat(F.transform("__all", lambda x: x["p"]), F.array(F.element_at("__pieces", -1)))).otherwise(F.col("__pieces")))
-    joined = joined.withColumn("__found", F.when(F.col("__all").isNotNull(), F.transform("__all", lambda x: x["m"])).otherwise(F.col("__found"))).drop("__all")
-    return joined.withColumn("__new", F.transform("__found", lambda m: pseudonym(m, key)))
+    cut = docs.withColumn(found, F.when(has, F.regexp_extract_all(text_col, F.lit(PATTERN), F.lit(0)))).withColumn(pieces, F.when(F.col(found).isNotNull(), F.split(text_col, PATTERN, -1)))
+    several = F.exists(found, lambda m: m.rlike("^[0-9]{1,12}$"))
+    (whole,) = fresh(cut.columns, "joined")
+    joined = cut.withColumn(whole, F.when(several, _join(F.col(found), F.col(pieces))))
+    joined = joined.withColumn(pieces, F.when(several, F.concat(F.transform(whole, lambda x: x["p"]), F.array(F.element_at(pieces, -1)))).otherwise(F.col(pieces)))
+    joined = joined.withColumn(found, F.when(F.col(whole).isNotNull(), F.transform(whole, lambda x: x["m"])).otherwise(F.col(found))).drop(whole)
+    return joined.withColumn(new, F.transform(found, lambda m: pseudonym(m, key)))
 
 
-def pseudonymise(docs: DataFrame, *, key: str = "production-key-1", text_col: str = "text", spans: bool = False) -> DataFrame:
+def pseudonymise(docs: DataFrame, *, key: str, text_col: str = "text", spans: bool = False) -> DataFrame:
     """The documents with pseudonyms in place of personal data, and array<struct<kind, start, end>> pii_spans if asked for.
 
-    Emails keep their domain, phones their country code, cards their first digit and a right check digit, IBANs
-    their country and right check digits, dates their form and 28-year span, addresses stay dotted quads. A
-    candidate that fails its check stays as it is, and so do null and empty texts and all other columns; n_chars
-    follows the text if there is such a column. A match of several formats counts as the first one listed. Day-first
-    dates are preferred where both readings are dates. Spans count code points of the input, end exclusive.
+    Whoever has the key can undo every pseudonym, so it has no default. Emails keep their domain, the signs of
+    their local part and which letters are capitals; phones keep their country code, cards their first digit and
+    a right check digit, IBANs their country and right check digits, dates their form and 28-year span,
+    addresses stay dotted quads. A mail domain has 127 labels at most, and of more the first ones that make a
+    domain count. A candidate that fails its check stays as it is, and so do null and empty texts and all other
+    columns, null ids among them; repeated rows stay, each with the same result; an empty table gives an empty
+    one. n_chars follows the text if there is such a column; a column pii_spans that the table has is replaced
+    if spans are asked for. A match of several formats counts as the first one listed. Day-first dates are
+    preferred where both readings are dates. Spans count code points of the input, end exclusive.
     """
-    found = find(docs, key=key, text_col=text_col)
-    value = F.zip_with("__found", "__new", lambda m, x: F.coalesce(x["text"], m))
-    text = F.array_join(F.flatten(F.zip_with("__pieces", F.concat(value, F.array(F.lit(""))), lambda p, m: F.array(p, m))), "")
-    new = F.when(F.col("__found").isNull(), F.col(text_col)).otherwise(text)
-    out = found.withColumn(text_col, new)
+    if not key:
+        raise ValueError("a key is needed")
+    pieces_, found_, new_ = fresh(docs.columns, "pii_pieces", "pii_found", "pii_new")
+    found = find(docs, key=key, text_col=text_col, pieces=pieces_, found=found_, new=new_)
+    value = F.zip_with(found_, new_, lambda m, x: F.coalesce(x["text"], m))
+    text = F.array_join(F.flatten(F.zip_with(pieces_, F.concat(value, F.array(F.lit(""))), lambda p, m: F.array(p, m))), "")
+    out = found.withColumn(text_col, F.when(F.col(found_).isNull(), F.col(text_col)).otherwise(text))
     if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.when(F.col("__found").isNull(), F.col("n_chars")).otherwise(F.char_length(text_col).cast(dict(docs.dtypes)["n_chars"])))
-    names = list(docs.columns)
+        out = out.withColumn("n_chars", F.when(F.col(found_).isNull(), F.col("n_chars")).otherwise(F.char_length(text_col).cast(dict(docs.dtypes)["n_chars"])))
+    names = [c for c in docs.columns if not spans or c != "pii_spans"]
     if spans:
-        zero = F.struct(F.lit(0).cast("long").alias("at"), F.expr("cast(array() as array<struct<kind:string,start:long,end:long>>)").alias("spans"))
-        whole = F.arrays_zip(F.slice("__pieces", F.lit(1), F.size("__found")).alias("p"), F.col("__found").alias("m"), F.col("__new").alias("x"))
-
-        def step(acc: Column, y: Column) -> Column:
-            start = acc["at"] + F.length(y["p"])
-            end = start + F.length(y["m"])
-            one = F.array(F.struct(y["x"]["kind"].alias("kind"), start.alias("start"), end.alias("end")))
-            return F.struct(end.alias("at"), F.when(y["x"].isNull(), acc["spans"]).otherwise(F.concat(acc["spans"], one)).alias("spans"))
-
-        found_at = F.when(F.col("__found").isNull(), zero["spans"]).otherwise(F.aggregate(whole, zero, step)["spans"])
-        out = out.withColumn("pii_spans", found_at)
+        kind = "struct<kind:string,start:long,end:long>"
+        none = F.expr(f"cast(array() as array<{kind}>)")
+
+        def step(at: Column, i: Column) -> Column:
+            start = at + F.length(F.get(pieces_, i))
+            end = start + F.length(F.get(found_, i))
+            hit = F.get(new_, i)
+            one = F.array(F.struct(hit["kind"].alias("kind"), start.alias("start"), end.alias("end")))
+            return F.struct(end.alias("s"), F.when(hit.isNull(), none).otherwise(one).alias("o"))
+
+        spans_at = fold(F.size(found_), F.lit(0).cast("long"), step, kind)
+        out = out.withColumn("pii_spans", F.when(F.col(found_).isNull(), none).otherwise(spans_at))
         names.append("pii_spans")
     return out.select(names)

@@ -14,6 +14,11 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def pseudonym_key(spark: SparkSession) -> str:
+    """The session's spark.gridalg.pseudonym.key. Only trials on synthetic tables go without: their key is no secret."""
+    return spark.conf.get("spark.gridalg.pseudonym.key", "trial key, no secret")
+
+
 def op1_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     from gridalg.llm import decontaminate as m
 
@@ -33,7 +38,7 @@ def op3_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     from gridalg.llm import pii as m
 
-    out = m.pseudonymise(table(spark, sf_dir, "documents").select("doc_id", "text"), spans=True)
+    out = m.pseudonymise(table(spark, sf_dir, "documents").select("doc_id", "text"), key=pseudonym_key(spark), spans=True)
     spans = F.array_join(F.transform("pii_spans", lambda x: F.concat_ws(":", x["kind"], x["start"].cast("string"), x["end"].cast("string"))), ",")
     return out.select("doc_id", F.size("pii_spans").cast("long").alias("n_found"), spans.alias("spans"), F.sha2("text", 256).alias("text_sha256"), "text")
 
