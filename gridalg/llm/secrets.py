@@ -19,6 +19,7 @@ from itertools import product
 from pyspark.sql import Column, DataFrame, functions as F
 
 from gridalg.llm.lineage import cut
+from gridalg.llm.native import fold, fresh, let
 
 #: Strings at most that one part of an expression may stand for before its query is cut there.
 _EXACT = 64
@@ -38,7 +39,9 @@ class Rule:
     least: int = 1
 
 
-#: The three base rules, then further ones of public token formats.
+#: The three base rules, then further ones of public token formats. Where an expression may start at each
+#: character of a run and reads the run from there, its repeats have a bound (SQL engines take 1,000 at most), so that
+#: matching takes linear time.
 _WORDS = "|".join(_any_case(w) for w in ("password", "passwd", "secret", "token")) + "|" + _any_case("api") + "_?" + _any_case("key")
 BASE = (
     Rule("assign", rf"""({_WORDS})["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", 2, 6),
@@ -46,13 +49,13 @@ BASE = (
     Rule("hex", "[0-9a-f]+", 0, 24),
 )
 MORE = (
-    Rule("private_key", "-----BEGIN [A-Z ]*PRIVATE KEY[A-Z ]*-----"),
+    Rule("private_key", "-----BEGIN [A-Z ]{0,40}PRIVATE KEY[A-Z ]{0,20}-----"),
     Rule("host_token", "gh[pousr]_[A-Za-z0-9]+", 0, 40),
     Rule("chat_token", "xox[abprs]-[A-Za-z0-9-]+", 0, 15),
     Rule("cloud_key", "AIza[0-9A-Za-z_-]+", 0, 39),
     Rule("pay_key", "[sr]k_live_[0-9A-Za-z]+", 0, 24),
-    Rule("jwt", r"eyJ[A-Za-z0-9_-]+\.eyJ[A-Za-z0-9_-]+\.[A-Za-z0-9_-]+", 0, 30),
-    Rule("url_login", "[a-z]+://[A-Za-z0-9._-]+:[A-Za-z0-9._!$*+-]+@", 0, 12),
+    Rule("jwt", r"eyJ[A-Za-z0-9_-]{1,1000}\.eyJ[A-Za-z0-9_-]+\.[A-Za-z0-9_-]+", 0, 30),
+    Rule("url_login", "[a-z]{1,10}://[A-Za-z0-9._-]+:[A-Za-z0-9._!$*+-]+@", 0, 12),
 )
 RULES = BASE + MORE
 
@@ -157,33 +160,38 @@ def candidates(docs: DataFrame, rules: tuple[Rule, ...] = RULES, *, id_col: str
 def _spans(text: Column, rule: Rule, order: int) -> Column:
     """array<struct<start, order, end, kind>> of the rule's matches of enough length, from the text between matches and the matches."""
     rx = F.lit(rule.pattern)
-    found = F.regexp_extract_all(text, rx, F.lit(0))
-    inner = F.regexp_extract_all(text, rx, F.lit(rule.group)) if rule.group else found
-    parts = F.arrays_zip(F.slice(F.split(text, rule.pattern, -1), F.lit(1), F.size(found)).alias("p"), found.alias("m"), inner.alias("g"))
-    empty = F.expr("cast(array() as array<struct<start:long,order:int,end:long,kind:string>>)")
+    kind = "struct<start:long,order:int,end:long,kind:string>"
+    none = F.expr(f"cast(array() as array<{kind}>)")
+
+    def run(x: Column) -> Column:
+        def step(at: Column, i: Column) -> Column:
+            start = at + F.length(F.get(x["p"], i))
+            end = start + F.length(F.get(x["m"], i))
+            one = F.array(F.struct(start.alias("start"), F.lit(order).alias("order"), end.alias("end"), F.lit(rule.kind).alias("kind")))
+            return F.struct(end.alias("s"), F.when(F.length(F.get(x["g"], i)) >= rule.least, one).otherwise(none).alias("o"))
 
-    def step(acc: Column, y: Column) -> Column:
-        start = acc["at"] + F.length(y["p"])
-        end = start + F.length(y["m"])
-        one = F.array(F.struct(start.alias("start"), F.lit(order).alias("order"), end.alias("end"), F.lit(rule.kind).alias("kind")))
-        return F.struct(end.alias("at"), F.when(F.length(y["g"]) >= rule.least, F.concat(acc["out"], one)).otherwise(acc["out"]).alias("out"))
+        return fold(F.size(x["m"]), F.lit(0).cast("long"), step, kind)
 
-    return F.aggregate(parts, F.struct(F.lit(0).cast("long").alias("at"), empty.alias("out")), step)["out"]
+    found = F.regexp_extract_all(text, rx, F.lit(0))
+    inner = F.regexp_extract_all(text, rx, F.lit(rule.group)) if rule.group else found
+    return let(F.struct(F.split(text, rule.pattern, -1).alias("p"), found.alias("m"), inner.alias("g")), run)
 
 
 def scan(docs: DataFrame, rules: tuple[Rule, ...] = RULES, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id and spans array<struct<start, order, end, kind>>, by start and rule order, for each document.
 
     Positions count code points, ends are exclusive; matches of one rule are leftmost and don't overlap, and those
-    that are too short are dropped after matching. Null and empty texts have no spans. Ids must be unique. Other
-    columns are not read; an empty table gives an empty result.
+    that are too short are dropped after matching. Null and empty texts have no spans. Each row has its result, also
+    where rows are repeated, share an id or have none: rows of one id are candidates together and verified one by one.
+    Other columns are not read; an empty table gives an empty result.
     """
     full = [r for r in rules if frozenset() in trigram_query(r.pattern)]
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
     found = cut(candidates(docs, rules, id_col=id_col, text_col=text_col))
     n = found.count()
     small = n * (24 + 16 * len(rules)) <= BROADCAST_BYTES
-    joined = texts.join(F.broadcast(found) if small else found, "doc_id", "left")
+    found = found.select(F.col("doc_id").alias("id"), "rules")
+    joined = texts.join(F.broadcast(found) if small else found, F.col("doc_id").eqNullSafe(F.col("id")), "left")
     none = F.expr("cast(array() as array<struct<start:long,order:int,end:long,kind:string>>)")
     each = []
     for k, r in enumerate(rules):
@@ -202,16 +210,26 @@ def digest(found: DataFrame) -> DataFrame:
 
 
 def redact(docs: DataFrame, *, mark: str = "[secret]") -> DataFrame:
-    """The documents with each union of spans replaced by the mark; others, null texts included, as they were."""
-    found = scan(docs).filter(F.size("spans") > 0).select("doc_id", F.col("spans").alias("__spans"))
-    start = F.struct(F.lit(0).cast("long").alias("at"), F.lit("").alias("out"))
-
-    def step(acc: Column, x: Column) -> Column:
-        fresh = x["start"] >= acc["at"]
-        more = F.concat(F.substring("text", (acc["at"] + 1).cast("int"), (x["start"] - acc["at"]).cast("int")), F.lit(mark))
-        return F.struct(F.greatest(acc["at"], x["end"]).alias("at"), F.when(fresh, F.concat(acc["out"], more)).otherwise(acc["out"]).alias("out"))
-
-    done = F.aggregate("__spans", start, step)
-    text = F.concat(done["out"], F.substring("text", (done["at"] + 1).cast("int"), F.length("text")))
-    joined = docs.join(found, "doc_id", "left")
-    return joined.withColumn("text", F.when(F.col("__spans").isNull(), F.col("text")).otherwise(text)).select(docs.columns)
+    """The documents with each union of spans replaced by the mark; others, null texts included, as they were.
+
+    Rows of one id must have one text; rows without id are searched too.
+    """
+    id_, spans = fresh(docs.columns, "id", "spans")
+    found = scan(docs).filter(F.size("spans") > 0).select(F.col("doc_id").alias(id_), F.col("spans").alias(spans)).dropDuplicates([id_])
+
+    def cuts(x: Column) -> Column:
+        """The text by characters is sliced, as a substring would count its characters from the start each time."""
+
+        def step(at: Column, i: Column) -> Column:
+            y = F.get(spans, i)
+            piece = F.concat(F.array_join(F.slice(x, at + 1, F.greatest(y["start"].cast("int") - at, F.lit(0))), ""), F.lit(mark))
+            inside = y["start"].cast("int") < at
+            return F.struct(F.greatest(at, y["end"].cast("int")).alias("s"), F.when(inside, F.expr("cast(array() as array<string>)")).otherwise(F.array(piece)).alias("o"))
+
+        end = F.array_max(F.transform(spans, lambda y: y["end"])).cast("int")
+        tail = F.array_join(F.slice(x, end + 1, F.greatest(F.size(x) - end, F.lit(0))), "")
+        return F.concat(F.array_join(fold(F.size(spans), F.lit(0), step, "string"), ""), tail)
+
+    chars = F.filter(F.split("text", ""), lambda c: c != "")
+    joined = docs.join(found, F.col("doc_id").eqNullSafe(F.col(id_)), "left")
+    return joined.withColumn("text", F.when(F.col(spans).isNull(), F.col("text")).otherwise(let(chars, cuts))).select(docs.columns)
