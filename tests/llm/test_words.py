@@ -80,7 +80,7 @@ def some_documents():
 
 @pytest.mark.parametrize("block", [1 << 24, 60])
 def test_hits_against_brute_force(spark, monkeypatch, block):
-    monkeypatch.setattr(dec, "BLOCK_BYTES", block)  # small: the benchmark is scanned in several blocks
+    monkeypatch.setattr(dec, "BLOCK_BYTES", block)  # small: the benchmark is scanned in several blocks, long items in parts
     docs, items = some_documents()
     d = spark.createDataFrame([(*r, "x") for r in docs], "doc_id long, text string, n_words string")
     b = spark.createDataFrame(items, "item_id long, text string")
@@ -88,18 +88,27 @@ def test_hits_against_brute_force(spark, monkeypatch, block):
     assert got == brute_hits(docs, items)
 
 
-def test_documents_without_passages(spark):
+@pytest.mark.parametrize("block", [1 << 24, 30])
+def test_documents_without_passages(spark, monkeypatch, block):
+    monkeypatch.setattr(dec, "BLOCK_BYTES", block)
     passage = "one two three four five six seven eight nine ten eleven"
-    rows = [(1, f"Before, {passage}! after", 5), (2, "clean text", 6), (3, None, None), (4, passage, 7), (4, passage, 7)]
-    d = spark.createDataFrame(rows, "doc_id long, text string, n_chars long")
-    b = spark.createDataFrame([(9, passage)], "item_id long, text string")
-    assert sorted(r.doc_id for r in dec.decontaminate(d, b).collect()) == [2, 3]
-    cut = {r.doc_id: (r.text, r.n_chars) for r in dec.decontaminate(d.filter("doc_id <> 4").union(d.filter("doc_id = 4").limit(1)), b, mode="span").collect()}
-    assert cut == {1: ("Before, ! after", 15), 2: ("clean text", 6), 3: (None, None), 4: ("", 0)}
+    rows = [(1, f"Before, {passage}! after", 5, "s"), (2, "clean text", 6, "s"), (3, None, None, "s"), (4, passage, 7, "s"), (4, passage, 7, "s"), (4, "other", 1, "s"), (None, passage, 8, "s"), (None, "é", 1, "s"), (None, "é", 1, "s")]
+    d = spark.createDataFrame(rows, "doc_id long, text string, n_chars int, hit_spans string")
+    b = spark.createDataFrame([(9, passage), (10, "")], "item_id long, text string")
+    left = dec.decontaminate(d, b)
+    assert left.schema == d.schema
+    plain = lambda rows: sorted(map(str, rows))
+    assert plain(map(tuple, left.collect())) == plain([rows[i] for i in (1, 2, 5, 7, 8)])
+    cut = dec.decontaminate(d, b, mode="span")
+    want = [(1, "Before, ! after", 15, "s"), rows[1], rows[2], (4, "", 0, "s"), (4, "", 0, "s"), rows[5], (None, "", 0, "s"), rows[7], rows[8]]
+    assert cut.schema == d.schema and plain(map(tuple, cut.collect())) == plain(want)
+    found = dec.digest(dec.find_windows(d, b)).collect()
+    assert sorted((r.doc_id or 0, r.n_words, r.n_hit) for r in found) == [(0, 1, 0), (0, 1, 0), (0, 11, 11), (1, 13, 11), (2, 2, 0), (3, 0, 0), (4, 1, 0), (4, 11, 11), (4, 11, 11)]
     with pytest.raises(ValueError):
         dec.decontaminate(d, b, mode="other")
-    assert dec.find_windows(d.limit(0), b).count() == 0
+    assert dec.find_windows(d.limit(0), b).count() == 0 == dec.decontaminate(d.limit(0), b).count()
     assert dec.find_windows(d, b.limit(0)).filter("size(items) > 0").count() == 0
+    assert dec.decontaminate(d, b.limit(0)).count() == len(rows)
 
 
 def shingles(text, k):
