@@ -533,17 +533,31 @@ def fit(docs: DataFrame, labels: DataFrame) -> Model:
     return model
 
 
+def _scores(m: Model, bits: np.ndarray, sums: np.ndarray, column: pa.Array) -> np.ndarray:
+    z = np.full(len(column), m.bias)
+    if len(m.features):
+        for lo, _, found in occurrences(column, m):
+            row, h, n = _counts(_among(found, m.features, bits))
+            np.add.at(z, lo + row, sums[np.searchsorted(m.features, h), np.minimum(n, TIMES) - 1])
+    return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
+
+
 def _score(model):
     def run(batches):
         m = model.value
         bits, sums = _bits(m.features), np.cumsum(m.weights, axis=1)
         for batch in batches:
-            z = np.full(batch.num_rows, m.bias)
-            if len(m.features):
-                for lo, hi, found in occurrences(batch.column(1), m):
-                    row, h, n = _counts(_among(found, m.features, bits))
-                    np.add.at(z, lo + row, sums[np.searchsorted(m.features, h), np.minimum(n, TIMES) - 1])
-            yield pa.record_batch([batch.column(0).cast(pa.int64()), pa.array(1 / (1 + np.exp(-np.clip(z, -30, 30))))], names=["doc_id", "score"])
+            yield pa.record_batch([batch.column(0).cast(pa.int64()), pa.array(_scores(m, bits, sums, batch.column(1)))], names=["doc_id", "score"])
+
+    return run
+
+
+def _keep(model, text_at: int):
+    def run(batches):
+        m = model.value
+        bits, sums = _bits(m.features), np.cumsum(m.weights, axis=1)
+        for batch in batches:
+            yield batch.filter(pa.array(_scores(m, bits, sums, batch.column(text_at)) < THRESHOLD))
 
     return run
 
@@ -553,15 +567,19 @@ def score(docs: DataFrame, labels: DataFrame) -> DataFrame:
 
     Learns from labelled rows of the folds 0 and 2 of crc32(doc_id as text) mod 3, at most FIT_ROWS of them. Null and
     empty texts get the score of a text without telling words. Without toxic labels all scores are near zero. Other
-    columns of both tables, lang and source among them, are not read. Ids must not be null.
+    columns of both tables, lang and source among them, are not read. Each row is scored by its own text, rows that are
+    repeated, share an id or have none too; a row without id is not held out, as it has no fold, and no label meets it.
     """
     model = docs.sparkSession.sparkContext.broadcast(fit(docs, labels))
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     out = rows.mapInArrow(_score(model), "doc_id long, score double")
-    return out.select("doc_id", (~in_fold()).alias("held_out"), "score", (F.col("score") >= THRESHOLD).cast("int").alias("predicted"))
+    return out.select("doc_id", F.coalesce(~in_fold(), F.lit(False)).alias("held_out"), "score", (F.col("score") >= THRESHOLD).cast("int").alias("predicted"))
 
 
 def drop_toxic(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """The documents that are not predicted toxic, with their columns; null texts stay."""
-    bad = score(docs, labels).filter("predicted = 1").select("doc_id")
-    return docs.join(bad, "doc_id", "left_anti").select(docs.columns)
+    """The documents that are not predicted toxic, with their columns, in one pass without exchange.
+
+    Each row is judged by its own text, whatever its id and however often it is repeated; null and empty texts stay.
+    """
+    model = docs.sparkSession.sparkContext.broadcast(fit(docs, labels))
+    return docs.mapInArrow(_keep(model, docs.columns.index("text")), docs.schema)

@@ -60,6 +60,24 @@ def test_held_out_accuracy(spark):
     assert got.join(docs.filter(told >= 3).select("doc_id"), "doc_id").filter("predicted = 0").count() == 0
 
 
+def test_held_out_accuracy_on_a_tenth_of_the_rows(spark):
+    small = "/root/testdata/sf0.01"  # some 40 toxic labels to learn from
+    docs, labels = queries.table(spark, small, "documents"), queries.table(spark, small, "labels")
+    t = {(r.toxic, r.predicted): r["count"] for r in toxicity.score(docs, labels).join(labels, "doc_id").filter("held_out").groupBy("toxic", "predicted").count().collect()}
+    assert t[1, 1] >= 0.7 * (t[1, 1] + t.get((1, 0), 0)) and t.get((0, 1), 0) <= 0.01 * t[0, 0]
+
+
+def test_rows_are_judged_one_by_one(spark):
+    docs, labels = queries.table(spark, SF, "documents"), queries.table(spark, SF, "labels")
+    bad, fine = "you stupid idiot, pathetic moron and worthless loser", "the table was on and of"
+    odd = [(None, bad, 1), (None, fine, 2), (3, bad, 3), (3, bad, 3), (3, fine, 3), (5, None, 4)]
+    more = spark.createDataFrame([(-1 - i, *r) for i, r in enumerate(odd)], "n long, doc_id long, text string, score int").drop("n")
+    got = toxicity.drop_toxic(docs.select("doc_id", "text", F.lit(0).alias("score")).unionByName(more), labels)
+    assert sorted(map(str, got.filter("score > 0").collect())) == sorted(map(str, more.filter("text is null or text like 'the%'").collect()))
+    held = toxicity.score(docs.select("doc_id", "text").unionByName(more.select("doc_id", "text")), labels).filter("doc_id is null").collect()
+    assert len(held) == 2 and not any(r.held_out for r in held)
+
+
 def test_disguised_words_score_like_plain_ones(spark, model):
     docs = spark.createDataFrame([(0, "the m0r0n was s t u p i d"), (1, "the moron was stupid"), (2, "the table was on and of"), (3, None), (4, ""), (5, "x " * 100_000)], "doc_id long, text string")
     held = spark.sparkContext.broadcast(model)
