@@ -1,17 +1,18 @@
-"""Removal of repeated strings of 100 bytes and more, by merged suffix orders of the text that can repeat.
+"""Removal of repeated strings of 100 bytes and more, by merged Burrows-Wheeler transforms of the text that can repeat.
 
-1. Texts equal to an earlier one as a whole are found by their digest: all their bytes repeat.
+1. Texts equal to an earlier one as a whole are found by their digest (SHA-256): all their bytes repeat.
 2. Anchors: in every 100-byte string, the 32-byte substrings of smallest hash (all of them on a tie). Equal
-   strings hold equal anchors at equal offsets, so only the surroundings of anchors that occur twice matter.
-3. Anchor occurrences meet by hash. One whose whole surroundings (all 100-byte strings around it) equal those of
-   an earlier occurrence is settled. Where surroundings differ, the first text of each kind goes on.
-4. These pieces, dealt by anchor, are the shards: their suffix orders are built, merged by interleave refinement
-   (see suffix.py), and the intervals of suffixes with 100 bytes in common give the repeats; the earliest string
-   of each interval stays. Anchors with very many kinds of surroundings are dealt by longer substrings.
+   strings hold equal anchors at equal offsets, so only the surroundings of anchors that occur twice matter. An anchor whose
+   surroundings (all 100-byte strings around it) a task has seen before, byte by byte, is settled there, so that a
+   passage of very many texts doesn't meet in one task.
+3. Anchor occurrences meet by hash; those that occur once are left out. The surroundings of the others are the pieces,
+   dealt by anchor. Equal pieces of an anchor are folded byte by byte, the earliest stays.
+4. What differs are the shards: their transforms are built, merged by interleave refinement (see suffix.py), and the
+   intervals of rotations with 100 bytes in common give the repeats; the earliest string of each interval stays.
+   Anchors with very many occurrences are dealt by longer substrings.
 5. The removed ranges meet their texts again, which are dealt once by id for all steps.
 
-Hashes of 64 bits choose what meets. Strings are compared byte by byte in step 4, whole surroundings in step 3 by a
-64-bit hash of their own, and only among occurrences of one anchor.
+Hashes of 64 bits choose what meets. What is removed has been compared byte by byte, whole texts by SHA-256.
 """
 
 from __future__ import annotations
@@ -29,8 +30,10 @@ from gridalg.llm.lineage import cut
 N = suffix.DEPTH
 K = 32
 SPAN = N - K + 1
-#: Kinds of surroundings of one anchor beyond which they are dealt by longer substrings.
+#: Occurrences of one anchor beyond which they are dealt by longer substrings.
 HOT = 2000
+#: Copies of one text, at least, that are resolved by a broadcast of their digests, and how many digests that may be.
+COPIES, DIGESTS = 1000, 10_000
 #: Bytes of one merge problem; whole groups are put together up to it.
 PROBLEM = 1 << 21
 U64 = np.uint64
@@ -108,70 +111,83 @@ def _parts(x: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]
 _LOCAL = 400_000
 
 
-def _local(rows: list[tuple]) -> pa.RecordBatch:
-    """Anchors to deal by hash. One whose surroundings the task has seen at an earlier place is settled: it is dealt
-    anywhere, so that a passage of very many texts doesn't meet in one task."""
-    h, around, doc, pos = (np.concatenate(c) for c in zip(*rows, strict=True))
+def _same(raw: np.ndarray, a: np.ndarray, b: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """Whether raw holds the same size[i] bytes from a[i] and from b[i] on."""
+    out = np.ones(len(a), bool)
+    for lo in range(0, len(a), 1 << 15):
+        some = slice(lo, lo + (1 << 15))
+        n = size[some]
+        step = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n)
+        differ = raw[np.repeat(a[some], n) + step] != raw[np.repeat(b[some], n) + step]
+        out[some] = np.add.reduceat(differ, np.cumsum(n) - n) == 0 if len(n) else out[some]
+    return out
+
+
+def _local(rows: list[tuple], raw: np.ndarray) -> pa.RecordBatch:
+    """Anchors to deal by hash. One whose surroundings the task has seen at an earlier place is settled: it is dealt anywhere."""
+    h, around, doc, pos, base = (np.concatenate(c) for c in zip(*rows, strict=True))
     turn = np.lexsort((pos, doc, around, h))
-    h, around, doc, pos = h[turn], around[turn], doc[turn], pos[turn]
+    h, around, doc, pos, base = h[turn], around[turn], doc[turn], pos[turn], base[turn]
     again = np.zeros(len(h), bool)
     again[1:] = (h[1:] == h[:-1]) & (around[1:] == around[:-1])
     same = np.zeros(len(h), bool)  # a row given twice is one occurrence
     same[1:] = again[1:] & (doc[1:] == doc[:-1]) & (pos[1:] == pos[:-1])
-    h, around, doc, pos, again = (x[~same] for x in (h, around, doc, pos, again))
+    h, doc, pos, base, again = (x[~same] for x in (h, doc, pos, base, again))
+    hit = np.flatnonzero(again)
+    if len(hit):
+        first = np.maximum.accumulate(np.where(again, 0, np.arange(len(h))))[hit]
+        place = pos >> 14
+        size = (pos[hit] >> 7 & 127) + N
+        alike = (pos[hit] & 0x3FFF) == (pos[first] & 0x3FFF)  # as many strings, and the anchor at the same distance
+        again[hit] = alike & _same(raw, (base + place)[np.where(alike, hit, first)], (base + place)[first], size)
     with np.errstate(over="ignore"):
         free = kernel.mix(doc.view(U64) * U64(0x9E3779B97F4A7C15) + pos.view(U64)).view(np.int64)
-    return pa.record_batch([pa.array(np.where(again, free, h)), pa.array(np.where(again, 0, around)), pa.array(doc), pa.array(pos), pa.array(again)], names=["h", "around", "doc_id", "pos", "done"])
+    return pa.record_batch([pa.array(np.where(again, free, h)), pa.array(doc), pa.array(pos), pa.array(again)], names=["h", "doc_id", "pos", "done"])
 
 
 def _anchor_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    rows, load = [], 0
+    rows, texts, load, size = [], [], 0, 0
     for batch in batches:
         raw, offsets = kernel.buffers(batch.column(1))
         ids = np.asarray(batch.column(0).cast(pa.int64()))
         for i in range(batch.num_rows):
-            for at, h, around in _parts(raw[offsets[i] : offsets[i + 1]]):
-                rows.append((h.view(np.int64), around.view(np.int64), np.full(len(at), ids[i]), at))
+            text = raw[offsets[i] : offsets[i + 1]]
+            for at, h, around in _parts(text):
+                rows.append((h.view(np.int64), around.view(np.int64), np.full(len(at), ids[i]), at, np.full(len(at), size)))
                 load += len(at)
+            texts.append(text)
+            size += len(text)
             if load > _LOCAL:
-                yield _local(rows)
-                rows, load = [], 0
+                yield _local(rows, np.concatenate(texts))
+                rows, texts, load, size = [], [], 0, 0
     if rows:
-        yield _local(rows)
+        yield _local(rows, np.concatenate(texts))
 
 
 def _settle(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """From occurrences sorted by anchor, surroundings, doc and position: doc_id and position * 4 + kind.
+    """From occurrences sorted by anchor, doc and position: doc_id and position * 4 + kind.
 
-    Kind 1: the surroundings occur earlier. Kind 2: the first of its kind where there are several; kind 3: the same
-    for an anchor with very many. An occurrence that nothing shares is left out; one that is done is of kind 1.
+    Kind 1: settled. Kind 2: its anchor occurs elsewhere; kind 3: in very many places. An occurrence that nothing shares is left out.
     """
-    held = [np.zeros(0, np.int64)] * 4
-    hot: tuple[int, int] | None = None  # anchor and last surroundings of a group that is being passed on in parts
-
-    def out(h, c, d, p, kind_of_new, before):
-        again = np.zeros(len(h), bool)
-        again[1:] = (h[1:] == h[:-1]) & (c[1:] == c[:-1])
-        if before is not None and len(h):
-            again[0] = (h[0], c[0]) == before
-        kind = np.where(again, 1, kind_of_new)
+    held = [np.zeros(0, np.int64)] * 3
+    hot: int | None = None  # anchor of a group that is being passed on in parts
+
+    def out(d, p, kind):
         keep = kind > 0
         return pa.record_batch([pa.array(d[keep]), pa.array(p[keep] * 4 + kind[keep])], names=["doc_id", "msg"])
 
-    def whole(h, c, d, p):
-        first = np.ones(len(h), bool)
-        first[1:] = (h[1:] != h[:-1]) | (c[1:] != c[:-1])
+    def whole(h, d, p):
         group = np.ones(len(h), bool)
         group[1:] = h[1:] != h[:-1]
         number = np.cumsum(group) - 1
-        kinds = np.bincount(number, weights=first).astype(np.int64)[number] if len(h) else np.zeros(0, np.int64)
-        return out(h, c, d, p, np.where(kinds < 2, 0, np.where(kinds > HOT, 3, 2)), None)
+        count = np.bincount(number)[number] if len(h) else np.zeros(0, np.int64)
+        return out(d, p, np.where(count < 2, 0, np.where(count > HOT, 3, 2)))
 
     for batch in batches:
-        done = np.asarray(batch.column(4).cast(pa.int8()), bool)
-        columns = [np.asarray(x) for x in batch.columns[:4]]
+        done = np.asarray(batch.column(3).cast(pa.int8()), bool)
+        columns = [np.asarray(x) for x in batch.columns[:3]]
         if done.any():
-            yield pa.record_batch([pa.array(columns[2][done]), pa.array(columns[3][done] * 4 + 1)], names=["doc_id", "msg"])
+            yield pa.record_batch([pa.array(columns[1][done]), pa.array(columns[2][done] * 4 + 1)], names=["doc_id", "msg"])
         held = [np.concatenate([a, x[~done]]) for a, x in zip(held, columns, strict=True)]
         fresh = np.ones(len(held[0]), bool)  # a row that is given twice is one occurrence
         fresh[1:] = np.logical_or.reduce([a[1:] != a[:-1] for a in held])
@@ -179,11 +195,8 @@ def _settle(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if len(held[0]) < 50_000:
             continue
         if hot is not None:
-            n = int(np.searchsorted(held[0] != hot[0], True)) if (held[0] != hot[0]).any() else len(held[0])
-            if n:
-                part = [a[:n] for a in held]
-                yield out(*part, 3, hot)
-                hot = (int(part[0][-1]), int(part[1][-1]))
+            n = int(np.searchsorted(held[0] != hot, True)) if (held[0] != hot).any() else len(held[0])
+            yield out(held[1][:n], held[2][:n], np.full(n, 3))
             held = [a[n:] for a in held]
             if not len(held[0]):
                 continue
@@ -193,14 +206,13 @@ def _settle(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if n:
             yield whole(*[a[:n] for a in held])
             held = [a[n:] for a in held]
-        elif len(held[0]) > 200_000:
-            yield out(*held, 3, None)
-            hot = (int(held[0][-1]), int(held[1][-1]))
+        elif len(held[0]) > max(HOT, 200_000):
+            yield out(held[1], held[2], np.full(len(held[0]), 3))
+            hot = int(held[0][-1])
             held = [a[:0] for a in held]
     if hot is not None and len(held[0]):
-        n = int((held[0] == hot[0]).argmin()) if not (held[0] == hot[0]).all() else len(held[0])
-        if n:
-            yield out(*[a[:n] for a in held], 3, hot)
+        n = int((held[0] == hot).argmin()) if not (held[0] == hot).all() else len(held[0])
+        yield out(held[1][:n], held[2][:n], np.full(n, 3))
         held = [a[n:] for a in held]
     if len(held[0]):
         yield whole(*held)
@@ -277,48 +289,52 @@ def repeats(docs: np.ndarray, starts: np.ndarray, texts: list[np.ndarray]) -> tu
 
 
 def _merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """From pieces sorted by key, doc and start: doc_id and removed range; settled ranges pass through."""
-    keys: list[int] = []
-    docs: list[int] = []
-    starts: list[int] = []
-    texts: list[bytes] = []
-    seen: dict[bytes, tuple[int, int]] = {}
+    """From pieces sorted by key, doc and start: doc_id and removed range; settled ranges pass through.
+
+    A piece equal to an earlier one of its key is removed whole. A key with one kind of piece needs no more: two of its
+    strings would be equal only if the anchor were there twice. The kinds of the other keys are merged.
+    """
+    held: list[tuple[int, int, bytes]] = []  # doc, start and piece of the keys that wait for a merge
+    group: dict[bytes, tuple[int, int]] = {}  # the kinds of the current key, each with its earliest place
+    now: int | None = None
     load = 0
 
     def batch_of(d, s, e):
         return pa.record_batch([pa.array(np.asarray(d, np.int64)), pa.array(np.asarray(s, np.int64)), pa.array(np.asarray(e, np.int64))], names=["doc_id", "lo", "hi"])
 
-    def solve(n: int):
-        return batch_of(*repeats(np.array(docs[:n], np.int64), np.array(starts[:n], np.int64), [np.frombuffer(t, np.uint8) for t in texts[:n]]))
+    def solve():
+        docs, starts, texts = zip(*held, strict=True)
+        return batch_of(*repeats(np.array(docs, np.int64), np.array(starts, np.int64), [np.frombuffer(t, np.uint8) for t in texts]))
+
+    def end_key() -> int:
+        if len(group) > 1:
+            held.extend((d, s, t) for t, (d, s) in group.items())
+            return sum(map(len, group))
+        return 0
 
     for batch in batches:
         key, doc, lo, hi, piece = (c.to_pylist() for c in batch.columns)
         out: list[tuple[int, int, int]] = []
         for i in range(batch.num_rows):
-            if piece[i] is None:
+            text = piece[i]
+            if text is None:
                 out.append((doc[i], lo[i], hi[i]))
                 continue
-            if not keys or key[i] != keys[-1]:
+            if key[i] != now:
+                load += end_key()
                 if load >= PROBLEM:
-                    yield solve(len(keys))
-                    for held in (keys, docs, starts, texts):
-                        held.clear()
+                    yield solve()
+                    held.clear()
                     load = 0
-                seen = {}
-            if piece[i] in seen:  # rows come in order, so the equal piece held is earlier, or the same piece of two anchors
-                if seen[piece[i]] != (doc[i], lo[i]):
-                    out.append((doc[i], lo[i], hi[i]))
-                continue
-            seen[piece[i]] = (doc[i], lo[i])
-            keys.append(key[i])
-            docs.append(doc[i])
-            starts.append(lo[i])
-            texts.append(piece[i])
-            load += len(piece[i])
+                group, now = {}, key[i]
+            first = group.setdefault(text, (doc[i], lo[i]))
+            if first != (doc[i], lo[i]):  # rows come in order, so the piece held is the earlier one
+                out.append((doc[i], lo[i], hi[i]))
         if out:
             yield batch_of(*zip(*out, strict=True))
-    if keys:
-        yield solve(len(keys))
+    end_key()
+    if held:
+        yield solve()
 
 
 def _cut(with_text: bool):
@@ -345,20 +361,30 @@ def _cut(with_text: bool):
     return run
 
 
+def _copies(own: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """The first document of each digest, and the later ones. Digests of very many copies are broadcast, so they need not meet in one task."""
+    first = own.groupBy("sha").agg(F.min("doc_id").alias("first"), F.count("*").alias("copies"))
+    n = own.agg(F.count("*")).first()[0]
+    limit = max(COPIES, n // DIGESTS)  # so there are DIGESTS of them at most
+    some = cut(first.filter("copies > 1"))
+    hot = F.broadcast(some.filter(F.col("copies") > limit).select("sha", "first"))
+    rest = own.join(hot.select("sha"), "sha", "left_anti").join(some.filter(F.col("copies") <= limit).select("sha", "first"), "sha")
+    later = own.join(hot, "sha").select("doc_id", "first").unionByName(rest.select("doc_id", "first")).filter("doc_id <> first")
+    return first.select(F.col("first").alias("doc_id")), later.select("doc_id", F.lit(True).alias("copy")).distinct()
+
+
 def remove_repeats(docs: DataFrame, *, with_text: bool = False, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_bytes, n_removed, spans, kept_sha256 (and kept, the remaining bytes) for each document.
 
     Every byte is removed that a 100-byte string covers which also starts earlier: in a smaller doc_id, or in the
     same text at an earlier place. Strings never cross texts and are judged on the input. Null counts as empty; texts
-    under 100 bytes stay whole. Rows without id are left out; rows that are given twice count once and both get the
+    under 100 bytes stay whole. Rows without id are left out; rows that are given twice count once and each gets the
     result, but one id must not stand for different texts. Other columns are not read. What is left of a text
     may not be whole UTF-8 characters, so kept is binary.
     """
     texts = docs.filter(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
     own = cut(texts.select("doc_id", F.octet_length("text").cast("long").alias("n_bytes"), F.sha2("text", 256).alias("sha")))
-    first = own.filter(f"n_bytes >= {N}").groupBy("sha").agg(F.min("doc_id").alias("first"), F.count("*").alias("copies"))
-    firsts = first.select(F.col("first").alias("doc_id"))
-    again = own.filter(f"n_bytes >= {N}").join(first.filter("copies > 1"), "sha").filter("doc_id <> first").select("doc_id", F.lit(True).alias("copy"))
+    firsts, again = _copies(own.filter(f"n_bytes >= {N}"))
 
     # One exchange of the texts serves three joins: they must stay inner joins on equal plans, so that Spark reuses it.
     dealt = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")) if [id_col, text_col] != ["doc_id", "text"] else docs.select("doc_id", "text")
@@ -366,13 +392,14 @@ def remove_repeats(docs: DataFrame, *, with_text: bool = False, id_col: str = "d
         dealt = dealt.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
     dealt = dealt.filter(F.col("doc_id").isNotNull() & (F.octet_length("text") >= N)).repartition("doc_id")
     single = dealt.join(firsts.withColumn("one", F.lit(1)).hint("merge"), "doc_id").select("doc_id", "text", "one")
-    found = single.mapInArrow(_anchor_rows, "h long, around long, doc_id long, pos long, done boolean")
-    told = found.repartition("h").sortWithinPartitions("h", "around", "doc_id", "pos").mapInArrow(_settle, "doc_id long, msg long")
+    found = single.mapInArrow(_anchor_rows, "h long, doc_id long, pos long, done boolean")
+    told = found.repartition("h").sortWithinPartitions("h", "doc_id", "pos").mapInArrow(_settle, "doc_id long, msg long")
     per_doc = told.groupBy("doc_id").agg(F.collect_list("msg").alias("msg"))
     pieces = dealt.join(per_doc.hint("merge"), "doc_id").select("doc_id", "text", "msg").mapInArrow(_pieces, "key long, doc_id long, lo long, hi long, piece binary")
     ranges = pieces.repartition("key").sortWithinPartitions("key", "doc_id", "lo").mapInArrow(_merge, "doc_id long, lo long, hi long")
     gone = ranges.groupBy("doc_id").agg(F.collect_list("lo").alias("lo"), F.collect_list("hi").alias("hi"))
     done = dealt.join(gone.hint("merge"), "doc_id").select("doc_id", "text", "lo", "hi").mapInArrow(_cut(with_text), "doc_id long, n_removed long, spans array<struct<start:long,stop:long>>, kept_sha256 string, kept binary")
+    done = (done if with_text else done.drop("kept")).dropDuplicates(["doc_id"])
 
     whole = F.array(F.struct(F.lit(0).cast("long").alias("start"), F.col("n_bytes").alias("stop")))
     none = F.expr("cast(array() as array<struct<start:long,stop:long>>)")
@@ -386,5 +413,5 @@ def remove_repeats(docs: DataFrame, *, with_text: bool = False, id_col: str = "d
         *([F.when(copy, F.lit("").cast("binary")).otherwise(F.col("kept")).alias("kept")] if with_text else []),
     )
     if with_text:
-        out = out.join(texts, "doc_id", "left").withColumn("kept", F.coalesce("kept", F.col("text").cast("binary"))).drop("text")
+        out = out.join(texts.dropDuplicates(["doc_id"]), "doc_id", "left").withColumn("kept", F.coalesce("kept", F.col("text").cast("binary"))).drop("text")
     return out

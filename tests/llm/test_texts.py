@@ -156,7 +156,7 @@ def test_repeats_against_brute_force(spark, monkeypatch, hot, part, problem):
     import pyarrow as pa
 
     docs = pa.record_batch([pa.array([r[0] for r in rows]), pa.array([r[1] or "" for r in rows])], names=["doc_id", "text"])
-    anchors = pa.Table.from_batches(suffixdedup._anchor_rows([docs])).sort_by([(c, "ascending") for c in ("h", "around", "doc_id", "pos")])
+    anchors = pa.Table.from_batches(suffixdedup._anchor_rows([docs])).sort_by([(c, "ascending") for c in ("h", "doc_id", "pos")])
     told = pa.Table.from_batches(suffixdedup._settle(anchors.to_batches(max_chunksize=97)))
     msgs = {}
     for d, m in zip(told.column(0).to_pylist(), told.column(1).to_pylist(), strict=True):
@@ -180,8 +180,32 @@ def test_removal_over_spark(spark):
     got = {r.doc_id: (r.n_bytes, r.n_removed, len(r.spans), r.kept_sha256, bytes(r.kept)) for r in suffixdedup.remove_repeats(df, with_text=True).collect()}
     assert got == want
     assert suffixdedup.remove_repeats(df.limit(0)).count() == 0
-    twice = suffixdedup.remove_repeats(df.union(df)).groupBy("doc_id").agg(F.count("*").alias("n"), F.max("n_removed").alias("r")).collect()
-    assert all(r.n >= 2 and r.r == want[r.doc_id][1] for r in twice)
+    odd = spark.createDataFrame([(None, "z" * 300, 1)], df.schema)
+    twice = suffixdedup.remove_repeats(df.union(df).union(odd)).groupBy("doc_id").agg(F.count("*").alias("n"), F.min("n_removed").alias("least"), F.max("n_removed").alias("most")).collect()
+    assert all(r.n == 2 and r.least == r.most == want[r.doc_id][1] for r in twice) and len(twice) == len(rows)
+
+
+def test_digests_of_many_copies_are_broadcast(spark, monkeypatch):
+    monkeypatch.setattr(suffixdedup, "COPIES", 5)
+    rows = [(i, ("copy " * 40) if i % 3 else f"other {i // 12} " * 20) for i in range(60)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    want = brute_repeats(rows)
+    assert {r.doc_id: (r.n_bytes, r.n_removed, len(r.spans), r.kept_sha256) for r in suffixdedup.remove_repeats(df).collect()} == {d: v[:4] for d, v in want.items()}
+
+
+def test_settled_surroundings_are_compared_byte_by_byte(monkeypatch):
+    import pyarrow as pa
+
+    monkeypatch.setattr(suffixdedup, "_between", lambda total, lo, hi: np.zeros(len(lo), np.uint64))  # all hashes collide
+    texts = ["".join(RND.choice("abcd") for _ in range(140)) for _ in range(8)]
+    texts += [texts[0], texts[3]]
+    batch = pa.record_batch([pa.array(range(len(texts))), pa.array(texts)], names=["doc_id", "text"])
+    found = pa.Table.from_batches(suffixdedup._anchor_rows([batch])).to_pylist()
+    for r in found:
+        if r["done"]:
+            p0, n, at = r["pos"] >> 14, (r["pos"] >> 7 & 127) + 100, r["pos"] & 127
+            piece = texts[r["doc_id"]][p0 : p0 + n]
+            assert any(s["doc_id"] <= r["doc_id"] and (s["doc_id"], s["pos"]) != (r["doc_id"], r["pos"]) and s["pos"] & 127 == at and texts[s["doc_id"]][s["pos"] >> 14 :][:n] == piece for s in found)
 
 
 @pytest.mark.parametrize("size", [400, 3000, 1 << 20])
@@ -199,11 +223,33 @@ def test_merged_orders_are_sorted(size):
     assert len({next(iter(v)) for v in own.values()}) == len(own)
 
 
+def rotations(x):
+    return [bytes(np.roll(x, -i)[:100]) for i in range(len(x))]
+
+
+def common(a, b):
+    return next((k for k in range(100) if a[k] != b[k]), 100)
+
+
 def test_transform_of_a_shard():
-    x, order = suffix.shard(np.frombuffer(b"banana", np.uint8))
-    assert [bytes(x[i:6]) for i in order] == [b"a", b"ana", b"anana", b"banana", b"na", b"nana"]
-    assert bytes(suffix.bwt(x, order)) == b"nnb\0aa"
-    a, b = suffix.shard(np.frombuffer(b"banana", np.uint8)), suffix.shard(np.frombuffer(b"bandana", np.uint8))
-    x, order, _ = suffix.merge(a, b)
-    suffixes = [bytes(x[i : i + 100]) for i in order]
-    assert suffixes == sorted(suffixes)
+    x = np.frombuffer(b"banana", np.uint8)
+    t = suffix.shard(x)
+    assert [bytes(x[i:]) for i in t.order if i < 6] == [b"a", b"ana", b"anana", b"banana", b"na", b"nana"]
+    assert bytes(t.bwt()[t.order < 6]) == b"nnb\0aa"
+
+
+def test_transforms_merge_without_their_texts():
+    for _ in range(20):
+        a = "".join(RND.choice("ab") for _ in range(RND.randint(0, 400)))
+        b = "".join(RND.choice("ab\0") for _ in range(RND.randint(0, 300))) + "a" * RND.randint(0, 200) + a[:150]
+        texts = [np.frombuffer(t.encode(), np.uint8) for t in (a, b, b[: RND.randint(0, len(b))])]
+        circles = [suffix._pad(t) for t in texts]
+        parts = [suffix.shard(t) for t in texts]
+        got = suffix.merge(suffix.merge(*parts[:2]), parts[2])
+        every = [r for x in circles for r in rotations(x)]
+        before = [bytes([x[i - 1]]) for x in circles for i in range(len(x))]
+        rot = [every[i] for i in got.order]
+        assert sorted(got.order.tolist()) == list(range(len(every))) and rot == sorted(rot)
+        assert bytes(got.bwt()) == b"".join(before[i] for i in got.order)
+        for t, own in [(got, rot), (parts[0], [rotations(circles[0])[i] for i in parts[0].order])]:
+            assert t.steps[1:].tolist() == [common(p, q) // suffix.STEP for p, q in zip(own, own[1:], strict=False)]
