@@ -1,9 +1,13 @@
 """Main text of web pages by minimum-cut labelling of their blocks.
 
-A page becomes a sequence of text blocks. A classifier on the shape of a block (length, links, punctuation, kind
-of element) and the roles that its ancestors declare give each block a cost for either label: these are the
-capacities of its edges to the two terminals. Neighbours in page order and neighbours under one parent are joined
-by smoothness edges, weaker the further apart in the tree. The maximum flow's cut is the labelling of least cost.
+A page becomes a sequence of text blocks. Two classifiers give the log odds of a block being content: one sees its shape
+(length, links, punctuation, kind of element), the other the region that its ancestors declare (an article, navigation, a
+class that hints at an advert, ...). Their sum is the capacity of the block's edge to one of the two terminals.
+Neighbours in page order and neighbours under one parent are joined by smoothness edges, weaker the further apart in
+the tree. The maximum flow's cut is the labelling of least cost; no declaration decides alone.
+
+The weights are learned from the pages without labels, each classifier from the other: shapes from pages that declare an
+article, regions from the labels that shapes and flow give to all pages.
 """
 
 from __future__ import annotations
@@ -19,10 +23,17 @@ from pyspark.sql import DataFrame, functions as F
 
 #: Pages to fit the block classifier on, thinned by a hash of their id.
 FIT_PAGES = 2_000
-#: Capacities are whole numbers, in hundredths of a nat.
-SURE, OWN, NEXT, KIN, UNLIKELY = 10_000, 400, 50, 50, 200
-#: Role of what lies in an element whose class or id only hints that it is no article: evidence among other, no verdict.
-HINTED = -0.5
+#: Capacities are whole numbers, in hundredths of a nat: of neighbours in page order and of neighbours under one parent.
+NEXT, KIN = 100, 100
+#: Bounds of the log odds. Against content a region may outweigh a shape, as readers' remarks look like an article, but not
+#: a shape and the edges of a block; for content it may not.
+SURE, SURE_NOT = 3.0, 5.0
+#: Depth of open elements that is kept; deeper ones count as part of the last.
+DEEP = 512
+
+#: Regions that an element declares; the innermost counts, but nothing inside OTHER or REMARKS is an article again.
+NONE, ARTICLE, OTHER, HEADER, HINT, REMARKS = range(6)
+GONE = -1
 
 #: Element names and the words of class, id and role that declare what is not the article.
 DROPPED = frozenset("script style noscript template iframe svg math canvas object select option button textarea input form head title audio video map datalist dialog".split())
@@ -41,56 +52,108 @@ COMMENTS = frozenset("comment comments commentlist reply replies respondents dis
 AWAY_OUTSIDE = frozenset("header head top topbar site".split())
 ROLES = frozenset("navigation banner contentinfo complementary search form dialog alert alertdialog menu menubar".split())
 
-_TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?\]\]>|<[!?][^>]*(?:>|\Z)|<(/?)([A-Za-z][A-Za-z0-9:-]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|<(?=[A-Za-z/])[^<>]*\Z", re.S)
-_ATTR = re.compile(r"([A-Za-z-]+)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))")
+# Every expression here is read once from each place: repeats are possessive, and names start at their first letter.
+_BODY = re.compile(r"(?:[^>\"']++|\"[^\"]*+\"|'[^']*+')*+")
+_NAME = re.compile(r"/?[A-Za-z][A-Za-z0-9:-]*+")
+_ATTR = re.compile(r"(?<![A-Za-z-])([A-Za-z-]++)\s*+=\s*+(?:\"([^\"]*+)\"|'([^']*+)'|([^\s\"'>]++))")
+_HIDDEN = re.compile(r"(?:^|\s)hidden(?:\s|=|/|$)")
+_UNSEEN = re.compile(r"display\s*+:\s*+none|visibility\s*+:\s*+hidden")
 _SPLIT = re.compile(r"[^a-z]+")
+_RAW = {name: re.compile(rf"</{name}(?![A-Za-z0-9:-])", re.I) for name in RAW}
+_ZEROS = re.compile(r"&#([xX]?)0{6,}+(?=[0-9a-fA-F])")
+_TOO_LARGE = re.compile(r"&#(?:[0-9]{8,}+|[xX][0-9a-fA-F]{7,}+);?")
 
 
-def _roles(name: str, attrs: str, inside: bool) -> float:
-    """What an element says of its content: -2 dropped, -1 not the article, HINTED perhaps not, 1 the article, 0 nothing."""
+def _unescape(text: str) -> str:
+    """Character references decoded; numbers beyond any character become the replacement sign, however long they are."""
+    if "&#" in text:
+        text = _TOO_LARGE.sub("\ufffd", _ZEROS.sub(r"&#\1", text))
+    return _html.unescape(text)
+
+
+def tags(page: str) -> Iterator[tuple[int, int, str, str]]:
+    """Start, end, name (with a slash in end tags) and attributes of each tag; other markup has an empty name.
+
+    Time is linear: a quote that nothing closes is read to the end of the page once, and up to it tags end at the next >.
+    """
+    n, pos, loose = len(page), 0, -1
+    last = page.rfind(">")
+    cdata_ends = page.rfind("]]>")
+    while True:
+        at = page.find("<", pos)
+        if at < 0 or at + 1 >= n:
+            return
+        c = page[at + 1]
+        if c in "!?":
+            if page.startswith("<!--", at):
+                end = page.find("-->", at + 4)
+                pos = end + 3 if end >= 0 else n
+            elif page.startswith("<![CDATA[", at) and at + 9 <= cdata_ends:
+                pos = page.find("]]>", at + 9) + 3
+            else:
+                end = page.find(">", at)
+                pos = end + 1 if end >= 0 else n
+            yield at, pos, "", ""
+            continue
+        name = _NAME.match(page, at + 1)
+        if name is None:
+            pos = at + 1
+            continue
+        if at > last:  # cut off
+            yield at, n, "", ""
+            return
+        end = -1
+        if at > loose:
+            end = _BODY.match(page, name.end()).end()
+            if end >= n or page[end] != ">":
+                loose, end = end, -1
+        if end < 0:
+            end = page.find(">", at)
+        yield at, end + 1, name[0].lower(), page[name.end() : end]
+        pos = end + 1
+
+
+def _region(name: str, attrs: str, above: int) -> int:
+    """The region inside an element: GONE where nothing is shown, else the region above or the one that it declares."""
     if name in DROPPED:
-        return -2
-    if name in OUTSIDE:
-        return -1
-    verdict = 1 if name in MAIN else 0
-    if name == "header" and not inside:
-        verdict = -1
+        return GONE
+    verdict = OTHER if name in OUTSIDE else ARTICLE if name in MAIN else HEADER if name == "header" and above != ARTICLE else NONE
     if attrs:
-        if "class" in attrs or "id" in attrs or "role" in attrs or "style" in attrs:
-            for key, *values in _ATTR.findall(attrs):
-                key = key.lower()
-                value = next((v for v in values if v), "").lower()
-                if key in ("class", "id"):
-                    words = _SPLIT.split(value)
-                    if name in WHOLE:
-                        continue
-                    if not COMMENTS.isdisjoint(words):
-                        return -1
-                    if not AWAY.isdisjoint(words) or (not inside and not AWAY_OUTSIDE.isdisjoint(words)):
-                        verdict = min(verdict, HINTED)
-                elif key == "role":
-                    if value in ROLES:
-                        return -1
-                    verdict = 1 if value in ("main", "article") else verdict
-                elif key == "style" and re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", value):
-                    return -2
-        if re.search(r"(?:^|\s)hidden(?:\s|=|/|$)", attrs) or 'aria-hidden="true"' in attrs:
-            return -2
-    return verdict
+        for key, *values in _ATTR.findall(attrs):
+            key = key.lower()
+            value = next((v for v in values if v), "").lower()
+            if key in ("class", "id") and name not in WHOLE:
+                words = _SPLIT.split(value)
+                if not COMMENTS.isdisjoint(words):
+                    verdict = REMARKS
+                elif verdict in (NONE, ARTICLE) and (not AWAY.isdisjoint(words) or (above != ARTICLE and not AWAY_OUTSIDE.isdisjoint(words))):
+                    verdict = HINT
+            elif key == "role":
+                if value in ROLES:
+                    verdict = OTHER
+                elif value in MAIN and verdict == NONE:
+                    verdict = ARTICLE
+            elif key == "style" and _UNSEEN.search(value):
+                return GONE
+        if _HIDDEN.search(attrs) or 'aria-hidden="true"' in attrs:
+            return GONE
+    if above in (OTHER, REMARKS):
+        return REMARKS if REMARKS in (verdict, above) else OTHER
+    return verdict or above
 
 
 class Block:
-    __slots__ = ("chars", "kind", "linked", "parents", "role", "text")
+    __slots__ = ("chars", "kind", "linked", "parents", "region", "text")
 
-    def __init__(self, text: str, linked: int, role: float, kind: str, parents: tuple[int, ...]):
-        self.text, self.linked, self.role, self.kind, self.parents = text, linked, role, kind, parents
+    def __init__(self, text: str, linked: int, region: int, kind: str, parents: tuple[int, ...]):
+        self.text, self.linked, self.region, self.kind, self.parents = text, linked, region, kind, parents
         self.chars = len(text)
 
 
 def blocks(page: str) -> list[Block]:
     """The visible text blocks of a page in order; markup may be broken or cut off."""
     out: list[Block] = []
-    stack: list[tuple[str, int, float]] = [("", 0, 0)]  # name, number, role
+    stack: list[tuple[str, int, int]] = [("", 0, NONE)]  # name, number, region
     count = 0
     buffer: list[str] = []
     linked = at = links = 0
@@ -98,7 +161,7 @@ def blocks(page: str) -> list[Block]:
     def close() -> None:
         nonlocal linked
         if buffer:
-            text = " ".join(_html.unescape("".join(buffer)).split())
+            text = " ".join(_unescape("".join(buffer)).split())
             if text:
                 owner = next((s for s in reversed(stack) if s[0] in BLOCKS), stack[0])
                 out.append(Block(text, linked, stack[-1][2], owner[0], tuple(s[1] for s in stack if s[0] in BLOCKS or not s[0])[-4:]))
@@ -107,7 +170,7 @@ def blocks(page: str) -> list[Block]:
 
     def text_of(part: str) -> None:
         nonlocal linked
-        if part and stack[-1][2] > -2:
+        if part and stack[-1][2] != GONE:
             buffer.append(part)
             if links:
                 linked += len(part.strip())
@@ -124,39 +187,40 @@ def blocks(page: str) -> list[Block]:
             if stop and stack[k][0] in stop:
                 return
 
-    pos = 0
-    while m := _TOKEN.search(page, pos):
-        text_of(page[at : m.start()])
-        at = pos = m.end()
-        name = m[2]
-        if name is None:
-            if m[0].startswith("<![CDATA["):
-                text_of(_html.escape(m[0][9:-3]))
+    for start, end, name, attrs in tags(page):
+        if start < at:  # inside an element whose content is no markup
             continue
-        name = name.lower()
-        block = name in BLOCKS
-        if block:
-            close()
-        if m[1]:
-            pop(frozenset([name]), None if name in BLOCKS else BLOCKS - {"p"})
+        text_of(page[at:start])
+        at = end
+        if not name:
+            if page.startswith("<![CDATA[", start) and end - start > 12:
+                text_of(_html.escape(page[start + 9 : end - 3]))
+            continue
+        if name[0] == "/":
+            if name[1:] in BLOCKS:
+                close()
+                pop(frozenset([name[1:]]))
+            else:
+                pop(frozenset([name[1:]]), BLOCKS - {"p"})
             continue
+        if name in BLOCKS:
+            close()
         if name in CLOSES:
             pop(CLOSES[name], frozenset(["ul", "ol", "dl", "table", "div", "article", "section", "blockquote", "main", "aside", "nav", "footer", "form"]))
         elif name in ENDS_P:
             pop(CLOSES["p"], frozenset(["div", "article", "section", "blockquote", "main", "aside", "nav", "footer", "td", "li", "form"]))
-        if name in VOID or m[3].endswith("/") and name not in BLOCKS:
+        if name in VOID or attrs.endswith("/") and name not in BLOCKS:
             continue
         if name in RAW:
-            end = re.compile(rf"</{name}\b[^>]*>", re.I).search(page, pos)
-            at = pos = end.end() if end else len(page)
+            over = _RAW[name].search(page, end)
+            stop = page.find(">", over.end()) if over else -1
+            at = stop + 1 if stop >= 0 else len(page)
             continue
-        above = stack[-1][2]
-        role = _roles(name, m[3], above == 1)
         count += 1
-        if above == HINTED and (role < 0 or role == 1 and all(s[2] != 1 for s in stack)):
-            above = 0  # a hint gives way to a verdict, but not to an article within the article
-        stack.append((name, count, above if above < 0 or role == 0 else role))
-        links += name == "a"
+        if len(stack) < DEEP:
+            above = stack[-1][2]
+            stack.append((name, count, above if above == GONE else _region(name, attrs, above)))
+            links += name == "a"
     text_of(page[at:])
     close()
     return out
@@ -185,6 +249,44 @@ def _features(i: int) -> list[int]:
 def cut(own: list[tuple[int, int]], edges: list[tuple[int, int, int]]) -> list[bool]:
     """Labels of least cost: own has the cost of each node as content and as other, edges the cost of parting two.
 
+    A node whose own cost outweighs all its edges is on that side of some least cut; it is taken out, and its edges become
+    own costs of its neighbours, which may settle them in turn. A maximum flow parts what is left, group by group.
+    """
+    n = len(own)
+    lean = [other - content for content, other in own]  # above zero: content
+    near: list[dict[int, int]] = [{} for _ in range(n)]
+    for a, b, c in edges:
+        near[a][b] = near[a].get(b, 0) + c
+        near[b][a] = near[b].get(a, 0) + c
+    weight = [sum(x.values()) for x in near]
+    side: list[bool | None] = [None] * n
+    todo = list(range(n))
+    while todo:
+        i = todo.pop()
+        if side[i] is None and (lean[i] > weight[i] or -lean[i] >= weight[i]):
+            side[i] = lean[i] > 0
+            for j, c in near[i].items():
+                if side[j] is None:
+                    lean[j] += c if side[i] else -c
+                    weight[j] -= c
+                    todo.append(j)
+    for i in range(n):
+        if side[i] is None:
+            group, number = [i], {i: 0}
+            for k in group:
+                for j in near[k]:
+                    if side[j] is None and j not in number:
+                        number[j] = len(group)
+                        group.append(j)
+            part = [(number[k], number[j], c) for k in group for j, c in near[k].items() if j in number and k < j]
+            for k, yes in zip(group, flow_cut([(max(0, -lean[k]), max(0, lean[k])) for k in group], part), strict=True):
+                side[k] = yes
+    return [bool(x) for x in side]
+
+
+def flow_cut(own: list[tuple[int, int]], edges: list[tuple[int, int, int]]) -> list[bool]:
+    """The same by maximum flow alone.
+
     Augmenting paths along breadth-first layers; nodes still reached from the source afterwards are content.
     """
     n = len(own)
@@ -245,26 +347,22 @@ def _proximity(a: tuple[int, ...], b: tuple[int, ...]) -> int:
     return 4
 
 
-def label(found: list[Block], odds: np.ndarray) -> list[bool]:
+#: Log odds of content by region, on pages that declare an article and on others, before any page is seen.
+PRIOR = np.array([[0.0, 0.0, -4.0, -2.0, -2.5, -4.5], [-1.5, 2.0, -4.0, -3.0, -3.5, -4.5]])
+
+
+def label(found: list[Block], odds: np.ndarray, regions: np.ndarray) -> list[bool]:
     """Whether each block is content."""
-    has_main = any(b.role == 1 for b in found)
+    declared = int(any(b.region == ARTICLE for b in found))
     own: list[tuple[int, int]] = []
     edges: list[tuple[int, int, int]] = []
     last: dict[int, int] = {}
     for i, b in enumerate(found):
-        z = int(100 * odds[shape(b)])
-        content, other = max(0, -z), max(0, z)
-        if b.role <= -1:
-            content += SURE
-        elif b.role < 0:
-            content += UNLIKELY + OWN * has_main
-        elif has_main:
-            content, other = (content, other + OWN) if b.role == 1 else (content + OWN, other)
-        own.append((content, other))
+        z = int(100 * (odds[shape(b)] + regions[declared, b.region]))
+        own.append((max(0, -z), max(0, z)))
         if i:
             p = found[i - 1]
-            same_side = (p.role < 0) == (b.role < 0) and (not has_main or p.role == b.role)
-            edges.append((i - 1, i, NEXT // (1 + _proximity(p.parents, b.parents)) if same_side else 1))
+            edges.append((i - 1, i, NEXT // (1 + _proximity(p.parents, b.parents)) // (1 if p.region == b.region else 4)))
         parent = b.parents[-2] if b.kind in ("p", "li", "h1", "h2", "h3", "h4", "h5", "h6") and len(b.parents) > 1 else b.parents[-1]
         if parent in last:
             edges.append((last[parent], i, KIN))
@@ -272,56 +370,87 @@ def label(found: list[Block], odds: np.ndarray) -> list[bool]:
     return cut(own, edges)
 
 
-def main_text(page: str | None, odds: np.ndarray) -> str:
+def main_text(page: str | None, odds: np.ndarray, regions: np.ndarray = PRIOR) -> str:
     found = blocks(page or "")
-    return " ".join(b.text for b, yes in zip(found, label(found, odds), strict=True) if yes)
+    return " ".join(b.text for b, yes in zip(found, label(found, odds, regions), strict=True) if yes)
 
 
-def _shapes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    count = np.zeros((2, SHAPES), np.int64)
+def _tally(batches: Iterator[pa.RecordBatch], seen) -> Iterator[pa.RecordBatch]:
+    """The share of blocks of each (label, key), with the labels and keys that seen gives for a page; every page counts the same."""
+    count: dict[tuple[int, int], float] = {}
     for batch in batches:
         for page in batch.column(0):
-            found = blocks(page.as_py() or "")
-            if any(b.role == 1 for b in found):
-                for b in found:
-                    count[int(b.role == 1), shape(b)] += 1
-    y, s = np.nonzero(count)
-    yield pa.record_batch([pa.array(y), pa.array(s), pa.array(count[y, s])], names=["y", "shape", "n"])
+            found = seen(blocks(page.as_py() or ""))
+            for x in found:
+                count[x] = count.get(x, 0.0) + 1 / len(found)
+    y, key = zip(*count, strict=True) if count else ((), ())
+    yield pa.record_batch([pa.array(y, pa.int64()), pa.array(key, pa.int64()), pa.array(list(count.values()), pa.float64())], names=["y", "key", "n"])
+
+
+def _declared(found: list[Block]) -> list[tuple[int, int]]:
+    if not any(b.region == ARTICLE for b in found):
+        return []
+    return [(int(b.region == ARTICLE), shape(b)) for b in found]
+
+
+def _by_shape(odds: np.ndarray):
+    def seen(found: list[Block]) -> list[tuple[int, int]]:
+        declared = int(any(b.region == ARTICLE for b in found))
+        return [(int(yes), (declared * 6 + b.region) * SHAPES + shape(b)) for b, yes in zip(found, label(found, odds, np.zeros((2, 6))), strict=True)]
 
+    return seen
 
-def fit(pages: DataFrame) -> np.ndarray:
-    """Log odds of each shape for content, learned from pages that mark their article; at most FIT_PAGES of them are read.
 
-    Without such pages only length, links and declared roles count: the prior below.
+def _regress(x: np.ndarray, count: np.ndarray, offset: np.ndarray, prior: np.ndarray, ridge: float) -> np.ndarray:
+    """Weights of a logistic regression on counted rows, drawn to the prior."""
+    w = prior.copy()
+    total = count.sum()
+    if not total:
+        return w
+    k, p = count.sum(0), count[1] / np.maximum(1, count.sum(0))
+    for _ in range(25):
+        q = 1 / (1 + np.exp(-np.clip(x @ w + offset, -30, 30)))
+        grad = x.T @ (k * (p - q)) / total - ridge * (w - prior)
+        w += np.clip(np.linalg.solve((x * (k * q * (1 - q) / total)[:, None]).T @ x + ridge * np.eye(len(w)), grad), -2, 2)
+    return w
+
+
+def fit(pages: DataFrame) -> tuple[np.ndarray, np.ndarray]:
+    """Log odds of each shape and of each region for content; at most FIT_PAGES pages are read.
+
+    Shapes are learned from pages that declare an article, without which they keep a prior: length and links. Regions
+    are learned with the shapes' odds as offset, from the labels of shapes and flow on all pages, drawn to PRIOR.
     """
     n = pages.count()
-    rows = pages if n <= FIT_PAGES else pages.filter(F.pmod(F.xxhash64("page_id"), F.lit(1 << 20)) < int(FIT_PAGES / n * (1 << 20)))
-    got = rows.select(F.col("html").cast("string").alias("html")).mapInArrow(_shapes, "y long, shape long, n long").groupBy("y", "shape").agg(F.sum("n").alias("n")).collect()
+    rows = pages if n <= FIT_PAGES else pages.filter(F.pmod(F.xxhash64("page_id", "url"), F.lit(1 << 20)) < int(FIT_PAGES / n * (1 << 20)))
+    rows = rows.select(F.col("html").cast("string").alias("html"))
+
+    def counted(seen, size: int) -> np.ndarray:
+        out = np.zeros((2, size))
+        for r in rows.mapInArrow(lambda b: _tally(b, seen), "y long, key long, n double").groupBy("y", "key").agg(F.sum("n").alias("n")).collect():
+            out[r["y"], r["key"]] = r["n"]
+        return out
+
     x = np.zeros((SHAPES, 20))
     for i in range(SHAPES):
         x[i, _features(i)] = 1
     x[:, 19] = 1
-    w = np.zeros(20)
-    w[:8] = np.linspace(-1.5, 1.5, 8)
-    w[8:12] = [0.5, 0, -1, -2]
-    prior = w.copy()
-    count = np.zeros((2, SHAPES))
-    for r in got:
-        count[r["y"], r["shape"]] = r["n"]
-    total = count.sum()
-    if count[0].sum() and count[1].sum():
-        k, p = count.sum(0), count[1] / np.maximum(1, count.sum(0))
-        for _ in range(25):
-            q = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
-            grad = x.T @ (k * (p - q)) / total - 0.003 * (w - prior)
-            w += np.clip(np.linalg.solve((x * (k * q * (1 - q) / total)[:, None]).T @ x + 0.003 * np.eye(20), grad), -2, 2)
-    return np.clip(x @ w, -3, 3)
+    prior = np.zeros(20)
+    prior[:8] = np.linspace(-1.5, 1.5, 8)
+    prior[8:12] = [0.5, 0, -1, -2]
+    count = counted(_declared, SHAPES)
+    odds = np.clip(x @ (_regress(x, count, np.zeros(SHAPES), prior, 0.003) if count[0].sum() and count[1].sum() else prior), -SURE, SURE)
+
+    count = counted(_by_shape(odds), 12 * SHAPES)
+    kept = np.flatnonzero(count.sum(0))
+    w = _regress(np.eye(12)[kept // SHAPES], count[:, kept], odds[kept % SHAPES], PRIOR.ravel(), 0.01)
+    return odds, np.clip(w, -SURE_NOT, SURE).reshape(2, 6)
 
 
 def _extract(odds):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = [main_text(x.as_py(), odds.value) for x in batch.column(2)]
+            texts = [main_text(x.as_py(), *odds.value) for x in batch.column(2)]
             yield pa.record_batch([batch.column(0).cast(pa.int64()), batch.column(1), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], names=["page_id", "url", "text", "n_chars"])
 
     return run
@@ -331,7 +460,8 @@ def extract(pages: DataFrame) -> DataFrame:
     """page_id, url, text, n_chars of each page, in one pass over whole pages.
 
     Null and empty pages, and pages without article, give an empty text. White space inside a block becomes one
-    space, blocks are joined by one. Rows stay in place, repeated ids included; other columns are not read.
+    space, blocks are joined by one. Every row gives one, rows that are repeated, share an id or have none too; other
+    columns are not read, and an empty table gives an empty result.
     """
     odds = pages.sparkSession.sparkContext.broadcast(fit(pages))
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("html"))
