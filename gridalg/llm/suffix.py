@@ -81,7 +81,7 @@ def shard(text: np.ndarray) -> Transform:
     for rank_of in (one, two, two + n * np.roll(two, -STEP), rank):
         steps += ~_apart(rank_of[order])
     steps[:1] = 0
-    return Transform(order, one[order - STEP], words, n, steps)
+    return Transform(order, one[order - STEP].astype(np.int32), words, n, steps)
 
 
 def _deal(symbol: np.ndarray, kinds: int) -> np.ndarray:
@@ -95,14 +95,14 @@ def merge(a: Transform, b: Transform) -> Transform:
     both = np.concatenate([a.words, b.words])
     turn = np.argsort(both, kind="stable")  # two sorted lists
     new = _apart(both[turn])
-    number = np.empty(len(both), np.int64)
-    number[turn] = np.cumsum(new)
+    number = np.empty(len(both), np.int32)
+    number[turn] = np.cumsum(new, dtype=np.int32)
     new[:1] = True
     words = both[turn[new]]
     one, two = number[: len(a.words)][a.symbol], number[len(a.words) :][b.symbol]
     n = len(one) + len(two)
     second = np.arange(n) >= len(one)
-    group, steps = np.zeros(n, np.int64), np.zeros(n, np.int8)
+    group, steps = np.zeros(n, np.int32), np.zeros(n, np.int8)
 
     def along(first_values: np.ndarray, second_values: np.ndarray) -> np.ndarray:
         out = np.empty(n, first_values.dtype)
@@ -113,7 +113,7 @@ def merge(a: Transform, b: Transform) -> Transform:
         symbol = along(one, two)
         turn = _deal(symbol, len(words))
         new = _apart(symbol[turn]) | _apart(group[turn])
-        second, group = second[turn], np.cumsum(new)
+        second, group = second[turn], np.cumsum(new, dtype=np.int32)
         steps += ~new
     steps[:1] = 0
     return Transform(along(a.order, b.order + a.size), along(one, two), words, a.size + b.size, steps)

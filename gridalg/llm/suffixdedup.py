@@ -35,7 +35,7 @@ HOT = 2000
 #: Copies of one text, at least, that are resolved by a broadcast of their digests, and how many digests that may be.
 COPIES, DIGESTS = 1000, 10_000
 #: Bytes of one merge problem; whole groups are put together up to it.
-PROBLEM = 1 << 21
+PROBLEM = 1 << 20
 U64 = np.uint64
 
 
@@ -231,8 +231,18 @@ def _union(lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return lo[at], hi[np.append(at[1:], len(lo)) - 1] if len(at) else hi
 
 
+#: Bytes of pieces that a task remembers, to fold equal ones before they are dealt.
+_KNOWN = 32 << 20
+
+
 def _pieces(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """From texts and messages: settled ranges (without piece) and pieces to merge, with their key."""
+    """From texts and messages, sorted by id: settled ranges (without piece) and pieces to merge, with their key.
+
+    A piece whose bytes the task has dealt under the same key from an earlier place is settled, so a key of very many
+    equal pieces gets one from each task.
+    """
+    known: dict[tuple[int, bytes], tuple[int, int]] = {}
+    held = 0
     for batch in batches:
         raw, offsets = kernel.buffers(batch.column(1))
         ids = np.asarray(batch.column(0).cast(pa.int64()))
@@ -240,14 +250,13 @@ def _pieces(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         load = 0
         for i in range(batch.num_rows):
             x = raw[offsets[i] : offsets[i + 1]]
-            msg = np.asarray(batch.column(2)[i].values, np.int64)
+            msg = np.sort(np.asarray(batch.column(2)[i].values, np.int64))
             place, kind = msg >> 2, msg & 3
             p0, p1 = place >> 14, (place >> 14) + (place >> 7 & 127)
             at = p0 + (place & 127)
             doc = int(ids[i])
             done = kind == 1
-            for lo, hi in zip(*_union(p0[done], p1[done] + N), strict=True):
-                rows.append((doc * 31 + int(lo), doc, int(lo), int(hi), None))
+            settled = [(p0[done], p1[done] + N)]
             new = ~done
             for lo, hi, a, k in zip(p0[new].tolist(), p1[new].tolist(), at[new].tolist(), kind[new].tolist(), strict=True):
                 if k == 2:
@@ -256,9 +265,20 @@ def _pieces(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                     spots = [(lo, min(hi, a - 34), a - 34, a + K), (max(lo, a - 33), hi, a, a + 67)]
                 for s, e, ks, ke in spots:
                     if s <= e:
-                        key = hashlib.blake2b(x[ks:ke].tobytes() + bytes([k, ks == a]), digest_size=8).digest()
-                        rows.append((int.from_bytes(key, "little", signed=True), doc, s, e + N, x[s : e + N].tobytes()))
-                        load += e + N - s
+                        digest = hashlib.blake2b(x[ks:ke].tobytes() + bytes([k, ks == a]), digest_size=8).digest()
+                        key, piece = int.from_bytes(digest, "little", signed=True), x[s : e + N].tobytes()
+                        first = known.setdefault((key, piece), (doc, s))
+                        if first < (doc, s):
+                            settled.append((np.array([s]), np.array([e + N])))
+                            continue
+                        rows.append((key, doc, s, e + N, piece))
+                        load += len(piece)
+                        held += len(piece) + 200
+                        if held > _KNOWN:
+                            known.clear()
+                            held = 0
+            for lo, hi in zip(*_union(*(np.concatenate(c) for c in zip(*settled, strict=True))), strict=True):
+                rows.append((doc * 31 + int(lo), doc, int(lo), int(hi), None))
             if load > 2 << 20 or len(rows) > 50_000:
                 yield pa.record_batch([pa.array(c, t.type) for c, t in zip(zip(*rows, strict=True), _PIECE, strict=True)], schema=_PIECE)
                 rows, load = [], 0
@@ -313,23 +333,22 @@ def _merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         return 0
 
     for batch in batches:
-        key, doc, lo, hi, piece = (c.to_pylist() for c in batch.columns)
+        settled = np.asarray(batch.column(4).is_null())
+        if settled.any():
+            yield batch_of(*(np.asarray(c)[settled] for c in batch.columns[1:4]))
+            batch = batch.filter(pa.array(~settled))
         out: list[tuple[int, int, int]] = []
-        for i in range(batch.num_rows):
-            text = piece[i]
-            if text is None:
-                out.append((doc[i], lo[i], hi[i]))
-                continue
-            if key[i] != now:
+        for key, doc, lo, text in zip(*(batch.column(k).to_pylist() for k in (0, 1, 2, 4)), strict=True):
+            if key != now:
                 load += end_key()
                 if load >= PROBLEM:
                     yield solve()
                     held.clear()
                     load = 0
-                group, now = {}, key[i]
-            first = group.setdefault(text, (doc[i], lo[i]))
-            if first != (doc[i], lo[i]):  # rows come in order, so the piece held is the earlier one
-                out.append((doc[i], lo[i], hi[i]))
+                group, now = {}, key
+            first = group.setdefault(text, (doc, lo))
+            if first != (doc, lo):  # rows come in order, so the piece held is the earlier one
+                out.append((doc, lo, lo + len(text)))
         if out:
             yield batch_of(*zip(*out, strict=True))
     end_key()
