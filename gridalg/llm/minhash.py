@@ -158,8 +158,9 @@ def near_duplicates(docs: DataFrame, *, shingle: int = 5, share: tuple[int, int]
 
     Words are the runs without ASCII white space, A-Z lower-cased; share is the least similarity as a fraction. A
     document without text or words has an empty set and stands alone; one with fewer words than a shingle has its
-    whole sequence as one. Ids must be unique and not null. Equal texts always fall together. Other columns are
-    not read; an empty table gives an empty result.
+    whole sequence as one. Equal texts always fall together. A row without id stands alone: no class, kept. Rows that
+    share an id are one document given several times: they share class and fate, and one id must not stand for different
+    texts. Other columns are not read; an empty table gives an empty result.
     """
     num, den = share
     if not 0 < num <= den or BINS % rows:
@@ -167,7 +168,7 @@ def near_duplicates(docs: DataFrame, *, shingle: int = 5, share: tuple[int, int]
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     sketch = cut(texts.mapInArrow(_sketch(shingle), "doc_id long, n long, k1 long, k2 long, bands array<long>"))
     key = ["k1", "k2", "n"]
-    reps = sketch.filter("n > 0").groupBy(key).agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands"))
+    reps = sketch.filter("n > 0 AND doc_id IS NOT NULL").groupBy(key).agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands"))
     banded = reps.select("rep", "n", F.explode("bands").alias("h")).repartition("h")
     shared = banded.groupBy("h").agg(F.count("*").alias("c")).filter("c > 1")
     bucket = cut(banded.join(shared, "h").select("h", "rep", "n", "c"))
@@ -193,11 +194,15 @@ def near_duplicates(docs: DataFrame, *, shingle: int = 5, share: tuple[int, int]
 
     final = components(first.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(more))
     rep_of = reps.select(*key, "rep").join(final, F.col("rep") == F.col("node"), "left").select(*key, F.coalesce("component", "rep").alias("component_id"))
-    out = sketch.select("doc_id", *key).join(rep_of, key, "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"))
-    return out.withColumn("kept", F.col("doc_id") == F.col("component_id"))
+    component = F.when(F.col("doc_id").isNotNull(), F.coalesce("component_id", "doc_id"))
+    out = sketch.select("doc_id", *key).join(rep_of, key, "left").select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"))
+    return out.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
 
 
 def deduplicate(docs: DataFrame, *, shingle: int = 5, share: tuple[int, int] = (80, 100)) -> DataFrame:
-    """One document of each class of near-duplicates: the one with the smallest doc_id, all its columns as they were."""
+    """One document of each class of near-duplicates: the one with the smallest doc_id, all its columns as they were.
+
+    Rows without id, without text or without words stay; rows that share an id stay or go together.
+    """
     gone = near_duplicates(docs, shingle=shingle, share=share).filter(~F.col("kept")).select("doc_id")
     return docs.join(gone, "doc_id", "left_anti").select(docs.columns)

@@ -179,6 +179,15 @@ def test_no_documents_and_repeated_rows(spark):
     assert sorted(tuple(r) for r in minhash.near_duplicates(d, shingle=2).select("doc_id", "component_id", "kept").collect()) == [(1, 1, True), (1, 1, True), (2, 1, False)]
 
 
+def test_rows_without_id_and_clashing_names(spark):
+    rows = [(None, "a b c", 1), (None, "a b c", 2), (4, "a b c", 3), (6, "a b c", 4), (7, None, 5)]
+    d = spark.createDataFrame(rows, "doc_id long, text string, component_id int")
+    got = minhash.near_duplicates(d, shingle=2).select("doc_id", "n_shingles", "component_id", "kept").collect()
+    assert sorted(map(str, map(tuple, got))) == sorted(map(str, [(None, 2, None, True), (None, 2, None, True), (4, 2, 4, True), (6, 2, 4, False), (7, 0, 7, True)]))
+    kept = minhash.deduplicate(d, shingle=2)
+    assert kept.columns == d.columns and sorted(r.component_id for r in kept.collect()) == [1, 2, 3, 5]
+
+
 def test_signature_of_few_shingles():
     one = minhash.signature(np.array([5], np.uint64))
     assert (one == 5).all() and len(minhash.band_keys(one)) == 32
