@@ -1,8 +1,10 @@
 """SentencePiece encoding and decoding as a weighted finite-state transducer.
 
-The model file is compiled into one transducer: a normaliser that adds the leading gap and writes spaces as gap
-signs; arcs from characters to pieces, over a trie; and byte arcs for characters without a piece. Composing it with
-a text gives a lattice over the text's positions, and the tropical shortest path through it is the encoding.
+The model file is compiled into three transducers that are composed with each text: a normaliser, whose arcs are the
+character map of the file (longest source first, other characters as they are) and whose states drop repeated spaces, add the
+leading gap and write spaces as gap signs; arcs from characters to pieces, over a trie; and byte arcs, which write a
+character that has no piece as its bytes. The composition is a lattice over the text's positions, built as far as the
+search reads it; the tropical shortest path through it is the encoding.
 
 Weights follow the model type. In a unigram model a piece costs minus its score. In a merge model the weight of a
 piece depends on the one before it (states remember it): zero if merging the two side by side gives just these two,
@@ -61,11 +63,65 @@ def _fields(data: bytes) -> Iterator[tuple[int, int | bytes]]:
         yield tag >> 3, value
 
 
+def character_map(blob: bytes) -> dict[str, str]:
+    """Sources and targets of a file's character map: the size of a trie in a double array, the trie, and targets that end in zero."""
+    size = int.from_bytes(blob[:4], "little")
+    units, targets = np.frombuffer(blob[4 : 4 + size], "<u4"), blob[4 + size :]
+    labels = np.arange(256, dtype=np.uint32)
+    below = lambda at: int(at ^ ((units[at] >> 10) << ((units[at] & 512) >> 6)))
+    out: dict[str, str] = {}
+    todo = [(below(0), b"")] if len(units) else []
+    while todo:
+        base, source = todo.pop()
+        near = base ^ labels
+        near = near[near < len(units)]
+        for at in near[(units[near] & np.uint32(0x800000FF)) == (near ^ base)].tolist():
+            text = source + bytes([at ^ base])
+            if at ^ base:
+                if units[at] >> 8 & 1:
+                    start = int(units[below(at)] & 0x7FFFFFFF)
+                    out[text.decode()] = targets[start : targets.index(0, start)].decode()
+                todo.append((below(at), text))
+    return out
+
+
+class Normaliser:
+    """The first transducer. prefix: add a leading gap; squeeze: drop spaces at the ends and repeated ones."""
+
+    def __init__(self, sources: dict[str, str], prefix: bool, squeeze: bool):
+        self.prefix, self.squeeze = prefix, squeeze
+        self.one = {ord(k): v for k, v in sources.items() if len(k) == 1}
+        more = sorted((k for k in sources if len(k) > 1), key=len, reverse=True)
+        #: Sources by their first character, longest first; they matter only where a later character of one is seen.
+        self.heads: dict[str, list[str]] = {}
+        for k in more:
+            self.heads.setdefault(k[0], []).append(k)
+        self.later = frozenset(c for k in more for c in k[1:])
+        self.sources = sources
+
+    def __call__(self, text: str) -> str:
+        if self.heads and not self.later.isdisjoint(text):
+            out, i = [], 0
+            while i < len(text):
+                k = next((k for k in self.heads.get(text[i], ()) if text.startswith(k, i)), text[i])
+                out.append(self.sources.get(k, k))
+                i += len(k)
+            text = "".join(out)
+        elif self.one:
+            text = text.translate(self.one)
+        if self.squeeze:
+            text = re.sub(" +", " ", text.strip(" "))
+        if not text:
+            return ""
+        return (GAP if self.prefix else "") + text.replace(" ", GAP)
+
+
 class Transducer:
     """A compiled model file."""
 
     def __init__(self, model: bytes):
         self.kind, self.prefix, self.squeeze = UNIGRAM, True, True
+        sources: dict[str, str] = {}
         pieces: list[tuple[str, float, int]] = []
         for key, value in _fields(model):
             if key == 1:
@@ -77,9 +133,10 @@ class Transducer:
                 d = dict(_fields(value))
                 self.prefix, self.squeeze = bool(d.get(3, 1)), bool(d.get(4, 1))
                 if d.get(2):
-                    raise ValueError("only models whose normaliser maps no characters are compiled")
+                    sources = character_map(d[2])
         if self.kind not in (UNIGRAM, MERGE):
             raise ValueError("only unigram and merge models are compiled")
+        self.normalise = Normaliser(sources, self.prefix, self.squeeze)
         self.pieces = pieces
         self.ids = {p: i for i, (p, _, t) in enumerate(pieces) if t in (NORMAL, USER)}
         self.score = [s for _, s, _ in pieces]
@@ -105,13 +162,6 @@ class Transducer:
         self.after: list[dict[int, bool]] = [{} for _ in pieces]  # for each piece, whether another may follow
         self.known = 0
 
-    def normalise(self, text: str) -> str:
-        if self.squeeze:
-            text = re.sub(" +", " ", text.strip(" "))
-        if not text:
-            return ""
-        return (GAP if self.prefix else "") + text.replace(" ", GAP)
-
     def merges(self, text: str, edge: int = -1) -> list[str] | None:
         """Merging by score, leftmost first, on a short string; None as soon as a merge spans the edge.
 
@@ -307,8 +357,9 @@ def encode_decode(docs: DataFrame, model: str, *, with_text: bool = True, id_col
     """doc_id, ids, n_pieces, ids_sha256 (of little-endian 32-bit ids), decoded, lossless for each document.
 
     model is a .model file that every executor has. Null and empty texts have no pieces and decode to an empty text.
-    Without with_text, decoded texts are compared with the input but not returned. Decoding gives the text back except for literal gap signs, which become spaces (then lossless is false). Rows
-    stay in place, repeated ids included; other columns are not read.
+    Without with_text, decoded texts are compared with the input but not returned. Decoding gives the text back except for
+    literal gap signs, which become spaces, and what the normaliser changes (then lossless is false). Every row gives one,
+    rows that are repeated, share an id or have none too; other columns are not read, and an empty table gives an empty result.
     """
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     out = rows.mapInArrow(_round(model, with_text), "doc_id long, ids array<int>, n_pieces long, ids_sha256 string, decoded string, lossless boolean")

@@ -30,7 +30,7 @@ def op2_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     from gridalg.llm import piecefst as m
 
-    return m.encode_decode(table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"), with_text=False)
+    return m.encode_decode(table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"))
 
 
 def op3_pii(spark: SparkSession, sf_dir: str) -> DataFrame:

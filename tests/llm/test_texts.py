@@ -81,6 +81,33 @@ def test_unigram_models_take_the_cheapest_path():
         assert cost == pytest.approx(best("▁" + t.replace(" ", "▁")))
 
 
+@pytest.mark.parametrize("rule", ["nmt_nfkc", "nfkc_cf"])
+def test_character_maps_are_compiled(rule):
+    sp = pytest.importorskip("sentencepiece")
+    lib = sp.SentencePieceNormalizer(rule_name=rule, escape_whitespaces=False, add_dummy_prefix=False, remove_extra_whitespaces=False)
+    spec = dict(piecefst._fields(dict(piecefst._fields(lib.serialized_model_proto()))[3]))
+    own = piecefst.Normaliser(piecefst.character_map(spec[2]), False, False)
+    texts = ["ﬁne ½ Ａ①", "e\u0301a\u0308\u0304 ｶﾞ", "Ǆ ℌ", "\u00a0x\u3000y", "plain", "", "가각힣 ㈱", "Straße ΑΣ"]
+    texts += ["".join(chr(RND.choice([RND.randrange(32, 127), RND.randrange(0xA0, 0x250), RND.randrange(0x300, 0x370), RND.randrange(0x1100, 0x1200), RND.randrange(0x3000, 0x3200), RND.randrange(0xFF00, 0xFFF0)])) for _ in range(30)) for _ in range(300)]
+    for t in texts:
+        assert own(t).replace("▁", " ") == lib.normalize(t).replace("▁", " "), t
+    # a whole model with this map gives the ids of the library
+    pieces = [("<unk>", 0.0, 2), ("<s>", 0.0, 3), ("</s>", 0.0, 3), ("▁", -2.0, 1), *((c, -3.0, 1) for c in "abcdefghinortux"), ("▁fi", -2.5, 1), ("ne", -2.2, 1), ("re", -2.7, 1)]
+    model = b"".join(message(1, message(1, p.encode()) + message(2, s) + message(3, t)) for p, s, t in pieces) + message(2, message(3, 1)) + message(3, message(1, rule.encode()) + message(2, spec[2]) + message(3, 1) + message(4, 1))
+    whole, f = sp.SentencePieceProcessor(model_proto=model), piecefst.Transducer(model)
+    for t in ["ﬁne  ｆｏｒ e\u0301 ", "  ﬁ\u3000ne½ x", "", "ＡＢｃ"]:
+        assert [i for i in np.frombuffer(f.encode(t), "<i4").tolist() if i] == [i for i in whole.encode(t) if i]
+
+
+def test_rows_of_pieces_stay(spark):
+    path = tokenizers.path("piece_bpe_32k.model")
+    df = spark.createDataFrame([(None, "a b"), (3, "a b"), (3, "a b"), (3, None)], "doc_id long, text string")
+    got = piecefst.encode_decode(df, path).collect()
+    assert sorted((r.doc_id or 0, r.decoded, r.n_pieces) for r in got) == [(0, "a b", 2), (3, "", 0), (3, "a b", 2), (3, "a b", 2)]
+    counted = tokencount.count_tokens(df, tokenizers.path("byte_bpe_50k.json")).collect()
+    assert sorted((r.doc_id or 0, r.n_bytes, r.n_tokens) for r in counted) == [(0, 3, 2), (3, 0, 0), (3, 3, 2), (3, 3, 2)]
+
+
 def test_token_counts(spark, monkeypatch):
     from tokenizers import Tokenizer
 
