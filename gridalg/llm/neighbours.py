@@ -81,6 +81,10 @@ class Tree:
         self.pairs += m * len(self.x)
         bar = np.full(m, np.inf) if limit is None else limit.astype(float)
         own = np.einsum("ij,ij->i", q, q)
+        home = self._homes(q)
+        for at in np.unique(home).tolist():
+            self._leaf(at, np.flatnonzero(home == at), q, own, bar, k, ids, best, name)
+        # all queries go through the tree together, with the limits that their own leaves gave them
         todo: list[tuple[int, np.ndarray, np.ndarray]] = [(self.root, np.arange(m), np.zeros(m))]
         while todo:
             at, who, bound = todo.pop()
@@ -90,37 +94,53 @@ class Tree:
                 continue
             some, v, inner, outer, near, far, left, right = self.nodes[at]
             if some is None:
-                d = np.sqrt(np.maximum(np.einsum("ij,ij->i", q[who] - self.x[v], q[who] - self.x[v]), 0))
-                low_in = np.maximum(bound, np.maximum(d - inner, near - d))
-                low_out = np.maximum(bound, np.maximum(outer - d, d - far))
-                first_in = d <= (inner + outer) / 2
-                # the nearer side is visited first, so it goes on the stack last
-                todo.append((right, who[first_in], low_out[first_in]))
-                todo.append((left, who[~first_in], low_in[~first_in]))
-                todo.append((left, who[first_in], low_in[first_in]))
-                todo.append((right, who[~first_in], low_out[~first_in]))
+                d = np.sqrt(np.einsum("ij,ij->i", q[who] - self.x[v], q[who] - self.x[v]))
+                todo.append((right, who, np.maximum(bound, np.maximum(outer - d, d - far))))
+                todo.append((left, who, np.maximum(bound, np.maximum(d - inner, near - d))))
                 continue
-            self.seen += len(who) * len(some)
-            for part in range(0, len(some), 4096):
-                rows = some[part : part + 4096]
-                quick = own[who, None] + self.square[rows] - 2 * (q[who] @ self.x[rows].T)
-                least = np.minimum(best[who, -1], bar[who]) ** 2
-                if len(rows) > k:
-                    least = np.minimum(least, np.partition(quick, k - 1, axis=1)[:, k - 1])
-                i, j = np.nonzero(quick <= (least + SLACK * (own[who] + self.square[rows].max()))[:, None])
-                if not len(i):
-                    continue
-                exact = distances(q[who[i]], self.x[rows[j]])
-                hit = np.unique(i)
-                place = np.concatenate([np.repeat(hit, k), i])
-                score = np.concatenate([best[who[hit]].ravel(), exact])
-                names = np.concatenate([name[who[hit]].ravel(), ids[rows[j]]])
-                turn = np.lexsort((names, score, place))
-                first = np.searchsorted(place[turn], hit)
-                keep = turn[(first[:, None] + np.arange(k)).ravel()]
-                best[who[hit]], name[who[hit]] = score[keep].reshape(-1, k), names[keep].reshape(-1, k)
+            who = who[home[who] != at]
+            if len(who):
+                self._leaf(at, who, q, own, bar, k, ids, best, name)
         return name, best
 
+    def _homes(self, q: np.ndarray) -> np.ndarray:
+        """The leaf on whose side of every vantage point a query lies."""
+        out = np.zeros(len(q), np.int64)
+        todo = [(self.root, np.arange(len(q)))]
+        while todo:
+            at, who = todo.pop()
+            some, v, inner, outer, _, _, left, right = self.nodes[at]
+            if some is not None:
+                out[who] = at
+            elif len(who):
+                d = np.sqrt(np.einsum("ij,ij->i", q[who] - self.x[v], q[who] - self.x[v]))
+                first = d <= (inner + outer) / 2
+                todo += [(left, who[first]), (right, who[~first])]
+        return out
+
+    def _leaf(self, at: int, who: np.ndarray, q, own, bar, k: int, ids, best, name) -> None:
+        """The rows of a leaf taken into the best of some queries."""
+        some = self.nodes[at][0]
+        self.seen += len(who) * len(some)
+        for part in range(0, len(some), 4096):
+            rows = some[part : part + 4096]
+            quick = own[who, None] + self.square[rows] - 2 * (q[who] @ self.x[rows].T)
+            least = np.minimum(best[who, -1], bar[who]) ** 2
+            if len(rows) > k:
+                least = np.minimum(least, np.partition(quick, k - 1, axis=1)[:, k - 1])
+            i, j = np.nonzero(quick <= (least + SLACK * (own[who] + self.square[rows].max()))[:, None])
+            if not len(i):
+                continue
+            exact = distances(q[who[i]], self.x[rows[j]])
+            hit = np.unique(i)
+            place = np.concatenate([np.repeat(hit, k), i])
+            score = np.concatenate([best[who[hit]].ravel(), exact])
+            names = np.concatenate([name[who[hit]].ravel(), ids[rows[j]]])
+            turn = np.lexsort((names, score, place))
+            first = np.searchsorted(place[turn], hit)
+            keep = turn[(first[:, None] + np.arange(k)).ravel()]
+            best[who[hit]], name[who[hit]] = score[keep].reshape(-1, k), names[keep].reshape(-1, k)
+
 
 def distances(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     """Euclidean distances of rows to rows in double precision, squares summed in the order of the components."""
