@@ -47,13 +47,15 @@ def main() -> None:
     x3 = Matrix.of(q._pfx(spark, SF).cells().filter("cid < 3"), qps.shape[0], 3)
     big, small = m["QOL"], Matrix.of(m["CUE"].cells(), m["QOL"].shape[0], 7)
     placed = [qps.placed(Scheme.R), qps.placed(Scheme.R)]
+    cost, hours = q._cost(spark, SF), m["CUH"]
+    cost = Matrix.of(cut(cost.cells()), *cost.shape, stats=True, name="COST")
+    turned = Matrix.of(cut(hours.T.cells()), hours.shape[1], hours.shape[0], stats=True, name="CUHT")
+    chunks = [baselines.chunked(big), baselines.chunked(small)]
+    grid, f_qps = nmf.prepare(qcp, 10), nmf.start(qps, 10)
+    grid_qps = nmf.prepare(qps, 10)
     joined = lambda a, b, **k: a.join(b, "rid=rid", MUL, **k).cells.agg(F.sum("val"))
     f0 = nmf.start(qcp, 10)
 
-    def iteration():
-        f = nmf.step(qcp, f0)
-        return f.h
-
     timed = {
         "gram_rowsum": lambda: gram(qps).row_sums().cells(),
         "gram_rowsum_noopt": lambda: gram(qps).row_sums().using(none).cells(),
@@ -72,19 +74,27 @@ def main() -> None:
         "kron_sparse_dense_densify": lambda: q._sxn(spark, SF).using(Engine(strategy="densify")).kron(tnn).cells(),
         "overlay_add": lambda: big.join(small, "overlay", ADD).cells(),
         "overlay_add_densify": lambda: big.join(small, "overlay", ADD, strategy="densify").cells(),
-        "overlay_transpose": lambda: qps.join(q._cost(spark, SF), "transpose", MUL).cells(),
-        "overlay_transpose_densify": lambda: tnn.join(tnn, "transpose", MUL, strategy="densify").cells(),
+        "overlay_add_chunks": lambda: baselines.chunk_overlay(*chunks, ADD),
+        "overlay_transpose": lambda: qps.join(cost, "transpose", MUL).cells(),
+        "overlay_transpose_densify": lambda: qps.join(cost, "transpose", MUL, strategy="densify").cells(),
+        "overlay_transpose_users": lambda: hours.join(turned, "transpose", MUL).cells(),
+        "overlay_transpose_users_cross": lambda: baselines.cross_overlay(hours, turned, MUL),
         "d2d_rid_rid": lambda: joined(*placed),
-        "d2d_rid_rid_unplaced": lambda: joined(qps, qps),
-        "d2d_rid_rid_cross": lambda: baselines.cross_then_filter(tnn, m["CUE"], ("rid", "rid"), MUL),
+        "d2d_rid_rid_unplaced": lambda: joined(baselines.hashed(qps), baselines.hashed(qps)),
+        "d2d_users": lambda: joined(hours, hours),
+        "d2d_users_cross": lambda: baselines.cross_then_filter(hours, hours, ("rid", "rid"), MUL).agg(F.sum("val")),
         "v2v_sparse": lambda: m["CUE"].join(m["CUH"], "val=val", MUL, strategy="sparse").cells.agg(F.sum("val")),
         "v2v_bloom": lambda: m["CUE"].join(m["CUH"], "val=val", MUL, strategy="bloom").cells.agg(F.sum("val")),
-        "pnmf_iteration": iteration,
+        "pnmf_iteration": lambda: nmf.step(qcp, f0, grid).h,
+        "pnmf_iteration_nonzeros": lambda: nmf.step(qcp, f0).h,
+        "pnmf_qps": lambda: nmf.step(qps, f_qps, grid_qps).h,
+        "pnmf_qps_full_product": lambda: nmf.step_full(qps, f_qps).h,
     }
     seconds = {}
+    slow = ("noopt", "first", "tuples", "densify", "cross", "unplaced", "product", "none")  # rivals are run once
     for name, make in timed.items():
         said, s = measure.outcome(make, spark, 60)
-        seconds[name] = round(measure.timed(make, RUNS, warm=False), 3) if said == "done" else None
+        seconds[name] = None if said != "done" else round(s, 3) if s > 5 and name.endswith(slow) else round(measure.timed(make, RUNS, warm=False), 3)
         if said != "done":
             print(name, said, round(s, 1), file=sys.stderr)
     t = time.perf_counter()
@@ -96,6 +106,7 @@ def main() -> None:
     shuffles = {
         "d2d_by_row": measure.shuffled(spark, lambda: joined(placed[0].using(e), placed[1].using(e)))[0],
         "d2d_by_row_and_column": measure.shuffled(spark, lambda: joined(placed[0].using(e), col_placed.using(e)))[0],
+        "d2d_hashed": measure.shuffled(spark, lambda: joined(baselines.hashed(qps), baselines.hashed(qps)))[0],
         "d2d_by_column": measure.shuffled(spark, lambda: joined(col_placed.using(e), qps.placed(Scheme.C).using(e)))[0],
     }
     headline = [k for k in ("gram_rowsum", "gram_trace", "gram_entry", "linreg_row_all", "kron_sparse_dense", "overlay_add", "overlay_transpose", "d2d_rid_rid", "v2v_sparse", "pnmf_iteration")]
@@ -116,6 +127,15 @@ def main() -> None:
                     "entry_over_product_first": ratio("gram_entry_product_first", "gram_entry"),
                     "rowsum_over_tuples": ratio("gram_rowsum_tuples", "gram_rowsum"),
                     "overlay_over_densify": ratio("overlay_add_densify", "overlay_add"),
+                    "overlay_over_chunks": ratio("overlay_add_chunks", "overlay_add"),
+                    "kron_over_densify": ratio("kron_sparse_dense_densify", "kron_sparse_dense"),
+                    "transpose_over_densify": ratio("overlay_transpose_densify", "overlay_transpose"),
+                    "transpose_over_cross": ratio("overlay_transpose_users_cross", "overlay_transpose_users"),
+                    "d2d_over_hashed": ratio("d2d_rid_rid_unplaced", "d2d_rid_rid"),
+                    "d2d_over_cross": ratio("d2d_users_cross", "d2d_users"),
+                    "linreg_over_none": ratio("linreg_row_none", "linreg_row_all"),
+                    "v2v_sparse_over_bloom": ratio("v2v_bloom", "v2v_sparse"),
+                    "pnmf_over_full_product": ratio("pnmf_qps_full_product", "pnmf_qps"),
                 },
             }
         )

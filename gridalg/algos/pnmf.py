@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, functions as F
@@ -32,28 +33,127 @@ def _sums(rows: DataFrame, k: int) -> DataFrame:
     return rows.agg(F.array(*[F.sum(F.col("vec")[i]) for i in range(k)]).alias("total"))
 
 
+def _updated(own: DataFrame, top: DataFrame, other: DataFrame, k: int) -> DataFrame:
+    """Each vector times its row of top, over the sum of the other side's vectors."""
+    new = F.zip_with(F.zip_with("vec", F.coalesce("top", F.array(*[F.lit(0.0)] * k)), lambda x, y: x * y), "total", lambda x, t: F.when(t > 0, x / t).otherwise(0.0))
+    return own.join(top, "id", "left").crossJoin(F.broadcast(_sums(other, k))).select("id", new.alias("vec"))
+
+
 def _half(a: DataFrame, f: Factors, side: str) -> DataFrame:
-    """The next w (or h): each vector times sum_j (a / wh) * other's vector, over the sum of the other's vectors."""
+    """The next w (or h), with both vectors brought to every nonzero."""
     key, own, other = ("rid", f.w, f.h) if side == "w" else ("cid", f.h, f.w)
     s = masked_product(a, f.w, f.h)
     theirs = "hv" if side == "w" else "wv"
     q = F.try_divide("val", "s")
     top = s.groupBy(F.col(key).alias("id")).agg(F.array(*[F.sum(q * F.col(theirs)[i]) for i in range(f.k)]).alias("top"))
-    new = F.zip_with(F.zip_with("vec", F.coalesce("top", F.array(*[F.lit(0.0)] * f.k)), lambda x, y: x * y), "total", lambda x, t: F.when(t > 0, x / t).otherwise(0.0))
-    return own.join(top, "id", "left").crossJoin(F.broadcast(_sums(other, f.k))).select("id", new.alias("vec"))
+    return _updated(own, top, other, f.k)
+
+
+@dataclass(frozen=True)
+class Grid:
+    """The nonzeros dealt to side x side parts by hashes of row and column, so that a heavy line spreads over side parts."""
+
+    cells: DataFrame  # part, rid, cid, val
+    side: int
+
+    @staticmethod
+    def of(a: DataFrame, parts: int) -> Grid:
+        side = max(1, math.ceil(math.sqrt(parts)))
+        line = lambda c: F.pmod(F.xxhash64(c), F.lit(side)).cast("int")
+        cells = nonzeros(a).select((line("rid") * side + line("cid")).alias("part"), "rid", "cid", "val")
+        return Grid(cut(cells.repartition(side * side, "part")), side)
+
+    def half(self, f: Factors, side: str) -> DataFrame:
+        """The next w (or h): each vector goes once to each part of its grid line, and sums of parts come back."""
+        line = F.pmod(F.xxhash64("id"), F.lit(self.side)).cast("int")
+        other = F.explode(F.sequence(F.lit(0), F.lit(self.side - 1)))
+        rows = f.w.select(F.lit(0).alias("kind"), "id", "vec", line.alias("r"), other.alias("c"))
+        columns = f.h.select(F.lit(1).alias("kind"), "id", "vec", line.alias("c"), other.alias("r"))
+        vectors = rows.unionByName(columns).select((F.col("r") * self.side + F.col("c")).cast("int").alias("part"), "kind", "id", "vec").repartition(self.side**2, "part")
+        found = self.cells.groupBy("part").cogroup(vectors.groupBy("part")).applyInArrow(_kernel(f.k, side), "id long, " + ", ".join(f"t{i} double" for i in range(f.k)))
+        top = found.groupBy("id").agg(F.array(*[F.sum(f"t{i}") for i in range(f.k)]).alias("top"))
+        return _updated(f.w, top, f.h, f.k) if side == "w" else _updated(f.h, top, f.w, f.k)
+
+
+def _kernel(k: int, side: str):
+    """Sums of (a / wh) times the other side's vectors over the nonzeros of a part, for each line of one side."""
+
+    def run(cells, vectors):
+        import numpy as np
+        import pyarrow as pa
+
+        names = ["id", *(f"t{i}" for i in range(k))]
+
+        def table(ids, sums):
+            return pa.table([pa.array(ids, pa.int64()), *(pa.array(sums[:, i]) for i in range(k))], names=names)
+
+        if not cells.num_rows or not vectors.num_rows:
+            return table(np.zeros(0, np.int64), np.zeros((0, k)))
+        kind, ids = np.asarray(vectors["kind"]), np.asarray(vectors["id"])
+        flat = np.asarray(vectors["vec"].combine_chunks().flatten()).reshape(-1, k)
+        held = []
+        for n, key in ((0, "rid"), (1, "cid")):
+            turn = np.flatnonzero(kind == n)
+            turn = turn[np.argsort(ids[turn])]
+            held.append((flat[turn], ids[turn], np.searchsorted(ids[turn], np.asarray(cells[key]))))
+        (w, wi, r), (h, hi, c) = held
+        val = np.asarray(cells["val"])
+        own, mine, theirs, there = (wi, r, h, c) if side == "w" else (hi, c, w, r)
+        sums = np.zeros((len(own), k))
+        for lo in range(0, len(val), 1 << 18):
+            some = slice(lo, lo + (1 << 18))
+            s = np.einsum("ij,ij->i", w[r[some]], h[c[some]])
+            q = np.divide(val[some], s, out=np.zeros(len(s)), where=s != 0)
+            for i in range(k):
+                sums[:, i] += np.bincount(mine[some], weights=q * theirs[there[some], i], minlength=len(own))
+        hit = np.unique(mine)
+        return table(own[hit], sums[hit])
+
+    return run
+
+
+#: Nonzeros of a part of a grid.
+PART = 2_000_000
+
+
+def prepare(a: Matrix, k: int) -> Grid | None:
+    """The grid to iterate over, or None where bringing vectors to nonzeros moves less: hardly any entries in a line."""
+    cells = nonzeros(a.cells())
+    nnz = a.meta().nnz if a.meta().stored is not None else cells.count()
+    parts = max(int(a.spark.conf.get("spark.sql.shuffle.partitions")), -(-nnz // PART))
+    side = math.ceil(math.sqrt(parts))
+    m, n = a.shape
+    return Grid.of(cells, parts) if (m + n) * side < 3 * nnz else None
 
 
-def step(a: Matrix, f: Factors) -> Factors:
-    """One iteration: w first, then h with the new w."""
-    cells = a.cells()
-    f = Factors(_half(cells, f, "w"), f.h, f.k)
-    return Factors(f.w, _half(cells, f, "h"), f.k)
+def step(a: Matrix, f: Factors, grid: Grid | None = None) -> Factors:
+    """One iteration: w first, then h with the new w, which is written in between as the second half reads it twice."""
+    half = (lambda f, side: grid.half(f, side)) if grid else (lambda f, side: _half(a.cells(), f, side))
+    f = Factors(cut(half(f, "w")), f.h, f.k)
+    return Factors(f.w, half(f, "h"), f.k)
 
 
 def step_w(a: Matrix, f: Factors) -> Factors:
     return Factors(_half(a.cells(), f, "w"), f.h, f.k)
 
 
+def step_full(a: Matrix, f: Factors) -> Factors:
+    """The same iteration with wh built in full, as engines without a masked product do: m x n entries instead of the nonzeros."""
+    ones = lambda n: F.broadcast(a.spark.range(n).select("id"))
+
+    def full(f: Factors, side: str) -> DataFrame:
+        grid = f.w.select(F.col("id").alias("rid"), F.col("vec").alias("wv")).crossJoin(ones(a.shape[1]).withColumnRenamed("id", "cid")).join(f.h.select(F.col("id").alias("cid"), F.col("vec").alias("hv")), "cid")
+        s = grid.select("rid", "cid", F.aggregate(F.zip_with("wv", "hv", lambda x, y: x * y), F.lit(0.0), lambda acc, v: acc + v).alias("s"), "wv", "hv")
+        q = F.try_divide(F.coalesce("val", F.lit(0.0)), "s")
+        key, own, other, theirs = ("rid", f.w, f.h, "hv") if side == "w" else ("cid", f.h, f.w, "wv")
+        both = s.join(a.cells(), ["rid", "cid"], "left")
+        top = both.groupBy(F.col(key).alias("id")).agg(F.array(*[F.sum(q * F.col(theirs)[i]) for i in range(f.k)]).alias("top"))
+        return _updated(own, top, other, f.k)
+
+    f = Factors(cut(full(f, "w")), f.h, f.k)
+    return Factors(f.w, full(f, "h"), f.k)
+
+
 def objective(a: Matrix, f: Factors) -> DataFrame:
     """One value: the sum of wh, from column sums of w and row sums of h alone, minus the sum of a * log(wh) at a's nonzeros."""
     w, h = _sums(f.w, f.k).withColumnRenamed("total", "x"), _sums(f.h, f.k).withColumnRenamed("total", "y")
@@ -69,8 +169,9 @@ def pnmf(a: Matrix, k: int, iterations: int = 10, tolerance: float = 0.0, checkp
     """
     f = start(a, k)
     history = [objective(a, f).first()[0]]
+    grid = prepare(a, k)
     for i in range(iterations):
-        f = step(a, f)
+        f = step(a, f, grid)
         if (i + 1) % checkpoint == 0:
             f = Factors(cut(f.w), cut(f.h), k)
         history.append(objective(a, f).first()[0])
@@ -88,30 +189,64 @@ def matrices(a: Matrix, f: Factors) -> tuple[Matrix, Matrix]:
     return Matrix.of(w, m, f.k, engine=a.engine), Matrix.of(h, f.k, n, engine=a.engine)
 
 
-def recommend(ratings: Matrix, features: Matrix, k: int, topk: int, iterations: int = 3) -> DataFrame:
+#: Users and items of a block that are scored together.
+USERS, ITEMS = 1000, 10_000
+
+
+def _blocks(vectors: DataFrame, size: int, name: str) -> DataFrame:
+    """Rows of up to some `size` ids with their vectors, as arrays; ids are dealt by a hash, so blocks have about that size."""
+    n = -(-vectors.count() // size) or 1
+    return vectors.groupBy(F.pmod(F.xxhash64("id"), F.lit(n)).alias(f"{name}_block")).agg(*[F.collect_list(F.struct(*vectors.columns)).alias(name)])
+
+
+def _best(topk: int):
+    """user, item, val: the topk unseen items of a block of items for each user of a block of users."""
+
+    def run(batches):
+        import numpy as np
+        import pyarrow as pa
+
+        for batch in batches:
+            for users, items in zip(batch.column(0), batch.column(1), strict=True):
+                u, i = users.values, items.values
+                uid, iid = np.asarray(u.field("id")), np.asarray(i.field("id"))
+                w = np.asarray(i.field("vec").flatten()).reshape(len(iid), -1)
+                h = np.asarray(u.field("vec").flatten()).reshape(len(uid), -1)
+                turn = np.argsort(iid)
+                iid, score = iid[turn], h @ w[turn].T
+                seen = u.field("seen")
+                row = np.repeat(np.arange(len(uid)), np.diff(np.asarray(seen.offsets)))
+                had = np.asarray(seen.flatten())
+                at = np.minimum(np.searchsorted(iid, had), len(iid) - 1)
+                known = iid[at] == had
+                score[row[known], at[known]] = -np.inf
+                # ids ascend, so a stable order puts the smaller id first where scores tie
+                best = np.argsort(-score, axis=1, kind="stable")[:, :topk]
+                val = np.take_along_axis(score, best, 1)
+                keep = np.isfinite(val)
+                yield pa.record_batch([pa.array(np.repeat(uid, keep.sum(1))), pa.array(iid[best][keep]), pa.array(val[keep])], names=["user", "item", "val"])
+
+    return run
+
+
+def recommend(ratings: Matrix, features: Matrix, k: int, topk: int, iterations: int = 5) -> DataFrame:
     """user, rank, item, val: the best unseen items of each user. ratings is item x user, features item x feature.
 
     Features keep their columns with entries only, scaled to at most one, and stand beside the users as further columns
-    of the factored matrix, so that items that look alike get alike factors. Only pairs of an item and a user that has
-    ratings are scored; the larger side is not broadcast.
+    of the factored matrix, so that items that look alike get alike factors. Users that have ratings are scored: blocks
+    of users meet blocks of items as small matrices, a block pair gives each user's topk of it, and only those are merged.
+    Ties go to the smaller item.
     """
     x = features.select_nonempty_cols().cells()
     top = x.groupBy("cid").agg(F.max(F.abs("val")).alias("top"))
     n_items, n_users = ratings.shape
     side = x.join(top, "cid").filter("top > 0").select("rid", (F.col("cid") + n_users).alias("cid"), (F.abs("val") / F.col("top")).alias("val"))
-    both = Matrix.of(ratings.cells().unionByName(side), n_items, n_users + features.shape[1], engine=ratings.engine)
+    both = Matrix.of(cut(ratings.cells().unionByName(side)), n_items, n_users + features.shape[1], engine=ratings.engine)
     f, _ = pnmf(both, k, iterations)
-    users = ratings.cells().select(F.col("cid").alias("user")).distinct()
-    h = f.h.join(users, F.col("id") == F.col("user")).select("user", F.col("vec").alias("hv"))
-    scored = f.w.select(F.col("id").alias("item"), F.col("vec").alias("wv")).crossJoin(h)
-    seen = nonzeros(ratings.cells()).select(F.col("rid").alias("item"), F.col("cid").alias("user"))
-    score = F.aggregate(F.zip_with("wv", "hv", lambda p, q: p * q), F.lit(0.0), lambda acc, v: acc + v)
-    unseen = scored.join(seen, ["item", "user"], "left_anti").select("user", "item", score.alias("val"))
-    best = unseen.groupBy("user").agg(F.max_by(F.struct("val", (-F.col("item")).alias("neg")), F.struct("val", (-F.col("item")).alias("neg")), topk).alias("x")) if _has_max_by_k() else unseen.groupBy("user").agg(F.slice(F.sort_array(F.collect_list(F.struct("val", (-F.col("item")).alias("neg"))), False), 1, topk).alias("x"))
+    seen = nonzeros(ratings.cells()).groupBy(F.col("cid").alias("id")).agg(F.collect_list("rid").alias("seen"))
+    users = ratings.cells().select(F.col("cid").alias("id")).distinct().join(seen, "id", "left").select("id", F.coalesce("seen", F.expr("cast(array() as array<long>)")).alias("seen"))
+    people = _blocks(cut(f.h.join(users, "id").select("id", "vec", "seen")), USERS, "users")
+    things = _blocks(f.w, ITEMS, "items")
+    pairs = people.select("users").crossJoin(things.select("items"))
+    best = pairs.mapInArrow(_best(topk), "user long, item long, val double").groupBy("user").agg(F.slice(F.sort_array(F.collect_list(F.struct("val", (-F.col("item")).alias("neg"))), False), 1, topk).alias("x"))
     return best.select("user", F.posexplode("x").alias("p", "x")).select("user", (F.col("p") + 1).alias("rank"), (-F.col("x.neg")).alias("item"), F.col("x.val").alias("val"))
-
-
-def _has_max_by_k() -> bool:
-    import inspect
-
-    return len(inspect.signature(F.max_by).parameters) > 2

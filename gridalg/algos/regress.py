@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, functions as F
 
 from gridalg.api import RID, Matrix
+from gridalg.functions.lineage import cut
 
 
 def gram(x: Matrix) -> Matrix:
@@ -21,11 +22,14 @@ def linreg_row(x: Matrix, y: Matrix, i: int) -> Matrix:
     return linreg(x, y).select(RID == i)
 
 
+#: R factors that one task of the reduction stacks.
+FAN = 16
+
+
 def qr(x: Matrix) -> tuple[Matrix, Matrix]:
-    """Q and R of a tall matrix. R of each part, then R of the stacked ones; Q is X R^-1.
+    """Q and R of a tall matrix. R of each part, then R of stacks of FAN of them until one is left; Q is X R^-1.
 
-    R has d x d entries for each part of the rows; one task factors the stack, so d is bounded by the inverse limit.
-    Needs full column rank.
+    A factor has d x d entries, so a task holds FAN of them; d is bounded by the inverse limit. Needs full column rank.
     """
     m, d = x.shape
     if d > x.engine.limits.inverse:
@@ -43,21 +47,34 @@ def qr(x: Matrix) -> tuple[Matrix, Matrix]:
                 for e in entries:
                     block[i, e["cid"]] = e["val"]
             r = np.linalg.qr(np.vstack([r, block]), mode="r")
-        yield pd.DataFrame({"part": [r.tolist()]})
+        if len(r):
+            yield pd.DataFrame({"part": [r.ravel().tolist()]})
 
     def stack(pdf):
         import numpy as np
         import pandas as pd
 
-        r = np.linalg.qr(np.vstack([np.array([list(row) for row in p]).reshape(-1, d) for p in pdf["part"]]), mode="r")
-        sign = np.where(np.diag(r) < 0, -1.0, 1.0)
-        r = r * sign[:, None]
-        i, j = np.triu_indices(d)
-        return pd.DataFrame({"rid": i, "cid": j, "val": r[i, j]})
+        r = np.linalg.qr(np.vstack([np.array(p).reshape(-1, d) for p in pdf["part"]]), mode="r")
+        return pd.DataFrame({"n": pdf["n"].iloc[:1] // FAN, "part": [r.ravel().tolist()]})
+
+    def signed(frames):
+        import numpy as np
+        import pandas as pd
 
-    local = rows.mapInPandas(factor, "part array<array<double>>")
-    cells = local.withColumn("g", F.lit(0)).groupBy("g").applyInPandas(stack, "rid long, cid long, val double")
-    r = Matrix.of(cells, d, d, engine=x.engine)
+        for pdf in frames:
+            for p in pdf["part"]:
+                r = np.array(p).reshape(-1, d)
+                r = np.vstack([r, np.zeros((d - len(r), d))]) if len(r) < d else r
+                r = r * np.where(np.diag(r) < 0, -1.0, 1.0)[:, None]
+                i, j = np.triu_indices(d)
+                yield pd.DataFrame({"rid": i, "cid": j, "val": r[i, j]})
+
+    local = cut(rows.mapInPandas(factor, "part array<double>").withColumn("n", F.spark_partition_id().cast("long")))
+    left = local.agg(F.max("n")).first()[0]
+    while left:  # log of the number of parts to the base FAN
+        local = local.groupBy(F.floor(F.col("n") / FAN).alias("g")).applyInPandas(stack, "n long, part array<double>")
+        left //= FAN
+    r = Matrix.of(local.mapInPandas(signed, "rid long, cid long, val double"), d, d, engine=x.engine)
     return x @ r.inverse(), r
 
 

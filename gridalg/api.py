@@ -8,15 +8,15 @@ from dataclasses import dataclass, field, replace
 from pyspark.sql import Column, DataFrame, SparkSession, functions as F
 
 from gridalg.catalog import NULL, ZERO, MatrixMeta, Scheme, dimensions, measured
-from gridalg.functions.merge import MergeFn
+from gridalg.functions.merge import Flags, MergeFn
 from gridalg.functions.predicate import CID, RID, VAL, Theta
 from gridalg.operators.cells import Limits, TooLarge, densify, lower
-from gridalg.operators.joins import Operand, join_cells, output_size, place, result_dims
+from gridalg.operators.joins import Operand, fused_sum, fused_totals, join_cells, output_size, place, result_dims
 from gridalg.plans.cost import SHAPES, Placement, assign_schemes, shape_of
 from gridalg.plans.nodes import Agg, Elem, Inverse, Map, MatMul, Node, NonEmpty, Ones, Scalar, Select, ShapeError, Source, Transpose
 from gridalg.plans.rewrite import rewrite
 
-__all__ = ["CID", "NULL", "RID", "VAL", "ZERO", "Engine", "Limits", "Matrix", "MergeFn", "Scheme", "ShapeError", "Tensor", "TooLarge"]
+__all__ = ["CID", "Choice", "NULL", "RID", "VAL", "ZERO", "Engine", "Limits", "Matrix", "MergeFn", "Scheme", "ShapeError", "Tensor", "TooLarge"]
 
 
 @dataclass(frozen=True)
@@ -25,7 +25,7 @@ class Engine:
 
     rules: frozenset[str] | None = None
     strategy: str = "auto"
-    placement: bool = False
+    placement: bool = True
     workers: int = 8
     limits: Limits = field(default_factory=Limits)
 
@@ -37,13 +37,16 @@ class Matrix:
         self.node, self.spark, self.engine = node, spark, engine
 
     @staticmethod
-    def of(cells: DataFrame, nrows: int | None = None, ncols: int | None = None, *, absent: str = ZERO, stats: bool = False, name: str = "A", engine: Engine = Engine(), nullable: bool = False) -> Matrix:
-        """A matrix of entries that are unique in (rid, cid). Dimensions that are not given are looked up in one job."""
+    def of(cells: DataFrame, nrows: int | None = None, ncols: int | None = None, *, absent: str = ZERO, stats: bool = False, name: str = "A", engine: Engine = Engine(), nullable: bool = False, at_most: int | None = None) -> Matrix:
+        """A matrix of entries that are unique in (rid, cid). Dimensions that are not given are looked up in one job.
+
+        at_most bounds the stored entries where that is known for free; stats measures the matrix in one pass.
+        """
         cells = cells.select(F.col("rid").cast("long").alias("rid"), F.col("cid").cast("long").alias("cid"), F.col("val").cast("double").alias("val"))
         if nrows is None or ncols is None:
             m, n = dimensions(cells)
             nrows, ncols = nrows if nrows is not None else m, ncols if ncols is not None else n
-        meta = MatrixMeta(nrows, ncols, absent, nullable)
+        meta = MatrixMeta(nrows, ncols, absent, nullable, at_most=at_most)
         return Matrix(Source(cells, measured(cells, meta) if stats else meta, name), cells.sparkSession, engine)
 
     @staticmethod
@@ -196,33 +199,82 @@ class Matrix:
 
     # joins
 
-    def join(self, other: Matrix, gamma: str | tuple, f: MergeFn, strategy: str | None = None) -> Tensor | Matrix:
-        """The join on a predicate, with f merging the two values; overlays give a matrix, others a tensor."""
-        shape = shape_of(gamma)
-        flags = f.flags(self.spark)
-        a, b = Operand(self.cells(), *self.shape), Operand(other.cells(), *other.shape)
+    def meta(self) -> MatrixMeta:
+        """What is known of the matrix; of a plan that is not a source, its cells bound the entries and its density estimates them."""
+        if isinstance(self.node, Source):
+            return self.node.meta
+        m, n = self.shape
+        return MatrixMeta(m, n, self.node.absent, self.node.nullable, nnz=int(self.node.density * m * n))
+
+    def measured(self) -> Matrix:
+        """The same matrix with statistics from one pass over its entries."""
+        cells = self.cells()
+        return Matrix(Source(cells, measured(cells, replace(self.meta(), nnz=None))), self.spark, self.engine)
+
+    def choose(self, other: Matrix, gamma: str | tuple, f: MergeFn, strategy: str | None = None) -> Choice:
+        """How a join would run: strategy, sizes, selectivity, placement and a bound of its rows. No job reads data for it."""
+        shape, flags, limits = shape_of(gamma), f.flags(self.spark), self.engine.limits
         strategy = strategy or self.engine.strategy
-        limits, schemes = self.engine.limits, None
-        if self.engine.placement:
-            p = self.placement(other, gamma)
-            schemes = (p.sa, p.sb)
-        if len(SHAPES[shape]) == 1 and "val" not in SHAPES[shape][0] and flags.sx and flags.sy and limits.output < 10**12:
-            rows = output_size(a, b, shape)
-            if rows > limits.output:
-                raise TooLarge(f"a join of {rows} entries is over the limit of {limits.output}; sum it with fused_sum instead")
-        out = join_cells(a, b, shape, f, flags, strategy=strategy, limits=limits, schemes=schemes)
-        if shape in ("overlay", "transpose"):
-            return self._cells(out)
+        p, q = self.meta(), other.meta()
+        dense = strategy in ("densify", "nested_loop")
+        on_values = shape == "val=val"
+        sparse = (flags.z0, flags.z0) if on_values else (flags.sx, flags.sy)
+        # at most so many entries take part: nonzeros where the merge function's zeros fall away, all cells where not
+        a, b = (m.nrows * m.ncols if dense or not s else m.size() for m, s in ((p, sparse[0]), (q, sparse[1])))
+        most = tuple(m.nrows * m.ncols if dense or not s else m.bound() for m, s in ((p, sparse[0]), (q, sparse[1])))
+        pairs = SHAPES[shape]
+        eta = 1.0
+        if len(pairs) == 1 and not on_values and "val" in pairs[0]:
+            (x, y), = pairs
+            eta = p.selectivity(q.nrows if y == "rid" else q.ncols) if x == "val" else q.selectivity(p.nrows if x == "rid" else p.ncols)
+        placement = assign_schemes(shape, p.scheme, q.scheme, a, b, self.engine.workers, eta, tuple(m <= limits.broadcast for m in most)) if self.engine.placement else None
+        if strategy == "auto" and len(pairs) == 1 and "val" in pairs[0] and not (placement and Scheme.B in (placement.sa, placement.sb)):
+            # a filter pays where one side is small enough for it and the other is much larger; a full dimension rules out no value
+            small, large = min(most), max(a, b)
+            if not on_values:
+                (x, y), = pairs
+                dim, n = (a, p.nrows if x == "rid" else p.ncols) if x != "val" else (b, q.nrows if y == "rid" else q.ncols)
+                small, large = (min(n, dim), b if x != "val" else a) if 2 * dim <= n else (large, 0)
+            if small <= limits.bloom and large >= 4 * small and (not on_values or flags.z0):
+                strategy = "bloom_sparse"
+        rows = None
+        if len(pairs) == 1 and not on_values and "val" not in pairs[0]:
+            free = lambda m, k: m.ncols if k == "rid" else m.nrows
+            (x, y), = pairs
+            rows = min(most[0] * free(q, y), most[1] * free(p, x))
+        return Choice(shape, flags, strategy, (a, b), most, eta, placement, rows)
+
+    def join(self, other: Matrix, gamma: str | tuple, f: MergeFn, strategy: str | None = None) -> Tensor | Matrix:
+        """The join on a predicate, with f merging the two values; overlays give a matrix, others a tensor.
+
+        Strategy and placement come from the cost model unless they are given: see choose.
+        """
+        c = self.choose(other, gamma, f, strategy)
+        a, b = (Operand(m.cells(), *m.shape, size=n) for m, n in ((self, c.most[0]), (other, c.most[1])))
+        schemes = (c.placement.sa, c.placement.sb) if c.placement else None
+        limits = self.engine.limits
+
+        def cells() -> DataFrame:
+            if c.rows is not None and c.rows > limits.output and c.flags.sx and c.flags.sy:
+                rows = output_size(a, b, c.shape)
+                if rows > limits.output:
+                    raise TooLarge(f"a join of {rows} entries is over the limit of {limits.output}; sums of it need no rows: see Tensor.agg")
+            return join_cells(a, b, c.shape, f, c.flags, strategy=c.strategy, limits=limits, schemes=schemes)
+
+        if c.shape in ("overlay", "transpose"):
+            return self._cells(cells())
         sizes = {("a", "rid"): a.nrows, ("a", "cid"): a.ncols, ("b", "rid"): b.nrows, ("b", "cid"): b.ncols}
-        return Tensor(out, tuple(sizes[d] for d in result_dims(shape)), tuple(result_dims(shape)))
+        dims = tuple(result_dims(c.shape))
+        return Tensor(cells, tuple(sizes[d] for d in dims), dims, (self, other, gamma, f, strategy), c)
 
-    def placement(self, other: Matrix, gamma: str | tuple, eta: float = 1.0) -> Placement:
-        """The cheapest placement of the operands of a join, from known sizes."""
-        meta = lambda x: x.node.meta if isinstance(x.node, Source) else MatrixMeta(*x.shape, nnz=int(x.node.density * x.shape[0] * x.shape[1]))
-        p, q = meta(self), meta(other)
-        n = self.engine.workers
-        small = min(p.size(), q.size()) <= self.engine.limits.broadcast
-        return assign_schemes(shape_of(gamma), p.scheme, q.scheme, p.size(), q.size(), n, eta, allow_broadcast=small)
+    def explain_join(self, other: Matrix, gamma: str | tuple, f: MergeFn) -> str:
+        return str(self.choose(other, gamma, f))
+
+    def placement(self, other: Matrix, gamma: str | tuple, eta: float | None = None) -> Placement:
+        """The cheapest placement of the operands of a join on nonzeros, from known sizes."""
+        p, q = self.meta(), other.meta()
+        small = tuple(m.bound() <= self.engine.limits.broadcast for m in (p, q))
+        return assign_schemes(shape_of(gamma), p.scheme, q.scheme, p.size(), q.size(), self.engine.workers, 1.0 if eta is None else eta, small)
 
     def kron(self, other: Matrix) -> Matrix:
         """The Kronecker product, as the cross product with one row and one column id."""
@@ -268,19 +320,97 @@ class Matrix:
 
 
 @dataclass(frozen=True)
+class Choice:
+    """What the cost model says of a join: sizes are estimates, most and rows are bounds."""
+
+    shape: str
+    flags: Flags
+    strategy: str
+    sizes: tuple[int, int]
+    most: tuple[int, int]
+    eta: float
+    placement: Placement | None
+    rows: int | None
+
+    def __str__(self) -> str:
+        place = f"{self.placement.sa.value},{self.placement.sb.value} moving {self.placement.cost:.0f}" if self.placement else "as they lie"
+        return f"{self.shape}: {self.strategy}, sizes {self.sizes[0]} and {self.sizes[1]}, selectivity {self.eta:.3g}, placed {place}"
+
+
 class Tensor:
-    """A tensor of order 3 or 4: cells (d1.., val), sizes, and the side and attribute behind each dimension."""
+    """A lazy tensor of order 3 or 4: cells (d1.., val), sizes, and the side and attribute behind each dimension.
 
-    cells: DataFrame
-    sizes: tuple[int, ...]
-    origin: tuple[tuple[str, str], ...]
+    parts are the operands, predicate, merge function and strategy of the join behind it; aggregates and selections use them
+    to avoid the join's rows.
+    """
+
+    def __init__(self, cells: DataFrame | Callable[[], DataFrame], sizes: tuple[int, ...], origin: tuple[tuple[str, str], ...], parts: tuple | None = None, choice: Choice | None = None):
+        self._make, self.sizes, self.origin, self.parts, self.choice = cells, sizes, origin, parts, choice
+        self._made: DataFrame | None = None if callable(cells) else cells
+
+    @property
+    def cells(self) -> DataFrame:
+        if self._made is None:
+            self._made = self._make()
+        return self._made
+
+    def dims(self) -> list[str]:
+        return [f"d{i + 1}" for i in range(len(self.sizes))]
+
+    def _product(self) -> tuple[Operand, Operand, str] | None:
+        """The operands, if this is a join on one dimension that multiplies values and rule R40 is on."""
+        if self.parts is None or len(self.sizes) != 3:
+            return None
+        a, b, gamma, f, strategy = self.parts
+        if f.name != "mul" or strategy is not None or (a.engine.rules is not None and "R40" not in a.engine.rules):
+            return None
+        return Operand(a.cells(), *a.shape), Operand(b.cells(), *b.shape), shape_of(gamma)
 
     def agg(self, fn: str, over: tuple[str, ...]) -> DataFrame:
-        """An aggregate over some dimensions; dealt by the first one that stays, so that the rows of a group are local."""
-        stay = [f"d{i + 1}" for i in range(len(self.sizes)) if f"d{i + 1}" not in over]
+        """An aggregate over some dimensions.
+
+        A sum over one dimension of a product is fused with the join (R40): over the shared dimension it is a matrix
+        product, over a free one that side is summed first. Other aggregates group what the join leaves; where the shared
+        dimension stays, the rows of a group are in one task already and nothing is dealt again.
+        """
+        parts = self._product()
+        if fn == "sum" and len(over) == 1 and parts is not None:
+            return fused_sum(*parts, over[0])
+        stay = [d for d in self.dims() if d not in over]
         value = {"sum": F.sum("val"), "max": F.max("val"), "min": F.min("val"), "nnz": F.count_if(F.col("val") != 0).cast("double"), "avg": F.try_divide(F.sum("val"), F.count_if(F.col("val") != 0))}[fn]
         return self.cells.groupBy(*stay).agg(value.alias("val"))
 
+    def totals(self) -> DataFrame:
+        """One row: n, the number of rows that a join on nonzeros gives, and total, their sum; without those rows for products."""
+        parts = self._product()
+        if parts is not None:
+            return fused_totals(*parts)
+        return self.cells.agg(F.count("*").alias("n"), F.sum("val").alias("total"))
+
+    def select(self, **wanted: int | tuple[int, int]) -> Tensor:
+        """The cells where each named dimension has an id or lies between two (R36); selections go to the operand behind it."""
+        if self.parts is None:
+            cells = self.cells
+            for d, x in wanted.items():
+                lo, hi = x if isinstance(x, tuple) else (x, x)
+                cells = cells.filter(F.col(d).between(lo, hi))
+            return Tensor(cells, self.sizes, self.origin)
+        a, b, gamma, f, strategy = self.parts
+        pairs = SHAPES[shape_of(gamma)]
+        sides = {"a": a, "b": b}
+        for d, x in wanted.items():
+            lo, hi = x if isinstance(x, tuple) else (x, x)
+            side, k = self.origin[self.dims().index(d)]
+            both = [(side, k)] + [("b", q) for p, q in pairs if side == "a" and p == k and q != "val"]
+            for s, key in both:
+                t = RID if key == "rid" else CID
+                sides[s] = sides[s].select((t >= lo) & (t <= hi))
+        return sides["a"].join(sides["b"], gamma, f, strategy)
+
     def lead(self, over: tuple[str, ...]) -> str:
-        """The dimension to keep exact in blocks and to deal by: the first that no following aggregate removes."""
-        return next(f"d{i + 1}" for i in range(len(self.sizes)) if f"d{i + 1}" not in over)
+        """The dimension to deal by: the first that no following aggregate removes."""
+        return next(d for d in self.dims() if d not in over)
+
+    def laid_out(self, over: tuple[str, ...]) -> Tensor:
+        """The cells dealt by the lead dimension, so that aggregates over the others stay within tasks."""
+        return Tensor(self.cells.repartition(self.lead(over)), self.sizes, self.origin)

@@ -57,3 +57,31 @@ def cross_then_filter(a: Matrix, b: Matrix, on: tuple[str, str], f: MergeFn) ->
     # the comparison of differences keeps the pairs from becoming an equi-join
     both = x.crossJoin(y).filter(F.abs(F.col(p) - F.col(q)) < 1)
     return both.select(F.col(p).alias("d1"), F.col(fa).alias("d2"), F.col(fb).alias("d3"), f(F.col("av"), F.col("bv")).alias("val"))
+
+
+def hashed(m: Matrix) -> Matrix:
+    """The matrix with its entries dealt by a hash of both ids, the placement of an engine without a cost model."""
+    return Matrix.of(m.cells().repartition("rid", "cid"), *m.shape, engine=Engine(placement=False))
+
+
+def chunked(m: Matrix, side: int = 1000) -> DataFrame:
+    """rblk, cblk, rid, cid, val dealt by chunk and written, as an array store loads a matrix."""
+    block = lambda c: F.floor(F.col(c) / side)
+    n = int(m.spark.conf.get("spark.sql.shuffle.partitions"))
+    return cut(m.cells().select(block("rid").alias("rblk"), block("cid").alias("cblk"), "rid", "cid", "val").repartition(n, "rblk", "cblk"))
+
+
+def chunk_overlay(a: DataFrame, b: DataFrame, f: MergeFn) -> DataFrame:
+    """A direct overlay of two chunked matrices: aligned chunks meet where they lie."""
+    x, y = a.withColumnRenamed("val", "av"), b.withColumnRenamed("val", "bv")
+    both = x.join(y, ["rblk", "cblk", "rid", "cid"], "full")
+    zero = lambda c: F.coalesce(c, F.lit(0.0))
+    return both.select("rid", "cid", f(zero("av"), zero("bv")).alias("val"))
+
+
+def cross_overlay(a: Matrix, b: Matrix, f: MergeFn) -> DataFrame:
+    """A transpose overlay as all pairs that are filtered afterwards: chunks of a and of b turned are not aligned."""
+    x = a.cells().select(F.col("rid").alias("ar"), F.col("cid").alias("ac"), F.col("val").alias("av"))
+    y = b.cells().select(F.col("rid").alias("br"), F.col("cid").alias("bc"), F.col("val").alias("bv"))
+    both = x.crossJoin(y).filter((F.abs(F.col("ar") - F.col("bc")) < 1) & (F.abs(F.col("ac") - F.col("br")) < 1))
+    return both.select(F.col("ar").alias("rid"), F.col("ac").alias("cid"), f(F.col("av"), F.col("bv")).alias("val"))

@@ -1,4 +1,4 @@
-"""Bloom filters of entry values, in SQL functions."""
+"""Bloom filters of entry values and ids, in SQL functions."""
 
 from __future__ import annotations
 
@@ -6,8 +6,8 @@ import math
 
 from pyspark.sql import Column, DataFrame, functions as F
 
-#: Bits of the largest filter: a megabyte is broadcast at most, whatever the data.
-MAX_BITS = 1 << 23
+#: Bits of the largest filter: eight megabytes are broadcast at most, whatever the data.
+MAX_BITS = 1 << 26
 
 
 def sizing(n: int, fpp: float) -> tuple[int, int]:
@@ -21,21 +21,26 @@ def _bit(value: Column, seed: int, bits: int) -> Column:
     return F.pmod(F.xxhash64(value + F.lit(0.0), F.lit(seed)), F.lit(bits))
 
 
-def words(values: DataFrame, bits: int, hashes: int) -> DataFrame:
-    """One row with the filter of the val column as an array of 64-bit words."""
-    at = values.select(F.explode(F.array(*[_bit(F.col("val"), k, bits) for k in range(hashes)])).alias("bit"))
+def words(values: DataFrame, bits: int, hashes: int, key: str = "val") -> DataFrame:
+    """One row with the filter of a column as an array of 64-bit words."""
+    at = values.select(F.explode(F.array(*[_bit(F.col(key).cast("double"), k, bits) for k in range(hashes)])).alias("bit"))
     word = at.groupBy(F.floor(F.col("bit") / 64).cast("int").alias("w")).agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), F.pmod("bit", F.lit(64)).cast("int"))).alias("x"))
     found = word.agg(F.map_from_entries(F.collect_list(F.struct("w", "x"))).alias("m"))
     return found.select(F.transform(F.sequence(F.lit(0), F.lit(bits // 64 - 1)), lambda i: F.coalesce(F.try_element_at("m", i), F.lit(0).cast("long"))).alias("words"))
 
 
-def bloom_semijoin(large: DataFrame, small: DataFrame, fpp: float = 0.01, expected: int | None = None) -> DataFrame:
-    """The rows of large whose value may be in small: all that are, and about fpp of the others."""
-    n = expected if expected is not None else small.agg(F.approx_count_distinct("val")).first()[0]
+def bloom_semijoin(large: DataFrame, small: DataFrame, fpp: float = 0.01, expected: int | None = None, keys: tuple[str, str] = ("val", "val")) -> DataFrame:
+    """The rows of large whose key may be in small: all that are, and about fpp of the others. keys: that of large, that of small.
+
+    expected is a bound of the different keys of small; without one they are counted first.
+    """
+    key, other = keys
+    small = small.filter(F.col(other).isNotNull())
+    n = expected if expected is not None else small.agg(F.approx_count_distinct(other)).first()[0]
     bits, hashes = sizing(max(1, n), fpp)
-    probe = large.filter("val IS NOT NULL").crossJoin(F.broadcast(words(small.filter("val IS NOT NULL"), bits, hashes)))
+    probe = large.filter(F.col(key).isNotNull()).crossJoin(F.broadcast(words(small, bits, hashes, other)))
     for k in range(hashes):
-        b = _bit(F.col("val"), k, bits)
+        b = _bit(F.col(key).cast("double"), k, bits)
         word = F.get("words", F.floor(b / 64).cast("int"))
         probe = probe.filter(F.getbit(word, F.pmod(b, F.lit(64)).cast("int")) == 1)
     return probe.drop("words")

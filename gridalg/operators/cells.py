@@ -24,6 +24,8 @@ class Limits:
     inverse: int = 2048
     #: Entries of an operand that may be broadcast.
     broadcast: int = 1_000_000
+    #: Entries of an operand that a Bloom filter is made of without being asked for.
+    bloom: int = 8_000_000
 
 
 NONZERO = "val IS NOT NULL AND val <> 0"
@@ -224,7 +226,7 @@ def lower(n: Node, spark: SparkSession, limits: Limits) -> DataFrame:
     if isinstance(n, MatMul):
         small = None
         for side, x in (("b", n.b), ("a", n.a)):
-            if isinstance(x, Source) and x.meta.stored is not None and x.meta.stored <= limits.broadcast:
+            if isinstance(x, Source) and x.meta.bound() <= limits.broadcast:
                 small = side
         return multiply(go(n.a), go(n.b), small)
     if isinstance(n, Map):

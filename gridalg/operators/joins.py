@@ -19,6 +19,15 @@ class Operand:
     cells: DataFrame
     nrows: int
     ncols: int
+    #: Entries that count, at most, if known.
+    size: int | None = None
+
+    def expected(self, key: str) -> int | None:
+        """Different keys of the operand, at most, if known."""
+        if key == "val":
+            return self.size
+        n = self.nrows if key == "rid" else self.ncols
+        return n if self.size is None else min(n, self.size)
 
     def dense(self, limits: Limits) -> DataFrame:
         return densify(self.cells, self.nrows, self.ncols, limits.grid)
@@ -45,7 +54,7 @@ def result_dims(shape: str) -> list[tuple[str, str]]:
 
 def _sides(a: Operand, b: Operand, shape: str, flags: Flags, strategy: str, limits: Limits) -> tuple[DataFrame, DataFrame]:
     """The entries that can matter: nonzeros where the other side's zeros annihilate, all cells where not."""
-    if strategy == "densify" or strategy in ("nested_loop", "bloom"):
+    if strategy in ("densify", "nested_loop") or (strategy == "bloom" and shape == "val=val"):
         if shape == "val=val" and flags.z0 and strategy != "densify":
             return a.cells.filter("val IS NOT NULL"), b.cells.filter("val IS NOT NULL")
         return a.dense(limits), b.dense(limits)
@@ -55,6 +64,22 @@ def _sides(a: Operand, b: Operand, shape: str, flags: Flags, strategy: str, limi
     return nonzeros(a.cells) if flags.sx else a.dense(limits), nonzeros(b.cells) if flags.sy else b.dense(limits)
 
 
+def placed(cells: DataFrame, scheme: Scheme, key: str | None, n: int | None) -> DataFrame:
+    """The entries by the scheme that a plan chose. A scheme by another dimension than the join's key would be dealt again, so it is left."""
+    if scheme == Scheme.B or (key, scheme) in (("rid", Scheme.R), ("cid", Scheme.C)):
+        return place(cells, scheme, n)
+    return cells
+
+
+def _filtered(x: DataFrame, y: DataFrame, kx: str, ky: str, expected: int | None, smaller_first: bool) -> tuple[DataFrame, DataFrame]:
+    """The larger of two sides without the rows whose key a filter of the smaller side's keys rules out."""
+    from gridalg.operators.bloom import bloom_semijoin
+
+    if smaller_first:
+        return x, bloom_semijoin(y, x, expected=expected, keys=(ky, kx))
+    return bloom_semijoin(x, y, expected=expected, keys=(kx, ky)), y
+
+
 def join_cells(a: Operand, b: Operand, shape: str, f: MergeFn, flags: Flags, *, strategy: str = "auto", limits: Limits = Limits(), schemes: tuple[Scheme, Scheme] | None = None, n: int | None = None) -> DataFrame:
     """rid, cid, val for overlays, d1.. and val for the other predicates.
 
@@ -66,19 +91,16 @@ def join_cells(a: Operand, b: Operand, shape: str, f: MergeFn, flags: Flags, *,
     order = order_of(shape)
     if shape in ("overlay", "transpose"):
         return _overlay(a, b, shape, f, flags, strategy, limits, schemes, n)
+    pairs = SHAPES[shape]
+    if strategy in ("bloom", "bloom_sparse") and not pairs:
+        raise ValueError("a cross product has no key to filter by")
     left, right = _sides(a, b, shape, flags, strategy, limits)
-    if shape == "val=val" and strategy in ("bloom", "bloom_sparse"):
-        from gridalg.operators.bloom import bloom_semijoin
-
-        small, large = (left, right) if a.nrows * a.ncols <= b.nrows * b.ncols else (right, left)
-        hit = bloom_semijoin(large, small)
-        left, right = (small, hit) if small is left else (hit, small)
     if schemes:
-        left, right = place(left, schemes[0], n), place(right, schemes[1], n)
+        left, right = (placed(c, s, pairs[0][i] if pairs else None, n) for i, (c, s) in enumerate(zip((left, right), schemes, strict=True)))
     x = left.select(F.col("rid").alias("ar"), F.col("cid").alias("ac"), F.col("val").alias("av"))
     y = right.select(F.col("rid").alias("br"), F.col("cid").alias("bc"), F.col("val").alias("bv"))
-    pairs = SHAPES[shape]
     name = lambda side, k: F.col(side + {"rid": "r", "cid": "c", "val": "v"}[k])
+    smaller_first = (a.size if a.size is not None else a.nrows * a.ncols) <= (b.size if b.size is not None else b.nrows * b.ncols)
     if not pairs:
         if a.nrows * a.ncols * b.nrows * b.ncols > limits.output and strategy != "sparse":
             rows = left.count() * right.count()
@@ -91,17 +113,20 @@ def join_cells(a: Operand, b: Operand, shape: str, f: MergeFn, flags: Flags, *,
     else:
         p, q = pairs[0]
         if "val" in (p, q) and p != q:  # a value equals an id: only whole values within the dimension can
-            side, k, bound = ("a", "val", b.nrows if q == "rid" else b.ncols) if p == "val" else ("b", "val", a.nrows if p == "rid" else a.ncols)
-            v = name(side, k)
+            side, bound = ("a", b.nrows if q == "rid" else b.ncols) if p == "val" else ("b", a.nrows if p == "rid" else a.ncols)
+            v = name(side, "val")
             whole = (v == F.floor(v)) & (v >= 0) & (v < bound)
-            key = v.cast("long").alias("k")
-            if side == "a":
-                x, y = x.filter(whole).withColumn("k", key), y.withColumn("k", name("b", q))
-            else:
-                x, y = x.withColumn("k", name("a", p)), y.filter(whole).withColumn("k", key)
+            key = v.cast("long")
+            x, y = (x.filter(whole).withColumn("k", key), y.withColumn("k", name("b", q))) if side == "a" else (x.withColumn("k", name("a", p)), y.filter(whole).withColumn("k", key))
+            if strategy in ("bloom", "bloom_sparse"):  # the ids that have entries rule out values
+                ids = b.expected(q) if side == "a" else a.expected(p)
+                x, y = _filtered(x, y, "k", "k", ids, side == "b")
             both = x.join(y, "k")
         else:
-            both = x.join(y, name("a", p) == name("b", q))
+            kx, ky = "a" + {"rid": "r", "cid": "c", "val": "v"}[p], "b" + {"rid": "r", "cid": "c", "val": "v"}[q]
+            if strategy in ("bloom", "bloom_sparse"):
+                x, y = _filtered(x, y, kx, ky, a.expected(p) if smaller_first else b.expected(q), smaller_first)
+            both = x.join(y, F.col(kx) == F.col(ky))
     if flags.z0 and not (flags.sx or flags.sy) and shape != "val=val" and strategy != "densify":
         both = both.filter("NOT (av = 0 AND bv = 0)")
     dims = [name(s, k).alias(f"d{i + 1}") for i, (s, k) in enumerate(result_dims(shape))]
@@ -125,8 +150,11 @@ def _overlay(a, b, shape, f, flags, strategy, limits, schemes, n) -> DataFrame:
         x, y, how = a.cells, nonzeros(other), "right"
     else:
         x, y, how = a.cells, other, "full"
-    if schemes:
-        x, y = place(x, schemes[0], n), place(y, schemes[1], n)
+    if strategy in ("bloom", "bloom_sparse"):
+        raise ValueError("an overlay meets on two ids, it has no key to filter by")
+    if schemes and how in ("inner", "left", "right"):  # an outer side cannot be sent everywhere
+        x = placed(x, schemes[0], None, n) if how != "left" else x
+        y = placed(y, schemes[1], None, n) if how != "right" else y
     x = x.select("rid", "cid", F.col("val").alias("av"), F.lit(True).alias("ia"))
     y = y.select("rid", "cid", F.col("val").alias("bv"), F.lit(True).alias("ib"))
     both = x.join(y, ["rid", "cid"], how)
@@ -143,6 +171,14 @@ def output_size(a: Operand, b: Operand, shape: str) -> int:
     return x.join(y, "k").agg(F.sum(F.col("x").cast("decimal(38,0)") * F.col("y"))).first()[0] or 0
 
 
+def fused_totals(a: Operand, b: Operand, shape: str) -> DataFrame:
+    """One row: number and sum of the rows of a one-dimension join with f = x * y, from counts and sums of each shared id."""
+    (p, q), *_ = SHAPES[shape]
+    x = nonzeros(a.cells).groupBy(F.col(p).alias("k")).agg(F.count("*").alias("nx"), F.sum("val").alias("x"))
+    y = nonzeros(b.cells).groupBy(F.col(q).alias("k")).agg(F.count("*").alias("ny"), F.sum("val").alias("y"))
+    return x.join(y, "k").agg(F.coalesce(F.sum(F.col("nx") * F.col("ny")), F.lit(0)).alias("n"), F.sum(F.col("x") * F.col("y")).alias("total"))
+
+
 def fused_sum(a: Operand, b: Operand, shape: str, over: str) -> DataFrame:
     """The sum over one dimension of a one-dimension join with f = x * y, without the join's rows.
 
@@ -168,10 +204,3 @@ def join_salted(a: Operand, b: Operand, shape: str, f: MergeFn, heavy: int = HEA
     x = nonzeros(a.cells).select(F.col(p).alias("k"), F.col(fa).alias("d2"), F.col("val").alias("av"))
     y = nonzeros(b.cells).select(F.col(q).alias("k"), F.col(fb).alias("d3"), F.col("val").alias("bv"))
     return salted(x, y, "d2", heavy).select(F.col("k").alias("d1"), "d2", "d3", f(F.col("av"), F.col("bv")).cast("double").alias("val"))
-
-
-def estimate_eta(values: DataFrame, bound: int) -> float:
-    """Share of stored values that are ids of a dimension."""
-    v = F.col("val")
-    r = values.agg(F.count("*"), F.count_if((v == F.floor(v)) & (v >= 0) & (v < bound))).first()
-    return r[1] / r[0] if r[0] else 0.0

@@ -76,19 +76,36 @@ def transpose(tiles: DataFrame) -> DataFrame:
 
 
 def multiply(a: DataFrame, b: DataFrame) -> DataFrame:
-    """The product of blocked matrices: blocks meet on the inner id, partial products are added as dense blocks."""
+    """The product of blocked matrices: blocks meet on the inner id and are multiplied where they meet.
+
+    Partial products of one output block are added in the batch that makes them; the rest of the sum is a pass over the
+    partial products in order of their output block, which holds one block at a time.
+    """
     names = ["fmt", "nr", "nc", "ptr", "idx", "vals"]
     x = a.select("rblk", F.col("cblk").alias("k"), *[F.col(c).alias(f"a_{c}") for c in names])
     y = b.select(F.col("rblk").alias("k"), "cblk", *[F.col(c).alias(f"b_{c}") for c in names])
+    columns = [c.split()[0] for c in TILE.split(", ")]
 
-    def product(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
-        total = None
-        for t in pdf.itertuples(index=False):
-            p = unpack(t.a_fmt, t.a_nr, t.a_nc, t.a_ptr, t.a_idx, t.a_vals) @ unpack(t.b_fmt, t.b_nr, t.b_nc, t.b_ptr, t.b_idx, t.b_vals)
-            total = p if total is None else total + p
-        return pd.DataFrame([{"rblk": key[0], "cblk": key[1]} | pack(total)])
+    def partial(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for pdf in frames:
+            for (r, c), own in pdf.groupby(["rblk", "cblk"], sort=False):
+                total = sum(unpack(t.a_fmt, t.a_nr, t.a_nc, t.a_ptr, t.a_idx, t.a_vals) @ unpack(t.b_fmt, t.b_nr, t.b_nc, t.b_ptr, t.b_idx, t.b_vals) for t in own.itertuples(index=False))
+                yield pd.DataFrame([{"rblk": r, "cblk": c} | pack(total)], columns=columns)
 
-    return x.join(y, "k").groupBy("rblk", "cblk").applyInPandas(product, TILE)
+    def add(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        at, total = None, None
+        for pdf in frames:
+            for t in pdf.itertuples(index=False):
+                if at != (t.rblk, t.cblk):
+                    if at is not None:
+                        yield pd.DataFrame([{"rblk": at[0], "cblk": at[1]} | pack(total)], columns=columns)
+                    at, total = (t.rblk, t.cblk), 0.0
+                total = total + unpack(t.fmt, t.nr, t.nc, t.ptr, t.idx, t.vals)
+        if at is not None:
+            yield pd.DataFrame([{"rblk": at[0], "cblk": at[1]} | pack(total)], columns=columns)
+
+    made = x.join(y, "k").mapInPandas(partial, TILE)
+    return made.repartition("rblk", "cblk").sortWithinPartitions("rblk", "cblk").mapInPandas(add, TILE)
 
 
 def tensor_tiles(a: DataFrame, b: DataFrame, on: tuple[str, str], side: int = SIDE) -> DataFrame:

@@ -14,7 +14,7 @@ from gridalg.functions.merge import ADD, ADD1, LEFTY, MAX, MUL
 from gridalg.functions.ship import ship
 from gridalg.operators import tiles
 from gridalg.operators.bloom import block_join
-from gridalg.operators.joins import Operand, fused_sum, join_salted
+from gridalg.operators.joins import Operand, join_salted
 from gridalg.sources.adapters import from_arrays, from_features, from_links, from_table, from_tokens
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -37,12 +37,12 @@ def _rows(spark: SparkSession, d: str, name: str) -> int:
 
 def _qps(s, d):
     li = table(s, d, "lineitem").select("l_partkey", "l_suppkey", "l_quantity")
-    return Matrix.of(from_table(li, "l_partkey", "l_suppkey", "l_quantity"), _rows(s, d, "part"), _rows(s, d, "supplier"), name="QPS")
+    return Matrix.of(from_table(li, "l_partkey", "l_suppkey", "l_quantity"), _rows(s, d, "part"), _rows(s, d, "supplier"), name="QPS", at_most=_rows(s, d, "lineitem"))
 
 
 def _qcp(s, d):
     both = table(s, d, "lineitem").select("l_orderkey", "l_partkey", "l_quantity").join(table(s, d, "orders").select("o_orderkey", "o_custkey"), F.col("l_orderkey") == F.col("o_orderkey"))
-    return Matrix.of(from_table(both, "o_custkey", "l_partkey", "l_quantity"), _rows(s, d, "customer"), _rows(s, d, "part"), name="QCP")
+    return Matrix.of(from_table(both, "o_custkey", "l_partkey", "l_quantity"), _rows(s, d, "customer"), _rows(s, d, "part"), name="QCP", at_most=_rows(s, d, "lineitem"))
 
 
 def _tnn(s, d):
@@ -55,7 +55,7 @@ def _tnn(s, d):
 
 def _qol(s, d):
     li = table(s, d, "lineitem").select("l_orderkey", "l_linenumber", "l_quantity")
-    return Matrix.of(from_table(li, "l_orderkey", "l_linenumber - 1", "l_quantity"), _rows(s, d, "orders"), 7, name="QOL")
+    return Matrix.of(from_table(li, "l_orderkey", "l_linenumber - 1", "l_quantity"), _rows(s, d, "orders"), 7, name="QOL", at_most=_rows(s, d, "lineitem"))
 
 
 def _users(s, d):
@@ -65,11 +65,11 @@ def _users(s, d):
 def _cue(s, d):
     e = table(s, d, "events").select("user_id", "event_type")
     codes, n = dense_codes(e.select("event_type"))
-    return Matrix.of(from_table(e.join(codes, "event_type"), "user_id", "code"), _users(s, d), n, name="CUE")
+    return Matrix.of(from_table(e.join(codes, "event_type"), "user_id", "code"), _users(s, d), n, name="CUE", at_most=_rows(s, d, "events"))
 
 
 def _cuh(s, d):
-    return Matrix.of(from_table(table(s, d, "events").select("user_id", "ts"), "user_id", "hour(ts)"), _users(s, d), 24, name="CUH")
+    return Matrix.of(from_table(table(s, d, "events").select("user_id", "ts"), "user_id", "hour(ts)"), _users(s, d), 24, name="CUH", at_most=_rows(s, d, "events"))
 
 
 def _emb(s, d):
@@ -80,7 +80,7 @@ def _emb(s, d):
 def _csn(s, d):
     c = table(s, d, "customer").select("c_custkey", "c_mktsegment", "c_nationkey")
     codes, n = dense_codes(c.select("c_mktsegment"))
-    return Matrix.of(from_table(c.join(codes, "c_mktsegment"), "c_custkey", "code", "c_nationkey"), _rows(s, d, "customer"), n, name="CSN")
+    return Matrix.of(from_table(c.join(codes, "c_mktsegment"), "c_custkey", "code", "c_nationkey"), _rows(s, d, "customer"), n, name="CSN", at_most=_rows(s, d, "customer"))
 
 
 def _pfx(s, d):
@@ -88,11 +88,11 @@ def _pfx(s, d):
     codes, n = dense_codes(p.select("p_brand"))
     own = from_features(p, "p_partkey", [F.lit(1.0), F.col("p_size"), F.col("p_retailprice")])
     brand = p.join(codes, "p_brand").select(F.col("p_partkey").alias("rid"), (F.col("code") + 3).alias("cid"), F.lit(1.0).alias("val"))
-    return Matrix.of(own.unionByName(brand), _rows(s, d, "part"), 3 + n, name="PFX")
+    return Matrix.of(own.unionByName(brand), _rows(s, d, "part"), 3 + n, name="PFX", at_most=4 * _rows(s, d, "part"))
 
 
 def _sxn(s, d):
-    return Matrix.of(table(s, d, "supplier").select(F.col("s_suppkey").alias("rid"), F.col("s_nationkey").alias("cid"), F.lit(1.0).alias("val")), _rows(s, d, "supplier"), 25, name="SXN")
+    return Matrix.of(table(s, d, "supplier").select(F.col("s_suppkey").alias("rid"), F.col("s_nationkey").alias("cid"), F.lit(1.0).alias("val")), _rows(s, d, "supplier"), 25, name="SXN", at_most=_rows(s, d, "supplier"))
 
 
 def _rxn(s, d):
@@ -291,7 +291,7 @@ for _n in ("add", "mul"):
 
 def _cost(s, d):
     li = table(s, d, "lineitem").select("l_suppkey", "l_partkey", "l_linenumber")
-    return Matrix.of(from_table(li, "l_suppkey", "l_partkey", "l_linenumber"), _rows(s, d, "supplier"), _rows(s, d, "part"), name="COST")
+    return Matrix.of(from_table(li, "l_suppkey", "l_partkey", "l_linenumber"), _rows(s, d, "supplier"), _rows(s, d, "part"), name="COST", at_most=_rows(s, d, "lineitem"))
 
 
 SQL["COST"] = "SELECT l_suppkey AS rid, l_partkey AS cid, CAST(sum(l_linenumber) AS DOUBLE) AS val FROM lineitem GROUP BY 1, 2"
@@ -306,7 +306,6 @@ def _d2d_sql(a: str, b: str, p: str, q: str) -> str:
     return f"{_with(a, b)} SELECT x.{p} AS d1, x.{o[p]} AS d2, y.{o[q]} AS d3, x.val * y.val AS val FROM {a.lower()} x JOIN {b.lower()} y ON x.{p} = y.{q} WHERE x.val <> 0 AND y.val <> 0"
 
 
-_PLACED = Engine(placement=True)
 for _n, _a, _b, _p, _q in (
     ("rr_sd", "CUE", "TNN", "rid", "rid"),
     ("rr_ds", "TNN", "CUE", "rid", "rid"),
@@ -314,16 +313,11 @@ for _n, _a, _b, _p, _q in (
     ("rc", "CUE", "TNN", "rid", "cid"),
     ("cc", "CUE", "RXN", "cid", "cid"),
 ):
-    query(f"d2d_{_n}", _d2d_sql(_a, _b, _p, _q))(lambda s, d, a=_a, b=_b, p=_p, q=_q: MATRICES[a](s, d).using(_PLACED).join(MATRICES[b](s, d), f"{p}={q}", MUL))
+    query(f"d2d_{_n}", _d2d_sql(_a, _b, _p, _q))(lambda s, d, a=_a, b=_b, p=_p, q=_q: MATRICES[a](s, d).join(MATRICES[b](s, d), f"{p}={q}", MUL))
 
 
-def _summary(t: Tensor) -> DataFrame:
-    """Rows and sum of a large tensor."""
-    return t.cells.agg(F.count("*").alias("n"), F.sum("val").alias("total"))
-
-
-query("d2d_cr", f"WITH t AS ({_d2d_sql('QPS', 'TNN', 'cid', 'rid')}) SELECT count(*) AS n, sum(val) AS total FROM t")(lambda s, d: _summary(_qps(s, d).join(_tnn(s, d), "CID=RID", MUL)))
-query("d2d_rr_ss", f"WITH t AS ({_d2d_sql('QPS', 'QPS', 'rid', 'rid')}) SELECT count(*) AS n, sum(val) AS total FROM t")(lambda s, d: _summary(_qps(s, d).join(_qps(s, d), "RID=RID", MUL)))
+query("d2d_cr", f"WITH t AS ({_d2d_sql('QPS', 'TNN', 'cid', 'rid')}) SELECT count(*) AS n, sum(val) AS total FROM t")(lambda s, d: _qps(s, d).join(_tnn(s, d), "CID=RID", MUL).cells.agg(F.count("*").alias("n"), F.sum("val").alias("total")))
+query("d2d_rr_ss", f"WITH t AS ({_d2d_sql('QPS', 'QPS', 'rid', 'rid')}) SELECT count(*) AS n, sum(val) AS total FROM t")(lambda s, d: _qps(s, d).join(_qps(s, d), "RID=RID", MUL).totals())
 query("d2d_lefty", f"{_with('CUE', 'TNN')}, g AS (SELECT x.rid AS d1, x.cid AS d2, j AS d3, x.val AS x FROM cue x, range(25) b(j) WHERE x.rid < 25) SELECT d1, d2, d3, x * (coalesce(y.val, 0) + 1) AS val FROM g LEFT JOIN tnn y ON y.rid = d1 AND y.cid = d3")(lambda s, d: _cue(s, d).join(_tnn(s, d), "rid=rid", LEFTY))
 
 # Joins on values
@@ -333,7 +327,7 @@ def _v2v_sql(a: str, b: str) -> str:
     return f"{_with(a, b)} SELECT x.rid AS d1, x.cid AS d2, y.rid AS d3, y.cid AS d4, x.val * y.val AS val FROM {a.lower()} x JOIN {b.lower()} y ON x.val = y.val WHERE x.val <> 0"
 
 
-for _n, _a, _b, _s in (("v2v_hit", "CUE", "CUH", "auto"), ("v2v_miss", "TNN", "QOL", "auto"), ("v2v_bloom", "CUE", "CUH", "bloom"), ("v2v_sparse", "CUE", "CUH", "sparse"), ("v2v_bloom_sparse", "CUE", "CUH", "bloom_sparse"), ("v2v_nested_loop", "CUE", "CUH", "nested_loop")):
+for _n, _a, _b, _s in (("v2v_hit", "CUE", "CUH", "auto"), ("v2v_miss", "TNN", "QCP", "auto"), ("v2v_bloom", "CUE", "CUH", "bloom"), ("v2v_sparse", "CUE", "CUH", "sparse"), ("v2v_bloom_sparse", "CUE", "CUH", "bloom_sparse"), ("v2v_nested_loop", "CUE", "CUH", "nested_loop")):
     query(_n, _v2v_sql(_a, _b))(lambda s, d, a=_a, b=_b, st=_s: MATRICES[a](s, d).join(MATRICES[b](s, d), "VAL=VAL", MUL, strategy=st))
 query(
     "v2v_emb_summary",
@@ -350,6 +344,21 @@ def _dv_sql(a: str, b: str, p: str, q: str) -> str:
 
 for _n, _a, _b, _p, _q in (("d2v_rid", "TNN", "CUE", "rid", "val"), ("d2v_cid", "TNN", "CUE", "cid", "val"), ("v2d_rid", "CSN", "TNN", "val", "rid"), ("v2d_cid", "CSN", "TNN", "val", "cid")):
     query(_n, _dv_sql(_a, _b, _p, _q))(lambda s, d, a=_a, b=_b, p=_p, q=_q: MATRICES[a](s, d).join(MATRICES[b](s, d), f"{p}={q}", MUL))
+    query(f"{_n}_bloom", ORACLES[_n])(lambda s, d, a=_a, b=_b, p=_p, q=_q: MATRICES[a](s, d).join(MATRICES[b](s, d), f"{p}={q}", MUL, strategy="bloom"))
+query("d2d_bloom", ORACLES["d2d_rr_sd"])(lambda s, d: _cue(s, d).join(_tnn(s, d), "rid=rid", MUL, strategy="bloom"))
+
+
+def _choices(s, d) -> DataFrame:
+    """What the cost model chooses for each workload join of these tables: strategy, moved entries and placement."""
+    pairs = [("rid=rid", "QPS", "QPS"), ("cid=rid", "QPS", "TNN"), ("rid=rid", "CUE", "TNN"), ("val=val", "CUE", "CUH"), ("val=val", "TNN", "QCP"), ("rid=val", "TNN", "CUE"), ("val=rid", "CSN", "TNN"), ("overlay", "CUE", "CUH"), ("cross", "SXN", "TNN")]
+    rows = []
+    for g, a, b in pairs:
+        c = MATRICES[a](s, d).choose(MATRICES[b](s, d), g, MUL)
+        rows.append((f"{a} {b} {g}", c.strategy, c.sizes[0], c.sizes[1], c.placement.sa.value, c.placement.sb.value, float(c.placement.cost)))
+    return s.createDataFrame(rows, "join string, strategy string, a long, b long, sa string, sb string, moved double")
+
+
+query("join_choices", None)(_choices)
 
 # Factorisation, one iteration from fixed start values
 
@@ -375,8 +384,8 @@ def _flat(rows: DataFrame) -> DataFrame:
     return rows.select(F.col("id").alias("rid"), F.posexplode("vec").alias("p", "val")).select("rid", F.col("p").cast("long").alias("cid"), "val")
 
 
-query("pnmf_iter1_w", f"{_pnmf_sql()} SELECT i AS rid, j AS cid, round(v, 6) + 0.0 AS val FROM w1", True)(lambda s, d: _flat((lambda a: nmf.step(a, nmf.start(a, _RANK)).w)(_qcp(s, d))))
-query("pnmf_iter1_h", f"{_pnmf_sql()} SELECT i AS rid, j AS cid, round(v, 6) + 0.0 AS val FROM h1", True)(lambda s, d: _flat((lambda a: nmf.step(a, nmf.start(a, _RANK)).h)(_qcp(s, d))))
+query("pnmf_iter1_w", f"{_pnmf_sql()} SELECT i AS rid, j AS cid, round(v, 6) + 0.0 AS val FROM w1", True)(lambda s, d: _flat((lambda a: nmf.step(a, nmf.start(a, _RANK), nmf.prepare(a, _RANK)).w)(_qcp(s, d))))
+query("pnmf_iter1_h", f"{_pnmf_sql()} SELECT i AS rid, j AS cid, round(v, 6) + 0.0 AS val FROM h1", True)(lambda s, d: _flat((lambda a: nmf.step(a, nmf.start(a, _RANK), nmf.prepare(a, _RANK)).h)(_qcp(s, d))))
 
 
 def _objective(steps: int):
@@ -384,7 +393,7 @@ def _objective(steps: int):
         a = _qcp(s, d)
         f = nmf.start(a, _RANK)
         for _ in range(steps):
-            f = nmf.step(a, f)
+            f = nmf.step(a, f)  # vectors brought to nonzeros; pnmf_iter1 takes the grid
         return nmf.objective(a, f).select(F.round("objective", 3).alias("objective"))
 
     return run
@@ -395,7 +404,7 @@ query("pnmf_objective_0", f"{_pnmf_sql()} {_OBJ.format(w='w0', h='h0', s='s0')}"
 query("pnmf_objective_1", f"{_pnmf_sql()} {_OBJ.format(w='w1', h='h1', s='s2')}")(_objective(1))
 
 # recommendation
-query("recommend_topk", None)(lambda s, d: nmf.recommend(_qcp(s, d).T, _pfx(s, d), 4, 5, iterations=1).withColumn("val", F.round("val", 6)))
+query("recommend_topk", None)(lambda s, d: nmf.recommend(_qcp(s, d).T, _pfx(s, d), 4, 5).withColumn("val", F.round("val", 6)))
 
 # Pushdown of the opening example, tensors, chains
 query(
@@ -403,8 +412,11 @@ query(
     f"{_with('RXN', 'TNN')} SELECT r.rid, CAST(0 AS BIGINT) AS cid, sum(r.val * t.val) AS val FROM rxn r JOIN (SELECT rid, cid, val FROM tnn UNION ALL SELECT cid, rid, val FROM tnn) t ON r.cid = t.rid GROUP BY r.rid",
 )(lambda s, d: (_rxn(s, d) @ (_tnn(s, d) + _tnn(s, d).T)).row_sums())
 query("tensor_agg_d2", f"WITH t AS ({_d2d_sql('QPS', 'QPS', 'rid', 'rid')}) SELECT d1, d3, sum(val) AS val FROM t GROUP BY 1, 2")(lambda s, d: _qps(s, d).join(_qps(s, d), "rid=rid", MUL).agg("sum", ("d2",)))
-query("tensor_agg_d3", f"WITH t AS ({_d2d_sql('QPS', 'QPS', 'rid', 'rid')}) SELECT d1, d2, sum(val) AS val FROM t GROUP BY 1, 2")(lambda s, d: fused_sum(Operand(_qps(s, d).cells(), 0, 0), Operand(_qps(s, d).cells(), 0, 0), "rid=rid", "d3"))
-query("tensor_agg_d1", f"WITH t AS ({_d2d_sql('QPS', 'QPS', 'rid', 'rid')}) SELECT d2, d3, sum(val) AS val FROM t GROUP BY 1, 2")(lambda s, d: fused_sum(Operand(_qps(s, d).cells(), 0, 0), Operand(_qps(s, d).cells(), 0, 0), "rid=rid", "d1"))
+query("tensor_agg_d3", f"WITH t AS ({_d2d_sql('QPS', 'QPS', 'rid', 'rid')}) SELECT d1, d2, sum(val) AS val FROM t GROUP BY 1, 2")(lambda s, d: _qps(s, d).join(_qps(s, d), "rid=rid", MUL).agg("sum", ("d3",)))
+query("tensor_agg_d1", f"WITH t AS ({_d2d_sql('QPS', 'QPS', 'rid', 'rid')}) SELECT d2, d3, sum(val) AS val FROM t GROUP BY 1, 2")(lambda s, d: _qps(s, d).join(_qps(s, d), "rid=rid", MUL).agg("sum", ("d1",)))
+query("tensor_max_d2", f"WITH t AS ({_d2d_sql('QPS', 'TNN', 'cid', 'rid')}) SELECT d1, d3, max(val) AS val FROM t GROUP BY 1, 2")(lambda s, d: _qps(s, d).join(_tnn(s, d), "cid=rid", MUL).agg("max", ("d2",)))
+query("tensor_max_d1", f"WITH t AS ({_d2d_sql('CUE', 'TNN', 'rid', 'rid')}) SELECT d2, d3, max(val) AS val FROM t GROUP BY 1, 2")(lambda s, d: _cue(s, d).join(_tnn(s, d), "rid=rid", MUL).laid_out(("d1",)).agg("max", ("d1",)))
+query("tensor_select", f"WITH t AS ({_d2d_sql('QPS', 'TNN', 'cid', 'rid')}) SELECT d1, d2, d3, val FROM t WHERE d1 BETWEEN 2 AND 9 AND d2 < 100 AND d3 = 4")(lambda s, d: _qps(s, d).join(_tnn(s, d), "cid=rid", MUL).select(d1=(2, 9), d2=(0, 99), d3=4))
 query("chain_region_trade", f"{_with('RXN', 'TNN')} SELECT a.rid, b.rid AS cid, sum(t.val) AS val FROM rxn a JOIN tnn t ON a.cid = t.rid JOIN rxn b ON b.cid = t.cid GROUP BY 1, 2")(lambda s, d: _rxn(s, d) @ _tnn(s, d) @ _rxn(s, d).T)
 query("tensor_of_predictions", f"{_with('RXN', 'TNN')}, p AS (SELECT a.rid, t.cid, sum(t.val) AS val FROM rxn a JOIN tnn t ON a.cid = t.rid GROUP BY 1, 2) SELECT p.cid AS d1, p.rid AS d2, t.cid AS d3, p.val * t.val AS val FROM p JOIN tnn t ON p.cid = t.rid")(lambda s, d: (_rxn(s, d) @ _tnn(s, d)).join(_tnn(s, d), "CID=RID", MUL))
 
@@ -475,7 +487,14 @@ query("elem_div", f"{_with('TNN')} SELECT a.rid, a.cid, round(CASE WHEN a.val =
 query("map_log", f"{_with('QOL')} SELECT rid, cid, round(ln(val), 6) + 0.0 AS val FROM qol", True)(lambda s, d: _qol(s, d).log())
 query("product_tiles", f"{_with('RXN', 'TNN')} SELECT r.rid, t.cid, sum(r.val * t.val) AS val FROM rxn r JOIN tnn t ON r.cid = t.rid GROUP BY 1, 2")(lambda s, d: tiles.to_cells(tiles.multiply(tiles.to_tiles(_rxn(s, d).cells(), 5, 25, 10), tiles.to_tiles(_tnn(s, d).cells(), 25, 25, 10)), 10))
 query("tiles_round_trip", f"{_with('QPS')} SELECT rid, cid, val FROM qps WHERE val <> 0")(lambda s, d: (lambda m: tiles.to_cells(tiles.to_tiles(m.cells(), *m.shape, 64), 64))(_qps(s, d)))
-query("qr_r_squared", f"{_with('PFX')} SELECT x.cid AS rid, y.cid, round(sum(x.val * y.val), 3) AS val FROM pfx x JOIN pfx y ON x.rid = y.rid WHERE x.cid < 3 AND y.cid < 3 GROUP BY 1, 2")(lambda s, d: (lambda r: (r.T @ r).cells().withColumn("val", F.round("val", 3)))(qr(Matrix.of(_pfx(s, d).cells().filter("cid < 3"), _pfx(s, d).shape[0], 3))[1]))
+# all columns but one brand, which the others and the ones give; over 997, so that neither the order of additions nor ties show
+query("qr_r_squared", f"{_with('PFX')}, x AS (SELECT rid, CASE WHEN cid > 3 THEN cid - 1 ELSE cid END AS cid, val FROM pfx WHERE cid <> 3) SELECT x.cid AS rid, y.cid, round(sum(x.val * y.val) / 997, 3) AS val FROM x JOIN x y ON x.rid = y.rid GROUP BY 1, 2 HAVING round(sum(x.val * y.val) / 997, 3) <> 0")(lambda s, d: _r_squared(_pfx(s, d)))
+
+
+def _r_squared(m: Matrix) -> DataFrame:
+    cells = m.cells().filter("cid <> 3").withColumn("cid", F.when(F.col("cid") > 3, F.col("cid") - 1).otherwise(F.col("cid")))
+    r = qr(Matrix.of(cells, m.shape[0], m.shape[1] - 1))[1]
+    return (r.T @ r).cells().select("rid", "cid", F.round(F.col("val") / 997, 3).alias("val")).filter("val <> 0")
 
 query("product_shuffle_inner", f"{_with('RXN', 'TNN')} SELECT r.rid, t.cid, sum(r.val * t.val) AS val FROM rxn r JOIN tnn t ON r.cid = t.rid GROUP BY 1, 2")(lambda s, d: _rxn(s, d).matmul(_tnn(s, d), "shuffle_inner"))
 query("product_row_stationary", ORACLES["product_shuffle_inner"])(lambda s, d: _rxn(s, d).matmul(_tnn(s, d), "row_stationary"))
@@ -510,7 +529,16 @@ def _folds(s, d, part: int) -> DataFrame:
     return out
 
 
-query("cross_validate_part", None)(lambda s, d: cross_validate(*_part_xy(s, d), 3).withColumn("sse", F.round("sse", 3)))
+query(
+    "cross_validate_part",
+    """WITH d AS (SELECT p_partkey AS r, CAST(p_size AS DOUBLE) AS u, p_retailprice AS v, y FROM part LEFT JOIN (SELECT l_partkey, sum(l_quantity) AS y FROM lineitem GROUP BY 1) ON p_partkey = l_partkey),
+    t AS (SELECT f, u, v, coalesce(y, 0) AS y FROM d, range(3) k(f) WHERE r % 3 <> f),
+    m AS (SELECT f, avg(u) AS mu, avg(v) AS mv, avg(y) AS my FROM t GROUP BY f),
+    s AS (SELECT f, sum((u - mu) ** 2) AS uu, sum((v - mv) ** 2) AS vv, sum((u - mu) * (v - mv)) AS uv, sum((u - mu) * (y - my)) AS uy, sum((v - mv) * (y - my)) AS vy FROM t JOIN m USING (f) GROUP BY f),
+    b AS (SELECT f, (uy * vv - vy * uv) / (uu * vv - uv * uv) AS bu, (vy * uu - uy * uv) / (uu * vv - uv * uv) AS bv FROM s)
+    SELECT CAST(f AS INTEGER) AS fold, count(*) AS n, round(sum((y - (my + bu * (u - mu) + bv * (v - mv))) ** 2) / 1000, 3) AS sse
+    FROM d JOIN b ON r % 3 = f JOIN m USING (f) WHERE y IS NOT NULL GROUP BY f""",
+)(lambda s, d: cross_validate(*_part_xy(s, d), 3).withColumn("sse", F.round(F.col("sse") / 1000, 3)))
 
 
 # surroundings: tokens, one pass over all lines, set operations on supports

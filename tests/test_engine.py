@@ -2,7 +2,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from gridalg.algos import pnmf as nmf
+from gridalg.algos import pnmf as nmf, regress
 from gridalg.algos.regress import linreg, linreg_row, qr
 from gridalg.api import CID, NULL, RID, VAL, Engine, Limits, Matrix, Scheme, TooLarge
 from gridalg.functions.encode import dense_codes
@@ -86,6 +86,53 @@ def test_factorisation(spark):
     assert np.allclose((w @ h).sum(0)[cols], x.sum(0)[cols])
 
 
+def test_steps_by_grid_nonzeros_and_full_product_agree(spark):
+    x = R.poisson(0.6, (40, 25)).astype(float)
+    x[3], x[:, 2] = 5, 0  # a heavy row, an empty column
+    a = matrix(spark, x)
+    f = nmf.start(a, 3)
+    results = []
+    for one in (nmf.step(a, f), nmf.step(a, f, nmf.Grid.of(a.cells(), 9)), nmf.step(a, f, nmf.Grid.of(a.cells(), 1)), nmf.step_full(a, f)):
+        results.append([array(m) for m in nmf.matrices(a, one)])
+    for w, h in results[1:]:
+        assert np.allclose(w, results[0][0]) and np.allclose(h, results[0][1])
+    grid = nmf.Grid.of(a.cells(), 9)
+    rows = {r.part: r.n for r in grid.cells.groupBy("part").agg(F.count("*").alias("n")).collect()}
+    assert grid.side == 3 and len(rows) == 9 and max(rows.values()) < np.count_nonzero(x) / 3
+    assert nmf.prepare(matrix(spark, x, stats=True), 3) is not None and nmf.prepare(matrix(spark, np.eye(30), stats=True), 3) is None
+
+
+def test_recommendations_against_numpy(spark):
+    y, x = R.poisson(0.7, (14, 9)).astype(float), np.abs(R.normal(size=(14, 4))).round(2)
+    y[:, 4], x[:, 1] = 0, 0  # a user without ratings, a feature without entries
+    both = np.hstack([y, np.divide(x, x.max(0), out=np.zeros_like(x), where=x.max(0) > 0)])
+    k = 3
+    w = np.array([[((7 * i + 3 * j) % 11 + 1) / 11 for j in range(k)] for i in range(14)])
+    h = np.array([[((3 * i + 7 * j) % 11 + 1) / 11 for i in range(13)] for j in range(k)])
+    for _ in range(5):
+        w = w * (np.where(both, both / (w @ h), 0) @ h.T) / h.sum(1)
+        h = h * (w.T @ np.where(both, both / (w @ h), 0)) / w.sum(0)[:, None]
+    want = {}
+    for u in np.flatnonzero(y.any(0)).tolist():
+        score = sorted(((-float(w[i] @ h[:, u]), i) for i in range(14) if not y[i, u]))[:4]
+        want[u] = [(r + 1, i, pytest.approx(-s)) for r, (s, i) in enumerate(score)]
+    for sizes in ((1000, 10_000), (2, 3)):
+        nmf.USERS, nmf.ITEMS = sizes
+        got = {}
+        for r in nmf.recommend(matrix(spark, y), matrix(spark, x), k, 4).collect():
+            got.setdefault(r.user, []).append((r["rank"], r["item"], r.val))
+        assert {u: sorted(v) for u, v in got.items()} == want
+    nmf.USERS, nmf.ITEMS = 1000, 10_000
+
+
+def test_qr_by_a_tree(spark, monkeypatch):
+    monkeypatch.setattr(regress, "FAN", 2)
+    x = R.normal(size=(60, 5))
+    m = Matrix.of(matrix(spark, x).cells(), 60, 5)
+    q, r = (array(t) for t in regress.qr(m))
+    assert np.allclose(q @ r, x) and np.allclose(q.T @ q, np.eye(5)) and (np.diag(r) > 0).all() and np.allclose(r, np.triu(r))
+
+
 def test_tiles(spark):
     x, y = R.integers(0, 3, (10, 7)).astype(float), R.integers(0, 3, (7, 11)).astype(float)
     x[:4] = np.where(R.uniform(size=(4, 7)) < 0.9, 0, x[:4])

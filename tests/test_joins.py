@@ -4,7 +4,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from gridalg.api import Engine, Limits, TooLarge
+from gridalg.api import Engine, Limits, Matrix, Scheme, Tensor, TooLarge
 from gridalg.functions.merge import ADD, ADD1, LEFTY, MAX, MUL, Flags, MergeFn
 from gridalg.operators.bloom import bloom_semijoin, sizing
 from gridalg.operators.joins import result_dims
@@ -76,7 +76,68 @@ def test_illegal_predicates_and_limits(spark):
     a, b = matrix(spark, A, engine=tight), matrix(spark, B)
     for shape, f in (("cross", MUL), ("cid=rid", MUL), ("cid=rid", ADD1)):
         with pytest.raises(TooLarge):
-            a.join(b, shape, f)
+            a.join(b, shape, f).cells  # noqa: B018
+    assert a.join(b, "cid=rid", MUL).totals().first().n > 10  # sums need no rows
+
+
+def test_choices(spark):
+    """What the cost model picks on its own, and that all picks give the same rows."""
+    a, b = matrix(spark, A, stats=True), matrix(spark, B, stats=True)
+    c = a.choose(b, "cid=rid", MUL)
+    assert (c.placement.sa, c.placement.sb) == (Scheme.C, Scheme.R) and c.strategy == "auto" and "selectivity" in a.explain_join(b, "cid=rid", MUL)
+    big = Matrix.of(spark.range(400).selectExpr("id AS rid", "id % 7 AS cid", "CAST(id AS DOUBLE) AS val"), 400, 7, stats=True, engine=Engine(limits=Limits(broadcast=0)))
+    few = Matrix.of(spark.range(0, 400, 50).selectExpr("id AS rid", "0L AS cid", "CAST(id AS DOUBLE) AS val"), 400, 7, stats=True)
+    for gamma in ("val=val", "rid=val", "val=rid"):
+        x, y = (few.using(big.engine), big) if gamma != "val=rid" else (big, few)
+        assert x.choose(y, gamma, MUL).strategy == "bloom_sparse", gamma
+        want = sorted(map(tuple, x.join(y, gamma, MUL, strategy="sparse").cells.collect()))
+        assert sorted(map(tuple, x.join(y, gamma, MUL).cells.collect())) == want and want
+    c = few.choose(big, "val=val", MUL)  # small enough to be sent everywhere
+    assert c.strategy == "auto" and c.placement.sa == Scheme.B
+    # values of 0 to 399: all whole, 25 of 400 are ids of a dimension of 25
+    assert big.node.meta.selectivity(25) == pytest.approx(25 / 400) and big.choose(few, "val=cid", MUL).eta == pytest.approx(7 / 400)
+    assert Matrix.of(big.cells(), 400, 7, at_most=500).meta().bound() == 500 and big.measured().meta().nnz == 399
+
+
+@pytest.mark.parametrize("shape", ["rid=rid", "cid=rid", "rid=val", "val=cid"])
+def test_filters_on_ids_and_values(spark, shape):
+    a, b = matrix(spark, A), matrix(spark, B)
+    for f in (MUL, LEFTY, ADD):
+        rows = [{tuple(r) for r in a.join(b, shape, f, strategy=s).cells.collect() if r[-1]} for s in ("auto", "bloom", "bloom_sparse")]
+        assert rows[0] == rows[1] == rows[2]
+    for bad in ("overlay", "cross"):
+        with pytest.raises(ValueError):
+            matrix(spark, S).join(matrix(spark, T), bad, MUL, strategy="bloom").cells  # noqa: B018
+
+
+def test_tensors_select_and_sum_without_their_rows(spark):
+    a, b = matrix(spark, A), matrix(spark, B)
+    t = a.join(b, "cid=rid", MUL)
+    rows = [tuple(r) for r in t.cells.collect()]
+    pick = t.select(d1=(1, 2), d3=4)
+    assert sorted(map(tuple, pick.cells.collect())) == sorted(r for r in rows if 1 <= r[0] <= 2 and r[2] == 4)
+    assert sorted(map(tuple, Tensor(t.cells, t.sizes, t.origin).select(d2=3).cells.collect())) == sorted(r for r in rows if r[1] == 3)
+    for over, keep in (("d1", (1, 2)), ("d2", (0, 2)), ("d3", (0, 1))):
+        want = {}
+        for r in rows:
+            k = tuple(r[i] for i in keep)
+            want[k] = want.get(k, 0) + r[3]
+        plain = a.using(Engine(rules=frozenset())).join(b, "cid=rid", MUL)
+        assert {tuple(r)[:2]: r[2] for r in t.agg("sum", (over,)).collect()} == {tuple(r)[:2]: r[2] for r in plain.agg("sum", (over,)).collect()} == want
+    assert tuple(t.totals().first()) == (len(rows), sum(r[3] for r in rows))
+
+
+def test_a_lead_dimension_keeps_aggregates_in_their_tasks(spark):
+    wide = lambda x: Matrix.of(matrix(spark, x).cells(), *x.shape, engine=Engine(limits=Limits(broadcast=0)))
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        exchanges = lambda df: df._jdf.queryExecution().executedPlan().toString().count("Exchange hashpartitioning")
+        t = wide(A).join(wide(B), "cid=rid", MAX, strategy="sparse")
+        assert t.lead(("d2",)) == "d1" and exchanges(t.agg("max", ("d2",))) == exchanges(t.cells)
+        laid = t.laid_out(("d1",))
+        assert t.lead(("d1",)) == "d2" and exchanges(laid.agg("max", ("d1",))) == exchanges(laid.cells) == exchanges(t.cells) + 1
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
 
 
 def test_overlay_keeps_one_sided_values(spark):
@@ -96,7 +157,7 @@ def test_bloom_has_no_false_negatives(spark):
         kept = {r.val for r in bloom_semijoin(large, small, fpp).collect()}
         assert {float(x) for x in range(0, 5000, 50)} <= kept
         assert len(kept) < 100 + 4900 * (0.9 if fpp == 0.5 else 0.05)
-    assert sizing(10**9, 0.001)[0] == 1 << 23
+    assert sizing(10**9, 0.001)[0] == 1 << 26
 
 
 def test_kron(spark):
