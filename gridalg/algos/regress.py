@@ -13,8 +13,8 @@ def gram(x: Matrix) -> Matrix:
 
 
 def linreg(x: Matrix, y: Matrix) -> Matrix:
-    """The d x 1 coefficients (X'X)^-1 X'y; the chain is ordered so that X'y comes first."""
-    return gram(x).inverse() @ (x.T @ y)
+    """The d x 1 coefficients (X'X)^-1 X'y, written from left to right; the rule of chains has X'y come first."""
+    return gram(x).inverse() @ x.T @ y
 
 
 def linreg_row(x: Matrix, y: Matrix, i: int) -> Matrix:

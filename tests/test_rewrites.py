@@ -3,7 +3,7 @@ import itertools
 import numpy as np
 import pytest
 
-from gridalg.api import CID, RID, VAL, Engine, Matrix
+from gridalg.api import CID, RID, VAL, Engine, Limits, Matrix, TooLarge
 from gridalg.plans.nodes import Agg, Elem, Inverse, Map, Masked, MatMul, Ones, Scalar, Select, ShapeError, Transpose
 from gridalg.plans.rewrite import RULES, flops, rewrite
 from tests.support import array, matrix
@@ -52,6 +52,9 @@ CASES = {
     "select_scaled_value": (lambda a, b, c: (a * -2).select(VAL > 2), lambda: np.where(A * -2 > 2, A * -2, 0), {"R6c"}),
     "select_aggregate": (lambda a, b, c: a.row_sums().select(RID == 1), lambda: np.where(np.arange(4)[:, None] == 1, agg(A, "sum", "r"), 0), {"R17"}),
     "total_of_row_sums": (lambda a, b, c: a.row_sums().total(), lambda: agg(A, "sum", "a"), {"R39"}),
+    "product_of_shifted": (lambda a, b, c: (a + 2.5) @ b, lambda: (A + 2.5) @ B, {"R37"}),
+    "product_with_shifted": (lambda a, b, c: a @ (b + 0.5 + 1), lambda: A @ (B + 1.5), {"R37"}),
+    "sum_of_shifted_product": (lambda a, b, c: ((a + 2.5) @ b).row_sums(), lambda: agg((A + 2.5) @ B, "sum", "r"), {"R13", "R37"}),
     "chain": (lambda a, b, c: a @ b @ c, lambda: A @ B @ C, set()),
     "selfsum": (lambda a, b, c: a + a, lambda: A + A, {"R30"}),
     "ones": (lambda a, b, c: a @ Matrix.ones(a.spark, 5, 3), lambda: A @ np.ones((5, 3)), {"R32"}),
@@ -106,6 +109,14 @@ def test_masked_products(spark):
         assert np.allclose(array(m), want)
 
 
+def test_shifted_products_fill_in_no_zeros(spark):
+    tight = Engine(limits=Limits(grid=30))  # the product has 16 cells, a grid of a 20 and one of both 40
+    a, b = matrix(spark, np.eye(4, 10), stats=True, engine=tight), matrix(spark, np.eye(10, 4), stats=True)
+    assert np.allclose(array((a + 1.0) @ b), (np.eye(4, 10) + 1) @ np.eye(10, 4))
+    with pytest.raises(TooLarge):
+        ((a + 1.0) @ b).using(Engine(rules=frozenset(), limits=tight.limits)).cells()
+
+
 def test_chain_order_and_costs(spark):
     big, small = matrix(spark, np.ones((6, 40))), matrix(spark, np.ones((40, 1)))
     m = matrix(spark, np.ones((8, 6))) @ big @ small
