@@ -145,17 +145,23 @@ class Transducer:
         self.byte = {int(p[3:5], 16): i for i, (p, _, t) in enumerate(pieces) if t == BYTE}
         if self.kind == MERGE:  # pieces that merging their characters doesn't give never occur
             self.ids = {p: i for p, i in self.ids.items() if self.merges(p) == [p]}
-        self.trie: dict = {}  # nodes by character; the id of the piece that ends at a node is under the empty string
+        self.trie: dict = {}  # for each character, the nodes below it and the id of the piece that ends there, or None
         for p, i in self.ids.items():
             node = self.trie
-            for c in p:
-                node = node.setdefault(c, {})
-            node[""] = i
+            for c in p[:-1]:
+                node = node.setdefault(c, [{}, None])[0]
+            node.setdefault(p[-1], [{}, None])[1] = i
         self.bytes_of = [bytes([int(p[3:5], 16)]) if t == BYTE else b"" if t == CONTROL else p.replace(GAP, " ").encode() for p, _, t in pieces]
         joins = {c for p in self.ids if len(p) > 1 for c in p}
         runs = all(GAP not in p.lstrip(GAP) for p in self.ids)
         alone = "" if "\n" in joins or "\n" in self.ids else "\n"
-        self.parts = re.compile(f"{GAP}*[^{GAP}{alone}]+|{GAP}+" + (f"|{alone}" if alone else "")) if runs else None
+        # No piece has a sign (what is no word character) right after a word character, but for a few (glue), so no
+        # piece spans that place, and a word and the sign after it are separate parts.
+        sign = re.compile(rf"[^\w{GAP}]")
+        glue = re.escape("".join(sorted({x for p in self.ids for x, c in zip(p, p[1:], strict=False) if sign.match(c) and x != GAP and not sign.match(x)} | {"_"})))
+        other, word = rf"(?:[^\w{GAP}{alone}]|[{glue}])", rf"[^\W{glue}]"
+        own = f"{GAP}*{other}*{word}+(?:[{glue}]{other}*{word}*)*|{GAP}*{other}+|{GAP}+"
+        self.parts = re.compile(own + (f"|{alone}" if alone else "")) if runs else None
         self.least = min((s for p, s, t in pieces if t == NORMAL), default=0.0) - 10
         self.words: dict[str, bytes] = {}
         self.older: dict[str, bytes] = {}
@@ -231,11 +237,11 @@ class Transducer:
             if arcs is None:
                 arcs, k, node = [], i, trie
                 while k < n:
-                    node = node.get(text[k])
-                    if node is None:
+                    found = node.get(text[k])
+                    if found is None:
                         break
                     k += 1
-                    p = node.get("")
+                    node, p = found
                     if p is not None:
                         arcs.append((k, p))
                 if not arcs or arcs[0][0] > i + 1:
@@ -270,14 +276,14 @@ class Transducer:
         last, back = [-1] * (n + 1), [0] * (n + 1)
         for i in range(n):
             k, node = i, self.trie
-            if (node.get(text[i]) or {}).get("") is None and cost[i] - self.least < cost[i + 1]:
+            if node.get(text[i], (None, None))[1] is None and cost[i] - self.least < cost[i + 1]:
                 cost[i + 1], last[i + 1], back[i + 1] = cost[i] - self.least, -2, i
             while k < n:
-                node = node.get(text[k])
-                if node is None:
+                found = node.get(text[k])
+                if found is None:
                     break
                 k += 1
-                p = node.get("")
+                node, p = found
                 if p is not None and cost[i] - self.score[p] < cost[k]:
                     cost[k], last[k], back[k] = cost[i] - self.score[p], p, i
         pieces, starts = [], []
