@@ -19,7 +19,7 @@ def main() -> None:
 
     from gridalg import baselines, measure, queries as q
     from gridalg.algos import pnmf as nmf
-    from gridalg.algos.regress import gram, linreg_row
+    from gridalg.algos.regress import gram, linreg, linreg_row
     from gridalg.api import Engine, Limits, Matrix, Scheme
     from gridalg.functions.lineage import cut
     from gridalg.functions.merge import ADD, MUL
@@ -44,6 +44,7 @@ def main() -> None:
     none = Engine(rules=frozenset())
     qps, qcp, tnn = m["QPS"], m["QCP"], m["TNN"]
     one = Matrix.of(qps.cells().groupBy("rid").agg(F.sum("val").alias("val")).select("rid", F.lit(0).cast("long").alias("cid"), "val"), qps.shape[0], 1)
+    x3 = Matrix.of(q._pfx(spark, SF).cells().filter("cid < 3"), qps.shape[0], 3)
     big, small = m["QOL"], Matrix.of(m["CUE"].cells(), m["QOL"].shape[0], 7)
     placed = [qps.placed(Scheme.R), qps.placed(Scheme.R)]
     cost, hours = q._cost(spark, SF), m["CUH"]
@@ -67,8 +68,10 @@ def main() -> None:
         "gram_trace_product_first": lambda: baselines.product_first(qps, "sum", "d"),
         "gram_entry": lambda: gram(qps).entry(1, 1).cells(),
         "gram_entry_product_first": lambda: cut(gram(qps).using(none).cells()).filter("rid = 1 AND cid = 1"),
-        "linreg_row_all": lambda: linreg_row(qps, one, 1).cells(),
-        **{f"linreg_row_{p}": (lambda e: lambda: linreg_row(qps, one, 1).using(e).cells())(baselines.PROFILES[p]) for p in ("pushdown", "order", "none")},
+        "linreg_row_all": lambda: linreg_row(x3, one, 1).cells(),
+        **{f"linreg_row_{p}": (lambda e: lambda: linreg_row(x3, one, 1).using(e).cells())(baselines.PROFILES[p]) for p in ("pushdown", "order", "none")},
+        "linreg_qps": lambda: linreg(qps, one).cells(),
+        "linreg_qps_none": lambda: linreg(qps, one).using(none).cells(),
         "kron_sparse_dense": lambda: q._sxn(spark, SF).kron(tnn).cells(),
         "kron_sparse_dense_densify": lambda: q._sxn(spark, SF).using(Engine(strategy="densify")).kron(tnn).cells(),
         "overlay_add": lambda: big.join(small, "overlay", ADD).cells(),
@@ -132,7 +135,8 @@ def main() -> None:
                     "transpose_over_cross": ratio("overlay_transpose_users_cross", "overlay_transpose_users"),
                     "d2d_over_hashed": ratio("d2d_rid_rid_unplaced", "d2d_rid_rid"),
                     "d2d_over_cross": ratio("d2d_users_cross", "d2d_users"),
-                    "linreg_over_none": ratio("linreg_row_none", "linreg_row_all"),
+                    "linreg_row_over_none": ratio("linreg_row_none", "linreg_row_all"),
+                    "linreg_over_none": ratio("linreg_qps_none", "linreg_qps"),
                     "v2v_sparse_over_bloom": ratio("v2v_bloom", "v2v_sparse"),
                     "pnmf_over_full_product": ratio("pnmf_qps_full_product", "pnmf_qps"),
                 },
