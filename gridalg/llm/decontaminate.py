@@ -96,6 +96,7 @@ def _rows(found: WindowIndex, column: pa.Array) -> Iterator[tuple[np.ndarray, li
 def _scan(index):
     """The hits of each row; what comes after id and text goes through."""
 
+    @kernel.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             lo = 0
@@ -215,6 +216,7 @@ def digest(found: DataFrame) -> DataFrame:
 def _clean(index, mode: str, text_at: int, chars_at: int, spans_at: int):
     """Whole rows without hits or with the hits cut out; hits are looked for, or read from a last column of spans."""
 
+    @kernel.tidy
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             if spans_at >= 0:
@@ -226,7 +228,8 @@ def _clean(index, mode: str, text_at: int, chars_at: int, spans_at: int):
             if hit and mode == "document":
                 keep = np.ones(batch.num_rows, bool)
                 keep[hit] = False
-                batch = batch.filter(pa.array(keep))
+                yield from kernel.kept(batch, keep)
+                continue
             elif hit:
                 texts = batch.column(text_at).to_pylist()
                 chars = batch.column(chars_at).to_pylist() if chars_at >= 0 else None

@@ -8,7 +8,9 @@ bytes equals working on characters.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import ctypes
+from collections.abc import Callable, Iterator
+from functools import wraps
 
 import numpy as np
 import pyarrow as pa
@@ -17,13 +19,38 @@ U64 = np.uint64
 _MULT = 0x9E3779B97F4A7C15 | 1
 _INV = pow(_MULT, -1, 1 << 64)
 _WINDOW = U64(0xD6E8FEB86659FD93)
-PIECE = 1 << 20
+PIECE = 1 << 18
 
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
 _VALUE = np.random.default_rng(20240117).integers(1, 1 << 63, 256, dtype=np.uint64) | U64(1)
 
 
+def hand_back() -> None:
+    """Memory that was freed goes back to the system, where the C library can do that."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim:
+        trim(0)
+
+
+def tidy(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]):
+    """run, with the memory that it freed handed back in the end: a worker waits for its next task with what it needs."""
+
+    @wraps(run)
+    def tidied(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from run(batches)
+        hand_back()
+
+    return tidied
+
+
+def kept(batch: pa.RecordBatch, mask: np.ndarray, rows: int = 1000) -> Iterator[pa.RecordBatch]:
+    """The rows of a batch where the mask is set, in small batches."""
+    for lo in range(0, batch.num_rows, rows):
+        yield batch.slice(lo, rows).filter(pa.array(mask[lo : lo + rows]))
+
+
 def byte_class(pattern: str) -> np.ndarray:
     """Bytes of single-byte characters that the one-character pattern takes, and all bytes of longer ones."""
     import re

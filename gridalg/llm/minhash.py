@@ -77,6 +77,7 @@ def _sets(batch: pa.RecordBatch, size: int) -> Iterator[tuple[int, np.ndarray]]:
 
 
 def _sketch(size: int):
+    @kernel.tidy
     def run(batches):
         for batch in batches:
             n = batch.num_rows
@@ -98,6 +99,7 @@ def _sketch(size: int):
 
 
 def _full(size: int):
+    @kernel.tidy
     def run(batches):
         for batch in batches:
             sets = [s.view(np.int64) for _, s in _sets(batch, size)]

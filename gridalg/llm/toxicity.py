@@ -123,6 +123,7 @@ class Trigrams:
         return self.__dict__ | {"cache": {}}
 
 
+@kernel.tidy
 def _trigrams(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     total: dict[int, int] = {}
     _, letter, _ = tables()
@@ -378,6 +379,7 @@ _SALTS = np.array([0, 0xA0761D6478BD642F], np.uint64)
 def _group(model):
     """text, toxic and a 128-bit digest of the word set of each text: copies share it, so that they can count once."""
 
+    @kernel.tidy
     def run(batches):
         m = model.value
         for batch in batches:
@@ -394,6 +396,7 @@ def _group(model):
 def _tally(model, keys):
     """hash and number of texts that hold it: of all words and stems, or of the keys only."""
 
+    @kernel.tidy
     def run(batches):
         m, want = model.value, keys.value if keys else None
         bits = None if want is None else _bits(want)
@@ -412,6 +415,7 @@ def _tally(model, keys):
 def _patterns(model):
     """toxic and the active features of each text: number * TIMES + occurrences - 1."""
 
+    @kernel.tidy
     def run(batches):
         m = model.value
         bits = _bits(m.features)
@@ -543,6 +547,7 @@ def _scores(m: Model, bits: np.ndarray, sums: np.ndarray, column: pa.Array) -> n
 
 
 def _score(model):
+    @kernel.tidy
     def run(batches):
         m = model.value
         bits, sums = _bits(m.features), np.cumsum(m.weights, axis=1)
@@ -553,11 +558,12 @@ def _score(model):
 
 
 def _keep(model, text_at: int):
+    @kernel.tidy
     def run(batches):
         m = model.value
         bits, sums = _bits(m.features), np.cumsum(m.weights, axis=1)
         for batch in batches:
-            yield batch.filter(pa.array(_scores(m, bits, sums, batch.column(text_at)) < THRESHOLD))
+            yield from kernel.kept(batch, _scores(m, bits, sums, batch.column(text_at)) < THRESHOLD)
 
     return run
 
