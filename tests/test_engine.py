@@ -201,7 +201,7 @@ def test_top_and_views(spark):
 
 def test_baselines_and_measures(spark):
     from gridalg import baselines, measure
-    from gridalg.functions.merge import MUL
+    from gridalg.functions.merge import ADD, MUL
 
     x = R.integers(0, 3, (8, 5)).astype(float)
     m = matrix(spark, x)
@@ -211,6 +211,12 @@ def test_baselines_and_measures(spark):
     assert {(r.rid, r.val) for r in baselines.rdd_rowsum(m).collect()} == {(i, v) for i, v in enumerate(g.sum(1)) if x[:, i].any()}
     want = {tuple(r) for r in m.join(m, "rid=rid", MUL).cells.collect() if r[-1]}
     assert {tuple(r) for r in baselines.cross_then_filter(m, m, ("rid", "rid"), MUL).collect() if r[-1]} == want
+    y = R.integers(0, 3, (8, 5)).astype(float)
+    other = matrix(spark, y)
+    chunks = baselines.chunk_overlay(baselines.chunked(m, 3), baselines.chunked(other, 3), ADD)
+    assert np.array_equal(array(Matrix.of(chunks, 8, 5)), x + y)
+    assert np.array_equal(array(Matrix.of(baselines.cross_overlay(m, other.T, MUL), 8, 5)), x * y)
+    assert {tuple(r) for r in baselines.hashed(m).join(baselines.hashed(m), "rid=rid", MUL).cells.collect() if r[-1]} == want
     assert measure.timed(lambda: m.cells(), 1) > 0
     assert measure.shuffled(spark, lambda: m.row_sums().cells())[0] > 0
     assert measure.outcome(lambda: m.cells(), spark)[0] == "done"
