@@ -194,7 +194,7 @@ def near_duplicates(docs: DataFrame, *, shingle: int = 5, share: tuple[int, int]
     rest = _hidden(mixed, sets, share).join(star, ["a", "b"], "left_anti")
     more = cut(_confirm(rest, sets, share))
 
-    final = components(first.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(more))
+    final = first if more.isEmpty() else components(first.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(more))
     rep_of = reps.select(*key, "rep").join(final, F.col("rep") == F.col("node"), "left").select(*key, F.coalesce("component", "rep").alias("component_id"))
     component = F.when(F.col("doc_id").isNotNull(), F.coalesce("component_id", "doc_id"))
     out = sketch.select("doc_id", *key).join(rep_of, key, "left").select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"))

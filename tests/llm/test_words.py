@@ -5,7 +5,8 @@ import numpy as np
 import pyarrow as pa
 import pytest
 
-from gridalg.llm import decontaminate as dec, kernel, minhash
+from gridalg.llm import components, decontaminate as dec, kernel, minhash
+from gridalg.llm.lineage import cut
 
 LOWER = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
 ALNUM = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
@@ -172,6 +173,21 @@ def test_links_that_no_centre_shows(spark):
     assert len({v[1] for v in got.values()}) == 1
 
 
+@pytest.mark.parametrize("links", [[], [(5, 5), (2, 1), (1, 2), (1, 2)], [(i, i + 1) for i in range(100)], [(i, 1000) for i in range(40)] + [(1000, 2000), (2000, -3)], [(i * i * 7 % 151, i * 31 % 149) for i in range(110)]])
+def test_rounds_of_components_deal_the_edges_twice(spark, monkeypatch, links):
+    """With up to eleven exchanges in the plan of a round, many partitions left tens of thousands of small files."""
+    plans = []
+    monkeypatch.setattr(components, "cut", lambda df: plans.append(df._jdf.queryExecution().executedPlan().toString()) or cut(df))
+    got = components.components(spark.createDataFrame(links, "a long, b long")).collect()
+    root = {x: x for link in links if link[0] != link[1] for x in link}
+    for _ in root:
+        for a, b in links:
+            if a != b:
+                root[a] = root[b] = min(root[a], root[b])
+    assert sorted(map(tuple, got)) == sorted(root.items())
+    assert plans and max(p.count("Exchange ") for p in plans) <= 2
+
+
 def test_no_documents_and_repeated_rows(spark):
     d = spark.createDataFrame([], "doc_id long, text string")
     assert minhash.near_duplicates(d).count() == 0
