@@ -6,6 +6,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 #: Side of a block: a million cells, or 8 MB dense, fit a cache and an Arrow batch.
@@ -38,16 +39,68 @@ def unpack(fmt: int, nr: int, nc: int, ptr, idx, vals) -> np.ndarray:
 
 
 def to_tiles(cells: DataFrame, nrows: int, ncols: int, side: int = SIDE) -> DataFrame:
-    """Blocks of the nonzeros; blocks without any are not stored."""
+    """Blocks of the nonzeros; blocks without any are not stored.
 
-    def build(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
-        r, c = key
-        x = np.zeros((min(side, nrows - r * side), min(side, ncols - c * side)))
-        x[pdf["rid"] - r * side, pdf["cid"] - c * side] = pdf["val"]
-        return pd.DataFrame([{"rblk": r, "cblk": c} | pack(x)])
+    Entries come in order of their block, and all blocks of a batch are made at once; one that goes on into the next
+    batch waits for the rest.
+    """
 
-    keyed = cells.filter("val IS NOT NULL AND val <> 0").withColumn("rblk", F.floor(F.col("rid") / side)).withColumn("cblk", F.floor(F.col("cid") / side))
-    return keyed.groupBy("rblk", "cblk").applyInPandas(build, TILE)
+    def build(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[list[np.ndarray]] = []
+        for batch in batches:
+            x = [np.asarray(batch.column(i)) for i in range(5)]
+            if not len(x[0]):
+                continue
+            new = np.flatnonzero((np.diff(x[0]) != 0) | (np.diff(x[1]) != 0)) + 1
+            if held and (held[-1][0][-1] != x[0][0] or held[-1][1][-1] != x[1][0]):
+                new = np.concatenate([[0], new])
+            if not len(new):
+                held.append(x)
+                continue
+            done = [*held, [c[: new[-1]] for c in x]]
+            yield from _packed([np.concatenate(c) for c in zip(*done, strict=True)], nrows, ncols, side)
+            held = [[c[new[-1] :] for c in x]]
+        if held:
+            yield from _packed([np.concatenate(c) for c in zip(*held, strict=True)], nrows, ncols, side)
+
+    keyed = cells.filter("val IS NOT NULL AND val <> 0").select(F.floor(F.col("rid") / side).alias("rblk"), F.floor(F.col("cid") / side).alias("cblk"), F.col("rid").cast("long"), F.col("cid").cast("long"), F.col("val").cast("double"))
+    return keyed.repartition("rblk", "cblk").sortWithinPartitions("rblk", "cblk", "rid", "cid").mapInArrow(build, TILE)
+
+
+def _packed(entries: list[np.ndarray], nrows: int, ncols: int, side: int) -> Iterator[pa.RecordBatch]:
+    """Whole blocks, given as entries in order: sparse ones all at once, dense ones one by one."""
+    rblk, cblk, rid, cid, val = entries
+    at = np.concatenate([[0], np.flatnonzero((np.diff(rblk) != 0) | (np.diff(cblk) != 0)) + 1, [len(val)]])
+    r, c, size = rblk[at[:-1]], cblk[at[:-1]], np.diff(at)
+    nr, nc = np.minimum(side, nrows - r * side), np.minimum(side, ncols - c * side)
+    full = size > DENSE_FROM * nr * nc
+    for i in np.flatnonzero(full):
+        x = np.zeros((nr[i], nc[i]))
+        own = slice(at[i], at[i + 1])
+        x[rid[own] - r[i] * side, cid[own] - c[i] * side] = val[own]
+        yield _tiles(r[i : i + 1], c[i : i + 1], DENSE, nr[i : i + 1], nc[i : i + 1], None, None, _lists(np.array([0, x.size]), x.ravel()))
+    thin = ~full
+    if thin.any():
+        entry = np.repeat(thin, size)
+        r, c, nr, nc, size = r[thin], c[thin], nr[thin], nc[thin], size[thin]
+        rid, cid, val = rid[entry], cid[entry], val[entry]
+        first = np.concatenate([[0], np.cumsum(nr + 1)])
+        line = np.repeat(first[:-1] - r * side, size) + rid + 1
+        ends = np.cumsum(np.bincount(line, minlength=first[-1]))
+        start = np.concatenate([[0], np.cumsum(size)])
+        ptr = (ends - np.repeat(start[:-1], nr + 1)).astype(np.int32)
+        idx = (cid - np.repeat(c * side, size)).astype(np.int32)
+        yield _tiles(r, c, BY_ROW, nr, nc, _lists(first, ptr), _lists(start, idx), _lists(start, val))
+
+
+def _lists(at: np.ndarray, flat: np.ndarray) -> pa.Array:
+    return pa.ListArray.from_arrays(pa.array(at.astype(np.int32)), pa.array(flat))
+
+
+def _tiles(r, c, fmt: int, nr, nc, ptr, idx, vals) -> pa.RecordBatch:
+    n, ints = len(r), pa.list_(pa.int32())
+    columns = [pa.array(r, pa.int64()), pa.array(c, pa.int64()), pa.array(np.full(n, fmt, np.int32)), pa.array(nr.astype(np.int32)), pa.array(nc.astype(np.int32)), pa.nulls(n, ints) if ptr is None else ptr, pa.nulls(n, ints) if idx is None else idx, vals]
+    return pa.record_batch(columns, names=[x.split()[0] for x in TILE.split(", ")])
 
 
 def to_cells(tiles: DataFrame, side: int = SIDE) -> DataFrame:

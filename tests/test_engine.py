@@ -242,3 +242,23 @@ def test_stream_gives_what_the_batch_gives(spark, tmp_path):
     assert spark.sql("SELECT sum(n) AS n FROM days").first().n == events.count()
     s = windows.sessions(events).groupBy().agg(F.sum("n")).first()[0]
     assert s == events.count()
+
+
+def test_tiles_of_a_batch_are_made_at_once(spark):
+    x = np.where(R.uniform(size=(30, 23)) < 0.3, R.integers(1, 9, (30, 23)), 0).astype(float)
+    x[:8, :8] = 1  # dense blocks among sparse ones
+    before = spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")
+    try:
+        for batch in (1, 7, 10_000):  # blocks that go on over batches, and many blocks in one
+            spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", batch)
+            for side in (1, 4, 64):
+                t = tiles.to_tiles(matrix(spark, x).cells(), 30, 23, side)
+                rows = t.collect()
+                assert len({(r.rblk, r.cblk) for r in rows}) == len(rows)
+                for r in rows:
+                    own = x[r.rblk * side : (r.rblk + 1) * side, r.cblk * side : (r.cblk + 1) * side]
+                    assert own.any() and {"rblk": r.rblk, "cblk": r.cblk} | tiles.pack(own) == r.asDict()
+                assert np.array_equal(array(Matrix.of(tiles.to_cells(t, side), 30, 23)), x)
+    finally:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", before)
+    assert "InPandas" not in t._jdf.queryExecution().executedPlan().toString()  # no call of Python for each block
