@@ -262,3 +262,39 @@ def test_tiles_of_a_batch_are_made_at_once(spark):
     finally:
         spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", before)
     assert "InPandas" not in t._jdf.queryExecution().executedPlan().toString()  # no call of Python for each block
+
+
+def test_recommendation_bounds_lose_nothing(monkeypatch):
+    for kind in ("uniform", "ties", "signed"):
+        w, h = R.random((3000, 4)), R.random((60, 4))
+        if kind == "ties":
+            w, h = w.round(1), h.round(1)
+            h[:5], w[:5] = 0, 0
+        elif kind == "signed":
+            w, h = w - 0.5, h - 0.5
+        full = nmf._scores(h, w)
+        row, had = np.nonzero((R.random(full.shape) < 0.02) | (full > np.sort(full, axis=1)[:, -4:-3]))  # the best are seen
+        full[row, had] = -np.inf
+        want = np.argsort(-full, axis=1, kind="stable")[:, :5]
+        for sizes in ((16, 8, 2, 3), (256, 256, 16, 64)):
+            for name, size in zip(("LEAF", "GROUP", "FIRST", "ROUND"), sizes, strict=True):
+                monkeypatch.setattr(nmf, name, size)
+            at, val = nmf._search(h, row, had, w, 5)
+            assert np.array_equal(at, want) and np.array_equal(val, np.take_along_axis(full, want, 1))
+    few, val = nmf._search(h[:2], np.array([0, 0, 1]), np.array([0, 1, 2]), w[:3], 5)
+    assert np.isfinite(val).sum(1).tolist() == [1, 2]
+
+
+def test_recommendation_scores_few_items(monkeypatch):
+    w, h = R.random((20_000, 4)), R.random((300, 4))
+    scored, scores = [], nmf._scores
+    monkeypatch.setattr(nmf, "_scores", lambda a, b: scored.append(len(a) * len(b)) or scores(a, b))
+    none = np.zeros(0, np.int64)
+    nmf._search(h, none, none, w, 5)
+    assert sum(scored) < len(h) * len(w) / 2
+
+
+def test_recommendation_needs_no_objective(spark, monkeypatch):
+    monkeypatch.setattr(nmf, "objective", None)
+    y = R.poisson(0.7, (6, 5)).astype(float)
+    assert nmf.recommend(matrix(spark, y), matrix(spark, np.ones((6, 2))), 2, 2, 1).count() > 0
